@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 
 from semigrid.functions.worker import worker_state
 from semigrid.llm.golay import Golay
+from semigrid.llm.runs import sorted_runs
 from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
 from semigrid.workloads.components import connected_components
 
@@ -155,33 +156,12 @@ def golay_links(nodes: DataFrame, bits: int = 3, run_limit: int = RUN_LIMIT) ->
         def out(u, v, fp, view) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(v, pa.int64()), pa.array(fp, pa.int64()), pa.array(view, pa.int64())], ["u", "v", "fp", "view"])
 
-        held: list[tuple] = []
-        over = None  # key of a run that is too long to hold
-        for batch in batches:
-            key, node, fp = (np.asarray(batch.column(k)) for k in range(3))
-            if over is not None:
-                n = int(np.searchsorted(key, over, "right"))
-                yield out(node[:n], node[:n], fp[:n], np.full(n, over >> 56))
-                key, node, fp = key[n:], node[n:], fp[n:]
-                if not len(key):
-                    continue
-                over = None
-            held.append((key, node, fp))
-            if sum(len(h[0]) for h in held) < 20_000:
-                continue
-            key, node, fp = (np.concatenate(x) for x in zip(*held))
-            last = int(np.searchsorted(key, key[-1], "left"))
-            if last:
-                yield from linked(key[:last], node[:last], fp[:last])
-            held = [(key[last:], node[last:], fp[last:])]
-            if len(key) - last > run_limit:
-                over, n = int(key[-1]), len(key) - last
-                yield out(node[last:], node[last:], fp[last:], np.full(n, over >> 56))
-                held = []
-        if held:
-            key, node, fp = (np.concatenate(x) for x in zip(*held))
-            if len(key):
+        for whole, table in sorted_runs(batches, 20_000, run_limit):
+            key, node, fp = (table.column(k).to_numpy() for k in range(3))
+            if whole:
                 yield from linked(key, node, fp)
+            else:
+                yield out(node, node, fp, key >> 56)
 
     keyed = nodes.select("node", "view", "fp").mapInArrow(keys, "key long, node long, fp long")
     found = materialize(keyed.repartition("key").sortWithinPartitions("key").mapInArrow(links, "u long, v long, fp long, view long"), "links")
