@@ -18,7 +18,7 @@ def sorted_suffixes(symbols: np.ndarray, depth: int) -> np.ndarray:
         key = key << np.uint64(9) | padded[k : k + n]
     length = 7
     while True:
-        order = np.argsort(key, kind="stable")
+        order = np.argsort(key)
         ranked = key[order]
         fresh = np.r_[True, ranked[1:] != ranked[:-1]]
         if length >= depth or fresh.all():
@@ -41,28 +41,24 @@ def shared_prefix_bounds(symbols: np.ndarray, order: np.ndarray, least: int) ->
     of suffixes that share that much.
     """
     n = len(symbols)
-    last = symbols[order - 1].astype(np.int64)  # the transform; the text is taken as a ring
-    by_symbol = np.argsort(last, kind="stable")
-    image = np.empty(n, np.int64)
-    image[by_symbol] = np.arange(n)  # row of the suffix that is longer by the symbol before
-    follows = np.full(n, n, np.int64)  # next row with the same symbol
+    last = symbols[order - 1].astype(np.uint16)  # the transform; the text is taken as a ring
+    by_symbol = np.argsort(last, kind="stable").astype(np.int32)
+    image = np.empty(n, np.int32)
+    image[by_symbol] = np.arange(n, dtype=np.int32)  # row of the suffix that is longer by the symbol before
+    follows = np.full(n, n, np.int32)  # next row with the same symbol
     same = last[by_symbol[1:]] == last[by_symbol[:-1]]
     follows[by_symbol[:-1][same]] = by_symbol[1:][same]
-    precedes = np.full(n, -1, np.int64)
+    precedes = np.full(n, -1, np.int32)
     precedes[by_symbol[1:][same]] = by_symbol[:-1][same]
     bound = np.zeros(n + 1, bool)
     bound[0] = bound[n] = True
-    low, high = np.array([0]), np.array([n])
+    low, high = np.array([0], np.int32), np.array([n], np.int32)
     for _ in range(least):
         size = high - low
-        rows = np.repeat(low - np.r_[0, np.cumsum(size)[:-1]], size) + np.arange(size.sum())
-        lows, highs = np.repeat(low, size), np.repeat(high, size)
-        ends = rows[follows[rows] >= highs]  # last row of each symbol in its interval
-        starts = rows[precedes[rows] < lows]  # first row of each symbol
-        which = np.repeat(np.arange(len(low)), size)
-        ends = ends[np.lexsort((last[ends], which[follows[rows] >= highs]))]
-        starts = starts[np.lexsort((last[starts], which[precedes[rows] < lows]))]
-        new_low, new_high = image[starts], image[ends] + 1
+        rows = np.repeat(low - (np.cumsum(size, dtype=np.int32) - size), size) + np.arange(size.sum(), dtype=np.int32)
+        # The last row of each symbol in its interval, and the first: images come by symbol, then by interval.
+        new_high = np.sort(image[rows[follows[rows] >= np.repeat(high, size)]]) + 1
+        new_low = np.sort(image[rows[precedes[rows] < np.repeat(low, size)]])
         fresh = ~bound[new_high]
         low, high = new_low[fresh], new_high[fresh]
         bound[high] = True

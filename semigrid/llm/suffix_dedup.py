@@ -26,7 +26,7 @@ from semigrid.llm.bwt import window_classes
 from semigrid.llm.runs import sorted_runs
 from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
 
-_BASE, _BITS = 0x9E3779B97F4A7C15 | 1, 20
+_BASE, _BITS = 0x9E3779B97F4A7C15 | 1, 18
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 #: Windows of a block that a task looks at together.
 _BLOCK = (1 << _BITS) - 256
@@ -55,7 +55,11 @@ class Shape:
 
 
 def anchors(data: np.ndarray, ends: np.ndarray, shape: Shape) -> Iterator[tuple[np.ndarray, ...]]:
-    """(anchor digest, context digest, text number, first window, windows - 1, anchor's place in it).
+    """(anchor digest, context digest, text number, first window, b).
+
+    b packs windows - 1, and what stands before and after the anchor, as 16 bits of a digest
+    each: a window that reaches at least half of its other bytes to one side. Zero says
+    that no window of the context reaches that far.
 
     ``data`` has the texts one after the other, ``ends`` where each ends. Texts are read
     in blocks; a block's border may part a context, never a window.
@@ -99,7 +103,12 @@ def anchors(data: np.ndarray, ends: np.ndarray, shape: Shape) -> Iterator[tuple[
         context = _mix((sums[high + least] - sums[low]) * inverse[low] + _mix(shape_of + np.uint64(1)))
         text = owner[low]
         starts = np.r_[0, ends][text]
-        yield _mix(g[q] + np.uint64(77)).view(np.int64), context.view(np.int64), text, low + at - starts, size, place
+        half = (least - gram + 1) // 2
+        before, after = np.maximum(q - half, 0), np.minimum(q + gram + half, n)
+        left = np.where(place >= half, _mix((sums[q] - sums[before]) * inverse[before]) >> np.uint64(48) | np.uint64(1), np.uint64(0))
+        right = np.where(high + least >= q + gram + half, _mix((sums[after] - sums[q + gram]) * inverse[q + gram]) >> np.uint64(48) | np.uint64(1), np.uint64(0))
+        b = size << 32 | (left << np.uint64(16) | right).view(np.int64)
+        yield _mix(g[q] + np.uint64(77)).view(np.int64), context.view(np.int64), text, low + at - starts, b
 
 
 def merged(doc: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -123,6 +132,17 @@ def _first_of(keys: list[np.ndarray], doc: np.ndarray, start: np.ndarray) -> tup
     return order[head], order[later]
 
 
+def _shared(h: np.ndarray, side: np.ndarray) -> np.ndarray:
+    """Whether another row with the same anchor has the same side. ``h`` is sorted; a side of zero is none."""
+    order = np.lexsort((side, h))
+    h, side = h[order], side[order]
+    same = (h[1:] == h[:-1]) & (side[1:] == side[:-1]) & (side[1:] != 0)
+    out = np.zeros(len(h), bool)
+    out[order[1:]] |= same
+    out[order[:-1]] |= same
+    return out
+
+
 _ROW = "h long, kind int, c long, doc long, a long, b long"
 _SPAN, _CONTEXT, _CROWD = 0, 1, 2
 
@@ -147,7 +167,7 @@ def _bytes_of(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offsets[1:] - offsets[0]
 
 
-def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 1_500_000, run_limit: int = 400_000, crowd: int = 2_000) -> DataFrame:
+def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 400_000, run_limit: int = 400_000, crowd: int = 2_000) -> DataFrame:
     """(doc, a, b): bytes from a to b of a document that an earlier window covers; spans may overlap.
 
     ``docs`` has doc_id and text, without nulls. Tasks keep ``held`` anchors at most
@@ -163,7 +183,7 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 1_500_00
         count = 0
 
         def sent() -> Iterator[pa.RecordBatch]:
-            h, c, doc, low, size, place = (np.concatenate(x) for x in zip(*parts))
+            h, c, doc, low, b = (np.concatenate(x) for x in zip(*parts))
             key = _mix(h.view(np.uint64) + _mix(c.view(np.uint64)))
             order = np.argsort(key)
             key = key[order]
@@ -171,15 +191,17 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 1_500_00
             some = order[~alone]
             head, later = _first_of([c[some], h[some]], doc[some], low[some])
             keep = np.r_[order[alone], some[head]]
-            yield _rows(_CONTEXT, h[keep], c[keep], doc[keep], low[keep], size[keep] << 8 | place[keep])
+            for at in range(0, len(keep), 50_000):
+                part = keep[at : at + 50_000]
+                yield _rows(_CONTEXT, h[part], c[part], doc[part], low[part], b[part])
             later = some[later]
-            yield _spans(doc[later], low[later], low[later] + size[later] + least)
+            yield _spans(doc[later], low[later], low[later] + (b[later] >> 32) + least)
 
         for batch in batches:
             ids = np.asarray(batch.column(0))
             data, ends = _bytes_of(batch.column(1))
-            for h, c, text, low, size, place in anchors(data, ends, shape):
-                parts.append((h, c, ids[text], low, size, place))
+            for h, c, text, low, b in anchors(data, ends, shape):
+                parts.append((h, c, ids[text], low, b))
                 count += len(h)
                 if count > held:
                     yield from sent()
@@ -202,8 +224,9 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 1_500_00
             some = some[kind[some] == _CONTEXT]
             head, later = _first_of([c[some], h[some]], doc[some], a[some])
             later = some[later]
-            yield _spans(doc[later], a[later], a[later] + (b[later] >> 8) + least)
+            yield _spans(doc[later], a[later], a[later] + (b[later] >> 32) + least)
             head = some[head]
+            head = head[_shared(h[head], b[head] >> 16 & 0xFFFF) | _shared(h[head], b[head] & 0xFFFF)]
             size = np.diff(np.flatnonzero(np.r_[True, h[head][1:] != h[head][:-1], True])) if len(head) else np.zeros(0, int)
             size = np.repeat(size, size)
             for k, pick in ((_CONTEXT, (size > 1) & (size <= crowd)), (_CROWD, size > crowd)):
@@ -218,7 +241,7 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 1_500_00
             for doc, text, wanted in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
                 raw = text.as_py().encode()
                 for w in wanted:
-                    low, size = w["a"], w["b"] >> 8
+                    low, size = w["a"], w["b"] >> 32
                     if w["kind"] == _CONTEXT:
                         out.append((w["h"], 0, _CONTEXT, doc, low, raw[low : low + size + least]))
                         continue
