@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import sys
 import types
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
+from functools import wraps
 from typing import Any
 
 
@@ -14,3 +16,34 @@ def worker_state(key: str, make: Callable[[], Any]) -> Any:
     if key not in store:
         store[key] = make()
     return store[key]
+
+
+def lean(run: Callable) -> Callable:
+    """``run`` over batches, giving free memory back to the system when a task ends: workers are reused."""
+
+    @wraps(run)
+    def inner(batches: Iterator) -> Iterator:
+        import ctypes
+
+        import pyarrow as pa
+
+        yield from run(batches)
+        pa.default_memory_pool().release_unused()
+        try:
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+        except (OSError, AttributeError):
+            pass  # another C library
+
+    return inner
+
+
+@contextmanager
+def arrow_rows(spark, rows: int) -> Iterator[None]:
+    """At most so many rows in a batch sent to Python, for actions inside; texts of any length stay bounded."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    before = spark.conf.get(key)
+    spark.conf.set(key, rows)
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
