@@ -6,40 +6,47 @@ import re
 from collections.abc import Callable, Iterable
 from typing import Any
 
-#: Characters of chunks that a worker remembers at most, in each of two generations.
-MEMO_CHARS = 3_000_000
+#: Cost of the chunks that a worker remembers at most, in each of two generations: characters and 8 for each.
+MEMO_COST = 2_000_000
 #: Longer chunks are not remembered.
 LONGEST = 48
 
 
-class ChunkTable(dict):
-    """Chunk to value; ``need`` computes all missing chunks of a text at once.
+class ChunkTable:
+    """Chunk to value; ``values`` computes all missing chunks of a text at once.
 
     Two generations bound the memory: when the young one is full it becomes the old
     one, and chunks still in use move back by being looked up.
     """
 
-    def __init__(self, compute: Callable[[list[str]], Iterable[Any]], chars: int = MEMO_CHARS):
-        super().__init__()
-        self.compute, self.chars, self.used, self.old = compute, chars, 0, {}
-
-    def need(self, chunks: Iterable[str]) -> None:
-        if self.used > self.chars:
-            self.old, self.used = dict(self), 0
-            self.clear()
-        missing = set(chunks).difference(self)
-        if not missing:
-            return
-        old = self.old
-        for x in missing.intersection(old):
-            self[x] = old[x]
-        missing = [x for x in missing if x not in self]
-        self.update(zip(missing, self.compute(missing)))
-        self.used += sum(map(len, missing)) + 8 * len(missing)
-
-    def forget_long(self, chunks: Iterable[str]) -> None:
-        for x in [x for x in set(chunks) if len(x) > LONGEST]:
-            self.pop(x, None)
+    def __init__(self, compute: Callable[[list], Iterable[Any]], cost: int = MEMO_COST):
+        self.compute, self.cost, self.used = compute, cost, 0
+        self.young: dict = {}
+        self.old: dict = {}
+
+    def clear(self) -> None:
+        self.young, self.old, self.used = {}, {}, 0
+
+    def values(self, chunks: list) -> list:
+        """The value of each chunk, in the order of the text."""
+        if self.used > self.cost:
+            self.old, self.young, self.used = self.young, {}, 0
+        young, old = self.young, self.old
+        missing = set(chunks).difference(young)  # quick for plain dicts only
+        if missing:
+            self.used += sum(map(len, missing)) + 8 * len(missing)
+            fresh = []
+            for x in missing:
+                if x in old:
+                    young[x] = old[x]
+                else:
+                    fresh.append(x)
+            young.update(zip(fresh, self.compute(fresh)))
+        out = list(map(young.__getitem__, chunks))
+        for x in missing:
+            if len(x) > LONGEST:
+                del young[x]
+        return out
 
 
 _MARKED = re.compile(" *[^ ]+| +")

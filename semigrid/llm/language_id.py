@@ -13,6 +13,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from semigrid.functions.worker import lean
+
 _WORD = re.compile(r"[^\W\d_]+")
 #: Label of texts without a letter.
 UNKNOWN = "und"
@@ -132,7 +134,7 @@ def identify(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x for x, _ in said], pa.string()), pa.array([s for _, s in said], pa.float64())], ["doc_id", "lang_pred", "score"])
 
     read = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
-    return read.mapInArrow(run, "doc_id long, lang_pred string, score double")
+    return read.mapInArrow(lean(run), "doc_id long, lang_pred string, score double")
 
 
 def held_out(id_col: str = "doc_id"):

@@ -10,6 +10,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from semigrid.functions.worker import lean
 from semigrid.plans.scratch import text_or_empty
 
 #: Token classes: one for the edge of a text, some for unknown words by their length, the rest for frequent words.
@@ -49,7 +50,7 @@ def word_counts(docs: DataFrame, text_col: str = "text", held: int = 150_000) ->
                     counts.clear()
         yield sent()
 
-    return docs.select(text_or_empty(docs[text_col]).alias("text")).mapInArrow(run, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
+    return docs.select(text_or_empty(docs[text_col]).alias("text")).mapInArrow(lean(run), "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
 
 def window_counts(docs: DataFrame, classes: TokenClasses, size: int = CLASSES, text_col: str = "text") -> DataFrame:
@@ -77,7 +78,7 @@ def window_counts(docs: DataFrame, classes: TokenClasses, size: int = CLASSES, t
         at = np.flatnonzero(seen)
         yield pa.RecordBatch.from_arrays([pa.array(at, pa.int64()), pa.array(seen[at], pa.int64())], ["window", "n"])
 
-    return docs.select(text_or_empty(docs[text_col]).alias("text")).mapInArrow(run, "window long, n long").groupBy("window").agg(F.sum("n").alias("n"))
+    return docs.select(text_or_empty(docs[text_col]).alias("text")).mapInArrow(lean(run), "window long, n long").groupBy("window").agg(F.sum("n").alias("n"))
 
 
 def _windows(ids: np.ndarray, size: int) -> np.ndarray:
@@ -179,7 +180,7 @@ def score(docs: DataFrame, classes: TokenClasses, network: WindowNetwork, id_col
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(total, pa.float64())], ["doc_id", "n_tokens", "pseudo_log_likelihood"])
 
     read = docs.select(docs[id_col].cast("long").alias("doc_id"), text_or_empty(docs[text_col]).alias("text"))
-    scored = read.mapInArrow(run, "doc_id long, n_tokens long, pseudo_log_likelihood double")
+    scored = read.mapInArrow(lean(run), "doc_id long, n_tokens long, pseudo_log_likelihood double")
     return scored.withColumn("mean_log_prob", F.when(F.col("n_tokens") > 0, F.col("pseudo_log_likelihood") / F.col("n_tokens")).otherwise(0.0))
 
 

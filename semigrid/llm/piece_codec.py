@@ -8,7 +8,7 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from semigrid.functions.worker import worker_state
+from semigrid.functions.worker import lean, worker_state
 from semigrid.llm.chunks import ChunkTable, marked_words
 
 MARK = "▁"
@@ -29,14 +29,16 @@ class PieceCodec:
         if not pieces_stay_in_words(self.sp):
             raise ValueError("pieces of this model cross white space markers")
         self.end, self.lone = str(self.sp.eos_id()), str(self.sp.piece_to_id(MARK))
+        special = lambda i: self.sp.is_byte(i) or self.sp.is_unknown(i) or self.sp.is_control(i)
+        self.special = frozenset(filter(special, range(self.sp.get_piece_size())))
         self.odd: dict[str, str] = {}
-        self.table = ChunkTable(self._ids)
+        self.table = ChunkTable(self._ids, cost=3_000_000)
 
     def _ids(self, chunks: list[str]) -> Iterator[str]:
-        coded = self.sp.encode(chunks, num_threads=1)
-        back = self.sp.decode(coded, num_threads=1) if coded else []
-        for chunk, ids, text in zip(chunks, coded, back):
-            if text != chunk:
+        """Ids of each chunk in decimal. Pieces spell their chunk; other ids are decoded to see what they spell."""
+        coded, special = self.sp.encode(chunks, num_threads=1), self.special
+        for chunk, ids in zip(chunks, coded):
+            if not special.isdisjoint(ids) and (text := self.sp.decode(ids)) != chunk:
                 self.odd[chunk] = text
             yield " ".join(map(str, ids)) if chunk else self.lone
 
@@ -49,12 +51,9 @@ class PieceCodec:
         if len(self.odd) > 100_000:
             self.odd.clear()
             table.clear()
-            table.old = {}
-        table.need(words)
-        ids = " ".join(map(table.__getitem__, words))
+        ids = " ".join(table.values(words))
         odd = self.odd
         decoded = " ".join(words) if not odd or odd.keys().isdisjoint(words) else " ".join([odd.get(w, w) for w in words])
-        table.forget_long(words)
         return f"{ids} {self.end}", decoded
 
 
@@ -87,4 +86,4 @@ def piece_encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_
 
     names = ["ids_sha256", "decoded_sha256"] if digests else ["ids", "decoded"]
     kinds = "ids_sha256 string, decoded_sha256 string" if digests else "ids array<int>, decoded string"
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(run, f"doc_id long, n_tokens long, {kinds}")
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(lean(run), f"doc_id long, n_tokens long, {kinds}")

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semigrid.functions.worker import worker_state
+from semigrid.functions.worker import arrow_rows, lean, worker_state
 from semigrid.llm.golay import Golay
 from semigrid.llm.runs import sorted_runs
 from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
@@ -70,7 +70,7 @@ def fingerprints(docs: DataFrame, views: tuple[View, ...] = (View(),), id_col: s
 
     names = [f"fp{k}" for k in range(len(views))]
     read = docs.select(docs[id_col].cast("long").alias("doc_id"), text_or_empty(docs[text_col]).alias("text"))
-    return read.mapInArrow(run, "doc_id long, " + ", ".join(f"{n} long" for n in names))
+    return read.mapInArrow(lean(run), "doc_id long, " + ", ".join(f"{n} long" for n in names))
 
 
 def golay_keys(golay: Golay, fp: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -163,8 +163,8 @@ def golay_links(nodes: DataFrame, bits: int = 3, run_limit: int = RUN_LIMIT) ->
             else:
                 yield out(node, node, fp, key >> 56)
 
-    keyed = nodes.select("node", "view", "fp").mapInArrow(keys, "key long, node long, fp long")
-    found = materialize(keyed.repartition("key").sortWithinPartitions("key").mapInArrow(links, "u long, v long, fp long, view long"), "links")
+    keyed = nodes.select("node", "view", "fp").mapInArrow(lean(keys), "key long, node long, fp long")
+    found = materialize(keyed.repartition("key").sortWithinPartitions("key").mapInArrow(lean(links), "u long, v long, fp long, view long"), "links")
     near = found.filter("view < 0").select("u", "v").distinct()
     dense = found.filter("view >= 0").select(F.col("u").alias("node"), "view", "fp").distinct()
     return near.unionByName(ball_links(dense)) if not dense.isEmpty() else near
@@ -193,7 +193,7 @@ def ball_links(nodes: DataFrame) -> DataFrame:
                     [pa.array(word), pa.array(np.repeat(view[at : at + 64], len(masks))), pa.array(np.repeat(node[at : at + 64], len(masks))), pa.array(np.tile(inner, n))], ["word", "view", "node", "inner"]
                 )
 
-    sent = nodes.mapInArrow(balls, "word long, view long, node long, inner boolean")
+    sent = nodes.mapInArrow(lean(balls), "word long, view long, node long, inner boolean")
     hub = sent.filter("inner").groupBy("view", "word").agg(F.min("node").alias("v"))
     return sent.join(hub, ["view", "word"]).filter("node <> v").select(F.col("node").alias("u"), "v").distinct()
 
@@ -248,4 +248,6 @@ def similar_groups(docs: DataFrame, similarity: float = 0.8, words: int = 5, vie
     bodies = named.join(guarded_broadcast(meant, 40), "id", "left_semi").dropDuplicates(["id"])
     bodies = materialize(bodies, "bodies")
     joined = pairs.join(bodies.toDF("u", "x"), "u").join(bodies.toDF("v", "y"), "v").select("u", "v", "x", "y")
-    return connected_components(joined.mapInArrow(verify, "u long, v long"))
+    with arrow_rows(docs.sparkSession, 500):
+        verified = materialize(joined.mapInArrow(lean(verify), "u long, v long"), "verified")
+    return connected_components(verified)

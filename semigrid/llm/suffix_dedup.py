@@ -21,12 +21,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semigrid.functions.worker import worker_state
+from semigrid.functions.worker import lean, worker_state
 from semigrid.llm.bwt import window_classes
 from semigrid.llm.runs import sorted_runs
 from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
 
 _BASE, _BITS = 0x9E3779B97F4A7C15 | 1, 18
+#: Documents' texts are shuffled, rather than what is to be done to them broadcast, from this size of the latter on.
+_SEND_BYTES = 4 << 20
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 #: Windows of a block that a task looks at together.
 _BLOCK = (1 << _BITS) - 256
@@ -265,18 +267,18 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 400_000,
             _, later = _first_of([label], doc[of], start)
             yield _spans(doc[of][later], start[later], start[later] + least)
 
-    found = docs.select("doc_id", "text").mapInArrow(find, _ROW)
-    met = materialize(found.repartition("h").sortWithinPartitions("h").mapInArrow(meet, _ROW), "anchors")
+    found = docs.select("doc_id", "text").mapInArrow(lean(find), _ROW)
+    met = materialize(found.repartition("h").sortWithinPartitions("h").mapInArrow(lean(meet), _ROW), "anchors")
     spans = met.filter(F.col("kind") == _SPAN).select("doc", "a", "b")
     wanted = met.filter(F.col("kind") != _SPAN)
     asked = wanted.count()
     if not asked:
         return spans
     by_doc = wanted.groupBy(F.col("doc").alias("doc_id")).agg(F.collect_list(F.struct("kind", "h", "a", "b")).alias("wanted"))
-    cut = docs.select("doc_id", "text").join(guarded_broadcast(by_doc, 48, rows=asked), "doc_id").select("doc_id", "text", "wanted")
-    contexts = materialize(cut.mapInArrow(cut_out, "h long, c long, kind int, doc long, a long, bytes binary"), "contexts")
+    cut = docs.select("doc_id", "text").join(guarded_broadcast(by_doc, 48, _SEND_BYTES, asked), "doc_id").select("doc_id", "text", "wanted")
+    contexts = materialize(cut.mapInArrow(lean(cut_out), "h long, c long, kind int, doc long, a long, bytes binary"), "contexts")
     near = contexts.filter(F.col("kind") == _CONTEXT).select("h", "doc", "a", "bytes").repartition("h").sortWithinPartitions("h")
-    spans = spans.unionByName(near.mapInArrow(compare, _ROW).select("doc", "a", "b"))
+    spans = spans.unionByName(near.mapInArrow(lean(compare), _ROW).select("doc", "a", "b"))
     crowded = contexts.filter(F.col("kind") == _CROWD)
     if not crowded.isEmpty():
         first = crowded.groupBy("h", "c").agg(F.min(F.struct("doc", "a")).alias("first"), F.count(F.lit(1)).alias("n")).filter("n > 1")
@@ -318,7 +320,7 @@ def _with_spans(docs: DataFrame, ids: str, text: str, shape: Shape, limits: dict
     read = docs.select(docs[ids].cast("long").alias("doc_id"), text_or_empty(docs[text]).alias("text"))
     spans = materialize(repeated_spans(read.filter("doc_id is not null"), shape, **limits), "spans")
     by_doc = spans.groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("spans")).toDF("_doc", "_spans")
-    return docs.join(guarded_broadcast(by_doc, 32, rows=spans.count()), docs[ids].cast("long") == F.col("_doc"), "left").drop("_doc")
+    return docs.join(guarded_broadcast(by_doc, 32, _SEND_BYTES, spans.count()), docs[ids].cast("long") == F.col("_doc"), "left").drop("_doc")
 
 
 def suffix_dedup(docs: DataFrame, shape: Shape = Shape(), id_col: str = "doc_id", text_col: str = "text", **limits: int) -> DataFrame:
@@ -343,7 +345,7 @@ def suffix_dedup(docs: DataFrame, shape: Shape = Shape(), id_col: str = "doc_id"
             columns = zip(*out) if out else [[]] * 4
             yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(x, t) for x, t in zip(columns, kinds)]], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
 
-    return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
+    return joined.mapInArrow(lean(run), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string")
 
 
 def without_repeats(docs: DataFrame, shape: Shape = Shape(), id_col: str = "doc_id", text_col: str = "text", **limits: int) -> DataFrame:
@@ -368,4 +370,4 @@ def without_repeats(docs: DataFrame, shape: Shape = Shape(), id_col: str = "doc_
             columns[at] = pa.array(texts, pa.string())
             yield pa.RecordBatch.from_arrays(columns, names)
 
-    return joined.mapInArrow(run, docs.schema)
+    return joined.mapInArrow(lean(run), docs.schema)

@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semigrid.functions.worker import worker_state
+from semigrid.functions.worker import lean, worker_state
 from semigrid.llm.chunks import ChunkTable, marked_words
 
 MARK = "▁"
@@ -33,7 +33,7 @@ class MergeCounter:
         self.rank = {sp.id_to_piece(i): k for k, i in enumerate(pieces)}
         if any(MARK in p.lstrip(MARK) for p in self.rank):
             raise ValueError("pieces of this model cross white space markers")
-        self.table = ChunkTable(lambda chunks: map(self.count_chunk, chunks), chars=6_000_000)
+        self.table = ChunkTable(lambda chunks: map(self.count_chunk, chunks), cost=4_000_000)
 
     def count_chunk(self, chunk: str) -> int:
         rank = self.rank
@@ -60,11 +60,7 @@ class MergeCounter:
         return n - merges + spelled
 
     def count(self, text: str) -> int:
-        words = marked_words(text)
-        self.table.need(words)
-        total = sum(map(self.table.__getitem__, words))
-        self.table.forget_long(words)
-        return total
+        return sum(self.table.values(marked_words(text)))
 
 
 def token_counts(docs: DataFrame, model_path: str, limit: int = 4096, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -82,4 +78,4 @@ def token_counts(docs: DataFrame, model_path: str, limit: int = 4096, id_col: st
 
     text = F.coalesce(docs[text_col], F.lit(""))
     read = docs.select(docs[id_col].cast("long").alias("doc_id"), F.octet_length(text).cast("long").alias("n_bytes"), text.alias("text"))
-    return read.mapInArrow(run, "doc_id long, n_bytes long, n_tokens long").withColumn("over_limit", F.col("n_tokens") > limit)
+    return read.mapInArrow(lean(run), "doc_id long, n_bytes long, n_tokens long").withColumn("over_limit", F.col("n_tokens") > limit)
