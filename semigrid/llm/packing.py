@@ -40,7 +40,7 @@ class WordIds:
         self.tokenizer = Tokenizer.from_file(path)
         size = self.tokenizer.get_vocab_size()
         self.ends = np.array([(self.tokenizer.id_to_token(i) or "").endswith("</w>") for i in range(size)])
-        self.table = ChunkTable(self._encode, cost=3_000_000)
+        self.table = ChunkTable(self._encode, cost=8_000_000)
 
     def _encode(self, chunks: list[bytes]) -> Iterator[bytes]:
         texts = [x.decode() for x in chunks]
