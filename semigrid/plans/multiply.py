@@ -98,8 +98,9 @@ def grid_cells(a: SparseMatrix, b: SparseMatrix, r: int, c: int, s: int, parts:
     left = a.df.join(b.df.select(F.col("i").alias("j")).distinct(), "j", "left_semi")
     right = b.df.join(a.df.select(F.col("j").alias("i")).distinct(), "i", "left_semi")
     cell = lambda e, n: F.floor(e / n).cast("int")
-    left = left.select("i", "j", "v", cell(F.col("i"), row_height).alias("bi"), F.explode(F.sequence(F.lit(0), F.lit(c - 1))).alias("bj"), cell(F.col("j"), width).alias("bk"))
-    right = right.select("i", "j", "v", F.explode(F.sequence(F.lit(0), F.lit(r - 1))).alias("bi"), cell(F.col("j"), col_width).alias("bj"), cell(F.col("i"), width).alias("bk"))
+    own = [F.col(c).alias(c) for c in "ijv"]  # fresh columns: the operands may be one table
+    left = left.select(*own, cell(F.col("i"), row_height).alias("bi"), F.explode(F.sequence(F.lit(0), F.lit(c - 1))).alias("bj"), cell(F.col("j"), width).alias("bk"))
+    right = right.select(*own, F.explode(F.sequence(F.lit(0), F.lit(r - 1))).alias("bi"), cell(F.col("j"), col_width).alias("bj"), cell(F.col("i"), width).alias("bk"))
     return left, right
 
 
