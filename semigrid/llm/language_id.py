@@ -33,7 +33,7 @@ class LanguageModel:
 
 
 def fit(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", id_col: str = "doc_id", sample: int = 4000, words_each: int = 15_000, longest: int = 4, grams_each: int = 20_000) -> LanguageModel:
-    """Word and n-gram frequencies of at most ``sample`` labelled documents.
+    """Word and n-gram frequencies of ``sample`` labelled documents at most (repeated ids count once).
 
     The sample is the rows with the least hashes of their id, so it is the same on every
     run. It keeps ``words_each`` most frequent words and ``grams_each`` n-grams of each
@@ -41,7 +41,9 @@ def fit(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", id_col:
     labelled row the model knows no language.
     """
     rows = docs.filter(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
-    rows = rows.orderBy(F.xxhash64("id"), "id").limit(sample)
+    rows = rows.withColumn("at", F.xxhash64("id"))
+    last = rows.select("at").orderBy("at").limit(sample).agg(F.max("at")).first()[0]
+    rows = rows.filter(F.lit(False) if last is None else F.col("at") <= last)  # texts are not sorted, only hashes
     counted = rows.select("lang", F.explode(F.split(F.lower("text"), r"[^\p{L}]+")).alias("word")).filter("word <> ''").groupBy("lang", "word").count()
     ranked = counted.withColumn("k", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("count"), "word"))).filter(F.col("k") <= words_each)
     found = [(r["lang"], r["word"], r["count"]) for r in ranked.select("lang", "word", "count").collect()]
