@@ -319,8 +319,9 @@ def _with_spans(docs: DataFrame, ids: str, text: str, shape: Shape, limits: dict
     """``docs`` with a last column of the spans to remove, null for none."""
     read = docs.select(docs[ids].cast("long").alias("doc_id"), text_or_empty(docs[text]).alias("text"))
     spans = materialize(repeated_spans(read.filter("doc_id is not null"), shape, **limits), "spans")
-    by_doc = spans.groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("spans")).toDF("_doc", "_spans")
-    return docs.join(guarded_broadcast(by_doc, 32, _SEND_BYTES, spans.count()), docs[ids].cast("long") == F.col("_doc"), "left").drop("_doc")
+    own, found = (name + "_" * max(map(len, docs.columns)) for name in ("doc", "spans"))  # longer than any other name
+    by_doc = spans.groupBy("doc").agg(F.collect_list(F.struct("a", "b")).alias("spans")).toDF(own, found)
+    return docs.join(guarded_broadcast(by_doc, 32, _SEND_BYTES, spans.count()), docs[ids].cast("long") == F.col(own), "left").drop(own)
 
 
 def suffix_dedup(docs: DataFrame, shape: Shape = Shape(), id_col: str = "doc_id", text_col: str = "text", **limits: int) -> DataFrame:
