@@ -81,7 +81,7 @@ def with_blocks(m: SparseMatrix, rows: int, cols: int) -> DataFrame:
     return m.df.withColumns({"bi": F.floor(F.col("i") / -(-m.nrows // rows)).cast("int"), "bj": F.floor(F.col("j") / -(-m.ncols // cols)).cast("int")})
 
 
-def _numpy(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def block_arrays(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return tuple(t.column(c).to_numpy() for c in "ijv")
 
 
@@ -108,7 +108,7 @@ def _cells(left: DataFrame, right: DataFrame, keys: list[str], kernel: str, ring
     def run(x: pa.Table, y: pa.Table) -> pa.Table:
         if not x.num_rows or not y.num_rows:
             return _table(NONE)
-        p, q = _numpy(x), _numpy(y)
+        p, q = block_arrays(x), block_arrays(y)
         return _table(multiply(choose(dim, p, q) if kernel == "auto" else kernel, p, q, ring)[0])
 
     return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(run, _TRIPLE)
@@ -153,7 +153,7 @@ def two_level_grid(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times", g
     def run(x: pa.Table, y: pa.Table) -> pa.Table:
         if not x.num_rows or not y.num_rows:
             return _table(NONE)
-        p, q = _numpy(x), _numpy(y)
+        p, q = block_arrays(x), block_arrays(y)
         parts = [multiply(kernel, tuple(t[p[1] % inner == k] for t in p), tuple(t[q[0] % inner == k] for t in q), ring)[0] for k in range(inner)]
         return _table(combine(tuple(np.concatenate(t) for t in zip(*parts)), semiring(ring)))
 

@@ -14,10 +14,11 @@ WEIGHTS = (0.6, 0.13, 0.13, 0.13)
 
 
 def _thresholds(weights: tuple[float, ...]) -> list[int]:
-    total, run, out = sum(weights), 0.0, []
+    """Bytes at which the second, third and fourth quadrant begin, from weights divided by their sum."""
+    total, run, out = sum(weights), 0, []
     for w in weights[:3]:
-        run += w
-        out.append(round(256 * run / total))
+        run += round(256 * w / total)
+        out.append(run)
     return out
 
 
