@@ -257,7 +257,7 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 400_000,
                 yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names)
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, table in sorted_runs(batches, 6_000, 1 << 40):
+        for _, table in sorted_runs(batches, 3_000, 1 << 40):
             doc, low = table.column("doc").to_numpy(), table.column("a").to_numpy()
             strings = [np.frombuffer(x.as_py(), np.uint8) for x in table.column("bytes")]
             labels = window_classes(strings, least)
@@ -359,7 +359,7 @@ def without_repeats(docs: DataFrame, shape: Shape = Shape(), id_col: str = "doc_
     at = names.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (b.slice(k, 1000) for b in batches for k in range(0, b.num_rows, 1000)):
             texts = []
             for text, found in zip(batch.column(at), batch.column(len(names))):
                 text, found = text.as_py(), found.as_py()
