@@ -40,7 +40,7 @@ class WordIds:
         self.tokenizer = Tokenizer.from_file(path)
         size = self.tokenizer.get_vocab_size()
         self.ends = np.array([(self.tokenizer.id_to_token(i) or "").endswith("</w>") for i in range(size)])
-        self.table = ChunkTable(self._encode, cost=8_000_000)
+        self.table = ChunkTable(self._encode, cost=5_000_000)
 
     def _encode(self, chunks: list[bytes]) -> Iterator[bytes]:
         texts = [x.decode() for x in chunks]
@@ -164,6 +164,7 @@ def pack(docs: DataFrame, model_path: str, size: int = 2048, windows: int = 16,
                     rows += _rows(window, base + count)
                     count += 1
             yield _batch(rows, [None] * len(rows))
+        words.table.clear()  # the worker may go on with another stage
         rows, ids = [], []
         for _, window in packer.open:
             rows += _rows(window, base)
