@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semigrid.functions.worker import lean, worker_state
+from semigrid.functions.worker import arrow_rows, lean, worker_state
 from semigrid.llm.bwt import window_classes
 from semigrid.llm.runs import sorted_runs
 from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
@@ -29,6 +29,8 @@ from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
 _BASE, _BITS = 0x9E3779B97F4A7C15 | 1, 18
 #: Documents' texts are shuffled, rather than what is to be done to them broadcast, from this size of the latter on.
 _SEND_BYTES = 4 << 20
+#: Texts in one batch sent to Python.
+_TEXTS = 2_000
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 #: Windows of a block that a task looks at together.
 _BLOCK = (1 << _BITS) - 256
@@ -268,7 +270,8 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 400_000,
             yield _spans(doc[of][later], start[later], start[later] + least)
 
     found = docs.select("doc_id", "text").mapInArrow(lean(find), _ROW)
-    met = materialize(found.repartition("h").sortWithinPartitions("h").mapInArrow(lean(meet), _ROW), "anchors")
+    with arrow_rows(docs.sparkSession, _TEXTS):
+        met = materialize(found.repartition("h").sortWithinPartitions("h").mapInArrow(lean(meet), _ROW), "anchors")
     spans = met.filter(F.col("kind") == _SPAN).select("doc", "a", "b")
     wanted = met.filter(F.col("kind") != _SPAN)
     asked = wanted.count()
@@ -276,7 +279,8 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 400_000,
         return spans
     by_doc = wanted.groupBy(F.col("doc").alias("doc_id")).agg(F.collect_list(F.struct("kind", "h", "a", "b")).alias("wanted"))
     cut = docs.select("doc_id", "text").join(guarded_broadcast(by_doc, 48, _SEND_BYTES, asked), "doc_id").select("doc_id", "text", "wanted")
-    contexts = materialize(cut.mapInArrow(lean(cut_out), "h long, c long, kind int, doc long, a long, bytes binary"), "contexts")
+    with arrow_rows(docs.sparkSession, _TEXTS):
+        contexts = materialize(cut.mapInArrow(lean(cut_out), "h long, c long, kind int, doc long, a long, bytes binary"), "contexts")
     near = contexts.filter(F.col("kind") == _CONTEXT).select("h", "doc", "a", "bytes").repartition("h").sortWithinPartitions("h")
     spans = spans.unionByName(near.mapInArrow(lean(compare), _ROW).select("doc", "a", "b"))
     crowded = contexts.filter(F.col("kind") == _CROWD)
