@@ -215,8 +215,8 @@ def simhash_components(docs: DataFrame, view: View = View(), id_col: str = "doc_
     return prints.join(named, "fp", "left").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
-#: Four fingerprints of the distinct words: near copies lie a few bits apart in most of them.
-STAGE_VIEWS = tuple(View(1, 42 + k, True) for k in range(4))
+#: Six fingerprints of the distinct words: near copies lie a few bits apart in most of them.
+STAGE_VIEWS = tuple(View(1, 42 + k, True) for k in range(6))
 
 
 def similar_groups(docs: DataFrame, similarity: float = 0.8, words: int = 5, views: tuple[View, ...] = STAGE_VIEWS, bits: int = 8, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
