@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 from semigrid.matrix import SparseMatrix
 from semigrid.sources.tables import table
 
+#: Places of parts in the bipartite graph start here, above any order.
+PART_OFFSET = 1 << 40
 #: SQL in the common part of Spark's and DuckDB's dialects, each giving unique (i, j, v).
 SQL: dict[str, str] = {
     "OP": "SELECT l_orderkey AS i, l_partkey AS j, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS v FROM lineitem GROUP BY l_orderkey, l_partkey",
@@ -22,13 +24,11 @@ SQL: dict[str, str] = {
     "BR": "SELECT CAST(p_size AS BIGINT) AS i, p_partkey AS j, CAST(1 AS BIGINT) AS v FROM part",
     "BW": "SELECT CAST(length(p_type) AS BIGINT) AS i, p_partkey AS j, CAST(p_size AS BIGINT) AS v FROM part",
     "SUCC": "SELECT a AS i, b AS j, count(*) AS v FROM (SELECT l_partkey AS a, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey) AS b FROM lineitem) t WHERE b IS NOT NULL AND a <> b GROUP BY a, b",
-    "BIP": "SELECT DISTINCT l_orderkey AS i, l_partkey + 1000000 AS j, CAST(1 AS BIGINT) AS v FROM lineitem UNION ALL SELECT DISTINCT l_partkey + 1000000 AS i, l_orderkey AS j, CAST(1 AS BIGINT) AS v FROM lineitem",
-    "NN": "SELECT CAST(c_nationkey AS BIGINT) AS i, CAST(s_nationkey AS BIGINT) AS j, CAST(min(abs(c_custkey - s_suppkey)) AS BIGINT) AS v FROM customer JOIN supplier ON c_custkey % 97 = s_suppkey % 97 GROUP BY c_nationkey, s_nationkey",
+    "BIP": f"SELECT DISTINCT l_orderkey AS i, l_partkey + {PART_OFFSET} AS j, CAST(1 AS BIGINT) AS v FROM lineitem UNION ALL SELECT DISTINCT l_partkey + {PART_OFFSET} AS i, l_orderkey AS j, CAST(1 AS BIGINT) AS v FROM lineitem",
+    "NN": "SELECT CAST(c_nationkey AS BIGINT) AS i, CAST(s_nationkey AS BIGINT) AS j, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS v FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN supplier ON s_suppkey = l_suppkey GROUP BY c_nationkey, s_nationkey",
 }
 
-#: Places of parts in the bipartite graph start here.
-PART_OFFSET = 1_000_000
-_TABLES = {"OP": ["lineitem"], "PS": ["lineitem"], "OS": ["lineitem"], "CP": ["lineitem", "orders"], "UH": ["events"], "NR": ["customer"], "RN": ["nation"], "BR": ["part"], "BW": ["part"], "SUCC": ["lineitem"], "BIP": ["lineitem"], "NN": ["customer", "supplier"]}
+_TABLES = {"OP": ["lineitem"], "PS": ["lineitem"], "OS": ["lineitem"], "CP": ["lineitem", "orders"], "UH": ["events"], "NR": ["customer"], "RN": ["nation"], "BR": ["part"], "BW": ["part"], "SUCC": ["lineitem"], "BIP": ["lineitem"], "NN": ["lineitem", "orders", "customer", "supplier"]}
 #: Upper limits of (rows, columns) by the key column that numbers them.
 _SIZES: dict[str, tuple[tuple[str, str] | int, tuple[str, str] | int]] = {
     "OP": (("orders", "o_orderkey"), ("part", "p_partkey")), "PS": (("part", "p_partkey"), ("supplier", "s_suppkey")), "OS": (("orders", "o_orderkey"), ("supplier", "s_suppkey")),

@@ -61,8 +61,42 @@ def incremental_product(stream: DataFrame, merge: Callable[[DataFrame, int], Non
     return stream.writeStream.foreachBatch(merge).option("checkpointLocation", f"{scratch_root(stream.sparkSession)}/inc_{uuid.uuid4().hex}").trigger(availableNow=True).start()
 
 
+def stream_product(stream: DataFrame) -> DataFrame:
+    """(i, j, v): A'A for A = user by event type, brought up to date batch by batch from new entries alone.
+
+    With new entries D, A'D + D'A + D'D is added. Entries and sums are tables in the
+    shared folder, one folder for each batch, so a batch run again replaces its own.
+    """
+    spark, root = stream.sparkSession, f"{scratch_root(stream.sparkSession)}/product_{uuid.uuid4().hex}"
+    entry = "i long, j string, v long"
+
+    def read(what: str, before: int) -> DataFrame:
+        """What all earlier batches have stored."""
+        if not before:
+            return spark.createDataFrame([], entry if what == "entries" else "i string, j string, v long")
+        return spark.read.parquet(*[f"{root}/{what}/{k}" for k in range(before)])
+
+    def times(a: DataFrame, b: DataFrame) -> DataFrame:
+        right = b.select("i", F.col("j").alias("k"), F.col("v").alias("y"))
+        return a.join(right, "i").select(F.col("j").alias("i"), F.col("k").alias("j"), (F.col("v") * F.col("y")).alias("v"))
+
+    done: list[int] = []
+
+    def merge(batch: DataFrame, k: int) -> None:
+        new = batch.groupBy(F.col("user_id").alias("i"), F.col("event_type").alias("j")).agg(F.count(F.lit(1)).alias("v"))
+        new.write.mode("overwrite").parquet(f"{root}/entries/{k}")
+        new, old = spark.read.parquet(f"{root}/entries/{k}"), read("entries", k)
+        change = times(old, new).unionByName(times(new, old)).unionByName(times(new, new))
+        change.groupBy("i", "j").agg(F.sum("v").alias("v")).write.mode("overwrite").parquet(f"{root}/sums/{k}")
+        done.append(k)
+
+    incremental_product(stream, merge).awaitTermination()
+    return read("sums", max(done, default=-1) + 1).groupBy("i", "j").agg(F.sum("v").cast("long").alias("v"))
+
+
 def queries() -> dict:
     return {
+        "stream_product": lambda s, d: stream_product(event_stream(s, d)),
         "stream_user_hours": lambda s, d: run_to_end(user_hours(event_stream(s, d))),
         "stream_sessions": lambda s, d: run_to_end(sessions(event_stream(s, d))).groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").cast("long").alias("n")),
         "stream_dedup": lambda s, d: run_to_end(without_repeats(event_stream(s, d)).select("event_id"), "append"),
@@ -73,7 +107,9 @@ def queries() -> dict:
 def oracle_sql() -> dict[str, str]:
     from semigrid.sources.fixtures import SQL
 
+    ue = "SELECT user_id AS u, event_type AS e, count(*) AS v FROM events GROUP BY 1, 2"
     return {
+        "stream_product": f"SELECT a.e AS i, b.e AS j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM ({ue}) a JOIN ({ue}) b ON a.u = b.u GROUP BY 1, 2",
         "stream_user_hours": SQL["UH"],
         "stream_sessions": "SELECT user_id, CAST(sum(fresh) AS BIGINT) AS sessions, count(*) AS n FROM (SELECT user_id, CASE WHEN lag(ts) OVER w IS NULL OR ts >= lag(ts) OVER w + INTERVAL 6 HOUR THEN 1 ELSE 0 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) t GROUP BY user_id",
         "stream_dedup": "SELECT DISTINCT event_id FROM events",

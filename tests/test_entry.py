@@ -8,7 +8,7 @@ import pytest
 import __spark_entry__ as entry
 
 DATA = "/root/testdata/sf0.001"
-NAMES = ["copurchase", "dcsc_columns", "dcsc_aux", "product_fused", "kernel_heap", "imbalance_stage", "bfs_path_counts", "apsp_recursive", "cfl_tags", "contract_4", "join_asof", "agg_cube", "stream_user_hours", "roundtrip_blocks", "gen_rmat"]
+NAMES = ["copurchase", "dcsc_columns", "dcsc_aux", "product_fused", "kernel_heap", "imbalance_stage", "bfs_path_counts", "apsp_recursive", "cfl_tags", "contract_4", "join_asof", "agg_cube", "stream_user_hours", "stream_product", "reachability_k", "product_permutation", "roundtrip_blocks", "gen_rmat"]
 
 
 @pytest.mark.skipif(not os.path.isdir(DATA), reason="no test tables here")
