@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from semigrid.functions.worker import lean
+from semigrid.plans.scratch import guarded_broadcast, materialize
 
 _WORD = re.compile(r"[^\W\d_]+")
 #: Label of texts without a letter.
@@ -37,16 +38,21 @@ def fit(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", id_col:
 
     The sample is the rows with the least hashes of their id, so it is the same on every
     run. It keeps ``words_each`` most frequent words and ``grams_each`` n-grams of each
-    length for each language. Rows without a label or text are not used; without any
-    labelled row the model knows no language.
+    length for each language; of the words of equal count, those of one hash bucket in
+    16 stay or go together, so a few more may stay. Rows without a label or text are
+    not used; without any labelled row the model knows no language.
     """
     rows = docs.filter(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
     rows = rows.withColumn("at", F.xxhash64("id"))
-    last = rows.select("at").orderBy("at").limit(sample).agg(F.max("at")).first()[0]
-    rows = rows.filter(F.lit(False) if last is None else F.col("at") <= last)  # texts are not sorted, only hashes
+    end = rows.select("at").orderBy("at").limit(sample).agg(F.max("at")).first()[0]
+    rows = rows.filter(F.lit(False) if end is None else F.col("at") <= end)  # texts are not sorted, only hashes
     counted = rows.select("lang", F.explode(F.split(F.lower("text"), r"[^\p{L}]+")).alias("word")).filter("word <> ''").groupBy("lang", "word").count()
-    ranked = counted.withColumn("k", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("count"), "word"))).filter(F.col("k") <= words_each)
-    found = [(r["lang"], r["word"], r["count"]) for r in ranked.select("lang", "word", "count").collect()]
+    counted = materialize(counted.withColumn("unit", F.struct(-F.col("count"), F.pmod(F.xxhash64("word"), F.lit(16)))), "words")
+    sizes = counted.groupBy("lang", "unit").agg(F.count(F.lit(1)).alias("n"))
+    before = F.sum("n").over(Window.partitionBy("lang").orderBy("unit")) - F.col("n")  # over units, not words: few rows
+    last = sizes.withColumn("before", before).filter(F.col("before") < words_each).groupBy("lang").agg(F.max("unit").alias("last"))
+    ranked = counted.join(guarded_broadcast(last, 64), "lang").filter(F.col("unit") <= F.col("last"))
+    found = sorted((r["lang"], r["word"], r["count"]) for r in ranked.select("lang", "word", "count").collect())
     languages = sorted({x[0] for x in found})
     column = {x: k for k, x in enumerate(languages)}
     words: dict[str, int] = {}
