@@ -18,7 +18,7 @@ from semigrid.workloads.product_queries import product_sql, t_sql
 
 BIP, SUCC, NN, UH, OP = SQL["BIP"], SQL["SUCC"], SQL["NN"], SQL["UH"], SQL["OP"]
 SOURCES = (0, 5, PART_OFFSET)
-#: Levels that searches go at most; the given graphs are exhausted before.
+#: Levels that searches go at most; the given graphs are exhausted before, and one that is not is an error.
 LEVELS = 10
 #: Tags that may open and close.
 TAGS = ("div", "p", "ul", "li")
@@ -139,7 +139,7 @@ def queries() -> dict:
         "bfs_levels": lambda s, d: _bfs(s, d).select("source", "vertex", "level"),
         "bfs_path_counts": _bfs,
         "bfs_fringe_profile": lambda s, d: _fringe(_bfs(s, d)),
-        "betweenness": lambda s, d: W.betweenness(fixture(s, d, "SUCC"), s.createDataFrame([(1,), (2,)], "id long"), 3),
+        "betweenness": lambda s, d: W.betweenness(fixture(s, d, "SUCC"), s.createDataFrame([(1,), (2,)], "id long")),
         "contract_nation": lambda s, d: relational(fixture(s, d, "RN"), fixture(s, d, "NR")).df,
         "contract_weighted": _weights,
         "galerkin_product": _gal,

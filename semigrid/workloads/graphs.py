@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -11,26 +13,28 @@ from semigrid.plans.multiply import relational
 from semigrid.plans.scratch import materialize
 
 
-def bfs(a: SparseMatrix, sources: DataFrame, max_level: int = 50) -> DataFrame:
+def bfs(a: SparseMatrix, sources: DataFrame, max_level: int | None = None) -> DataFrame:
     """(source, vertex, level, paths): levels from many sources at once, with the number of shortest paths.
 
     A step is the frontier times the graph, without what was visited. It ends with an
-    empty frontier.
+    empty frontier; vertices beyond ``max_level`` are an error, not left out.
     """
     frontier = sources.select(F.col("id").alias("source"), F.col("id").alias("vertex"), F.lit(0).cast("long").alias("level"), F.lit(1).cast("long").alias("paths"))
     seen = frontier = materialize(frontier, "bfs")
     edges = a.df.select(F.col("i").alias("vertex"), F.col("j").alias("to"))
-    for level in range(1, max_level + 1):
+    for level in count(1):
         step = frontier.join(edges, "vertex").groupBy("source", F.col("to").alias("vertex")).agg(F.sum("paths").alias("paths"))
         step = step.join(seen.select("source", "vertex"), ["source", "vertex"], "left_anti")
         frontier = materialize(step.select("source", "vertex", F.lit(level).cast("long").alias("level"), "paths"), "bfs")
         if frontier.isEmpty():
             break
+        if max_level is not None and level > max_level:
+            raise RuntimeError(f"vertices beyond level {max_level}")
         seen = seen.unionByName(frontier)
     return seen
 
 
-def betweenness(a: SparseMatrix, sources: DataFrame, max_level: int = 50) -> DataFrame:
+def betweenness(a: SparseMatrix, sources: DataFrame, max_level: int | None = None) -> DataFrame:
     """(vertex, score) from the given sources: forward path counts, then dependencies level by level."""
     found = materialize(bfs(a, sources, max_level), "forward")
     deepest = found.agg(F.max("level")).first()[0] or 0

@@ -207,3 +207,24 @@ def test_experiments(spark):
     assert E.compare_sync_async(a, a, 2, 1)["flops"] == 25272
     assert len(E.strong_scaling(a, a, (1, 2))) == len(E.weak_scaling(spark, (7, 8))) == 2
     assert E.wait_share([1.0, 3.0]) == pytest.approx(1 / 3)
+
+
+def test_searches_are_not_cut(spark):
+    n = 7
+    line = SparseMatrix(spark.createDataFrame([(k, k + 1, 1) for k in range(n)], "i long, j long, v long"), n + 1, n + 1)
+    sources = spark.createDataFrame([(0,)], "id long")
+    with pytest.raises(RuntimeError):
+        W.bfs(line, sources, 3)
+    assert W.bfs(line, sources, n).count() == n + 1
+    chain = {r.vertex: r.score for r in W.betweenness(line, sources).collect()}
+    assert chain == {k: float(n - k) for k in range(1, n + 1)}
+
+
+def test_betweenness_query_has_no_level_limit(spark, tmp_path):
+    from semigrid.workloads.graph_queries import queries
+
+    # one order for each step, its lines in sequence: parts 1 to 9 follow each other
+    spark.createDataFrame([(1, k, k, 1.0) for k in range(1, 10)], "l_orderkey long, l_partkey long, l_linenumber long, l_quantity double").write.parquet(str(tmp_path / "lineitem.parquet"))
+    spark.createDataFrame([(k,) for k in range(1, 10)], "p_partkey long").write.parquet(str(tmp_path / "part.parquet"))
+    got = {r.vertex: r.score for r in queries()["betweenness"](spark, str(tmp_path)).collect()}
+    assert got[5] == 8.0 and got[8] == 2.0 and got[9] == 0.0
