@@ -331,3 +331,51 @@ def test_pipeline(spark, tmp_path):
 def test_pipeline_on_nothing(spark, empty, tmp_path):
     empty.write.parquet(str(tmp_path / "documents.parquet"))
     assert corpus_pipeline.run(spark, str(tmp_path)).count() == 0
+
+
+def _brute_groups(texts, similarity=0.8):
+    """doc_id to the least doc_id of its group, by comparing all pairs."""
+    sets = [set(simhash_dedup.shingles(t or "", 5)) for t in texts]
+    root = list(range(len(texts)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i in range(len(texts)):
+        for j in range(i):
+            both = len(sets[i] & sets[j])
+            if both >= similarity * (len(sets[i]) + len(sets[j]) - both):
+                a, b = sorted((find(i), find(j)))
+                root[b] = a
+    return {i: find(i) for i in range(len(texts)) if find(i) != i}
+
+
+def _groups(spark, texts, **options):
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    return {x.node: x.root for x in simhash_dedup.similar_groups(df, **options).collect()}
+
+
+def _variants(n, seed):
+    """Variants of one text, some near each other and not near the first; the first has the words in another order."""
+    r = random.Random(seed)
+    base = _words(120, seed).split(" ")
+    out = [" ".join(r.sample(base, len(base))), " ".join(base)]
+    for _ in range(n):
+        w = list(base)
+        for _ in range(r.randint(0, 4)):
+            w[r.randrange(len(w))] = "new%d" % r.randrange(1000)
+        out.append(" ".join(w))
+    return out
+
+
+def test_groups_of_one_word_set(spark):
+    w = _words(80, 8).split(" ")
+    texts = [" ".join(reversed(w)), " ".join(w), " ".join([*w[1:], w[0]])]
+    assert _groups(spark, texts) == _brute_groups(texts) == {2: 1}
+
+
+def test_groups_of_many_variants(spark):
+    texts = _variants(14, 11)
+    assert _groups(spark, texts, run_limit=3) == _brute_groups(texts)
