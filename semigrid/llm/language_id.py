@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import math
 import re
 from collections import Counter
 from collections.abc import Iterator
@@ -10,13 +9,14 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType, StringType, StructField, StructType
 
-from semigrid.functions.worker import lean
-from semigrid.plans.scratch import guarded_broadcast, materialize
+from semigrid.functions.worker import lean, small_batches
+from semigrid.plans.scratch import materialize
 
-_WORD = re.compile(r"[^\W\d_]+")
+_WORDY = re.compile(r"[^\W\d_]+")
 #: Label of texts without a letter.
 UNKNOWN = "und"
 
@@ -34,25 +34,31 @@ class LanguageModel:
 
 
 def fit(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", id_col: str = "doc_id", sample: int = 4000, words_each: int = 15_000, longest: int = 4, grams_each: int = 20_000) -> LanguageModel:
-    """Word and n-gram frequencies of ``sample`` labelled documents at most (repeated ids count once).
+    """Word and n-gram frequencies of ``sample`` labelled documents at most (repeated rows count once).
 
-    The sample is the rows with the least hashes of their id, so it is the same on every
-    run. It keeps ``words_each`` most frequent words and ``grams_each`` n-grams of each
+    The sample is the rows with the least hashes of id, label and text, so it is the same on
+    every run, and a row that is repeated often fills no more of it. It keeps ``words_each`` most frequent words and ``grams_each`` n-grams of each
     length for each language; of the words of equal count, those of one hash bucket in
     16 stay or go together, so a few more may stay. Rows without a label or text are
     not used; without any labelled row the model knows no language.
     """
     rows = docs.filter(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(id_col).alias("id"), F.col(lang_col).alias("lang"), F.col(text_col).alias("text"))
-    rows = rows.withColumn("at", F.xxhash64("id"))
-    end = rows.select("at").orderBy("at").limit(sample).agg(F.max("at")).first()[0]
-    rows = rows.filter(F.lit(False) if end is None else F.col("at") <= end)  # texts are not sorted, only hashes
+    rows = rows.withColumn("at", F.xxhash64("id", "lang", "text"))
+    end = rows.select("at").distinct().orderBy("at").limit(sample).agg(F.max("at")).first()[0]
+    rows = rows.filter(F.lit(False) if end is None else F.col("at") <= end).dropDuplicates(["at"])  # only hashes are sorted, and few texts shuffled
     counted = rows.select("lang", F.explode(F.split(F.lower("text"), r"[^\p{L}]+")).alias("word")).filter("word <> ''").groupBy("lang", "word").count()
-    counted = materialize(counted.withColumn("unit", F.struct(-F.col("count"), F.pmod(F.xxhash64("word"), F.lit(16)))), "words")
-    sizes = counted.groupBy("lang", "unit").agg(F.count(F.lit(1)).alias("n"))
-    before = F.sum("n").over(Window.partitionBy("lang").orderBy("unit")) - F.col("n")  # over units, not words: few rows
-    last = sizes.withColumn("before", before).filter(F.col("before") < words_each).groupBy("lang").agg(F.max("unit").alias("last"))
-    ranked = counted.join(guarded_broadcast(last, 64), "lang").filter(F.col("unit") <= F.col("last"))
-    found = sorted((r["lang"], r["word"], r["count"]) for r in ranked.select("lang", "word", "count").collect())
+    counted = materialize(counted.withColumn("part", F.pmod(F.xxhash64("word"), F.lit(16))), "words")
+    kept = F.lit(False)
+    room: dict[str, int] = {}
+    sizes = counted.groupBy("lang", "count", "part").agg(F.count(F.lit(1)).alias("n")).collect()  # bounded as the sample is
+    last: dict[str, tuple[int, int]] = {}
+    for r in sorted(sizes, key=lambda r: (r["lang"], -r["count"], r["part"])):
+        if room.setdefault(r["lang"], words_each) > 0:
+            room[r["lang"]] -= r["n"]
+            last[r["lang"]] = (r["count"], r["part"])
+    for lang, (n, part) in last.items():
+        kept |= (F.col("lang") == lang) & ((F.col("count") > n) | (F.col("count") == n) & (F.col("part") <= part))
+    found = sorted((r["lang"], r["word"], r["count"]) for r in counted.filter(kept).select("lang", "word", "count").collect())
     languages = sorted({x[0] for x in found})
     column = {x: k for k, x in enumerate(languages)}
     words: dict[str, int] = {}
@@ -85,10 +91,19 @@ def fit(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", id_col:
     return LanguageModel(languages, words, grams, np.concatenate(parts).astype(np.float32), np.zeros(len(languages), np.float32), longest)
 
 
+def letter_words(text: str) -> list[str]:
+    """The runs of letters (Unicode categories L) of a text, in lower case."""
+    words = _WORDY.findall(text.lower())
+    if "".join(words).isalpha():
+        return words
+    # some characters count as numbers and still as parts of words, such as superscripts and fractions
+    return [x for w in words for x in ([w] if w.isalpha() else "".join(c if c.isalpha() else " " for c in w).split())]
+
+
 class Scorer:
     """Adds log frequencies over the words of a text; unseen words are remembered up to a bound."""
 
-    def __init__(self, model: LanguageModel, remembered: int = 150_000):
+    def __init__(self, model: LanguageModel, remembered: int = 100_000):
         self.model, self.bound = model, len(model.words) + remembered
         self.reset()
 
@@ -107,7 +122,7 @@ class Scorer:
         return m.floor
 
     def predict(self, text: str | None) -> tuple[str, float]:
-        words = _WORD.findall(text.lower()) if text else []
+        words = letter_words(text) if text else []
         if not words or not self.model.languages:
             return UNKNOWN, 0.0
         total = np.zeros(len(self.model.languages), np.float64)
@@ -127,26 +142,37 @@ class Scorer:
         return self.model.languages[best], float(odds[best] / odds.sum())
 
 
-def identify(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def identify(docs: DataFrame, model: LanguageModel, id_col: str = "doc_id", text_col: str = "text", whole_rows: bool = False) -> DataFrame:
     """doc_id, lang_pred and score (0 to 1) from the whole text alone, row by row.
 
     A text that is null or has no letter gets ``und`` and score 0; equal scores go to the
     language first in order. The score is the best language's share when the mean
-    evidence of a word is weighed for at most twelve words.
+    evidence of a word is weighed for at most twelve words. ``whole_rows`` gives all
+    columns of ``docs`` instead of doc_id; a column of ``docs`` that bears one of the two
+    names is an error then.
     """
+    small_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(model)
         for batch in batches:
-            said = [scorer.predict(text.as_py()) for text in batch.column(1)]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([x for x, _ in said], pa.string()), pa.array([s for _, s in said], pa.float64())], ["doc_id", "lang_pred", "score"])
+            said = [scorer.predict(text.as_py()) for text in batch.column(at)]
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in kept), pa.array([x for x, _ in said], pa.string()), pa.array([s for _, s in said], pa.float64())], names)
 
-    read = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
-    return read.mapInArrow(lean(run), "doc_id long, lang_pred string, score double")
+    if whole_rows:
+        read, at, kept = docs, docs.columns.index(text_col), range(len(docs.columns))
+    else:
+        read, at, kept = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")), 1, range(1)
+    schema = StructType([*(read.schema.fields[k] for k in kept), StructField("lang_pred", StringType()), StructField("score", DoubleType())])
+    names = schema.names
+    if len(set(names)) < len(names):
+        raise ValueError("a column of the documents is named as one of the prediction")
+    return read.mapInArrow(lean(run), schema)
 
 
 def held_out(id_col: str = "doc_id"):
-    return F.crc32(F.col(id_col).cast("string")) % 3 == 1
+    """Whether the remainder is 1; not so for a null id."""
+    return (F.crc32(F.col(id_col).cast("string")) % 3).eqNullSafe(1)
 
 
 def query(docs: DataFrame) -> DataFrame:

@@ -180,7 +180,7 @@ def pack(docs: DataFrame, model_path: str, size: int = 2048, windows: int = 16,
         return pa.Table.from_batches([_batch(rows)])
 
     read = docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text"))
-    placed = materialize(read.mapInArrow(lean(place), f"{SCHEMA}, ids binary"), "packed")
+    placed = materialize(read.mapInArrow(lean(place, f"words:{model_path}"), f"{SCHEMA}, ids binary"), "packed")
     names = [n for n, _ in _FIELDS]
     group = F.shiftright("sequence_id", 32).cast("long")
     left = placed.filter("ids is not null").withColumn("part", F.floor(group / merge_parts).cast("long"))

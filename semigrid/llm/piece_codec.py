@@ -86,4 +86,4 @@ def piece_encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_
 
     names = ["ids_sha256", "decoded_sha256"] if digests else ["ids", "decoded"]
     kinds = "ids_sha256 string, decoded_sha256 string" if digests else "ids array<int>, decoded string"
-    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(lean(run), f"doc_id long, n_tokens long, {kinds}")
+    return docs.select(docs[id_col].cast("long").alias("doc_id"), docs[text_col].alias("text")).mapInArrow(lean(run, f"codec:{model_path}"), f"doc_id long, n_tokens long, {kinds}")

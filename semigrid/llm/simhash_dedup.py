@@ -11,15 +11,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semigrid.functions.worker import arrow_rows, lean, worker_state
+from semigrid.functions.worker import lean, small_batches, worker_state
 from semigrid.llm.golay import Golay
 from semigrid.llm.runs import sorted_runs
+from semigrid.llm.shingle_sets import ALL_PAIRS, GROWTH, HUBS, crowd_pairs, fingerprint, meeting_pairs, shingle_table, shingles, verified_pairs
 from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
 from semigrid.workloads.components import connected_components
 
-_LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 #: Fingerprints with one key that a task compares in memory; larger runs go the exact way of ``ball_links``.
 RUN_LIMIT = 50_000
+#: Bits in which linked fingerprints differ at most; the keys and ``ball_links`` are made for three.
+BITS = 3
 
 
 @dataclass(frozen=True)
@@ -31,24 +33,6 @@ class View:
     distinct: bool = False
 
 
-def shingles(text: str, words: int) -> list[bytes]:
-    w = text.encode().translate(_LOWER).split()
-    if len(w) <= words:
-        return [b" ".join(w)] if w else []
-    return list(map(b" ".join, zip(*(w[k:] for k in range(words)))))
-
-
-def fingerprint(hashes: np.ndarray) -> int:
-    """Bit k is set if it is set in over half of the hashes; zero for none."""
-    if not len(hashes):
-        return 0
-    ones = np.zeros(64, np.int64)
-    for at in range(0, len(hashes), 8192):
-        part = hashes[at : at + 8192]
-        ones += np.unpackbits(part.view(np.uint8).reshape(len(part), 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
-    return int(np.packbits(ones * 2 > len(hashes), bitorder="little").view(np.int64)[0])
-
-
 def fingerprints(docs: DataFrame, views: tuple[View, ...] = (View(),), id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id and one signed 64-bit column fp0, fp1, ... for each view, over whole texts."""
 
@@ -119,13 +103,12 @@ def _forest(fp: np.ndarray, bits: int) -> Iterator[tuple[int, int]]:
                 left = left[~hit]
 
 
-def golay_links(nodes: DataFrame, bits: int = 3, run_limit: int = RUN_LIMIT) -> DataFrame:
+def golay_links(nodes: DataFrame, run_limit: int = RUN_LIMIT) -> DataFrame:
     """(u, v) links that connect all nodes whose fingerprints differ in at most three bits.
 
-    ``nodes`` has node, view and fp, one node for each fingerprint of a view. ``bits`` over three
-    also reports wider pairs that happen to share a key. Rows of one key are read in
-    sorted order, a run at a time; a run over ``run_limit`` is passed on without being
-    held and linked by ``ball_links``.
+    ``nodes`` has node, view and fp, one node for each fingerprint of a view. Rows of one
+    key are read in sorted order, a run at a time; a run over ``run_limit`` is passed on
+    without being held and linked by ``ball_links``, which connects the same nodes.
     """
 
     def keys(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -142,10 +125,10 @@ def golay_links(nodes: DataFrame, bits: int = 3, run_limit: int = RUN_LIMIT) ->
             size = np.diff(np.r_[start, len(key)])
             fp = np.ascontiguousarray(fp).view(np.uint64)  # bits of signed numbers would be counted in their absolute value
             two = start[size == 2]
-            two = two[np.bitwise_count(fp[two] ^ fp[two + 1]) <= bits]
+            two = two[np.bitwise_count(fp[two] ^ fp[two + 1]) <= BITS]
             us, vs = [node[two]], [node[two + 1]]
             for s, n in zip(start[size > 2], size[size > 2]):
-                found = list(_forest(fp[s : s + n], bits))
+                found = list(_forest(fp[s : s + n], BITS))
                 if found:
                     x, y = np.array(found).T
                     us.append(node[s + x])
@@ -163,7 +146,7 @@ def golay_links(nodes: DataFrame, bits: int = 3, run_limit: int = RUN_LIMIT) ->
             else:
                 yield out(node, node, fp, key >> 56)
 
-    keyed = nodes.select("node", "view", "fp").mapInArrow(lean(keys), "key long, node long, fp long")
+    keyed = nodes.select("node", "view", "fp").mapInArrow(lean(keys, "golay"), "key long, node long, fp long")
     found = materialize(keyed.repartition("key").sortWithinPartitions("key").mapInArrow(lean(links), "u long, v long, fp long, view long"), "links")
     near = found.filter("view < 0").select("u", "v").distinct()
     dense = found.filter("view >= 0").select(F.col("u").alias("node"), "view", "fp").distinct()
@@ -210,177 +193,65 @@ def simhash_components(docs: DataFrame, view: View = View(), id_col: str = "doc_
     prints = materialize(fingerprints(docs, (view,), id_col, text_col).withColumnRenamed("fp0", "fp"), "prints")
     known = prints.filter("doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("node"))
     known = materialize(known.select("node", F.lit(0).cast("long").alias("view"), "fp"), "nodes")
-    roots = connected_components(golay_links(known, 3, run_limit))
+    roots = connected_components(golay_links(known, run_limit))
     named = known.join(roots, "node", "left").select("fp", F.coalesce("root", "node").alias("component_id"))
     return prints.join(named, "fp", "left").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), F.when(F.col("doc_id").isNotNull(), F.col("component_id")).alias("component_id"))
 
 
-#: Cells of the table by whose counts shingles are ordered; documents of one shingle that are compared all with all.
-ORDER_CELLS, ALL_PAIRS = 1 << 17, 32
-
-
-def shingle_hashes(text: str, words: int, seen: dict[bytes, int]) -> np.ndarray:
-    """Distinct 64-bit hashes of the shingles of a text, sorted; ``seen`` keeps those of words."""
-    import xxhash
-
-    w = text.encode().translate(_LOWER).split()
-    if len(w) < words:
-        return np.array([xxhash.xxh64_intdigest(b" ".join(w))] if w else [], np.uint64)
-    if len(seen) > 200_000:
-        seen.clear()
-    for x in w:
-        if x not in seen:
-            seen[x] = xxhash.xxh64_intdigest(x)
-    h = np.fromiter(map(seen.__getitem__, w), np.uint64, len(w))
-    n, out = len(w) - words + 1, np.zeros(len(w) - words + 1, np.uint64)
-    for k in range(words):
-        out = (out ^ h[k : k + n]) * np.uint64(0x9E3779B97F4A7C15)
-        out ^= out >> np.uint64(29)
-    return np.unique(out)
-
-
-def _cell(hashes: np.ndarray) -> np.ndarray:
-    return (hashes >> np.uint64(40)).astype(np.int64) % ORDER_CELLS
-
-
-def _shingle_order(read: DataFrame, words: int) -> np.ndarray:
-    """How many shingles of all documents fall in each cell of hashes: common ones stand out at any size."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cells, seen = np.zeros(ORDER_CELLS, np.int64), {}
-        for batch in batches:
-            held = [_cell(shingle_hashes(text.as_py(), words, seen)) for text in batch.column(1)]
-            if held:
-                cells += np.bincount(np.concatenate(held), minlength=ORDER_CELLS)
-        at = np.flatnonzero(cells)
-        yield pa.RecordBatch.from_arrays([pa.array(at, pa.int32()), pa.array(cells[at], pa.int64())], ["cell", "n"])
-
-    found = read.mapInArrow(lean(run), "cell int, n long").groupBy("cell").agg(F.sum("n").alias("n")).toPandas()
-    out = np.zeros(ORDER_CELLS, np.int64)
-    out[found["cell"].to_numpy(np.int64)] = found["n"].to_numpy(np.int64)
-    return out
-
-
-def shingle_prefixes(read: DataFrame, similarity: float, words: int) -> DataFrame:
-    """(node, digest, n, keys): the shingles of which two similar sets share one at least.
-
-    All sets are ordered alike, rare shingles first. Sets of similarity t have t of the
-    larger one in common, so they meet within the first n - ceil(t n) + 1 of each.
-    """
-    order = _shingle_order(read, words)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from hashlib import blake2b
+def _one_text_each(read: DataFrame) -> DataFrame:
+    """``read`` with one row for each doc_id: of different texts with one id, the least in order."""
+    again = materialize(read.groupBy("doc_id").count().filter("count > 1").select("doc_id"), "again")
+    n = again.count()
+    if not n:
+        return read
+    again = guarded_broadcast(again, 32, rows=n)
+    return read.join(again, "doc_id", "left_anti").unionByName(read.join(again, "doc_id", "left_semi").groupBy("doc_id").agg(F.min("text").alias("text")))
 
-        seen: dict[bytes, int] = {}
-        for batch in batches:
-            digests, sizes, keys = [], [], []
-            for text in batch.column(1):
-                h = shingle_hashes(text.as_py(), words, seen)
-                n = len(h)
-                digests.append(blake2b(h.tobytes(), digest_size=16).digest())
-                sizes.append(n)
-                first = h[np.argsort(order[_cell(h)], kind="stable")[: n - int(np.ceil(similarity * n - 1e-9)) + 1]]
-                keys.append(first.view(np.int64))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(digests, pa.binary()), pa.array(sizes, pa.int32()), pa.array(keys, pa.list_(pa.int64()))], ["node", "digest", "n", "keys"])
 
-    return read.mapInArrow(lean(run), "node long, digest binary, n int, keys array<long>")
-
-
-def _meeting(posted: DataFrame, similarity: float, run_limit: int) -> DataFrame:
-    """(u, v, key, n, at): all pairs of a key that may be similar; v is null in the rows of a key over ``run_limit``, passed on one by one."""
-    share = similarity / (1 + similarity)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        def out(u, v, key, n, at) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), v, pa.array(key, pa.int64()), pa.array(n, pa.int32()), pa.array(at, pa.int32())], ["u", "v", "key", "n", "at"])
-
-        for whole, table in sorted_runs(batches, 20_000, 20_000):
-            key, node, n, at = (table.column(k).to_numpy() for k in range(4))
-            alone = lambda rows: out(node[rows], pa.nulls(len(rows), pa.int64()), key[rows], n[rows], at[rows])  # noqa: B023, E731
-            if not whole:
-                yield alone(np.arange(len(key)))
-                continue
-            start = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])
-            size = np.diff(np.r_[start, len(key)])
-            for m in np.unique(size[(size > 1) & (size <= run_limit)]):
-                i, j = np.triu_indices(m, 1)
-                some = start[size == m]
-                for k in range(0, len(some), max(1, 500_000 // len(i))):
-                    x, y = ((some[k : k + max(1, 500_000 // len(i)), None] + side).ravel() for side in (i, j))
-                    # what two sets have in common does not come before the first shingle that they share
-                    ok = np.minimum(n[x] - at[x], n[y] - at[y]) >= share * (n[x].astype(np.int64) + n[y]) - 1e-6
-                    x, y = x[ok], y[ok]
-                    yield out(node[x], pa.array(node[y], pa.int64()), key[x], n[x], at[x])
-            many = np.repeat(size > run_limit, size)
-            if many.any():
-                yield alone(np.flatnonzero(many))
-
-    return posted.repartition("key").sortWithinPartitions("key").mapInArrow(lean(run), "u long, v long, key long, n int, at int")
-
-
-def similar_groups(docs: DataFrame, similarity: float = 0.8, words: int = 5, id_col: str = "doc_id", text_col: str = "text", run_limit: int = ALL_PAIRS) -> DataFrame:
+def similar_groups(docs: DataFrame, similarity: float = 0.8, words: int = 5, id_col: str = "doc_id", text_col: str = "text", run_limit: int = ALL_PAIRS, hubs: int = HUBS) -> DataFrame:
     """(node, root): documents that near copies link to a smaller doc_id, the least of their group.
 
     Two documents are near copies if their sets of ``words``-word shingles are similar
     (intersection over union) to ``similarity`` at least; groups are the components of
-    all such pairs. No pair is missed: similar sets share a shingle of their prefixes,
-    and every pair that does is verified on the whole texts, unless verified links
-    connect it already. Shingles of over ``run_limit`` documents go by rounds: ever more
-    of their documents are compared with the others that are not of the same group yet,
+    all such pairs. SimHash comes first: fingerprints of the shingle sets meet by their
+    Golay keys, and pairs at most three bits apart are verified on the texts. Then no
+    pair is missed: similar sets share a shingle of their prefixes, and documents that
+    meet there and are not in one group yet are compared by size, by parity sketch and
+    at last on the whole texts. Shingles of over ``run_limit`` documents go by rounds, in
+    which ever more of their documents are compared with all others of other groups,
     until all were. Texts without a word equal each other. Rows with a null id are in no
-    group.
+    group; rows that repeat an id are one document.
     """
+    small_batches(docs.sparkSession)
     read = docs.select(docs[id_col].cast("long").alias("doc_id"), text_or_empty(docs[text_col]).alias("text")).filter("doc_id is not null")
-    prints = materialize(shingle_prefixes(read, similarity, words), "prints")
-    alike = prints.groupBy("digest").agg(F.min("node").alias("first"), F.count(F.lit(1)).alias("m")).filter("m > 1")
-    alike = materialize(prints.select("node", "digest").join(alike, "digest").filter("node <> first").select(F.col("node").alias("u"), F.col("first").alias("v")).distinct(), "alike")
-    distinct = prints.join(guarded_broadcast(alike.select(F.col("u").alias("node")).distinct(), 40), "node", "left_anti")
-    posted = distinct.select(F.posexplode("keys").alias("at", "key"), "node", "n").select("key", "node", "n", "at")
-    met = materialize(_meeting(posted, similarity, run_limit), "met")
-
-    def verified(pairs: DataFrame) -> DataFrame:
-        pairs = materialize(pairs.filter("u <> v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct(), "candidates")
-        return _verified(read, pairs, similarity, words)
-
-    links = verified(met.filter("v is not null").select("u", "v").unionByName(alike))
-    crowds = met.filter("v is null").select("key", F.col("u").alias("node"), "n", (F.xxhash64("node") / F.lit(2.0**64) + 0.5).alias("place"))
-    if crowds.isEmpty():
-        return connected_components(links)
-    crowds = materialize(crowds.join(crowds.groupBy("key").agg(F.count(F.lit(1)).alias("m"), F.min_by("node", "place").alias("hub")), "key"), "crowds")
-    links = links.unionByName(verified(crowds.groupBy(F.col("node").alias("u")).agg(F.min_by("hub", F.xxhash64("hub")).alias("v"))))
-    largest, tried, now = crowds.agg(F.max("m")).first()[0], 0, 1
-    while True:
-        roots = connected_components(links)
-        if tried >= largest:
-            return roots
-        named = crowds.join(guarded_broadcast(roots, 40), "node", "left").select("key", "node", "n", "m", (F.col("place") * F.col("m")).alias("turn"), F.coalesce("root", "node").alias("group"))
-        split = named.groupBy("key").agg(F.min("group").alias("a"), F.max("group").alias("b")).filter("a <> b").select("key")
-        open_ = materialize(named.filter(F.col("turn") >= tried).join(split, "key", "left_semi"), "open")
-        if open_.isEmpty():
-            return roots
-        hubs = open_.filter(F.col("turn") < now).select("key", F.col("node").alias("u"), F.col("n").alias("k"), F.col("group").alias("g"))
-        fits = (F.least("n", "k") >= similarity * F.greatest("n", "k") - 1e-6) & (F.col("group") != F.col("g"))
-        links = links.unionByName(verified(open_.join(guarded_broadcast(hubs, 64), "key").filter(fits).select("u", F.col("node").alias("v"))))
-        tried, now = now, now * 8
-
-
-def _verified(read: DataFrame, pairs: DataFrame, similarity: float, words: int) -> DataFrame:
-    """The pairs (u, v) whose texts have similar sets of shingles."""
-
-    def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            keep = []
-            for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist()):
-                s, t = set(shingles(x, words)), set(shingles(y, words))
-                both = len(s & t)
-                keep.append(both >= similarity * (len(s) + len(t) - both))
-            yield batch.filter(pa.array(keep, pa.bool_())).select(["u", "v"])
-
-    named = read.toDF("id", "body")
-    meant = materialize(pairs.select(F.explode(F.array("u", "v")).alias("id")).distinct(), "meant")
-    bodies = named.join(guarded_broadcast(meant, 40), "id", "left_semi").dropDuplicates(["id"])
-    bodies = materialize(bodies, "bodies")
-    joined = pairs.join(bodies.toDF("u", "x"), "u").join(bodies.toDF("v", "y"), "v").select("u", "v", "x", "y")
-    with arrow_rows(read.sparkSession, 500):
-        return materialize(joined.mapInArrow(lean(verify), "u long, v long"), "verified")
+    read = _one_text_each(read)
+    table = materialize(shingle_table(read, similarity, words), "shingles")
+    first = table.groupBy("digest").agg(F.min("node").alias("first"), F.count(F.lit(1)).alias("m")).filter("m > 1")
+    alike = materialize(table.select("node", "digest").join(first, "digest").filter("node <> first").select(F.col("node").alias("u"), F.col("first").alias("v")), "alike")
+    distinct = table.join(guarded_broadcast(alike.select(F.col("u").alias("node")), 40), "node", "left_anti")
+    firsts = distinct.groupBy("fp").agg(F.min("node").alias("v"))
+    same = distinct.select(F.col("node").alias("u"), "fp").join(firsts, "fp").select("u", "v")
+    nodes = materialize(firsts.select(F.col("v").alias("node"), F.lit(0).cast("long").alias("view"), "fp"), "nodes")
+    links = verified_pairs(read, table, alike.unionByName(same).unionByName(golay_links(nodes)), similarity, words)
+    roots = connected_components(links)
+    grouped = distinct.join(guarded_broadcast(roots, 40), "node", "left").withColumn("group", F.coalesce("root", "node"))
+    posted = grouped.select(F.posexplode("keys").alias("at", "key"), "node", "n", "group")
+    met = materialize(meeting_pairs(posted, similarity, run_limit), "met")
+    links = links.unionByName(verified_pairs(read, table, met.filter("v is not null").select("u", "v"), similarity, words))
+    roots = connected_components(links)
+    alone = met.filter("v is null").select("key", F.col("u").alias("node"), "n")
+    sizes = materialize(alone.groupBy("key").agg(F.count(F.lit(1)).alias("m")), "crowds")
+    largest = sizes.agg(F.max("m")).first()[0] or 0
+    place = F.floor((F.xxhash64("node") / F.lit(2.0**64) + 0.5) * F.col("m"))  # some turns are shared, some empty
+    crowds = alone.join(sizes, "key").withColumn("turn", F.least(place, F.col("m") - 1))
+    tried, now = 0, hubs
+    while tried < largest:
+        named = materialize(crowds.join(guarded_broadcast(roots, 40), "node", "left").withColumn("group", F.coalesce("root", "node")).drop("root"), "named")
+        split = named.groupBy("key").agg(F.min("group").alias("a"), F.max("group").alias("b"), F.max("m").alias("most")).filter((F.col("a") < F.col("b")) & (F.col("most") > tried)).select("key")
+        left = named.join(split, "key", "left_semi").join(table.select("node", "sketch"), "node")
+        found = verified_pairs(read, table, crowd_pairs(left, tried, now, similarity), similarity, words)
+        if not found.isEmpty():
+            links = links.unionByName(found)
+            roots = connected_components(links)
+        tried, now = now, now * GROWTH
+    return roots

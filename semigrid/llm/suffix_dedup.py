@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semigrid.functions.worker import arrow_rows, lean, worker_state
+from semigrid.functions.worker import lean, small_batches, worker_state
 from semigrid.llm.bwt import window_classes
 from semigrid.llm.runs import sorted_runs
 from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
@@ -29,8 +29,6 @@ from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
 _BASE, _BITS = 0x9E3779B97F4A7C15 | 1, 18
 #: Documents' texts are shuffled, rather than what is to be done to them broadcast, from this size of the latter on.
 _SEND_BYTES = 4 << 20
-#: Texts in one batch sent to Python.
-_TEXTS = 2_000
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 #: Windows of a block that a task looks at together.
 _BLOCK = (1 << _BITS) - 256
@@ -171,7 +169,7 @@ def _bytes_of(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offsets[1:] - offsets[0]
 
 
-def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 400_000, run_limit: int = 400_000, crowd: int = 2_000) -> DataFrame:
+def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000, run_limit: int = 400_000, crowd: int = 2_000) -> DataFrame:
     """(doc, a, b): bytes from a to b of a document that an earlier window covers; spans may overlap.
 
     ``docs`` has doc_id and text, without nulls. Tasks keep ``held`` anchors at most
@@ -181,6 +179,7 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 400_000,
     aggregation that combines on the map side.
     """
     least = shape.least
+    small_batches(docs.sparkSession)
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts: list[tuple[np.ndarray, ...]] = []
@@ -269,9 +268,8 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 400_000,
             _, later = _first_of([label], doc[of], start)
             yield _spans(doc[of][later], start[later], start[later] + least)
 
-    found = docs.select("doc_id", "text").mapInArrow(lean(find), _ROW)
-    with arrow_rows(docs.sparkSession, _TEXTS):
-        met = materialize(found.repartition("h").sortWithinPartitions("h").mapInArrow(lean(meet), _ROW), "anchors")
+    found = docs.select("doc_id", "text").mapInArrow(lean(find, "powers"), _ROW)
+    met = materialize(found.repartition("h").sortWithinPartitions("h").mapInArrow(lean(meet), _ROW), "anchors")
     spans = met.filter(F.col("kind") == _SPAN).select("doc", "a", "b")
     wanted = met.filter(F.col("kind") != _SPAN)
     asked = wanted.count()
@@ -279,8 +277,7 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 400_000,
         return spans
     by_doc = wanted.groupBy(F.col("doc").alias("doc_id")).agg(F.collect_list(F.struct("kind", "h", "a", "b")).alias("wanted"))
     cut = docs.select("doc_id", "text").join(guarded_broadcast(by_doc, 48, _SEND_BYTES, asked), "doc_id").select("doc_id", "text", "wanted")
-    with arrow_rows(docs.sparkSession, _TEXTS):
-        contexts = materialize(cut.mapInArrow(lean(cut_out), "h long, c long, kind int, doc long, a long, bytes binary"), "contexts")
+    contexts = materialize(cut.mapInArrow(lean(cut_out), "h long, c long, kind int, doc long, a long, bytes binary"), "contexts")
     near = contexts.filter(F.col("kind") == _CONTEXT).select("h", "doc", "a", "bytes").repartition("h").sortWithinPartitions("h")
     spans = spans.unionByName(near.mapInArrow(lean(compare), _ROW).select("doc", "a", "b"))
     crowded = contexts.filter(F.col("kind") == _CROWD)
@@ -363,7 +360,7 @@ def without_repeats(docs: DataFrame, shape: Shape = Shape(), id_col: str = "doc_
     at = names.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in (b.slice(k, 1000) for b in batches for k in range(0, b.num_rows, 1000)):
+        for batch in batches:
             texts = []
             for text, found in zip(batch.column(at), batch.column(len(names))):
                 text, found = text.as_py(), found.as_py()

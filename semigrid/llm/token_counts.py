@@ -78,4 +78,4 @@ def token_counts(docs: DataFrame, model_path: str, limit: int = 4096, id_col: st
 
     text = F.coalesce(docs[text_col], F.lit(""))
     read = docs.select(docs[id_col].cast("long").alias("doc_id"), F.octet_length(text).cast("long").alias("n_bytes"), text.alias("text"))
-    return read.mapInArrow(lean(run), "doc_id long, n_bytes long, n_tokens long").withColumn("over_limit", F.col("n_tokens") > limit)
+    return read.mapInArrow(lean(run, f"counter:{model_path}"), "doc_id long, n_bytes long, n_tokens long").withColumn("over_limit", F.col("n_tokens") > limit)
