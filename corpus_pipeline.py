@@ -17,14 +17,21 @@ def _without(docs: DataFrame, ids: DataFrame) -> DataFrame:
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drops documents without any letter; the languages are learned from the labelled rows of ``docs``.
+    """Gives documents without a language the predicted one, and drops those in which none is found.
 
-    Without a labelled row no language is known, and nothing is dropped.
+    The languages are learned from the labelled rows of ``docs``. A null text, an empty one and
+    one without any letter are dropped. Rows that repeat an id are judged one by one, rows
+    with a null id as any other. Without a labelled row no language is known, and nothing
+    is changed.
     """
     model = language_id.fit(docs)
     if not model.languages:
         return docs
-    return _without(docs, language_id.identify(docs, model).filter(F.col("lang_pred") == language_id.UNKNOWN))
+    names = {"lang_pred", "score"} & set(docs.columns)
+    away = {n: n + "_" * max(map(len, docs.columns)) for n in names}  # names that the prediction takes
+    said = language_id.identify(docs.withColumnsRenamed(away), model, whole_rows=True).filter(F.col("lang_pred") != language_id.UNKNOWN)
+    said = said.withColumn("lang", F.coalesce("lang", "lang_pred")).drop("lang_pred", "score")
+    return said.withColumnsRenamed({v: k for k, v in away.items()}).select(docs.columns)
 
 
 def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -40,18 +47,26 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of near copies (five-word shingles, similarity 0.8) the smallest doc_id of each group stays."""
+    """Of near copies (five-word shingles, similarity 0.8) the smallest doc_id of each group stays.
+
+    A null text counts as empty, and texts without a word are near copies of each other. Rows
+    with a null id stay; rows that repeat an id are one document, and stay or go together.
+    """
     return _without(docs, simhash_dedup.similar_groups(docs).select(F.col("node").alias("doc_id")))
 
 
 def repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Removes repeated strings of 100 bytes from the texts; every document stays."""
+    """Removes repeated strings of 100 bytes from the texts; every document stays.
+
+    The first place of a string, by doc_id and then in the text, keeps it. A null text stays
+    null; a row with a null id is left as it is; rows that repeat an id are one document.
+    """
     cut = suffix_dedup.without_repeats(docs)
     return cut.withColumn("n_chars", F.length("text").cast(docs.schema["n_chars"].dataType)) if "n_chars" in docs.columns else cut
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pieces of sequences of at most 2048 tokens."""
+    """Pieces of sequences of at most 2048 tokens; a null text is its end id alone, repeated rows are packed each."""
     return packing.pack(docs, vocabulary("word_bpe_49k.json"))
 
 
