@@ -16,7 +16,7 @@ def sorted_runs(batches: Iterable[pa.RecordBatch], hold: int, limit: int) -> Ite
     """
     held: list[pa.RecordBatch] = []
     rows, over = 0, None
-    for batch in batches:
+    for batch in (b.slice(k, hold) for b in batches for k in range(0, b.num_rows, hold)):
         if over is not None:
             n = int(np.searchsorted(np.asarray(batch.column(0)), over, "right"))
             if n:

@@ -258,7 +258,7 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000,
                 yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names)
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for _, table in sorted_runs(batches, 3_000, 1 << 40):
+        for _, table in sorted_runs(batches, 2_000, 1 << 40):
             doc, low = table.column("doc").to_numpy(), table.column("a").to_numpy()
             strings = [np.frombuffer(x.as_py(), np.uint8) for x in table.column("bytes")]
             labels = window_classes(strings, least)
