@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from semigrid.plans.scratch import guarded_broadcast, materialize, text_or_empty
+from semigrid.plans.scratch import BROADCAST_BYTES, guarded_broadcast, materialize, text_or_empty
 
 #: ASCII white space that counts as one space.
 BLANKS = r"[\x20\x09-\x0D]+"
@@ -32,11 +32,15 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     texts = docs.select(F.col(id_col).alias("doc_id"), F.regexp_replace(text_or_empty(text_col), BLANKS, " ").alias("body"))
     digests = materialize(texts.select("doc_id", hash_of(F.col("body")).alias("h"), F.sha2("body", 256).alias("text_sha256")), "digests")
     repeated = materialize(digests.groupBy("h").count().filter("count > 1").select("h"), "repeated")
+    n = repeated.count()
+    hashed = texts.withColumn("h", hash_of(F.col("body")))
+    combined = [F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size")]
+    if n * 64 <= BROADCAST_BYTES:
+        grouped = hashed.join(F.broadcast(repeated), "h", "left_semi").groupBy("h", "body").agg(*combined)
+    else:  # too many to send out: equal texts are combined in each task first, and only then shuffled
+        grouped = hashed.groupBy("h", "body").agg(*combined).join(repeated, "h", "left_semi")
     classes = (
-        texts.withColumn("h", hash_of(F.col("body")))
-        .join(guarded_broadcast(repeated, 64), "h", "left_semi")
-        .groupBy("h", "body")
-        .agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
+        grouped
         .select("h", F.sha2("body", 256).alias("text_sha256"), "keep_id", "group_size")
         .groupBy("h", "text_sha256")
         .agg(F.min("keep_id").alias("keep_id"), F.sum("group_size").alias("group_size"), F.count(F.lit(1)).alias("texts"))

@@ -1,20 +1,30 @@
-"""Masked pseudo-likelihood: a bidirectional window network predicts every token from both sides."""
+"""Masked pseudo-likelihood: a bidirectional window network predicts every token from both sides.
+
+A token is a word, and every word of the corpus has a probability of its own: the network
+gives that of its class from the classes on both sides, and the counts of all words give that
+of the word within its class. The counts are a table as large as the vocabulary, however
+large that is; only words frequent enough for a bounded list travel with the code, the
+occurrences of all others are joined with the table.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semigrid.functions.worker import lean
-from semigrid.plans.scratch import text_or_empty
+from semigrid.functions.worker import lean, small_batches
+from semigrid.plans.scratch import materialize, text_or_empty
 
 #: Token classes: one for the edge of a text, some for unknown words by their length, the rest for frequent words.
 CLASSES, LENGTHS = 128, 23
+#: About so many words, the most frequent, travel to every worker with their probabilities.
+CARRIED = 200_000
 
 
 class TokenClasses(dict):
@@ -140,49 +150,103 @@ class WindowNetwork:
         return losses
 
 
-def fit(docs: DataFrame, text_col: str = "text", width: int = 24, steps: int = 60, seed: int = 7) -> tuple[TokenClasses, WindowNetwork]:
-    """Vocabulary and network from the whole corpus.
+@dataclass
+class WordModel:
+    """Classes and network; counts of all words as a table (word, n); tokens in each class; words in ``carried`` have over ``rare`` tokens."""
+
+    classes: TokenClasses
+    network: WindowNetwork
+    counts: DataFrame
+    totals: np.ndarray
+    carried: dict[str, int]
+    rare: int
+
+
+def fit(docs: DataFrame, text_col: str = "text", width: int = 24, steps: int = 60, seed: int = 7, carried: int = CARRIED) -> WordModel:
+    """Word counts and network from the whole corpus.
 
     The window is one token on either side, so the counts of (left, middle, right)
-    classes are sufficient for the likelihood: they are gathered from every token of
-    every document, and the network is trained on them in full batches. What comes to
-    the driver is bounded by the classes cubed.
+    classes are sufficient for the network's likelihood: they are gathered from every token
+    of every document, and the network is trained on them in full batches. What comes to
+    the driver is bounded by the classes cubed and twice ``carried`` words.
     """
-    frequent = word_counts(docs, text_col).orderBy(F.desc("n"), "word").limit(CLASSES - 1 - LENGTHS)
-    classes = TokenClasses([r["word"] for r in frequent.collect()])
+    small_batches(docs.sparkSession)
+    counts = materialize(word_counts(docs, text_col), "counts")
+    top = counts.orderBy(F.desc("n"), "word").limit(CLASSES - 1 - LENGTHS).collect()
+    classes = TokenClasses([r["word"] for r in top])
+    own = {r["word"]: r["n"] for r in top}
+    total = np.zeros(CLASSES)
+    by_length = counts.groupBy(F.least(F.length("word"), F.lit(LENGTHS)).alias("k")).agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("words")).collect()
+    for r in by_length:
+        total[r["k"]] = r["n"]
+    for w, n in own.items():
+        total[min(len(w), LENGTHS)] -= n
+        total[classes[w]] = n
+    words, rare = sum(r["words"] for r in by_length), 0
+    if words > carried:
+        rare = counts.agg(F.percentile_approx("n", 1 - carried / words, 10_000)).first()[0]
+        while counts.filter(F.col("n") > rare).count() > 2 * carried:  # the percentile is not exact
+            rare *= 2
+    often = counts.filter(F.col("n") > rare).toArrow()
     found = window_counts(docs, classes, CLASSES, text_col).toPandas()
-    counts = np.zeros(CLASSES**3)
-    counts[found["window"].to_numpy(np.int64)] = found["n"].to_numpy(np.float64)
+    seen = np.zeros(CLASSES**3)
+    seen[found["window"].to_numpy(np.int64)] = found["n"].to_numpy(np.float64)
     network = WindowNetwork.fresh(CLASSES, width, seed)
     if len(found):
-        network.train(counts.reshape(CLASSES**2, CLASSES), steps)
-    return classes, network
+        network.train(seen.reshape(CLASSES**2, CLASSES), steps)
+    return WordModel(classes, network, counts, total, dict(zip(often["word"].to_pylist(), often["n"].to_pylist())) | own, rare)
 
 
-def score(docs: DataFrame, classes: TokenClasses, network: WindowNetwork, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score(docs: DataFrame, model: WordModel, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, n_tokens, pseudo_log_likelihood (the sum over all tokens) and mean_log_prob.
 
     A token is a word between white space, predicted with itself masked. A null or empty
     text has no token and scores 0 in both; repeated rows score alike; other columns
-    are not read.
+    are not read. A word that the model has not counted is taken as one token of its class.
+
+    One pass over the texts gives a row for each document, with the part of its sum that
+    the carried words and the network give, and one for each of its rarer words; those are
+    joined with the counts, and summed for each document.
     """
-    table = network.log_probs().astype(np.float32).ravel()
-    vocabulary, lengths = list(classes), classes.lengths
+    small_batches(docs.sparkSession)
+    table = model.network.log_probs().astype(np.float32).ravel()
+    vocabulary, lengths = list(model.classes), model.classes.lengths
+    totals = np.maximum(model.totals, 1.0)
+    words = list(model.carried)
+    logs = np.log(np.array([model.carried[w] for w in words], np.float64) / totals[[model.classes[w] for w in words]]).astype(np.float32)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = TokenClasses(vocabulary, lengths)
+        from collections import Counter
+
+        from pyspark import TaskContext
+
+        classes, known = TokenClasses(vocabulary, lengths), dict(zip(words, logs.tolist()))
+        row = TaskContext.get().partitionId() << 40
+        kinds = (pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.string(), pa.int64())
         for batch in batches:
-            n, total = [], []
-            for text in batch.column(1):
-                codes = _windows(known.of(text.as_py()), CLASSES)
-                n.append(len(codes))
-                total.append(float(table[codes].sum(dtype=np.float64)))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(total, pa.float64())], ["doc_id", "n_tokens", "pseudo_log_likelihood"])
+            out: list[tuple] = []
+            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1)):
+                text = text.as_py()
+                codes, said = _windows(classes.of(text), CLASSES), text.split()
+                within = np.fromiter(map(known.get, said, repeat(1.0)), np.float64, len(said))  # logs are not over zero
+                other = within > 0
+                rarer = Counter(said[k] for k in np.flatnonzero(other))
+                out.append((row, doc, len(said), float(table[codes].sum(dtype=np.float64) + within[~other].sum()), None, None))
+                out += [(row, None, None, None, w, m) for w, m in rarer.items()]
+                row += 1
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], ["row", "doc_id", "n_tokens", "total", "word", "m"])
 
     read = docs.select(docs[id_col].cast("long").alias("doc_id"), text_or_empty(docs[text_col]).alias("text"))
-    scored = read.mapInArrow(lean(run), "doc_id long, n_tokens long, pseudo_log_likelihood double")
-    return scored.withColumn("mean_log_prob", F.when(F.col("n_tokens") > 0, F.col("pseudo_log_likelihood") / F.col("n_tokens")).otherwise(0.0))
+    parts = materialize(read.mapInArrow(lean(run), "row long, doc_id long, n_tokens long, total double, word string, m long"), "parts")
+    rarer = parts.filter("word is not null").select("row", "word", "m").join(model.counts, "word", "left")
+    whole = F.element_at(F.array(*[F.lit(float(totals[k])) for k in range(1, LENGTHS + 1)]), F.least(F.length("word"), F.lit(LENGTHS)))
+    sums = rarer.groupBy("row").agg(F.sum(F.col("m") * F.log(F.coalesce("n", F.lit(1)) / whole)).alias("more"))
+    scored = parts.filter("word is null").select("row", "doc_id", "n_tokens", "total").join(sums, "row", "left")
+    sum_ = F.col("total") + F.coalesce("more", F.lit(0.0))
+    mean = F.when(F.col("n_tokens") > 0, F.col("pseudo_log_likelihood") / F.col("n_tokens")).otherwise(0.0)
+    return scored.select("doc_id", "n_tokens", sum_.alias("pseudo_log_likelihood")).withColumn("mean_log_prob", mean)
 
 
 def query(docs: DataFrame) -> DataFrame:
-    return score(docs, *fit(docs))
+    return score(docs, fit(docs))
