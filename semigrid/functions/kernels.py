@@ -1,4 +1,8 @@
-"""Sequential kernels on one pair of blocks: (rows, cols, values) arrays in, sorted triples and counters out."""
+"""Sequential kernels on one pair of blocks: sorted triples and counters out.
+
+The left operand comes in column form, the right one in row form, with ids of their own
+corners and the sizes (rows, inner ids, columns) of the pair.
+"""
 
 from __future__ import annotations
 
@@ -7,10 +11,17 @@ from math import log2
 
 import numpy as np
 
+from semigrid.functions.blocks import Block, Triples, columns_of, rows_of, triples_of_columns, triples_of_rows
 from semigrid.semiring import Semiring, semiring
 
-Triples = tuple[np.ndarray, np.ndarray, np.ndarray]
+Sizes = tuple[int, int, int]
 NONE: Triples = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64))
+#: Longest dense array that a kernel with pointers for all ids may ask for.
+DENSE_LIMIT = 1 << 26
+
+
+def nothing(kind: np.dtype) -> Triples:
+    return NONE[0], NONE[1], np.zeros(0, kind)
 
 
 def column_major(t: Triples) -> Triples:
@@ -27,49 +38,45 @@ def combine(t: Triples, ring: Semiring) -> Triples:
     return i[head], j[head], ring.np_add.reduceat(v, head)
 
 
-def compressed(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Nonempty ids and where each begins, of sorted ids: the doubly compressed pointers."""
-    head = np.flatnonzero(np.r_[True, ids[1:] != ids[:-1]]) if len(ids) else np.zeros(0, np.int64)
-    return ids[head], np.r_[head, len(ids)]
+def joined(parts: list[Triples]) -> Triples:
+    return tuple(np.concatenate(x) for x in zip(*parts))
 
 
 def dense_pointers(ids: np.ndarray, n: int) -> np.ndarray:
     """One pointer for each of n ids and one more, empty or not."""
+    if n > DENSE_LIMIT:
+        raise ValueError(f"{n} ids are too many for a pointer each; use a hypersparse kernel")
     return np.r_[0, np.cumsum(np.bincount(ids, minlength=n))]
 
 
-def aux_index(jc: np.ndarray, n: int) -> tuple[int, np.ndarray]:
-    """Chunk width and, for each chunk of ids, the place of its first nonempty id."""
-    width = max(1, -(-n // max(1, len(jc))))
-    return width, np.searchsorted(jc, np.arange(0, n + width, width))
+def _met(a: Block, b: Block) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the common ids among the nonempty columns of A and rows of B."""
+    _, x, y = np.intersect1d(a.ids, b.ids, assume_unique=True, return_indices=True)
+    return x, y
 
 
-def expand_sort_compress(a: Triples, b: Triples, ring: Semiring) -> tuple[Triples, dict]:
+def expand_sort_compress(a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[Triples, dict]:
     """All products at once, then one sort: the vectorised counterpart of the heap."""
-    order = np.argsort(b[0], kind="stable")
-    bi, bj, bv = b[0][order], b[1][order], b[2][order]
-    low, high = np.searchsorted(bi, a[1], "left"), np.searchsorted(bi, a[1], "right")
-    n = high - low
-    at = np.repeat(low - (np.cumsum(n) - n), n) + np.arange(n.sum())
-    left = np.repeat(np.arange(len(a[0])), n)
-    out = combine((a[0][left], bj[at], ring.np_mul(a[2][left], bv[at])), ring)
-    return out, {"flops": int(n.sum())}
+    x, y = _met(a, b)
+    rows, cols = a.start[x + 1] - a.start[x], b.start[y + 1] - b.start[y]
+    left = np.repeat(a.start[x] - (np.cumsum(rows) - rows), rows) + np.arange(rows.sum())  # entries of A that meet
+    times, low = np.repeat(cols, rows), np.repeat(b.start[y], rows)
+    at = np.repeat(low - (np.cumsum(times) - times), times) + np.arange(times.sum())
+    left = np.repeat(left, times)
+    out = combine((a.minor[left], b.minor[at], ring.np_mul(a.num[left], b.num[at])), ring)
+    return out, {"flops": len(at), "ni": len(x)}
 
 
-def heap_outer(a: Triples, b: Triples, ring: Semiring) -> tuple[Triples, dict]:
+def heap_outer(a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[Triples, dict]:
     """Hypersparse kernel: meets the nonempty columns of A and rows of B, then merges their outer products.
 
     The product of a column and a row is a list in column-major order that is never
-    made; a heap holds the head of each. Its size is the number of common ids.
+    made; a heap holds the head of each. Its size is the number of common ids. Neither
+    operand is sorted or turned here: the forms that are stored are the ones needed.
     """
-    ai, aj, av = column_major(a)
-    order = np.lexsort((b[1], b[0]))
-    bi, bj, bv = b[0][order], b[1][order], b[2][order]
-    jc, cp = compressed(aj)
-    ir, rp = compressed(bi)
-    common, at_a, at_b = np.intersect1d(jc, ir, assume_unique=True, return_indices=True)
-    add = lambda x, y: ring.np_add(x, y)
-    lists = [(int(cp[x]), int(cp[x + 1]), int(rp[y]), int(rp[y + 1])) for x, y in zip(at_a, at_b)]
+    x, y = _met(a, b)
+    ai, av, bj, bv = a.minor, a.num, b.minor, b.num
+    lists = list(zip(a.start[x].tolist(), a.start[x + 1].tolist(), b.start[y].tolist(), b.start[y + 1].tolist()))
     heap = [(int(bj[r0]), int(ai[c0]), k, c0, r0) for k, (c0, _, r0, _) in enumerate(lists)]
     heapify(heap)
     flops = 0
@@ -81,7 +88,7 @@ def heap_outer(a: Triples, b: Triples, ring: Semiring) -> tuple[Triples, dict]:
         value = ring.np_mul(av[c : c + 1], bv[r : r + 1])[0]
         flops += 1
         if oi and oi[-1] == i and oj[-1] == j:
-            ov[-1] = add(ov[-1], value)
+            ov[-1] = ring.np_add(ov[-1], value)
         else:
             oi.append(i)
             oj.append(j)
@@ -94,20 +101,20 @@ def heap_outer(a: Triples, b: Triples, ring: Semiring) -> tuple[Triples, dict]:
             heapreplace(heap, (int(bj[r]), int(ai[c]), k, c, r))
         else:
             heappop(heap)
-    stats = {"flops": flops, "ni": len(common), "nzc": len(jc), "nzr": len(ir)}
-    return (np.array(oi, np.int64), np.array(oj, np.int64), np.array(ov, a[2].dtype if len(ov) else np.int64)), stats
-
-
-def accumulator_row(a: Triples, b: Triples, ring: Semiring, n: int | None = None) -> tuple[Triples, dict]:
-    """Classical kernel: pointers for all rows, and a dense row that collects the products of the active one."""
-    ncols = int(b[1].max()) + 1 if len(b[1]) else 0
-    nrows = int(a[0].max()) + 1 if len(a[0]) else 0
-    inner = max(int(a[1].max()) + 1 if len(a[1]) else 0, int(b[0].max()) + 1 if len(b[0]) else 0)
-    ao, bo = np.lexsort((a[1], a[0])), np.lexsort((b[1], b[0]))
-    ai, ak, av = (x[ao] for x in a)
-    bk, bj, bv = (x[bo] for x in b)
-    ap, bp = dense_pointers(ai, nrows), dense_pointers(bk, inner)
-    dense = np.zeros(ncols, np.result_type(av, bv) if len(av) else np.int64)
+    kind = ring.np_mul(av[:1], bv[:1]).dtype if len(av) and len(bv) else np.int64
+    return (np.array(oi, np.int64), np.array(oj, np.int64), np.array(ov, kind)), {"flops": flops, "ni": len(x), "nzc": len(a.ids), "nzr": len(b.ids)}
+
+
+def accumulator_row(a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[Triples, dict]:
+    """Classical kernel: pointers for all rows of the blocks, and a dense row that collects the products of the active one."""
+    nrows, inner, ncols = sizes
+    ai, ak, av = triples_of_columns(a)
+    order = np.lexsort((ak, ai))
+    ai, ak, av = ai[order], ak[order], av[order]
+    ap, bp = dense_pointers(ai, nrows), dense_pointers(b.major(), inner)
+    if ncols > DENSE_LIMIT:
+        raise ValueError(f"{ncols} columns are too many for a dense row; use a hypersparse kernel")
+    dense = np.zeros(ncols, ring.np_mul(av[:1], b.num[:1]).dtype if len(av) and b.nnz else np.int64)
     full = np.zeros(ncols, bool)
     parts, flops = [], 0
     for i in range(nrows):
@@ -116,8 +123,8 @@ def accumulator_row(a: Triples, b: Triples, ring: Semiring, n: int | None = None
             s, e = bp[ak[p]], bp[ak[p] + 1]
             if s == e:
                 continue
-            cols = bj[s:e]
-            value = ring.np_mul(np.full(e - s, av[p]), bv[s:e])
+            cols = b.minor[s:e]
+            value = ring.np_mul(np.full(e - s, av[p]), b.num[s:e])
             old = full[cols]
             dense[cols] = np.where(old, ring.np_add(dense[cols], value), value)
             full[cols] = True
@@ -127,70 +134,83 @@ def accumulator_row(a: Triples, b: Triples, ring: Semiring, n: int | None = None
             cols = np.concatenate(touched)
             parts.append((np.full(len(cols), i), cols, dense[cols]))
             full[cols] = False
-    out = combine(tuple(np.concatenate(x) for x in zip(*parts)), ring) if parts else NONE
-    return out, {"flops": flops, "scanned": nrows + len(av) + (n or inner)}
+    out = combine(joined(parts), ring) if parts else nothing(dense.dtype)
+    return out, {"flops": flops, "scanned": nrows + inner + len(av), "loads": sum(len(p[0]) for p in parts)}
+
+
+def _only(b: Block, keep: np.ndarray) -> Block:
+    """The block without the major ids that are not kept."""
+    entries = np.repeat(keep, np.diff(b.start))
+    return pack_sorted(b.ids[keep], np.diff(b.start)[keep], b.minor[entries], b.num[entries])
 
 
-def outer_naive(a: Triples, b: Triples, ring: Semiring) -> tuple[Triples, dict]:
+def pack_sorted(ids: np.ndarray, counts: np.ndarray, minor: np.ndarray, num: np.ndarray) -> Block:
+    return Block(ids, np.r_[0, np.cumsum(counts)], minor, num)
+
+
+def outer_naive(a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[Triples, dict]:
     """Baseline: walks all inner ids, empty or not, and merges each rank-1 product into the result."""
-    inner = max([*a[1], *b[0]], default=-1) + 1
-    out, flops = NONE, 0
-    for k in range(int(inner)):
-        x, y = a[1] == k, b[0] == k
+    out, flops = None, 0
+    for k in range(sizes[1]):
+        x, y = a.ids == k, b.ids == k
         if x.any() and y.any():
-            part, s = expand_sort_compress(tuple(t[x] for t in a), tuple(t[y] for t in b), ring)
+            part, s = expand_sort_compress(_only(a, x), _only(b, y), ring, sizes)
             flops += s["flops"]
-            out = combine(tuple(np.concatenate(p) for p in zip(out, part)), ring)
-    return out, {"flops": flops, "scanned": int(inner)}
+            out = part if out is None else combine(joined([out, part]), ring)
+    return out or nothing(a.num.dtype), {"flops": flops, "scanned": sizes[1]}
 
 
-def inner_pairs(a: Triples, b: Triples, ring: Semiring) -> tuple[Triples, dict]:
+def inner_pairs(a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[Triples, dict]:
     """Baseline: looks at each pair of a row and a column, whether they meet or not."""
-    rows, cols = np.unique(a[0]), np.unique(b[1])
+    rows, cols = rows_of(triples_of_columns(a)), columns_of(triples_of_rows(b))
     found = []
-    for i in rows:
-        x = a[0] == i
-        ak, av = a[1][x], a[2][x]
-        for j in cols:
-            y = b[1] == j
-            _, p, q = np.intersect1d(ak, b[0][y], assume_unique=True, return_indices=True)
+    for r, i in enumerate(rows.ids):
+        ak, av = rows.minor[rows.start[r] : rows.start[r + 1]], rows.num[rows.start[r] : rows.start[r + 1]]
+        for c, j in enumerate(cols.ids):
+            at = slice(cols.start[c], cols.start[c + 1])
+            _, p, q = np.intersect1d(ak, cols.minor[at], assume_unique=True, return_indices=True)
             if len(p):
-                found.append((i, j, ring.np_add.reduce(ring.np_mul(av[p], b[2][y][q]))))
-    out = tuple(np.array(x, np.int64) for x in zip(*found)) if found else NONE
-    return column_major(out), {"pairs": len(rows) * len(cols)}
+                found.append((i, j, ring.np_add.reduce(ring.np_mul(av[p], cols.num[at][q]))))
+    stats = {"pairs": len(rows.ids) * len(cols.ids)}
+    if not found:
+        return nothing(a.num.dtype), stats
+    i, j, v = zip(*found)
+    return column_major((np.array(i, np.int64), np.array(j, np.int64), np.array(v))), stats
 
 
-def dense_product(a: Triples, b: Triples, ring: Semiring, limit: int = 4_000_000) -> tuple[Triples, dict]:
-    """Baseline: dense arrays, plus-times alone, refused over ``limit`` cells."""
+def dense_product(a: Block, b: Block, ring: Semiring, sizes: Sizes, limit: int = 4_000_000) -> tuple[Triples, dict]:
+    """Baseline: dense arrays, plus-times alone, refused over ``limit`` cells; cancelled entries stay entries."""
     if ring.name != "plus_times":
         raise ValueError("the dense kernel adds and multiplies only")
-    ri, rk, rj = np.unique(a[0]), np.union1d(a[1], b[0]), np.unique(b[1])
-    if max(len(ri), len(rj)) * len(rk) > limit:
+    p, q = triples_of_columns(a), triples_of_rows(b)
+    ri, rk, rj = np.unique(p[0]), np.union1d(a.ids, b.ids), np.unique(q[1])
+    if max(len(ri), len(rj), 1) * len(rk) > limit:
         raise ValueError("too large for dense arrays")
-    x, y = np.zeros((len(ri), len(rk)), np.int64), np.zeros((len(rk), len(rj)), np.int64)
-    x[np.searchsorted(ri, a[0]), np.searchsorted(rk, a[1])] = a[2]
-    y[np.searchsorted(rk, b[0]), np.searchsorted(rj, b[1])] = b[2]
-    c = x @ y
-    p, q = np.nonzero(c)
-    return column_major((ri[p], rj[q], c[p, q])), {"flops": x.shape[0] * x.shape[1] * y.shape[1]}
+    x, y = np.zeros((len(ri), len(rk)), p[2].dtype), np.zeros((len(rk), len(rj)), q[2].dtype)
+    at = (np.searchsorted(ri, p[0]), np.searchsorted(rk, p[1])), (np.searchsorted(rk, q[0]), np.searchsorted(rj, q[1]))
+    x[at[0]], y[at[1]] = p[2], q[2]
+    hit, met = np.zeros(x.shape, np.float32), np.zeros(y.shape, np.float32)
+    hit[at[0]], met[at[1]] = 1, 1
+    c, (r, s) = x @ y, np.nonzero(hit @ met)
+    return column_major((ri[r], rj[s], c[r, s])), {"flops": x.shape[0] * x.shape[1] * y.shape[1]}
 
 
-def delayed_merge(a: Triples, b: Triples, ring: Semiring, threshold: int = 4096) -> tuple[Triples, dict]:
+def delayed_merge(a: Block, b: Block, ring: Semiring, sizes: Sizes, threshold: int = 4096) -> tuple[Triples, dict]:
     """Products in slices of inner ids, held as sorted runs and merged in pairs of like length."""
     runs: list[Triples] = []
-    ids, flops, merges = np.unique(a[1]), 0, 0
-    cuts = np.array_split(ids, max(1, len(a[1]) // threshold + 1))
-    for ks in cuts:
-        x, y = np.isin(a[1], ks), np.isin(b[0], ks)
-        part, s = expand_sort_compress(tuple(t[x] for t in a), tuple(t[y] for t in b), ring)
+    flops = merges = 0
+    for part in np.array_split(np.arange(len(a.ids)), max(1, a.nnz // threshold + 1)):
+        keep = np.zeros(len(a.ids), bool)
+        keep[part] = True
+        some = _only(a, keep)
+        run, s = expand_sort_compress(some, b, ring, sizes)
         flops += s["flops"]
-        runs.append(part)
+        runs.append(run)
         while len(runs) > 1 and len(runs[-2][0]) <= 2 * len(runs[-1][0]):
             last, before = runs.pop(), runs.pop()
-            runs.append(combine(tuple(np.concatenate(p) for p in zip(before, last)), ring))
+            runs.append(combine(joined([before, last]), ring))
             merges += 1
-    out = combine(tuple(np.concatenate(p) for p in zip(*runs)), ring) if runs else NONE
-    return out, {"flops": flops, "merges": merges}
+    return combine(joined(runs), ring), {"flops": flops, "merges": merges}
 
 
 KERNELS = {"esc": expand_sort_compress, "heap_outer": heap_outer, "accumulator_row": accumulator_row, "outer_naive": outer_naive, "inner": inner_pairs, "dense": dense_product, "delayed_merge": delayed_merge}
@@ -201,14 +221,20 @@ def operation_counts(n: int, nnz: int, flops: int, nzc: int, nzr: int, ni: int)
     return float(n + nnz + flops), float(nzc + nzr + flops * log2(ni) if ni > 1 else nzc + nzr + flops)
 
 
-def choose(n: int, a: Triples, b: Triples, classical_weight: float = 1.0, heap_weight: float = 1.0) -> str:
-    """The kernel with fewer weighted operations for a pair of blocks of dimension n."""
-    ca, cb = np.unique(a[1], return_counts=True), np.unique(b[0], return_counts=True)
-    _, p, q = np.intersect1d(ca[0], cb[0], return_indices=True)
-    flops = int((ca[1][p] * cb[1][q]).sum())
-    classical, heap = operation_counts(n, len(a[0]) + len(b[0]), flops, len(ca[0]), len(cb[0]), len(p))
-    return "accumulator_row" if classical * classical_weight <= heap * heap_weight else "heap_outer"
+def choose(a: Block, b: Block, sizes: Sizes, classical_weight: float = 1.0, heap_weight: float = 1.0) -> str:
+    """The kernel with fewer weighted operations for a pair of blocks; without dense arrays where there is no room for them."""
+    x, y = _met(a, b)
+    flops = int((np.diff(a.start)[x] * np.diff(b.start)[y]).sum())
+    classical, heap = operation_counts(max(sizes), a.nnz + b.nnz, flops, len(a.ids), len(b.ids), len(x))
+    return "accumulator_row" if max(sizes) <= DENSE_LIMIT and classical * classical_weight <= heap * heap_weight else "heap_outer"
+
+
+def multiply_blocks(kernel: str, a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[Triples, dict]:
+    return KERNELS[choose(a, b, sizes) if kernel == "auto" else kernel](a, b, ring, sizes)
 
 
-def multiply(kernel: str, a: Triples, b: Triples, ring: str | Semiring) -> tuple[Triples, dict]:
-    return KERNELS[kernel](a, b, semiring(ring))
+def multiply(kernel: str, a: Triples, b: Triples, ring: str | Semiring, sizes: Sizes | None = None) -> tuple[Triples, dict]:
+    """As ``multiply_blocks``, for triples; sizes are those that the ids need if not given."""
+    top = lambda x: int(x.max()) + 1 if len(x) else 0
+    sizes = sizes or (top(a[0]), max(top(a[1]), top(b[0])), top(b[1]))
+    return multiply_blocks(kernel, columns_of(a), rows_of(b), semiring(ring), sizes)

@@ -44,3 +44,9 @@ def from_triples(df: DataFrame, i: Column | str, j: Column | str, v: Column | st
         return SparseMatrix(grouped.agg(add.alias("v")), *shape)
     checked = grouped.agg(add.alias("v"), F.count(F.lit(1)).alias("n"))
     return SparseMatrix(checked.select("i", "j", F.when(F.col("n") == 1, F.col("v")).otherwise(F.raise_error(F.lit("repeated entry")).cast("long")).alias("v")), *shape)
+
+
+def cut(column: str | Column, size: int, parts: int) -> Column:
+    """Which of ``parts`` contiguous ranges an id lies in; whole-number division, exact for any 64-bit id."""
+    c = F.col(column) if isinstance(column, str) else column
+    return F.call_function("div", c, F.lit(-(-size // parts)).cast("long"))

@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from semigrid.matrix import SparseMatrix
+from semigrid.matrix import SparseMatrix, cut
 
 
 def degrees(a: SparseMatrix, b: SparseMatrix) -> DataFrame:
@@ -26,26 +26,37 @@ def inner_stats(a: SparseMatrix, b: SparseMatrix) -> DataFrame:
     return da.join(db, "k", "full").agg(F.count("x").alias("nzc"), F.count("y").alias("nzr"), F.count_if(F.col("x").isNotNull() & F.col("y").isNotNull()).alias("ni"))
 
 
-def cut(column: str | Column, n: int, q: int) -> Column:
-    return F.floor((F.col(column) if isinstance(column, str) else column) / -(-n // q)).cast("long")
-
-
 def cell_flops(a: SparseMatrix, b: SparseMatrix, q: int) -> DataFrame:
-    """(bi, bj, bk, flops): products of each output cell by inner block (inner id mod q)."""
+    """(bi, bj, bk, flops): products of each output cell by inner block, all blocks being contiguous ranges."""
     da = a.df.groupBy(F.col("j").alias("k"), cut("i", a.nrows, q).alias("bi")).agg(F.count(F.lit(1)).alias("da"))
     db = b.df.groupBy(F.col("i").alias("k"), cut("j", b.ncols, q).alias("bj")).agg(F.count(F.lit(1)).alias("db"))
-    return da.join(db, "k").groupBy("bi", "bj", (F.col("k") % q).alias("bk")).agg(F.sum(F.col("da") * F.col("db")).cast("long").alias("flops"))
+    return da.join(db, "k").groupBy("bi", "bj", cut("k", a.ncols, q).alias("bk")).agg(F.sum(F.col("da") * F.col("db")).cast("long").alias("flops"))
 
 
-def imbalance(a: SparseMatrix, b: SparseMatrix, q: int) -> tuple[DataFrame, DataFrame]:
-    """Greatest over mean work: of whole cells, and of each stage of the rotating schedule."""
-    cells = cell_flops(a, b, q)
+def imbalance(a: SparseMatrix, b: SparseMatrix, q: int, cells: DataFrame | None = None) -> tuple[DataFrame, DataFrame]:
+    """Greatest over mean work: of whole cells, and of each stage of the rotating schedule, in which cell (i, j) uses inner block i + j + stage."""
+    cells = cell_flops(a, b, q) if cells is None else cells
     overall = cells.groupBy("bi", "bj").agg(F.sum("flops").alias("flops")).agg(F.round(F.max("flops") * q * q / F.sum("flops"), 6).alias("imbalance"))
     stage = F.pmod(F.col("bk") - F.col("bi") - F.col("bj"), F.lit(q))
     per_stage = cells.withColumn("stage", stage).groupBy("stage").agg(F.round(F.max("flops") * q * q / F.sum("flops"), 6).alias("imbalance"))
     return overall, per_stage
 
 
+def sync_penalty(a: SparseMatrix, b: SparseMatrix, q: int, cells: DataFrame | None = None) -> DataFrame:
+    """(overall, per_stage, async_percent, sync_percent): waiting for the slowest cell at each stage costs the mean excess of stages, without barriers the overall one."""
+    overall, stages = imbalance(a, b, q, cells)
+    both = overall.withColumnRenamed("imbalance", "overall").join(F.broadcast(stages.agg(F.round(F.avg("imbalance"), 6).alias("per_stage"))))
+    return both.withColumns({"async_percent": F.round(100 * (F.col("overall") - 1), 3), "sync_percent": F.round(100 * (F.col("per_stage") - 1), 3)})
+
+
+def accumulator_traffic(a: SparseMatrix, b: SparseMatrix, slabs: int) -> DataFrame:
+    """(stage, loads, products): rows whose accumulator the staged one-dimensional method loads and unloads in each stage."""
+    da = a.df.select("i", F.col("j").alias("k"))
+    db = b.df.groupBy(F.col("i").alias("k")).agg(F.count(F.lit(1)).alias("db"))
+    rows = da.join(db, "k").groupBy(cut("k", a.ncols, slabs).alias("stage"), "i").agg(F.sum("db").alias("n"))
+    return rows.groupBy("stage").agg(F.count(F.lit(1)).alias("loads"), F.sum("n").cast("long").alias("products"))
+
+
 def block_stats(m: SparseMatrix, r: int, c: int) -> DataFrame:
     """(bi, bj, nnz, nzr, nzc) of nonempty blocks."""
     blocks = m.df.groupBy(cut("i", m.nrows, r).alias("bi"), cut("j", m.ncols, c).alias("bj"))
@@ -71,7 +82,7 @@ def kernel_op_counts(a: SparseMatrix, b: SparseMatrix, q: int) -> DataFrame:
     kw = -(-a.ncols // q)
     da = a.df.groupBy(cut("i", a.nrows, q).alias("bi"), F.col("j").alias("k")).agg(F.count(F.lit(1)).alias("da"))
     db = b.df.groupBy(F.col("i").alias("k"), cut("j", b.ncols, q).alias("bj")).agg(F.count(F.lit(1)).alias("db"))
-    pairs = da.join(db, "k").groupBy("bi", "bj", F.floor(F.col("k") / kw).alias("bk")).agg(F.sum(F.col("da") * F.col("db")).alias("flops"), F.count(F.lit(1)).alias("ni"))
+    pairs = da.join(db, "k").groupBy("bi", "bj", cut("k", a.ncols, q).alias("bk")).agg(F.sum(F.col("da") * F.col("db")).alias("flops"), F.count(F.lit(1)).alias("ni"))
     heap = pairs.agg(F.sum("flops").cast("long").alias("flops"), F.sum(F.col("flops") * F.log2("ni")).alias("merge"))
     col = da.agg(F.count(F.lit(1)).alias("nzc"), F.sum("da").alias("na"))
     row = db.agg(F.count(F.lit(1)).alias("nzr"), F.sum("db").alias("nb"))
@@ -84,8 +95,31 @@ def kernel_op_counts(a: SparseMatrix, b: SparseMatrix, q: int) -> DataFrame:
     )
 
 
+def worker_volume(a: SparseMatrix, b: SparseMatrix, q: int) -> DataFrame:
+    """(bi, bj, entries) that each worker of a q by q grid receives: its row of A's blocks and its column of B's, without its own."""
+    blocks = lambda m: m.df.groupBy(cut("i", m.nrows, q).alias("bi"), cut("j", m.ncols, q).alias("bj")).agg(F.count(F.lit(1)).alias("n"))
+    x, y = blocks(a), blocks(b)
+    spark = a.df.sparkSession
+    every = spark.range(q).withColumnRenamed("id", "bi").join(F.broadcast(spark.range(q).withColumnRenamed("id", "bj")))
+    row, col = x.groupBy("bi").agg(F.sum("n").alias("row")), y.groupBy("bj").agg(F.sum("n").alias("col"))
+    own = every.join(row, "bi", "left").join(col, "bj", "left").join(x.withColumnRenamed("n", "x"), ["bi", "bj"], "left").join(y.withColumnRenamed("n", "y"), ["bi", "bj"], "left").fillna(0)
+    return own.select("bi", "bj", (F.col("row") - F.col("x") + F.col("col") - F.col("y")).cast("long").alias("entries"))
+
+
 def comm_volume(a: SparseMatrix, b: SparseMatrix, p: int, q: int) -> DataFrame:
-    """Messages and entries that each method sends in all."""
-    n = a.df.agg(F.count(F.lit(1)).alias("na")).join(F.broadcast(b.df.agg(F.count(F.lit(1)).alias("nb"))))
-    rows = [("block_row", p * (p - 1), F.col("nb") * (p - 1)), ("rotating_grid", 2 * q * q * q, (F.col("na") + F.col("nb")) * q), ("panel_grid", 2 * q * q * q, (F.col("na") + F.col("nb")) * q)]
-    return n.select(F.explode(F.array(*[F.struct(F.lit(m).alias("method"), F.lit(k).cast("long").alias("messages"), w.cast("long").alias("entries")) for m, k, w in rows])).alias("r")).select("r.*")
+    """(method, messages, entries, most, skew): what is received in all and by the busiest worker, and the latter over the mean.
+
+    The one-dimensional method on p workers sends every slab of B to all others; both
+    two-dimensional ones on q by q workers bring a worker its row of blocks and its column.
+    """
+    slabs = b.df.groupBy(cut("i", b.nrows, p).alias("s")).agg(F.count(F.lit(1)).alias("n"))
+    total = b.df.agg(F.count(F.lit(1)).alias("t"))
+    spark = a.df.sparkSession
+    one = spark.range(p).withColumnRenamed("id", "s").join(slabs, "s", "left").fillna(0, ["n"]).join(F.broadcast(total)).select((F.col("t") - F.col("n")).alias("entries"))
+    grid = worker_volume(a, b, q).select("entries")
+    rows = [("block_row", one, p, p * (p - 1)), ("rotating_grid", grid, q * q, 2 * q * q * (q - 1)), ("panel_grid", grid, q * q, 2 * q * q * (q - 1))]
+    out = None
+    for method, df, workers, messages in rows:
+        row = df.agg(F.lit(method).alias("method"), F.lit(messages).cast("long").alias("messages"), F.sum("entries").cast("long").alias("entries"), F.max("entries").cast("long").alias("most"), F.round(F.max("entries") * workers / F.sum("entries"), 6).alias("skew"))
+        out = row if out is None else out.unionByName(row)
+    return out

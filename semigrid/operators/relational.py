@@ -28,7 +28,6 @@ SQL: dict[str, tuple[list[str], str]] = {
     "agg_rollup": (_O, "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY ROLLUP (o_orderstatus, o_orderpriority)"),
     "agg_cube": (_O, "SELECT o_orderstatus, o_orderpriority, count(*) AS n FROM orders GROUP BY CUBE (o_orderstatus, o_orderpriority)"),
     "agg_grouping_sets": (["part"], "SELECT coalesce(p_brand, '-') AS p_brand, coalesce(p_size, -1) AS p_size, count(*) AS n FROM part GROUP BY GROUPING SETS ((p_brand), (p_size), ())"),
-    "agg_pivot": (_E, "SELECT user_id, count(CASE WHEN event_type = 'click' THEN 1 END) AS clicks, count(CASE WHEN event_type = 'view' THEN 1 END) AS views FROM events GROUP BY user_id"),
     "agg_max_by": (_O, "SELECT o_custkey, max_by(o_orderkey, o_totalprice * 1000000 + o_orderkey) AS top FROM orders GROUP BY o_custkey"),
     "agg_having": (_L, "SELECT l_partkey, count(*) AS n FROM lineitem GROUP BY l_partkey HAVING count(*) > 35"),
     "agg_filtered": (_L, "SELECT l_suppkey, count(*) FILTER (WHERE l_quantity > 25) AS big, count(*) AS n FROM lineitem GROUP BY l_suppkey"),
@@ -45,10 +44,10 @@ SQL: dict[str, tuple[list[str], str]] = {
     "set_intersect": (["orders", "customer"], "SELECT o_custkey AS k FROM orders INTERSECT SELECT c_custkey FROM customer"),
     "set_except": (["orders", "customer"], "SELECT c_custkey AS k FROM customer EXCEPT SELECT o_custkey FROM orders"),
     "set_except_all": (["customer", "supplier"], "SELECT c_nationkey AS n FROM customer EXCEPT ALL SELECT s_nationkey FROM supplier"),
+    "set_intersect_all": (["customer", "supplier"], "SELECT c_nationkey AS n FROM customer INTERSECT ALL SELECT s_nationkey FROM supplier"),
     "fn_string": (["part"], "SELECT p_partkey, upper(p_name) AS u, length(p_name) AS n, md5(p_name) AS h, replace(p_brand, '#', '-') AS b, substr(p_type, 1, 3) AS t FROM part"),
     "fn_date": (_O, "SELECT o_orderkey, CAST(year(o_orderdate) AS BIGINT) AS y, CAST(month(o_orderdate) AS BIGINT) AS m, date_trunc('month', o_orderdate) AS t FROM orders"),
     "fn_math": (["part"], "SELECT p_partkey, round(sqrt(p_size), 6) AS s, round(log2(p_size), 6) AS l, CAST(ceil(p_size / 7.0) AS BIGINT) AS c, p_partkey % 13 AS r FROM part"),
-    "fn_json": (_E, "SELECT event_id, CAST(regexp_extract(props, '([0-9]+)', 1) AS BIGINT) AS k FROM events"),
     "subquery_scalar": (_O, "SELECT o_orderkey FROM orders WHERE o_totalprice > (SELECT 2 * avg(o_totalprice) FROM orders)"),
     "subquery_exists": (["customer", "orders"], "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders WHERE o_totalprice > 300000)"),
     "cte_chain": (_L, "WITH a AS (SELECT l_orderkey, count(*) AS n FROM lineitem GROUP BY l_orderkey), b AS (SELECT n, count(*) AS orders FROM a GROUP BY n) SELECT n, orders FROM b"),
@@ -62,6 +61,8 @@ def queries() -> dict:
     from pyspark.sql import functions as F
 
     out["fn_array"] = lambda s, d: table(s, d, "embeddings").select("vec_id", F.size("embedding").cast("long").alias("n"), F.aggregate("embedding", F.lit(0).cast("long"), lambda a, x: a + F.round(x.cast("double") * 1000, 0).cast("long")).alias("total"))
+    out["agg_pivot"] = lambda s, d: table(s, d, "events").groupBy("user_id").pivot("event_type", ["click", "view"]).agg(F.count(F.lit(1))).select("user_id", F.coalesce("click", F.lit(0)).alias("clicks"), F.coalesce("view", F.lit(0)).alias("views"))
+    out["fn_json"] = lambda s, d: table(s, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"), F.from_json("props", "k long")["k"].alias("parsed"))
     out["fn_map"] = lambda s, d: table(s, d, "nation").groupBy("n_regionkey").agg(F.size(F.map_from_entries(F.collect_list(F.struct("n_nationkey", "n_name")))).cast("long").alias("n"))
     out["agg_percentile"] = lambda s, d: table(s, d, "lineitem").groupBy("l_returnflag").agg(F.round(F.percentile("l_quantity", F.lit(0.5)), 6).alias("median"))
     out["agg_approx"] = lambda s, d: table(s, d, "lineitem").groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey").alias("parts"))
@@ -71,6 +72,8 @@ def queries() -> dict:
 
 def oracle_sql() -> dict[str, str]:
     return {name: sql for name, (_, sql) in SQL.items()} | {
+        "agg_pivot": "SELECT user_id, count(*) FILTER (WHERE event_type = 'click') AS clicks, count(*) FILTER (WHERE event_type = 'view') AS views FROM events GROUP BY user_id",
+        "fn_json": "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, CAST(json_extract_string(props, '$.k') AS BIGINT) AS parsed FROM events",
         "fn_array": "SELECT vec_id, len(embedding) AS n, CAST(list_sum([CAST(round(CAST(x AS DOUBLE) * 1000, 0) AS BIGINT) FOR x IN embedding]) AS BIGINT) AS total FROM embeddings",
         "fn_map": "SELECT n_regionkey, count(*) AS n FROM nation GROUP BY 1",
         "agg_percentile": "SELECT l_returnflag, round(quantile_cont(l_quantity, 0.5), 6) AS median FROM lineitem GROUP BY 1",

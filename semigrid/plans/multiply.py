@@ -1,20 +1,34 @@
-"""Parallel products C = A·B over a semiring: relational, block-row, rotating grid, panel grid and fused grid."""
+"""Parallel products C = A·B over a semiring: relational, block-row, rotating grid, panel grid and fused grid.
+
+Grid methods ship doubly compressed blocks. Each block is packed once, the left operand in
+column form and the right one in row form, and stored; copies of one row of arrays travel, not
+entries with keys. A task reads its cells' pairs in order of the inner block and holds one
+pair at a time beside the sums of its cell.
+"""
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+from dataclasses import dataclass, replace
+
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import DataType
 
-from semigrid.functions.kernels import NONE, choose, combine, multiply
-from semigrid.matrix import SparseMatrix
-from semigrid.plans.scratch import materialize
+from semigrid.functions.blocks import FIELDS, block_arrays, block_columns, block_schema, columns_of, read_block, rows_of, value_arrays
+from semigrid.functions.kernels import choose, combine, joined, multiply_blocks
+from semigrid.matrix import SparseMatrix, cut
+from semigrid.plans.scratch import guarded_broadcast, materialize
 from semigrid.semiring import Semiring, semiring
 
 #: Entries of an operand that may be sent to every executor.
 BROADCAST_ENTRIES = 2_000_000
-_TRIPLE = "i long, j long, v long"
+#: Products of one inner id that a task makes; ids with more are split. Entries of a list in one row.
+SPLIT_PRODUCTS, LIST_ENTRIES = 4_000_000, 4096
+#: Entries of unmerged results that a task holds.
+HELD_RESULTS = 2_000_000
 
 
 def _check(a: SparseMatrix, b: SparseMatrix) -> None:
@@ -32,21 +46,42 @@ def _sum(df: DataFrame, ring: Semiring, *more: str) -> DataFrame:
     return df.groupBy("i", "j", *more).agg(ring.add(F.col("v")).alias("v"))
 
 
-def relational(a: SparseMatrix, b: SparseMatrix, ring: str | Semiring = "plus_times", mask: DataFrame | None = None, salt: int = 1) -> SparseMatrix:
+def result_type(a: SparseMatrix, b: SparseMatrix, ring: str | Semiring) -> DataType:
+    """Type of the values of a product, as the optimizer derives it; nothing is run."""
+    r = semiring(ring)
+    return _sum(_product(a.df, b.df, r), r).schema["v"].dataType
+
+
+def _split_sides(a: SparseMatrix, b: SparseMatrix, most: int) -> tuple[DataFrame, DataFrame]:
+    """The sides with a column s that parts the rows of A of an inner id with over ``most`` products; B's rows are repeated for each part."""
+    da = a.df.groupBy(F.col("j").alias("k")).agg(F.count(F.lit(1)).alias("da"))
+    db = b.df.groupBy(F.col("i").alias("k")).agg(F.count(F.lit(1)).alias("db"))
+    heavy = da.join(db, "k").filter(F.col("da") * F.col("db") > most).select("k", F.least(F.ceil(F.col("da") * F.col("db") / most), F.col("da")).cast("long").alias("fan"))
+    heavy = guarded_broadcast(materialize(heavy, "heavy"), 32)
+    fan = F.coalesce("fan", F.lit(1).cast("long"))
+    left = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("x")).join(heavy, "k", "left").withColumn("s", F.pmod(F.xxhash64("i"), fan))
+    right = b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("y")).join(heavy, "k", "left").withColumn("s", F.explode(F.sequence(F.lit(0).cast("long"), fan - 1)))
+    return left.drop("fan"), right.drop("fan")
+
+
+def relational(a: SparseMatrix, b: SparseMatrix, ring: str | Semiring = "plus_times", mask: DataFrame | None = None, salt: int | str = 1, most: int = SPLIT_PRODUCTS, where: Column | None = None) -> SparseMatrix:
     """Outer formulation in the optimizer's hands: join on the inner id, aggregate on the place.
 
-    Sums are combined before their shuffle. ``mask`` (i, j) keeps wanted places only,
-    before the aggregation. ``salt`` splits each inner id of A over so many partitions,
-    with B's rows repeated as often, for ids whose products outgrow a task.
+    Sums are combined before their shuffle. ``mask`` (i, j), and ``where``, a condition on i
+    and j, keep wanted places only, before the aggregation. ``salt`` splits each inner id of A over so many partitions,
+    with B's rows repeated as often; "auto" does so for the ids alone whose counts give over
+    ``most`` products, each into as many parts as it needs.
     """
     _check(a, b)
     r = semiring(ring)
-    if salt > 1:
+    if salt == "auto":
+        left, right = _split_sides(a, b, most)
+    elif salt > 1:
         left = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("x"), F.pmod(F.xxhash64("i"), F.lit(salt)).cast("int").alias("s"))
         right = b.df.select(F.col("i").alias("k"), "j", F.col("v").alias("y"), F.explode(F.sequence(F.lit(0), F.lit(salt - 1))).alias("s"))
-        found = left.join(right, ["k", "s"]).select("i", "j", r.mul(F.col("x"), F.col("y")).alias("v"))
-    else:
-        found = _product(a.df, b.df, r)
+    found = _product(a.df, b.df, r) if salt == 1 else left.join(right, ["k", "s"]).select("i", "j", r.mul(F.col("x"), F.col("y")).alias("v"))
+    if where is not None:
+        found = found.filter(where)
     if mask is not None:
         found = found.join(mask.select("i", "j").distinct(), ["i", "j"], "left_semi")
     return SparseMatrix(_sum(found, r), a.nrows, b.ncols)
@@ -62,71 +97,180 @@ def block_row_replicated(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_tim
 
 
 def block_row(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times", slabs: int = 4, limit: int = BROADCAST_ENTRIES) -> SparseMatrix:
-    """One-dimensional, staged: slabs of B's rows are sent out one after the other, and products accumulate."""
+    """One-dimensional, staged: slabs of B's rows are sent out one after the other, and added to a stored result.
+
+    Each stage is a job of its own, so one slab is at the workers at a time; the sums so far are
+    read and written again in each, which is the price of this method.
+    """
     _check(a, b)
-    r, height = semiring(ring), -(-b.nrows // slabs)
-    slab = F.floor(F.col("i") / height)
-    sizes = b.df.groupBy(slab.alias("s")).count().agg(F.max("count")).first()[0] or 0
+    r = semiring(ring)
+    right = materialize(b.df.withColumn("s", cut("i", b.nrows, slabs)), "slabs")
+    left = materialize(a.df.withColumn("s", cut("j", a.ncols, slabs)), "slabs")
+    sizes = right.groupBy("s").count().agg(F.max("count")).first()[0] or 0
     if sizes > limit:
         raise ValueError("a slab is too large to be replicated; use more slabs")
-    stages = [_product(a.df.filter(F.floor(F.col("j") / height) == s), F.broadcast(b.df.filter(slab == s)), r) for s in range(slabs)]
-    out = stages[0]
-    for s in stages[1:]:
-        out = out.unionByName(s)
-    return SparseMatrix(_sum(out, r), a.nrows, b.ncols)
+    total: DataFrame | None = None
+    for s in range(slabs):
+        stage = _product(left.filter(F.col("s") == s), F.broadcast(right.filter(F.col("s") == s)), r)
+        total = materialize(_sum(stage if total is None else total.unionByName(stage), r), "sums")
+    return SparseMatrix(total, a.nrows, b.ncols)
 
 
 def with_blocks(m: SparseMatrix, rows: int, cols: int) -> DataFrame:
     """Entries with their block (bi, bj) on a grid; sizes need not divide."""
-    return m.df.withColumns({"bi": F.floor(F.col("i") / -(-m.nrows // rows)).cast("int"), "bj": F.floor(F.col("j") / -(-m.ncols // cols)).cast("int")})
+    return m.df.withColumns({"bi": cut("i", m.nrows, rows).cast("int"), "bj": cut("j", m.ncols, cols).cast("int")})
+
 
+@dataclass(frozen=True)
+class StoredBlocks:
+    """Nonempty blocks of a grid, one row of arrays each: (bi, bj, ids, start, minor, num), and with prefix t_ the other form if both are kept."""
 
-def block_arrays(t: pa.Table) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    return tuple(t.column(c).to_numpy() for c in "ijv")
+    df: DataFrame
+    nrows: int
+    ncols: int
+    rows: int
+    cols: int
+    kind: DataType
 
+    @property
+    def height(self) -> int:
+        return -(-self.nrows // self.rows)
 
-def _table(t) -> pa.Table:
-    return pa.table({"i": pa.array(t[0], pa.int64()), "j": pa.array(t[1], pa.int64()), "v": pa.array(t[2], pa.int64())})
+    @property
+    def width(self) -> int:
+        return -(-self.ncols // self.cols)
 
 
-def grid_cells(a: SparseMatrix, b: SparseMatrix, r: int, c: int, s: int, parts: int = 1) -> tuple[DataFrame, DataFrame]:
-    """A's blocks for each cell of their grid row, B's for each of their grid column; inner ids in s panels of ``parts`` pieces.
+def store_blocks(m: SparseMatrix, rows: int, cols: int, form: str = "columns", kind: DataType | None = None) -> StoredBlocks:
+    """Packs each block once and writes it; ``form`` is columns, rows, or both.
 
-    Inner ids without an entry on the other side are dropped before anything is repeated.
+    ``kind`` is the type that values take before they are packed, their own by default.
     """
-    width, row_height, col_width = -(-a.ncols // (s * parts)), -(-a.nrows // r), -(-b.ncols // c)
-    left = a.df.join(b.df.select(F.col("i").alias("j")).distinct(), "j", "left_semi")
-    right = b.df.join(a.df.select(F.col("j").alias("i")).distinct(), "i", "left_semi")
-    cell = lambda e, n: F.floor(e / n).cast("int")
-    own = [F.col(c).alias(c) for c in "ijv"]  # fresh columns: the operands may be one table
-    left = left.select(*own, cell(F.col("i"), row_height).alias("bi"), F.explode(F.sequence(F.lit(0), F.lit(c - 1))).alias("bj"), cell(F.col("j"), width).alias("bk"))
-    right = right.select(*own, F.explode(F.sequence(F.lit(0), F.lit(r - 1))).alias("bi"), cell(F.col("j"), col_width).alias("bj"), cell(F.col("i"), width).alias("bk"))
-    return left, right
+    kind = kind or m.df.schema["v"].dataType
+    _, value = value_arrays(kind)
+    out = StoredBlocks(m.df, m.nrows, m.ncols, rows, cols, kind)
+    prefixes = [""] + (["t_"] if form == "both" else [])
+    fields = [("bi", pa.int32()), ("bj", pa.int32())] + [f for p in prefixes for f in block_columns(value, p)]
+
+    def pack_one(key: tuple, t: pa.Table) -> pa.Table:
+        entries = tuple(t.column(c).to_numpy() for c in "ijv")
+        block = rows_of(entries) if form == "rows" else columns_of(entries)
+        arrays = block_arrays(block, value) + (block_arrays(block.turned(), value) if form == "both" else [])
+        return pa.table([pa.array([k.as_py()], pa.int32()) for k in key] + arrays, names=[n for n, _ in fields])
+
+    local = with_blocks(m, rows, cols).select("bi", "bj", (F.col("i") - F.col("bi") * F.lit(out.height)).cast("long").alias("i"), (F.col("j") - F.col("bj") * F.lit(out.width)).cast("long").alias("j"), F.col("v").cast(kind).alias("v"))
+    schema = "bi int, bj int, " + ", ".join(block_schema(kind, p) for p in prefixes)
+    packed = local.groupBy("bi", "bj").applyInArrow(pack_one, schema)
+    return replace(out, df=materialize(packed, "blocks"))
+
+
+def unpack_blocks(b: StoredBlocks, form: str = "columns", prefix: str = "") -> SparseMatrix:
+    """The entries of stored blocks, by array functions alone."""
+    f = {n: F.col(prefix + n) for n in FIELDS}
+    at = b.df.select("bi", "bj", F.posexplode(f["ids"]).alias("k", "major"), f["start"].alias("start"), f["minor"].alias("minor"), f["num"].alias("num"))
+    low, n = F.get("start", F.col("k")), F.get("start", F.col("k") + 1) - F.get("start", F.col("k"))
+    piece = lambda c: F.slice(c, (low + 1).cast("int"), n.cast("int"))
+    each = at.select("bi", "bj", "major", F.explode(F.arrays_zip(piece("minor").alias("minor"), piece("num").alias("num"))).alias("e"))
+    i, j = (F.col("e.minor"), F.col("major")) if form == "columns" else (F.col("major"), F.col("e.minor"))
+    return SparseMatrix(each.select((i + F.col("bi") * F.lit(b.height)).alias("i"), (j + F.col("bj") * F.lit(b.width)).alias("j"), F.col("e.num").alias("v")), b.nrows, b.ncols)
+
+
+def partnered(a: SparseMatrix, b: SparseMatrix) -> tuple[SparseMatrix, SparseMatrix]:
+    """The operands without entries whose inner id the other lacks."""
+    left = a.df.join(b.df.select(F.col("i").alias("j")).distinct(), "j", "left_semi").select("i", "j", "v")
+    right = b.df.join(a.df.select(F.col("j").alias("i")).distinct(), "i", "left_semi").select("i", "j", "v")
+    return a.with_df(left), b.with_df(right)
 
 
-def _cells(left: DataFrame, right: DataFrame, keys: list[str], kernel: str, ring: str, dim: int) -> DataFrame:
-    def run(x: pa.Table, y: pa.Table) -> pa.Table:
-        if not x.num_rows or not y.num_rows:
-            return _table(NONE)
-        p, q = block_arrays(x), block_arrays(y)
-        return _table(multiply(choose(dim, p, q) if kernel == "auto" else kernel, p, q, ring)[0])
+def _payload(prefix: str = "") -> list[Column]:
+    return [F.col(prefix + f).alias(f) for f in FIELDS]
 
-    return left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(run, _TRIPLE)
+
+def _multiplied(dealt: DataFrame, a: StoredBlocks, b: StoredBlocks, ring: str | Semiring, kernel: str, kind: DataType, stats: bool = False) -> DataFrame:
+    """(i, j, v) of cells from rows (ci, cj, bk, side, own, block), one task a cell or more.
+
+    Rows come in order of cell, inner block and side. The blocks of A for one inner block, and
+    one block of B at a time, are all that is held beside the results of the cell. With
+    ``stats``: (ci, cj, bk, flops, ni, nzc, nzr) of each pair instead.
+    """
+    ring = semiring(ring)
+    sizes, corner = (a.height, a.width, b.width), (a.height, b.width)
+    dtype, value = value_arrays(kind)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cell, at, left, runs, held = None, None, [], [], 0
+
+        def results() -> Iterator[pa.RecordBatch]:
+            i, j, v = combine(joined(runs), ring)
+            v = v.astype(dtype)
+            for s in range(0, len(i), 200_000):
+                cut_ = slice(s, s + 200_000)
+                yield pa.RecordBatch.from_arrays([pa.array(i[cut_]), pa.array(j[cut_]), pa.array(v[cut_], value)], ["i", "j", "v"])
+
+        for batch in batches:
+            keys = list(zip(*(batch.column(k).to_pylist() for k in range(5))))
+            seen: list[tuple] = []
+            for row, (ci, cj, bk, side, own) in enumerate(keys):
+                if (ci, cj) != cell:
+                    if runs:
+                        yield from results()
+                    cell, at, runs, held = (ci, cj), None, [], 0
+                if bk != at:
+                    at, left = bk, []
+                block = read_block(batch, row, 5)
+                if side == 0:
+                    left.append((own, block))
+                    continue
+                for bi, x in left:
+                    (i, j, v), s = multiply_blocks(kernel, x, block, ring, sizes)
+                    if stats:
+                        seen.append((ci, cj, bk, *(s[k] for k in ("flops", "ni", "nzc", "nzr"))))
+                        continue
+                    runs.append((i + bi * corner[0], j + own * corner[1], v))
+                    held += len(i)
+                    if held > HELD_RESULTS:
+                        runs = [combine(joined(runs), ring)]
+                        held = len(runs[0][0]) // 2  # merges come with the doubling of what is kept
+            if seen:
+                yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*seen)], ["ci", "cj", "bk", "flops", "ni", "nzc", "nzr"])
+        if runs:
+            yield from results()
+
+    sorted_ = dealt.repartition("ci", "cj").sortWithinPartitions("ci", "cj", "bk", "side")
+    return sorted_.mapInArrow(run, "ci long, cj long, bk long, flops long, ni long, nzc long, nzr long" if stats else f"i long, j long, v {kind.simpleString()}")
+
+
+def _dealt(a: StoredBlocks, b: StoredBlocks, inner: tuple[int, int] = (1, 1), prefix: str = "") -> DataFrame:
+    """Every block of A for the cells of its grid row, of B for those of its grid column; ``inner`` blocks a side make one cell."""
+    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
+    coarse = lambda c, n: F.floor(F.col(c) / n).cast("int")
+    left = a.df.select(coarse("bi", inner[0]).alias("ci"), every(-(-b.cols // inner[1])).alias("cj"), F.col("bj").alias("bk"), F.lit(0).alias("side"), F.col("bi").alias("own"), *_payload())
+    right = b.df.select(every(-(-a.rows // inner[0])).alias("ci"), coarse("bj", inner[1]).alias("cj"), F.col("bi").alias("bk"), F.lit(1).alias("side"), F.col("bj").alias("own"), *_payload(prefix))
+    return left.unionByName(right)
+
+
+def _stored_pair(a: SparseMatrix, b: SparseMatrix, r: int, s: int, c: int, ring) -> tuple[StoredBlocks, StoredBlocks, DataType]:
+    _check(a, b)
+    kind = result_type(a, b, ring)
+    value_arrays(kind)
+    a, b = partnered(a, b)
+    return store_blocks(a, r, s, "columns"), store_blocks(b, s, c, "rows"), kind
 
 
 def panel_grid(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times", grid: tuple[int, int] = (2, 2), panels: int | None = None, kernel: str = "esc", barrier: bool = False, eager: bool = False) -> SparseMatrix:
     """Two-dimensional, synchronous: in stage s, panel s of A goes along the grid rows and panel s of B along the columns.
 
     ``barrier`` ends each stage with a written table, ``eager`` adds it to the result
-    at once; otherwise the stages form one plan and sums are merged at its end.
+    at once; otherwise the stages form one plan and sums are merged at its end. Blocks are
+    packed and written once, before the first stage.
     """
-    _check(a, b)
-    r = semiring(ring)
     panels = panels or max(grid)
-    left, right = grid_cells(a, b, *grid, panels)
+    r = semiring(ring)
+    left, right, kind = _stored_pair(a, b, grid[0], panels, grid[1], ring)
+    dealt = _dealt(left, right)
     total: DataFrame | None = None
     for s in range(panels):
-        stage = _cells(left.filter(F.col("bk") == s), right.filter(F.col("bk") == s), ["bi", "bj"], kernel, ring, -(-a.ncols // panels))
+        stage = _multiplied(dealt.filter(F.col("bk") == s), left, right, r, kernel, kind)
         stage = materialize(stage, "stage") if barrier else stage
         total = stage if total is None else total.unionByName(stage)
         total = _sum(total, r) if eager else total
@@ -136,29 +280,54 @@ def panel_grid(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times", grid:
 def fused_grid(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times", grid: tuple[int, int] = (2, 2), split: int = 1, kernel: str = "esc") -> SparseMatrix:
     """Two-dimensional, without barriers: every cell has its pairs in one shuffle and works at its own pace.
 
-    ``split`` cuts each block along the inner dimension, so a task holds one piece of
-    each operand at a time.
+    ``split`` cuts each block along the inner dimension: a task holds one piece of each
+    operand while the next ones are fetched. A cell sums its own results, so there is
+    no shuffle after the one that ships the blocks.
     """
+    left, right, kind = _stored_pair(a, b, grid[0], max(grid) * split, grid[1], ring)
+    return SparseMatrix(_multiplied(_dealt(left, right), left, right, ring, kernel, kind), a.nrows, b.ncols)
+
+
+def two_level_grid(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times", grid: tuple[int, int] = (2, 2), inner: int = 2, kernel: str = "esc") -> SparseMatrix:
+    """Coarse cells are tasks, each with ``inner`` by ``inner`` fine cells: blocks are shipped once for a coarse cell."""
+    left, right, kind = _stored_pair(a, b, grid[0] * inner, max(grid), grid[1] * inner, ring)
+    return SparseMatrix(_multiplied(_dealt(left, right, (inner, inner)), left, right, ring, kernel, kind), a.nrows, b.ncols)
+
+
+def dual_blocks(m: SparseMatrix, q: int) -> StoredBlocks:
+    """A square matrix with both forms of each block: twice the storage, and no transposition for either side of a product."""
+    return store_blocks(m, q, q, "both")
+
+
+def square_dual(blocks: StoredBlocks, ring: str = "plus_times", kernel: str = "heap_outer") -> SparseMatrix:
+    """A·A from one stored table: its column form stands on the left, its row form on the right."""
+    m = SparseMatrix(unpack_blocks(blocks).df, blocks.nrows, blocks.ncols)
+    kind = result_type(m, m, ring)
+    return SparseMatrix(_multiplied(_dealt(blocks, blocks, prefix="t_"), blocks, blocks, ring, kernel, kind), blocks.nrows, blocks.ncols)
+
+
+def pair_stats(a: SparseMatrix, b: SparseMatrix, q: int, kernel: str = "heap_outer") -> DataFrame:
+    """(ci, cj, bk, flops, ni, nzc, nzr): what the kernel itself counted for each pair of blocks of a q by q grid."""
     _check(a, b)
-    left, right = grid_cells(a, b, *grid, max(grid), split)
-    found = _cells(left, right, ["bi", "bj", "bk"], kernel, ring, -(-a.ncols // (max(grid) * split)))
-    return SparseMatrix(_sum(found, semiring(ring)), a.nrows, b.ncols)
+    left, right = store_blocks(a, q, q, "columns"), store_blocks(b, q, q, "rows")
+    return _multiplied(_dealt(left, right), left, right, "plus_times", kernel, result_type(a, b, "plus_times"), stats=True)
 
 
-def two_level_grid(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times", grid: tuple[int, int] = (2, 2), inner: int = 4, kernel: str = "esc") -> SparseMatrix:
-    """Coarse cells are tasks; within one, the kernel runs on ``inner`` slices of the shared ids: fewer, larger messages."""
+def kernel_choices(a: SparseMatrix, b: SparseMatrix, q: int) -> DataFrame:
+    """(kernel, pairs): what the chooser takes for the pairs of blocks with common ids, on a q by q grid."""
     _check(a, b)
-    left, right = grid_cells(a, b, *grid, 1)
+    left, right = store_blocks(a, q, q, "columns"), store_blocks(b, q, q, "rows")
+    sizes = (left.height, left.width, right.width)
+    x = left.df.select("bi", F.col("bj").alias("bk"), *_payload())
+    y = right.df.select("bj", F.col("bi").alias("bk"), *[F.col(f).alias(f"r_{f}") for f in FIELDS])
 
-    def run(x: pa.Table, y: pa.Table) -> pa.Table:
-        if not x.num_rows or not y.num_rows:
-            return _table(NONE)
-        p, q = block_arrays(x), block_arrays(y)
-        parts = [multiply(kernel, tuple(t[p[1] % inner == k] for t in p), tuple(t[q[0] % inner == k] for t in q), ring)[0] for k in range(inner)]
-        return _table(combine(tuple(np.concatenate(t) for t in zip(*parts)), semiring(ring)))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            pairs = [(read_block(batch, k, 0), read_block(batch, k, 4)) for k in range(batch.num_rows)]
+            yield pa.RecordBatch.from_arrays([pa.array([choose(p, r, sizes) for p, r in pairs if len(np.intersect1d(p.ids, r.ids))], pa.string())], ["kernel"])
 
-    found = left.groupBy("bi", "bj").cogroup(right.groupBy("bi", "bj")).applyInArrow(run, _TRIPLE)
-    return SparseMatrix(found, a.nrows, b.ncols)
+    met = x.join(y, "bk").select(*FIELDS, *[f"r_{f}" for f in FIELDS])
+    return met.mapInArrow(run, "kernel string").groupBy("kernel").agg(F.count(F.lit(1)).alias("pairs"))
 
 
 def shift(blocks: DataFrame, axis: str, by: int, q: int) -> DataFrame:
@@ -171,26 +340,31 @@ def rotating_grid(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times", q:
 
     Each round's operands are written to the shared folder, so the plan does not grow.
     """
-    _check(a, b)
-    left = with_blocks(a, q, q).withColumn("bj", F.pmod(F.col("bj") - F.col("bi"), F.lit(q)).cast("int"))
-    right = with_blocks(b, q, q).withColumn("bi", F.pmod(F.col("bi") - F.col("bj"), F.lit(q)).cast("int"))
+    left, right, kind = _stored_pair(a, b, q, q, q, ring)
+    # bi and bj are places on the grid from here on; bk is the inner block that a block belongs to
+    x = left.df.withColumn("bk", F.col("bj")).withColumn("bj", F.pmod(F.col("bj") - F.col("bi"), F.lit(q)).cast("int"))
+    y = right.df.withColumn("bk", F.col("bi")).withColumn("bi", F.pmod(F.col("bi") - F.col("bj"), F.lit(q)).cast("int"))
     total: DataFrame | None = None
     for k in range(q):
-        left, right = materialize(left, "left"), materialize(right, "right")
-        stage = _cells(left, right, ["bi", "bj"], kernel, ring, -(-a.ncols // q))
+        x, y = (materialize(shift(d, axis, 1, q) if k else d, "rotated") for d, axis in ((x, "bj"), (y, "bi")))
+        here = lambda d, side, own: d.select(F.col("bi").alias("ci"), F.col("bj").alias("cj"), "bk", F.lit(side).alias("side"), F.col(own).alias("own"), *_payload())
+        stage = _multiplied(here(x, 0, "bi").unionByName(here(y, 1, "bj")), left, right, ring, kernel, kind)
         total = stage if total is None else total.unionByName(stage)
-        if k + 1 < q:
-            left, right = shift(left, "bj", 1, q), shift(right, "bi", 1, q)
     return SparseMatrix(_sum(total, semiring(ring)), a.nrows, b.ncols)
 
 
 def row_by_row(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times") -> SparseMatrix:
-    """Each row of A collects the rows of B that it names, all at once, then sums them."""
+    """Each row of A collects the rows of B that it names, all at once, then sums them.
+
+    A long row of B is a number of lists, of about ``LIST_ENTRIES`` entries each.
+    """
     _check(a, b)
     r = semiring(ring)
     rows = a.df.select("i", F.col("j").alias("k"), F.col("v").alias("x"))
-    lists = b.df.groupBy(F.col("i").alias("k")).agg(F.collect_list(F.struct("j", F.col("v").alias("y"))).alias("row"))
-    each = rows.join(lists, "k").select("i", "x", F.explode("row").alias("e")).select("i", F.col("e.j").alias("j"), r.mul(F.col("x"), F.col("e.y")).alias("v"))
+    lists = F.ceil(F.count(F.lit(1)) / LIST_ENTRIES).cast("long")
+    parted = b.df.join(b.df.groupBy("i").agg(lists.alias("fan")), "i").withColumn("s", F.pmod(F.xxhash64("j"), F.col("fan")))
+    listed = parted.groupBy(F.col("i").alias("k"), "s").agg(F.collect_list(F.struct("j", F.col("v").alias("y"))).alias("row"))
+    each = rows.join(listed, "k").select("i", "x", F.explode("row").alias("e")).select("i", F.col("e.j").alias("j"), r.mul(F.col("x"), F.col("e.y")).alias("v"))
     return SparseMatrix(_sum(each, r), a.nrows, b.ncols)
 
 
@@ -201,7 +375,8 @@ def column_by_column(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times")
 
 def single_block(a: SparseMatrix, b: SparseMatrix, kernel: str, ring: str = "plus_times", cells: int = 4) -> SparseMatrix:
     """A named kernel on row slabs of A with all of B: for comparing kernels."""
-    return fused_grid(a, b, ring, (cells, 1), 1, kernel)
+    left, right, kind = _stored_pair(a, b, cells, 1, 1, ring)
+    return SparseMatrix(_multiplied(_dealt(left, right), left, right, ring, kernel, kind), a.nrows, b.ncols)
 
 
 def delta_product(a: SparseMatrix, b: SparseMatrix, da: SparseMatrix, db: SparseMatrix, c: SparseMatrix, ring: str = "plus_times") -> SparseMatrix:
@@ -215,9 +390,10 @@ METHODS = {"relational": relational, "block_row": block_row, "block_row_replicat
 
 
 def spgemm(a: SparseMatrix, b: SparseMatrix, ring: str = "plus_times", method: str = "auto", **options) -> SparseMatrix:
-    """C = A·B; ``auto`` weighs what each method would ship."""
+    """C = A·B; ``auto`` weighs what each method would ship, and takes the grid or the splitting that goes with it."""
     if method == "auto":
         from semigrid.plans.planner import plan_product
 
-        method = plan_product(a, b)["method"]
+        plan = plan_product(a, b)
+        method, options = plan["method"], plan["options"] | options
     return METHODS[method](a, b, ring, **options)

@@ -4,22 +4,50 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
+from semigrid.functions.blocks import VALUES
 from semigrid.matrix import SparseMatrix
 from semigrid.operators.measures import flops
-from semigrid.plans.multiply import BROADCAST_ENTRIES, relational
+from semigrid.plans.multiply import BROADCAST_ENTRIES, relational, result_type
 
 
-def plan_product(a: SparseMatrix, b: SparseMatrix, cell_entries: int = 4_000_000, compression: float = 1.0) -> dict:
-    """Entries that each method would ship, and the cheapest that fits; one aggregate comes to the driver."""
+def compression_estimate(a: SparseMatrix, b: SparseMatrix, products: int, measured: int = 1_000_000) -> float:
+    """Products for each entry of the result, at least 1: counted on as many rows of A as make about ``measured`` of all ``products``."""
+    parts = max(1, products // measured)
+    some = a.with_df(a.df.filter(F.pmod(F.xxhash64("i"), F.lit(parts)) == 0))
+    made = relational(some, b, "plus_pair").df.agg(F.sum("v"), F.count(F.lit(1))).first()
+    return max(1.0, float(made[0] or 1) / float(made[1] or 1))
+
+
+def plan_product(a: SparseMatrix, b: SparseMatrix, cell_entries: int = 4_000_000, cell_products: int = 40_000_000, compression: float | None = None, tasks: int | None = None) -> dict:
+    """Entries that each method would move, and the cheapest that fits; one aggregate comes to the driver.
+
+    A grid is as fine as its cells need: so many entries of the operands, and products, each.
+    Products meet their sums once for the relational method, after each task has combined its
+    own; a grid ships each operand once for each row or column of cells and packs it before.
+    """
     counts = a.df.agg(F.count(F.lit(1)).alias("na")).join(F.broadcast(b.df.agg(F.count(F.lit(1)).alias("nb")))).join(F.broadcast(flops(a, b))).first()
     na, nb, f = counts["na"], counts["nb"], counts["flops"]
+    ratio = compression_estimate(a, b, f) if compression is None else compression
+    tasks = tasks or max(int(a.df.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
     q = 1
-    while (na + nb) / (q * q) > cell_entries:
+    while (na + nb) / q > cell_entries or f / (q * q) > cell_products:
         q *= 2
-    ships = {"relational": na + nb + f / compression, "fused_grid": q * (na + nb) + min(f, q * na * nb)}
+    combined = min(f, tasks * f / ratio)  # a task sends each place once
+    ships = {
+        "relational": na + nb + combined,
+        "fused_grid": (1 + q) * (na + nb),
+        "panel_grid": (1 + q) * (na + nb) + min(f, q * f / ratio),
+        "rotating_grid": (1 + 2 * q) * (na + nb) + min(f, q * f / ratio),
+    }
+    if type(result_type(a, b, "plus_times")) not in VALUES:
+        ships = {"relational": ships["relational"]}
     if nb <= BROADCAST_ENTRIES:
-        ships["block_row_replicated"] = f / compression
-    return {"method": min(ships, key=lambda m: (ships[m], m)), "ships": ships, "grid": (q, q), "flops": f, "nnz": (na, nb)}
+        executors = max(1, int(a.df.sparkSession.sparkContext.defaultParallelism) // 4)
+        ships["block_row_replicated"] = executors * nb + combined
+    order = ("relational", "block_row_replicated", "fused_grid", "panel_grid", "rotating_grid")
+    method = min(ships, key=lambda m: (ships[m], order.index(m)))
+    options = {"relational": {"salt": "auto"}, "block_row_replicated": {}, "rotating_grid": {"q": q}}.get(method, {"grid": (q, q)})
+    return {"method": method, "options": options, "ships": ships, "grid": (q, q), "flops": f, "nnz": (na, nb), "compression": ratio}
 
 
 def chain_order(sizes: list[tuple[int, int]], nnz: list[int]) -> tuple[float, str]:

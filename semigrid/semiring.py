@@ -12,16 +12,20 @@ from pyspark.sql import functions as F
 
 @dataclass(frozen=True)
 class Semiring:
-    """``add`` aggregates a column, ``mul`` joins two; ``np_add`` is a ufunc with reduceat."""
+    """``add`` aggregates a column, ``mul`` joins two; ``np_add`` is a ufunc with reduceat, or none where values are not numbers."""
 
     name: str
     add: Callable[[Column], Column]
     mul: Callable[[Column, Column], Column]
-    np_add: np.ufunc
-    np_mul: Callable[[np.ndarray, np.ndarray], np.ndarray]
+    np_add: np.ufunc | None
+    np_mul: Callable[[np.ndarray, np.ndarray], np.ndarray] | None
     sql_add: str
     sql_mul: str
 
+    @property
+    def numeric(self) -> bool:
+        return self.np_add is not None
+
 
 def _one(a: Column, b: Column) -> Column:
     return F.lit(1).cast("long")
@@ -51,6 +55,13 @@ for _name, _add, _mul, _na, _nm, _sa, _sm in (
 ):
     register_semiring(Semiring(_name, _add, _mul, _na, _nm, _sa, _sm))
 
+#: Values are (v, k): a length and the id through which it was reached; the least length wins, then the least id.
+register_semiring(Semiring("argmin", F.min, lambda a, b: F.struct((a["v"] + b["v"]).alias("v"), a["k"].alias("k")), None, None, "min({})", ""))
+
+
+def numeric_semirings() -> list[str]:
+    return [name for name, s in SEMIRINGS.items() if s.numeric]
+
 
 def semiring(name: str | Semiring) -> Semiring:
     return name if isinstance(name, Semiring) else SEMIRINGS[name]

@@ -2,13 +2,17 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, InputPartition, WriterCommitMessage
 
+from semigrid.functions.blocks import FIELDS, ColumnIndex, read_block, value_arrays
 from semigrid.matrix import SparseMatrix
-from semigrid.plans.multiply import with_blocks
-from semigrid.plans.scratch import materialize, scratch_root
+from semigrid.plans.multiply import StoredBlocks, relational, with_blocks
+from semigrid.plans.scratch import scratch_root
 
 
 def write_triples(m: SparseMatrix, path: str, fmt: str = "parquet") -> None:
@@ -34,6 +38,24 @@ def write_bucketed(m: SparseMatrix, name: str, key: str = "j", buckets: int = 16
     m.df.write.bucketBy(buckets, key).sortBy(key).mode("overwrite").saveAsTable(name)
 
 
+def fetch_columns(blocks: StoredBlocks, ids: list[int]) -> DataFrame:
+    """(i, j, v) of the listed columns of blocks in column form: only blocks that may hold one are read, and each column is found by its chunk."""
+    wanted = sorted({k for k in ids if 0 <= k < blocks.ncols})
+    height, width = blocks.height, blocks.width
+    _, value = value_arrays(blocks.kind)
+    read = blocks.df.filter(F.col("bj").isin(sorted({k // width for k in wanted}) or [-1])).select("bi", "bj", *FIELDS)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for row, (bi, bj) in enumerate(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist())):
+                index = ColumnIndex(read_block(batch, row, 2), width)
+                for k in (k for k in wanted if k // width == bj):
+                    i, v = index.entries(k - bj * width)
+                    yield pa.RecordBatch.from_arrays([pa.array(i + bi * height, pa.int64()), pa.array([k] * len(i), pa.int64()), pa.array(v, value)], ["i", "j", "v"])
+
+    return read.mapInArrow(run, f"i long, j long, v {blocks.kind.simpleString()}")
+
+
 class _Slice(InputPartition):
     def __init__(self, path: str, part: int, parts: int):
         self.path, self.part, self.parts = path, part, parts
@@ -117,7 +139,21 @@ def queries() -> dict:
     from semigrid.sources.fixtures import fixture
 
     def triples(s, d) -> DataFrame:
-        return materialize(fixture(s, d, "PS").df, "triples")
+        import uuid
+
+        m, path = fixture(s, d, "PS"), f"{scratch_root(s)}/triples-{uuid.uuid4().hex}"
+        write_triples(m, path)
+        return read_triples(s, path, m.nrows, m.ncols).df
+
+    def bucketed(s, d) -> DataFrame:
+        """The parts bought together from two tables bucketed by the inner id: their join shuffles nothing."""
+        import uuid
+
+        m, name = fixture(s, d, "OP"), f"semigrid_{uuid.uuid4().hex}"
+        write_bucketed(m.T, f"{name}_a", "j")
+        write_bucketed(m, f"{name}_b", "i")
+        a, b = s.table(f"{name}_a"), s.table(f"{name}_b")
+        return relational(SparseMatrix(a, m.ncols, m.nrows), SparseMatrix(b, m.nrows, m.ncols)).df
 
     def blocks(s, d) -> DataFrame:
         import uuid
@@ -137,7 +173,7 @@ def queries() -> dict:
             out = part if out is None else out.unionByName(part)
         return out
 
-    return {"roundtrip_triples": triples, "roundtrip_blocks": blocks, "roundtrip_formats": formats}
+    return {"roundtrip_triples": triples, "roundtrip_blocks": blocks, "roundtrip_formats": formats, "product_bucketed": bucketed}
 
 
 def oracle_sql() -> dict[str, str]:
@@ -145,4 +181,6 @@ def oracle_sql() -> dict[str, str]:
 
     ps = SQL["PS"]
     total = f"SELECT count(*) AS n, CAST(sum(v * (i + j)) AS BIGINT) AS total FROM ({ps}) t"
-    return {"roundtrip_triples": ps, "roundtrip_blocks": ps, "roundtrip_formats": f"SELECT fmt, n, total FROM ({total}) t, (VALUES ('csv'), ('json'), ('orc')) x(fmt)"}
+    op = SQL["OP"]
+    together = f"SELECT a.j AS i, b.j AS j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM ({op}) a JOIN ({op}) b ON a.i = b.i GROUP BY 1, 2"
+    return {"product_bucketed": together, "roundtrip_triples": ps, "roundtrip_blocks": ps, "roundtrip_formats": f"SELECT fmt, n, total FROM ({total}) t, (VALUES ('csv'), ('json'), ('orc')) x(fmt)"}

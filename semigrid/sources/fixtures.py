@@ -2,12 +2,11 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from semigrid.matrix import SparseMatrix
+from semigrid.plans.scratch import materialize
 from semigrid.sources.tables import table
 
 #: Places of parts in the bipartite graph start here, above any order.
@@ -25,15 +24,17 @@ SQL: dict[str, str] = {
     "BW": "SELECT CAST(length(p_type) AS BIGINT) AS i, p_partkey AS j, CAST(p_size AS BIGINT) AS v FROM part",
     "SUCC": "SELECT a AS i, b AS j, count(*) AS v FROM (SELECT l_partkey AS a, lead(l_partkey) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey) AS b FROM lineitem) t WHERE b IS NOT NULL AND a <> b GROUP BY a, b",
     "BIP": f"SELECT DISTINCT l_orderkey AS i, l_partkey + {PART_OFFSET} AS j, CAST(1 AS BIGINT) AS v FROM lineitem UNION ALL SELECT DISTINCT l_partkey + {PART_OFFSET} AS i, l_orderkey AS j, CAST(1 AS BIGINT) AS v FROM lineitem",
+    "BG": "SELECT DISTINCT l_orderkey AS i, l_partkey + (SELECT max(l_orderkey) + 1 FROM lineitem) AS j, CAST(1 AS BIGINT) AS v FROM lineitem UNION ALL SELECT DISTINCT l_partkey + (SELECT max(l_orderkey) + 1 FROM lineitem) AS i, l_orderkey AS j, CAST(1 AS BIGINT) AS v FROM lineitem",
     "NN": "SELECT CAST(c_nationkey AS BIGINT) AS i, CAST(s_nationkey AS BIGINT) AS j, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS v FROM lineitem JOIN orders ON o_orderkey = l_orderkey JOIN customer ON c_custkey = o_custkey JOIN supplier ON s_suppkey = l_suppkey GROUP BY c_nationkey, s_nationkey",
 }
 
-_TABLES = {"OP": ["lineitem"], "PS": ["lineitem"], "OS": ["lineitem"], "CP": ["lineitem", "orders"], "UH": ["events"], "NR": ["customer"], "RN": ["nation"], "BR": ["part"], "BW": ["part"], "SUCC": ["lineitem"], "BIP": ["lineitem"], "NN": ["lineitem", "orders", "customer", "supplier"]}
-#: Upper limits of (rows, columns) by the key column that numbers them.
-_SIZES: dict[str, tuple[tuple[str, str] | int, tuple[str, str] | int]] = {
+_TABLES = {"OP": ["lineitem"], "PS": ["lineitem"], "OS": ["lineitem"], "CP": ["lineitem", "orders"], "UH": ["events"], "NR": ["customer"], "RN": ["nation"], "BR": ["part"], "BW": ["part"], "SUCC": ["lineitem"], "BIP": ["lineitem"], "BG": ["lineitem"], "NN": ["lineitem", "orders", "customer", "supplier"]}
+#: Upper limits of (rows, columns) by the key columns that number them, one after the other.
+_SIZES: dict[str, tuple[tuple[str, ...] | int, tuple[str, ...] | int]] = {
     "OP": (("orders", "o_orderkey"), ("part", "p_partkey")), "PS": (("part", "p_partkey"), ("supplier", "s_suppkey")), "OS": (("orders", "o_orderkey"), ("supplier", "s_suppkey")),
     "CP": (("customer", "c_custkey"), ("part", "p_partkey")), "UH": (("events", "user_id"), 744), "NR": (25, ("customer", "c_custkey")), "RN": (5, 25), "BR": (51, ("part", "p_partkey")),
     "BW": (64, ("part", "p_partkey")), "SUCC": (("part", "p_partkey"), ("part", "p_partkey")), "BIP": (2 * PART_OFFSET, 2 * PART_OFFSET), "NN": (25, 25),
+    "BG": (("lineitem", "l_orderkey", "l_partkey"), ("lineitem", "l_orderkey", "l_partkey")),
 }
 
 
@@ -51,8 +52,9 @@ def run_sql(spark: SparkSession, sf_dir: str, sql: str, tables: list[str]) -> Da
 def _size(spark: SparkSession, sf_dir: str, limit) -> int:
     if isinstance(limit, int):
         return limit
-    name, key = limit
-    return int(table(spark, sf_dir, name).agg(F.max(key)).first()[0] or 0) + 1
+    name, *keys = limit
+    tops = table(spark, sf_dir, name).agg(*[F.max(k) for k in keys]).first()
+    return sum(int(x or 0) + 1 for x in tops)
 
 
 def fixture(spark: SparkSession, sf_dir: str, name: str) -> SparseMatrix:
@@ -61,4 +63,6 @@ def fixture(spark: SparkSession, sf_dir: str, name: str) -> SparseMatrix:
     return SparseMatrix(run_sql(spark, sf_dir, SQL[name], _TABLES[name]), _size(spark, sf_dir, r), _size(spark, sf_dir, c))
 
 
-Builder = Callable[[SparkSession, str], DataFrame]
+def stored(m: SparseMatrix, name: str = "fixture") -> SparseMatrix:
+    """The matrix as a written table, for plans that read it more than once."""
+    return m.with_df(materialize(m.df, name))

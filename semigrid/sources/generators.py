@@ -4,16 +4,17 @@ from __future__ import annotations
 
 from math import gcd
 
-from pyspark.sql import Column, SparkSession
+from pyspark.sql import Column, SparkSession, Window
 from pyspark.sql import functions as F
 
 from semigrid.matrix import SparseMatrix
+from semigrid.operators.structure import prefix_sum
 
 #: Quadrant weights of the scale-free generator; they are divided by their sum.
 WEIGHTS = (0.6, 0.13, 0.13, 0.13)
 
 
-def _thresholds(weights: tuple[float, ...]) -> list[int]:
+def thresholds(weights: tuple[float, ...]) -> list[int]:
     """Bytes at which the second, third and fourth quadrant begin, from weights divided by their sum."""
     total, run, out = sum(weights), 0, []
     for w in weights[:3]:
@@ -26,7 +27,7 @@ def rmat(spark: SparkSession, scale: int, degree: int = 8, seed: int = 7, weight
     """Recursive-quadrant edges, without repeats. Bytes of a digest choose the quadrants, so any engine draws the same."""
     if scale > 16:
         raise ValueError("a digest has 16 bytes; use rmat_large")
-    a, b, c = _thresholds(weights)
+    a, b, c = thresholds(weights)
     n = 1 << scale
     byte = lambda level: F.conv(F.substring("h", 2 * level + 1, 2), 16, 10).cast("int")
     row, col = F.lit(0).cast("long"), F.lit(0).cast("long")
@@ -39,7 +40,7 @@ def rmat(spark: SparkSession, scale: int, degree: int = 8, seed: int = 7, weight
 
 
 def rmat_sql(scale: int, degree: int = 8, seed: int = 7, weights: tuple[float, ...] = WEIGHTS) -> str:
-    a, b, c = _thresholds(weights)
+    a, b, c = thresholds(weights)
     byte = [f"('0x' || h[{2 * k + 1}:{2 * k + 2}])::INT" for k in range(scale)]
     row = " + ".join(f"{1 << (scale - 1 - k)} * ({x} >= {b})::BIGINT" for k, x in enumerate(byte))
     col = " + ".join(f"{1 << (scale - 1 - k)} * ({x} >= {a} AND {x} < {b} OR {x} >= {c})::BIGINT" for k, x in enumerate(byte))
@@ -48,7 +49,7 @@ def rmat_sql(scale: int, degree: int = 8, seed: int = 7, weights: tuple[float, .
 
 def rmat_large(spark: SparkSession, scale: int, degree: int = 8, seed: int = 7, weights: tuple[float, ...] = WEIGHTS) -> SparseMatrix:
     """The same recursion for any scale, with a cheap hash for each level."""
-    a, b, c = _thresholds(weights)
+    a, b, c = thresholds(weights)
 
     def bits(which: str) -> Column:
         def step(acc: Column, level: Column) -> Column:
@@ -63,22 +64,27 @@ def rmat_large(spark: SparkSession, scale: int, degree: int = 8, seed: int = 7,
     return SparseMatrix(edges.withColumn("v", F.lit(1).cast("long")), n, n)
 
 
-def _draw(modulus: int, mul: int, add: int) -> str:
-    return f"CAST(((id * {mul} + {add}) % 2147483647 * 48271 % 2147483647) % {modulus} AS BIGINT)"
+def _digits(seed: int, modulus: int, place: int) -> Column:
+    """A number below ``modulus`` from twelve digits of an id's digest; places 0 and 12 are independent."""
+    return F.conv(F.substring(F.md5(F.concat(F.lit(f"{seed}:"), F.col("id").cast("string"))), place + 1, 12), 16, 10).cast("long") % modulus
+
+
+def _digits_sql(seed: int, modulus: int, place: int) -> str:
+    return f"(('0x' || md5('{seed}:' || id)[{place + 1}:{place + 12}])::BIGINT % {modulus})"
 
 
 def tall_skinny(spark: SparkSession, n: int, k: int, per_column: int, seed: int = 3) -> SparseMatrix:
-    """n by k with about so many entries in each column."""
-    e = spark.range(k * per_column).selectExpr(f"{_draw(n, 69621, seed)} AS i", f"CAST(id % {k} AS BIGINT) AS j").distinct()
+    """n by k: so many entries for each column are drawn, each with independent row and column, without repeats."""
+    e = spark.range(k * per_column).select(_digits(seed, n, 0).alias("i"), _digits(seed, k, 12).alias("j")).distinct()
     return SparseMatrix(e.withColumn("v", F.lit(1).cast("long")), n, k)
 
 
 def tall_skinny_sql(n: int, k: int, per_column: int, seed: int = 3) -> str:
-    return f"SELECT DISTINCT {_draw(n, 69621, seed)} AS i, CAST(id % {k} AS BIGINT) AS j, CAST(1 AS BIGINT) AS v FROM range({k * per_column}) r(id)"
+    return f"SELECT DISTINCT {_digits_sql(seed, n, 0)} AS i, {_digits_sql(seed, k, 12)} AS j, CAST(1 AS BIGINT) AS v FROM range({k * per_column}) r(id)"
 
 
 def erdos_renyi(spark: SparkSession, n: int, c: int, seed: int = 3) -> SparseMatrix:
-    """n by n, c entries a row drawn uniformly, without repeats."""
+    """n by n, c n places drawn uniformly and independently, without repeats."""
     return tall_skinny(spark, n, n, c, seed)
 
 
@@ -110,6 +116,26 @@ def permutation_sql(n: int, mul: int = 389, add: int = 17) -> str:
     return f"SELECT id AS i, (id * {mul} + {add}) % {n} AS j, CAST(1 AS BIGINT) AS v FROM range({n}) r(id)"
 
 
-def restriction(spark: SparkSession, n: int, order: int) -> SparseMatrix:
-    """(n / order) by n: ``order`` consecutive vertices become one."""
-    return SparseMatrix(spark.range(n).select(F.floor(F.col("id") / order).cast("long").alias("i"), F.col("id").alias("j"), F.lit(1).cast("long").alias("v")), -(-n // order), n)
+def random_permutation(spark: SparkSession, n: int, seed: int = 1) -> SparseMatrix:
+    """A permutation drawn at random: ids in the order of their digests.
+
+    The order is cut by the first digits of the digests into ranges, so no task orders them all.
+    """
+    drawn = spark.range(n).withColumn("h", F.md5(F.concat(F.lit(f"{seed}:"), F.col("id").cast("string")))).withColumn("part", F.conv(F.substring("h", 1, 3), 16, 10).cast("long"))
+    sizes = prefix_sum(drawn.groupBy("part").agg(F.count(F.lit(1)).alias("n")), "part", "n", "before").select("part", "before")
+    place = F.row_number().over(Window.partitionBy("part").orderBy("h", "id")) - 1
+    placed = drawn.withColumn("place", place).join(F.broadcast(sizes), "part")  # 4096 rows at most
+    return SparseMatrix(placed.select(F.col("id").alias("i"), (F.col("before") + F.col("place")).alias("j"), F.lit(1).cast("long").alias("v")), n, n)
+
+
+def random_permutation_sql(n: int | str, seed: int = 1) -> str:
+    return f"SELECT id AS i, row_number() OVER (ORDER BY md5('{seed}:' || id), id) - 1 AS j, CAST(1 AS BIGINT) AS v FROM range({n}) r(id)"
+
+
+def restriction(spark: SparkSession, n: int, order: int, mode: str = "consecutive", seed: int = 1) -> SparseMatrix:
+    """(n / order) by n with one entry a column: ``order`` vertices become one, consecutive ones or ones drawn at random."""
+    if mode == "random":
+        places = random_permutation(spark, n, seed).df
+        rows = places.select(F.call_function("div", F.col("j"), F.lit(order).cast("long")).alias("i"), F.col("i").alias("j"), "v")
+        return SparseMatrix(rows, -(-n // order), n)
+    return SparseMatrix(spark.range(n).select(F.call_function("div", F.col("id"), F.lit(order).cast("long")).alias("i"), F.col("id").alias("j"), F.lit(1).cast("long").alias("v")), -(-n // order), n)

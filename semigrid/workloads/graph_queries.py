@@ -6,11 +6,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from semigrid.functions import model
+from semigrid.functions.tables import rmat_by_function
 from semigrid.matrix import SparseMatrix
 from semigrid.operators import structure as S
 from semigrid.plans.multiply import relational
 from semigrid.sources import generators as G
-from semigrid.sources.fixtures import PART_OFFSET, SQL, fixture
+from semigrid.sources.fixtures import PART_OFFSET, SQL, fixture, stored
 from semigrid.sources.tables import table
 from semigrid.workloads import graphs as W
 from semigrid.workloads.components import connected_components
@@ -18,23 +19,85 @@ from semigrid.workloads.product_queries import product_sql, t_sql
 
 BIP, SUCC, NN, UH, OP = SQL["BIP"], SQL["SUCC"], SQL["NN"], SQL["UH"], SQL["OP"]
 SOURCES = (0, 5, PART_OFFSET)
-#: Levels that searches go at most; the given graphs are exhausted before, and one that is not is an error.
-LEVELS = 10
+#: Levels, rounds and sweeps to which loops are written out in the SQL; the queries themselves end when nothing is left to do.
+LEVELS, ROUNDS, SWEEPS = 10, 14, 14
+#: Scale of the scale-free graph whose frontiers are profiled, and every so many of its vertices is a source: 256 of them.
+FRINGE_SCALE, FRINGE_STEP = 10, 4
+#: Vertices that a restriction makes one.
+ORDERS = (2, 4, 8)
 #: Tags that may open and close.
 TAGS = ("div", "p", "ul", "li")
 
 DOC_WORDS = "SELECT DISTINCT item_id AS i, w AS j, CAST(1 AS BIGINT) AS v FROM (SELECT item_id, unnest(string_split(lower(text), ' ')) AS w FROM benchmark) t WHERE w <> ''"
 
 
-def _bfs_sql(levels: int = LEVELS) -> str:
-    out = f"e AS MATERIALIZED ({BIP}), l0 AS (SELECT CAST(s AS BIGINT) AS source, CAST(s AS BIGINT) AS vertex, CAST(0 AS BIGINT) AS level, CAST(1 AS BIGINT) AS paths FROM (VALUES {', '.join(f'({s})' for s in SOURCES)}) x(s)), s0 AS (SELECT * FROM l0)"
+def _bfs_sql(edges: str = BIP, sources: str | None = None, levels: int = LEVELS) -> str:
+    sources = sources or f"VALUES {', '.join(f'({s})' for s in SOURCES)}"
+    out = f"e AS MATERIALIZED ({edges}), l0 AS (SELECT CAST(s AS BIGINT) AS source, CAST(s AS BIGINT) AS vertex, CAST(0 AS BIGINT) AS level, CAST(1 AS BIGINT) AS paths, CAST(NULL AS BIGINT) AS parent FROM ({sources}) x(s)), s0 AS (SELECT * FROM l0)"
     for k in range(1, levels + 1):
-        out += f", l{k} AS MATERIALIZED (SELECT f.source, e.j AS vertex, CAST({k} AS BIGINT) AS level, CAST(sum(f.paths) AS BIGINT) AS paths FROM l{k - 1} f JOIN e ON e.i = f.vertex WHERE NOT EXISTS (SELECT 1 FROM s{k - 1} s WHERE s.source = f.source AND s.vertex = e.j) GROUP BY 1, 2), s{k} AS MATERIALIZED (SELECT * FROM s{k - 1} UNION ALL SELECT * FROM l{k})"
+        out += f", l{k} AS MATERIALIZED (SELECT f.source, e.j AS vertex, CAST({k} AS BIGINT) AS level, CAST(sum(f.paths) AS BIGINT) AS paths, min(f.vertex) AS parent FROM l{k - 1} f JOIN e ON e.i = f.vertex WHERE NOT EXISTS (SELECT 1 FROM s{k - 1} s WHERE s.source = f.source AND s.vertex = e.j) GROUP BY 1, 2), s{k} AS MATERIALIZED (SELECT * FROM s{k - 1} UNION ALL SELECT * FROM l{k})"
     return f"WITH {out} SELECT * FROM s{levels}"
 
 
 def _bfs(s, d) -> DataFrame:
-    return W.bfs(fixture(s, d, "BIP"), s.createDataFrame([(x,) for x in SOURCES], "id long"), LEVELS)
+    return W.bfs(fixture(s, d, "BIP"), s.createDataFrame([(x,) for x in SOURCES], "id long"))
+
+
+def _fringe_rmat(s, d) -> DataFrame:
+    """Mean frontier at each level over 256 searches of the scale-free graph."""
+    m = G.rmat(s, FRINGE_SCALE)
+    found = W.bfs(m, s.range(0, m.nrows, FRINGE_STEP))
+    return found.groupBy("level").agg(F.count(F.lit(1)).alias("vertices"), F.round(F.count(F.lit(1)) * FRINGE_STEP / m.nrows, 6).alias("mean"))
+
+
+def _between_sql(levels: int = LEVELS) -> str:
+    """Dependencies of the vertices on shortest paths from 1 and 2, level by level from the last."""
+    bfs = _bfs_sql(SUCC, "VALUES (1), (2)", levels)
+    head, _ = bfs.rsplit(" SELECT * FROM ", 1)
+    out = head + f", d{levels} AS (SELECT *, CAST(0 AS DOUBLE) AS dep FROM l{levels})"
+    for k in range(levels - 1, -1, -1):
+        out += f", d{k} AS MATERIALIZED (SELECT h.source, h.vertex, h.level, h.paths, h.parent, coalesce(sum(h.paths / CAST(b.paths AS DOUBLE) * (1 + b.dep)), 0) AS dep FROM l{k} h LEFT JOIN (SELECT e.i, d.* FROM e JOIN d{k + 1} d ON d.vertex = e.j) b ON b.i = h.vertex AND b.source = h.source GROUP BY ALL)"
+    every = " UNION ALL ".join(f"SELECT * FROM d{k}" for k in range(levels + 1))
+    return f"{out} SELECT vertex, round(sum(dep), 6) AS score FROM ({every}) t WHERE source <> vertex GROUP BY 1"
+
+
+def _parts_sql(sweeps: int = SWEEPS) -> str:
+    """Least vertex of each component: labels spread along edges until they rest, which these graphs do long before the last sweep."""
+    out = f"e AS MATERIALIZED ({BIP}), c0 AS (SELECT DISTINCT i AS v, i AS r FROM e)"
+    for k in range(1, sweeps + 1):
+        out += f", c{k} AS MATERIALIZED (SELECT c.v, least(c.r, n.r) AS r FROM c{k - 1} c JOIN (SELECT e.i, min(x.r) AS r FROM e JOIN c{k - 1} x ON x.v = e.j GROUP BY 1) n ON n.i = c.v)"
+    return f"WITH {out} SELECT v AS node, r AS root FROM c{sweeps} WHERE v <> r"
+
+
+def _cycles_sql(rounds: int = ROUNDS) -> str:
+    out = f"p0 AS MATERIALIZED (SELECT i, j FROM ({SUCC}) t)"
+    for k in range(1, rounds + 1):
+        out += f", p{k} AS MATERIALIZED (SELECT i, j FROM p{k - 1} WHERE i IN (SELECT j FROM p{k - 1}) AND j IN (SELECT i FROM p{k - 1}))"
+    return f"WITH {out} SELECT count(*) AS edges, count(DISTINCT i) AS vertices FROM p{rounds}"
+
+
+def _markov_sql(rounds: int = 40) -> str:
+    """Expansion, inflation and pruning, so many times, far beyond the round in which they rest."""
+    normal = lambda name, sql: f"{name} AS MATERIALIZED (SELECT i, j, v / sum(v) OVER (PARTITION BY j) AS v FROM ({sql}) z)"
+    both = f"SELECT * FROM ({NN}) a UNION ALL {t_sql(NN)} UNION ALL SELECT r, r, 1 FROM range(25) x(r)"
+    out = normal("m0", f"SELECT i, j, CAST(sum(v) AS DOUBLE) AS v FROM ({both}) n GROUP BY 1, 2")
+    for k in range(1, rounds + 1):
+        square = f"SELECT a.i, b.j, power(sum(a.v * b.v), 2.0) AS v FROM m{k - 1} a JOIN m{k - 1} b ON a.j = b.i GROUP BY 1, 2"
+        out += ", " + normal(f"x{k}", square) + ", " + normal(f"m{k}", f"SELECT * FROM x{k} WHERE v > 1e-3")
+    return f"WITH {out} SELECT j AS vertex, arg_max(i, (round(v, 9), -i)) AS cluster FROM m{rounds} GROUP BY 1"
+
+
+def _restricted(s, m: SparseMatrix, order: int, both: bool, mode: str = "consecutive") -> DataFrame:
+    """A S' or S A S' as products with the restriction matrix."""
+    r = G.restriction(s, m.ncols, order, mode)
+    return (W.contract(m, r) if both else W.restrict_right(m, r)).df
+
+
+def _restricted_sql(m: str, n: int | str, order: int, both: bool, mode: str = "consecutive") -> str:
+    if mode == "consecutive":
+        return f"SELECT i{f' // {order}' if both else ''} AS i, j // {order} AS j, CAST(sum(v) AS BIGINT) AS v FROM ({m}) t GROUP BY 1, 2"
+    p = G.random_permutation_sql(n, 1)
+    return f"SELECT p.j // {order} AS i, r.j // {order} AS j, CAST(sum(m.v) AS BIGINT) AS v FROM ({m}) m JOIN ({p}) p ON p.i = m.i JOIN ({p}) r ON r.i = m.j GROUP BY 1, 2"
 
 
 def _fringe(df: DataFrame) -> DataFrame:
@@ -62,16 +125,17 @@ RULES = [r for t in TAGS for r in (("E", t, f"/{t}"), ("E", t, f"C_{t}"), (f"C_{
 
 
 def _cfl(s, d) -> DataFrame:
-    return W.cfl_reach(_tags(s, d), RULES, 3).filter("symbol = 'E'").select("doc", "i", "j")
+    return W.cfl_reach(_tags(s, d), RULES).filter("symbol = 'E'").select("doc", "i", "j")
 
 
-def _cfl_sql(rounds: int = 3) -> str:
+def _cfl_sql(rounds: int = ROUNDS) -> str:
+    """As many rounds as leave no span out on the given pages; spans double in each."""
     rules = ", ".join(f"('{a}', '{b}', '{c}')" for a, b, c in RULES)
     out = f"""r(head, l, r) AS (VALUES {rules}),
 t0 AS (SELECT page_id AS doc, regexp_extract_all(html, '<(/?(?:{'|'.join(TAGS)}))[ >]', 1) AS t FROM pages),
-s0 AS (SELECT DISTINCT t[k] AS symbol, doc, k - 1 AS i, k AS j FROM (SELECT doc, t, unnest(range(1, len(t) + 1)) AS k FROM t0) x)"""
+s0 AS MATERIALIZED (SELECT DISTINCT t[k] AS symbol, doc, k - 1 AS i, k AS j FROM (SELECT doc, t, unnest(range(1, len(t) + 1)) AS k FROM t0) x)"""
     for k in range(1, rounds + 1):
-        out += f", s{k} AS (SELECT * FROM s{k - 1} UNION SELECT r.head, a.doc, a.i, b.j FROM s{k - 1} a JOIN r ON r.l = a.symbol JOIN s{k - 1} b ON b.symbol = r.r AND b.doc = a.doc AND b.i = a.j)"
+        out += f", s{k} AS MATERIALIZED (SELECT * FROM s{k - 1} UNION SELECT r.head, a.doc, a.i, b.j FROM s{k - 1} a JOIN r ON r.l = a.symbol JOIN s{k - 1} b ON b.symbol = r.r AND b.doc = a.doc AND b.i = a.j)"
     return f"WITH {out} SELECT doc, i, j FROM s{rounds} WHERE symbol = 'E'"
 
 
@@ -84,6 +148,12 @@ def _nn(s, d) -> SparseMatrix:
     return fixture(s, d, "NN")
 
 
+def _both_ways(s, d) -> SparseMatrix:
+    """Trade between nations in either direction, with a loop at each."""
+    m = _nn(s, d)
+    return S.add(S.add(m, m.T), S.eye(s, m.nrows))
+
+
 def _bench_words(s, d) -> SparseMatrix:
     words = table(s, d, "benchmark").select(F.col("item_id").alias("i"), F.explode(F.split(F.lower("text"), " ")).alias("j")).filter("j <> ''").distinct()
     return SparseMatrix(words.withColumn("v", F.lit(1).cast("long")), 1 << 40, 1 << 40)
@@ -134,10 +204,10 @@ def queries() -> dict:
         "square_product": lambda s, d: relational(bip(s, d), bip(s, d)).df.groupBy("i").agg(F.count(F.lit(1)).alias("nnz"), F.sum("v").cast("long").alias("walks")),
         "two_hop_parts": lambda s, d: relational(fixture(s, d, "SUCC"), fixture(s, d, "SUCC"), "plus_pair").df.groupBy("i").agg(F.count(F.lit(1)).alias("parts"), F.sum("v").cast("long").alias("ways")),
         "markov_expand": lambda s, d: W.markov_expand(_nn(s, d)).df,
-        "markov_cluster": lambda s, d: W.markov_cluster(_nn(s, d)),
-        "benchmark_overlap": lambda s, d: relational(_doc_words(s, d), _bench_words(s, d).T).df,
+        "markov_cluster": lambda s, d: W.markov_cluster(_both_ways(s, d)),
+        "benchmark_overlap": lambda s, d: relational(_doc_words(s, d), _bench_words(s, d).T, salt="auto").df,
         "bfs_levels": lambda s, d: _bfs(s, d).select("source", "vertex", "level"),
-        "bfs_path_counts": _bfs,
+        "bfs_path_counts": lambda s, d: _bfs(s, d).select("source", "vertex", "level", "paths"),
         "bfs_fringe_profile": lambda s, d: _fringe(_bfs(s, d)),
         "betweenness": lambda s, d: W.betweenness(fixture(s, d, "SUCC"), s.createDataFrame([(1,), (2,)], "id long")),
         "contract_nation": lambda s, d: relational(fixture(s, d, "RN"), fixture(s, d, "NR")).df,
@@ -155,28 +225,34 @@ def queries() -> dict:
         "cfl_tags": _cfl,
         "reachability_k": lambda s, d: W.reach_k(_nn(s, d), 2).df,
         "connected_parts": lambda s, d: connected_components(table(s, d, "lineitem").select(F.col("l_orderkey").alias("u"), (F.col("l_partkey") + PART_OFFSET).alias("v"))),
-        "doc_overlap_topk": lambda s, d: W.topk_overlap(_bench_words(s, d), 3),
-        "user_hour_overlap": lambda s, d: relational(fixture(s, d, "UH"), fixture(s, d, "UH").T).df,
+        "doc_overlap_topk": lambda s, d: W.topk_overlap(_doc_words(s, d), 3),
+        "cosine_topk": lambda s, d: W.cosine_topk(fixture(s, d, "UH"), 3),
+        "user_hour_overlap": lambda s, d: relational(fixture(s, d, "UH"), fixture(s, d, "UH").T, salt="auto").df,
+        "bfs_parents": lambda s, d: _bfs(s, d).select("source", "vertex", "parent"),
+        "bfs_fringe_rmat": _fringe_rmat,
+        "cycle_edges": lambda s, d: W.on_cycles(fixture(s, d, "SUCC")).agg(F.count(F.lit(1)).alias("edges"), F.countDistinct("i").alias("vertices")),
+        "peer_pressure": lambda s, d: W.peer_pressure(fixture(s, d, "SUCC"), None),
+        "gen_random_permutation": lambda s, d: G.random_permutation(s, 5000).df,
+        "gen_restriction_random": lambda s, d: G.restriction(s, 1000, 4, "random").df,
+        "rmat_edges": lambda s, d: rmat_by_function(s, 8),
         "embedding_gram": _gram,
     }
-    for r in (2, 4, 8):
-        out[f"restrict_right_{r}"] = (lambda r: lambda s, d: W.halve(bip(s, d), r, False).df)(r)
-        out[f"contract_{r}"] = (lambda r: lambda s, d: W.halve(bip(s, d), r).df)(r)
+    for r in ORDERS:
+        out[f"restrict_right_{r}"] = (lambda r: lambda s, d: _restricted(s, fixture(s, d, "BG"), r, False))(r)
+        out[f"contract_{r}"] = (lambda r: lambda s, d: _restricted(s, fixture(s, d, "BG"), r, True))(r)
+        out[f"contract_rmat_{r}"] = (lambda r: lambda s, d: _restricted(s, G.rmat(s, 10), r, True, "random"))(r)
+        out[f"contract_by_sums_{r}"] = (lambda r: lambda s, d: W.halve(fixture(s, d, "BG"), r).df)(r)
     return out
 
 
 def _profile(s, d) -> DataFrame:
-    out = None
-    for r in (2, 4, 8):
-        row = W.halve(fixture(s, d, "BIP"), r).df.agg(F.lit(r).cast("long").alias("coarsening"), F.count(F.lit(1)).alias("nnz"), F.countDistinct("i").alias("vertices"))
+    m, out = stored(fixture(s, d, "BG")), None
+    for r in ORDERS:
+        row = _restricted(s, m, r, True).agg(F.lit(r).cast("long").alias("coarsening"), F.count(F.lit(1)).alias("nnz"), F.countDistinct("i").alias("vertices"))
         out = row if out is None else out.unionByName(row)
     return out
 
 
-def _halved(r: int, both: bool = True) -> str:
-    return f"SELECT i{f' // {r}' if both else ''} AS i, j // {r} AS j, CAST(sum(v) AS BIGINT) AS v FROM ({BIP}) t GROUP BY 1, 2"
-
-
 def _apsp_sql(doublings: int) -> str:
     z = "SELECT CAST(r AS BIGINT) AS i, CAST(r AS BIGINT) AS j, CAST(0 AS BIGINT) AS v FROM range(25) x(r)"
     out = f"d0 AS (SELECT i, j, min(v) AS v FROM (SELECT * FROM ({NN}) n UNION ALL {z}) t GROUP BY 1, 2)"
@@ -188,7 +264,7 @@ def _apsp_sql(doublings: int) -> str:
 def oracle_sql() -> dict[str, str]:
     n_part = "(SELECT max(p_partkey) + 1 FROM part)"
     perm = f"SELECT i, (j * 7 + 3) % {n_part} AS j, v FROM ({SUCC}) t"
-    pagg = f"SELECT j AS vertex, i AS cluster, CAST(sum(v) AS BIGINT) AS n FROM ({SUCC}) t GROUP BY 1, 2"
+    pagg = f"SELECT j AS vertex, i AS cluster, CAST(sum(v) AS BIGINT) AS n FROM ({SUCC}) t GROUP BY 1, 2 UNION ALL SELECT i, i, 0 FROM (SELECT DISTINCT i FROM ({SUCC}) u WHERE i NOT IN (SELECT j FROM ({SUCC}) w)) x"
     r10, e = G.rmat_sql(10), G.tall_skinny_sql(1024, 1024, 8)
     out = model.SQL | {
         "model_from_lineitem": _MODEL_SQL,
@@ -208,12 +284,22 @@ def oracle_sql() -> dict[str, str]:
         "markov_expand": f"WITH n AS ({NN}), m AS (SELECT i, j, CAST(floor(v * 1000000 / sum(v) OVER (PARTITION BY j)) AS BIGINT) AS v FROM n) SELECT a.i, b.j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM m a JOIN m b ON a.j = b.i GROUP BY 1, 2",
         "benchmark_overlap": f"WITH b AS ({DOC_WORDS}), d AS ({DOC_WORDS.replace('item_id', 'doc_id').replace('benchmark', 'documents')}) SELECT d.i, b.i AS j, count(*) AS v FROM d JOIN b ON d.j = b.j GROUP BY 1, 2",
         "bfs_levels": f"SELECT source, vertex, level FROM ({_bfs_sql()}) t",
-        "bfs_path_counts": _bfs_sql(),
+        "bfs_path_counts": f"SELECT source, vertex, level, paths FROM ({_bfs_sql()}) t",
+        "bfs_parents": f"SELECT source, vertex, parent FROM ({_bfs_sql()}) t",
+        "bfs_fringe_rmat": f"SELECT level, count(*) AS vertices, round(count(*) * {FRINGE_STEP} / CAST({1 << FRINGE_SCALE} AS DOUBLE), 6) AS mean FROM ({_bfs_sql(G.rmat_sql(FRINGE_SCALE), f'SELECT * FROM range(0, {1 << FRINGE_SCALE}, {FRINGE_STEP})', ROUNDS)}) t GROUP BY 1",
+        "betweenness": _between_sql(),
+        "connected_parts": _parts_sql(),
+        "cycle_edges": _cycles_sql(),
+        "markov_cluster": _markov_sql(),
+        "gen_random_permutation": G.random_permutation_sql(5000),
+        "gen_restriction_random": f"SELECT j // 4 AS i, i AS j, CAST(1 AS BIGINT) AS v FROM ({G.random_permutation_sql(1000)}) p",
+        "rmat_edges": G.rmat_sql(8),
+        "cosine_topk": f"WITH m AS ({UH}), n AS (SELECT i, sqrt(sum(v * v)) AS n FROM m GROUP BY 1), p AS (SELECT a.i, b.i AS j, sum(a.v * b.v) AS d FROM m a JOIN m b ON a.j = b.j AND a.i <> b.i GROUP BY 1, 2), c AS (SELECT p.i, p.j, round(d / (x.n * y.n), 6) AS similarity FROM p JOIN n x ON x.i = p.i JOIN n y ON y.i = p.j) SELECT i, j, similarity, rank FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY similarity DESC, j) AS rank FROM c) t WHERE rank <= 3",
         "bfs_fringe_profile": f"SELECT level, count(*) AS vertices, round(count(*) / CAST({len(SOURCES)} AS DOUBLE), 6) AS mean FROM ({_bfs_sql()}) t GROUP BY 1",
         "contract_nation": product_sql(SQL["RN"], SQL["NR"]),
         "contract_weighted": product_sql(OP, t_sql(SQL["BW"])),
         "galerkin_product": product_sql(product_sql(SQL["BR"], product_sql(t_sql(OP), OP)), t_sql(SQL["BR"])),
-        "contraction_profile": " UNION ALL ".join(f"SELECT CAST({r} AS BIGINT) AS coarsening, count(*) AS nnz, count(DISTINCT i) AS vertices FROM ({_halved(r)}) h" for r in (2, 4, 8)),
+        "contraction_profile": " UNION ALL ".join(f"SELECT CAST({r} AS BIGINT) AS coarsening, count(*) AS nnz, count(DISTINCT i) AS vertices FROM ({_restricted_sql(SQL['BG'], 0, r, True)}) h" for r in ORDERS),
         "peer_pressure_round": f"SELECT vertex, cluster FROM (SELECT *, row_number() OVER (PARTITION BY vertex ORDER BY n DESC, cluster) AS r FROM ({pagg}) p) t WHERE r = 1",
         "apsp_nation": _apsp_sql(5),
         "apsp_recursive": _apsp_sql(5),
@@ -223,10 +309,11 @@ def oracle_sql() -> dict[str, str]:
         "triangle_count": f"WITH m AS ({SUCC}) SELECT a.i AS vertex, count(*) AS n FROM m a JOIN m b ON a.j = b.i JOIN m c ON b.j = c.i AND c.j = a.i GROUP BY 1",
         "cfl_tags": _cfl_sql(),
         "reachability_k": _reach_sql(),
-        "doc_overlap_topk": f"WITH w AS ({DOC_WORDS}), p AS (SELECT a.i, b.i AS j, count(*) AS dot FROM w a JOIN w b ON a.j = b.j AND a.i < b.i GROUP BY 1, 2) SELECT i, j, dot, rank FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY dot DESC, j) AS rank FROM p) t WHERE rank <= 3",
+        "doc_overlap_topk": f"WITH w AS ({DOC_WORDS.replace('item_id', 'doc_id').replace('benchmark', 'documents')}), p AS (SELECT a.i, b.i AS j, count(*) AS dot FROM w a JOIN w b ON a.j = b.j AND a.i < b.i GROUP BY 1, 2) SELECT i, j, dot, rank FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY dot DESC, j) AS rank FROM p) t WHERE rank <= 3",
         "user_hour_overlap": product_sql(UH, t_sql(UH)),
         "embedding_gram": "WITH e AS (SELECT vec_id AS i, k - 1 AS j, CAST(round(CAST(embedding[k] AS DOUBLE) * 1000, 0) AS BIGINT) AS v FROM (SELECT vec_id, embedding, unnest(range(1, 65)) AS k FROM embeddings) t) SELECT a.j AS i, b.j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM e a JOIN e b ON a.i = b.i GROUP BY 1, 2",
     }
-    for r in (2, 4, 8):
-        out |= {f"restrict_right_{r}": _halved(r, False), f"contract_{r}": _halved(r)}
+    bg, rmat = SQL["BG"], G.rmat_sql(10)
+    for r in ORDERS:
+        out |= {f"restrict_right_{r}": _restricted_sql(bg, 0, r, False), f"contract_{r}": _restricted_sql(bg, 0, r, True), f"contract_by_sums_{r}": _restricted_sql(bg, 0, r, True), f"contract_rmat_{r}": _restricted_sql(rmat, 1024, r, True, "random")}
     return out

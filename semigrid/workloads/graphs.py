@@ -14,18 +14,20 @@ from semigrid.plans.scratch import materialize
 
 
 def bfs(a: SparseMatrix, sources: DataFrame, max_level: int | None = None) -> DataFrame:
-    """(source, vertex, level, paths): levels from many sources at once, with the number of shortest paths.
+    """(source, vertex, level, paths, parent): levels from many sources at once, with the number of shortest paths and the least vertex before.
 
     A step is the frontier times the graph, without what was visited. It ends with an
-    empty frontier; vertices beyond ``max_level`` are an error, not left out.
+    empty frontier; vertices beyond ``max_level`` are an error, not left out. The edges are
+    written once, by vertex, before the first step.
     """
-    frontier = sources.select(F.col("id").alias("source"), F.col("id").alias("vertex"), F.lit(0).cast("long").alias("level"), F.lit(1).cast("long").alias("paths"))
+    start = F.lit(0).cast("long")
+    frontier = sources.select(F.col("id").alias("source"), F.col("id").alias("vertex"), start.alias("level"), F.lit(1).cast("long").alias("paths"), F.lit(None).cast("long").alias("parent"))
     seen = frontier = materialize(frontier, "bfs")
-    edges = a.df.select(F.col("i").alias("vertex"), F.col("j").alias("to"))
+    edges = materialize(a.df.select(F.col("i").alias("vertex"), F.col("j").alias("to")).repartition("vertex").sortWithinPartitions("vertex"), "edges")
     for level in count(1):
-        step = frontier.join(edges, "vertex").groupBy("source", F.col("to").alias("vertex")).agg(F.sum("paths").alias("paths"))
+        step = frontier.join(edges, "vertex").groupBy("source", F.col("to").alias("next")).agg(F.sum("paths").alias("paths"), F.min("vertex").alias("parent")).withColumnRenamed("next", "vertex")
         step = step.join(seen.select("source", "vertex"), ["source", "vertex"], "left_anti")
-        frontier = materialize(step.select("source", "vertex", F.lit(level).cast("long").alias("level"), "paths"), "bfs")
+        frontier = materialize(step.select("source", "vertex", F.lit(level).cast("long").alias("level"), "paths", "parent"), "bfs")
         if frontier.isEmpty():
             break
         if max_level is not None and level > max_level:
@@ -38,7 +40,7 @@ def betweenness(a: SparseMatrix, sources: DataFrame, max_level: int | None = Non
     """(vertex, score) from the given sources: forward path counts, then dependencies level by level."""
     found = materialize(bfs(a, sources, max_level), "forward")
     deepest = found.agg(F.max("level")).first()[0] or 0
-    edges = a.df.select(F.col("i").alias("vertex"), F.col("j").alias("to"))
+    edges = materialize(a.df.select(F.col("i").alias("vertex"), F.col("j").alias("to")).repartition("vertex"), "edges")
     below: DataFrame | None = None
     parts = []
     for level in range(deepest, -1, -1):
@@ -80,27 +82,50 @@ def markov_expand(a: SparseMatrix, unit: int = 1_000_000) -> SparseMatrix:
     return relational(m, m)
 
 
-def markov_cluster(a: SparseMatrix, inflation: float = 2.0, prune: float = 1e-3, rounds: int = 6) -> DataFrame:
-    """(vertex, cluster): expansion, inflation and pruning, repeated; a column belongs to its largest row."""
+def markov_cluster(a: SparseMatrix, inflation: float = 2.0, prune: float = 1e-3, settled: float = 1e-9, most: int = 200) -> DataFrame:
+    """(vertex, cluster): expansion, inflation and pruning, repeated until no entry moves by ``settled``; a column belongs to its largest row.
+
+    Not to settle within ``most`` rounds is an error.
+    """
 
     def normal(df: DataFrame) -> DataFrame:
         return df.join(df.groupBy("j").agg(F.sum("v").alias("t")), "j").select("i", "j", (F.col("v") / F.col("t")).alias("v"))
 
     now = materialize(normal(a.df.withColumn("v", F.col("v").cast("double"))), "markov")
-    for _ in range(rounds):
+    for _ in range(most):
         m = a.with_df(now)
         squared = relational(m, m).df
-        now = materialize(normal(normal(squared.withColumn("v", F.pow("v", F.lit(inflation)))).filter(F.col("v") > prune)), "markov")
-    best = F.max_by("i", F.struct(F.round("v", 9), -F.col("i")))
-    return now.groupBy(F.col("j").alias("vertex")).agg(best.alias("cluster"))
-
-
-def peer_pressure(a: SparseMatrix, rounds: int = 1) -> DataFrame:
-    """(vertex, cluster): each vertex takes the cluster that most of its neighbours have; ties go to the smaller."""
-    now = a.df.select(F.col("i").alias("vertex")).distinct().withColumn("cluster", F.col("vertex"))
-    for _ in range(rounds):
-        votes = a.df.join(now.select(F.col("vertex").alias("i"), "cluster"), "i").groupBy(F.col("j").alias("vertex"), "cluster").agg(F.sum("v").alias("n"))
-        now = materialize(votes.groupBy("vertex").agg(F.max_by("cluster", F.struct("n", -F.col("cluster"))).alias("cluster")), "votes")
+        new = materialize(normal(normal(squared.withColumn("v", F.pow("v", F.lit(inflation)))).filter(F.col("v") > prune)), "markov")
+        both = now.join(new.withColumnRenamed("v", "w"), ["i", "j"], "full")
+        moved = both.agg(F.max(F.abs(F.coalesce("v", F.lit(0.0)) - F.coalesce("w", F.lit(0.0))))).first()[0] or 0.0
+        now = new
+        if moved <= settled:
+            best = F.max_by("i", F.struct(F.round("v", 9), -F.col("i")))
+            return now.groupBy(F.col("j").alias("vertex")).agg(best.alias("cluster"))
+    raise RuntimeError("the clusters did not settle")
+
+
+def peer_pressure(a: SparseMatrix, rounds: int | None = 1, most: int = 1000) -> DataFrame:
+    """(vertex, cluster): each vertex takes the cluster that most of its neighbours have; ties go to the smaller.
+
+    Without ``rounds``, until nothing changes or an earlier state returns (votes may swing);
+    of the states that return in turn, the first is taken. Vertices without an edge into
+    them keep their own cluster.
+    """
+    ids = a.df.select(F.col("i").alias("vertex")).union(a.df.select("j")).distinct()
+    now, seen = ids.withColumn("cluster", F.col("vertex")), {}
+    edges = materialize(a.df, "edges") if rounds is None else a.df
+    for k in range(most if rounds is None else rounds):
+        votes = edges.join(now.select(F.col("vertex").alias("i"), "cluster"), "i").groupBy(F.col("j").alias("vertex"), "cluster").agg(F.sum("v").alias("n"))
+        chosen = votes.groupBy("vertex").agg(F.max_by("cluster", F.struct("n", -F.col("cluster"))).alias("new"))
+        now = materialize(now.join(chosen, "vertex", "left").select("vertex", F.coalesce("new", "cluster").alias("cluster")), "votes")
+        if rounds is None:
+            state = tuple(now.agg(F.bit_xor(F.xxhash64("vertex", "cluster")), F.sum(F.hash("vertex", "cluster").cast("long"))).first())
+            if state in seen:
+                return seen[state]
+            seen[state] = now
+    if rounds is None:
+        raise RuntimeError("the votes did not settle")
     return now
 
 
@@ -115,19 +140,38 @@ def apsp(a: SparseMatrix, max_hops: int | None = None) -> SparseMatrix:
     return now
 
 
-def apsp_recursive(a: SparseMatrix) -> SparseMatrix:
-    """Shortest paths by elimination of one block after the other, halves first."""
-    loops = S.eye(a.df.sparkSession, a.nrows).df.withColumn("v", F.lit(0).cast("long"))
-    now = S.add(a, a.with_df(loops), "min_plus")
+def apsp_recursive(a: SparseMatrix, leaf: int = 8) -> SparseMatrix:
+    """Shortest paths by halves: the matrix is cut in two by two blocks, and all work is products of blocks.
 
-    def through(m: SparseMatrix, lo: int, hi: int) -> SparseMatrix:
-        if hi - lo > 1:
-            mid = (lo + hi) // 2
-            return through(through(m, lo, mid), mid, hi)
-        left, right = m.with_df(m.df.filter(F.col("j") == lo)), m.with_df(m.df.filter(F.col("i") == lo))
-        return m.with_df(materialize(S.add(m, relational(left, right, "min_plus"), "min_plus").df, "apsp"))
+    Paths within the first half come first; then those of the second half, which may lead
+    through the first; then those of the first that lead through the second. Blocks of
+    ``leaf`` ids are squared until paths of any length are in.
+    """
 
-    return through(now, 0, a.nrows)
+    def closed(m: SparseMatrix, lo: int, hi: int) -> DataFrame:
+        """Shortest paths among the ids from lo to hi, through them alone."""
+        if hi - lo <= leaf:
+            now, hops = m.df, 1
+            while hops < hi - lo:
+                now = materialize(relational(m.with_df(now), m.with_df(now), "min_plus").df, "leaf")
+                hops *= 2
+            return now
+        mid = (lo + hi) // 2
+        first, last = [F.col(c) < mid for c in "ij"], [F.col(c) >= mid for c in "ij"]
+        block = lambda rows, cols: m.df.filter(rows).filter(cols)
+        times = lambda x, y: relational(m.with_df(x), m.with_df(y), "min_plus").df
+        plus = lambda x, y: S.add(m.with_df(x), m.with_df(y), "min_plus").df
+        p = closed(m.with_df(block(first[0], first[1])), lo, mid)
+        out = materialize(times(p, block(first[0], last[1])), "half")
+        back = materialize(times(block(last[0], first[1]), p), "half")
+        q = closed(m.with_df(materialize(plus(block(last[0], last[1]), times(back, out)), "half")), mid, hi)
+        out, back = materialize(times(out, q), "half"), materialize(times(q, back), "half")
+        p = materialize(plus(p, times(out, back)), "half")
+        return p.unionByName(out).unionByName(back).unionByName(q)
+
+    loops = S.eye(a.df.sparkSession, a.nrows).df.withColumn("v", F.lit(0).cast("long"))
+    start = S.add(a, a.with_df(loops), "min_plus")
+    return a.with_df(closed(start.with_df(materialize(start.df, "start")), 0, a.nrows))
 
 
 def matching_round(a: SparseMatrix) -> DataFrame:
@@ -136,16 +180,32 @@ def matching_round(a: SparseMatrix) -> DataFrame:
     return proposals.groupBy("j").agg(F.min("i").alias("i")).select("i", "j")
 
 
-def greedy_matching(a: SparseMatrix, rounds: int = 100) -> DataFrame:
-    """A maximal matching: rounds until no edge joins two free vertices."""
-    left, out = a.df.select("i", "j"), None
-    for _ in range(rounds):
+def greedy_matching(a: SparseMatrix) -> DataFrame:
+    """A maximal matching: rounds until no edge joins two free vertices; each round matches one pair at least."""
+    left, out = materialize(a.df.select("i", "j"), "free"), None
+    while True:
         step = materialize(matching_round(a.with_df(left)), "matching")
         if step.isEmpty():
-            break
+            return out if out is not None else step
         out = step if out is None else out.unionByName(step)
         left = materialize(left.join(step.select("i"), "i", "left_anti").join(step.select("j"), "j", "left_anti").select("i", "j"), "free")
-    return out if out is not None else left
+
+
+def on_cycles(a: SparseMatrix) -> DataFrame:
+    """Edges (i, j) that remain when vertices without an edge in, or without one out, are taken away again and again.
+
+    The graph has a cycle if and only if an edge remains.
+    """
+    now = materialize(a.df.filter("i <> j").select("i", "j").distinct(), "edges")
+    loops = a.df.filter("i = j").select("i", "j").distinct()
+    n = now.count()
+    while n:
+        kept = now.join(now.select(F.col("j").alias("i")).distinct(), "i", "left_semi").join(now.select(F.col("i").alias("j")).distinct(), "j", "left_semi").select("i", "j")
+        now = materialize(kept, "edges")
+        before, n = n, now.count()
+        if n == before:
+            break
+    return now.unionByName(loops)
 
 
 def closed_walks(a: SparseMatrix, k: int) -> DataFrame:
@@ -176,20 +236,37 @@ def reach_k(a: SparseMatrix, doublings: int) -> SparseMatrix:
     return now
 
 
-def cfl_reach(terminals: DataFrame, rules: list[tuple[str, str, str]], rounds: int) -> DataFrame:
-    """(symbol, i, j): spans derived by binary rules (head, left, right) from spans (symbol, i, j)."""
-    table = terminals.sparkSession.createDataFrame(rules, "head string, l string, r string")
-    now = materialize(terminals.distinct(), "spans")
-    for _ in range(rounds):
-        left = now.select(F.col("symbol").alias("l"), "doc", "i", F.col("j").alias("m"))
-        right = now.select(F.col("symbol").alias("r"), "doc", F.col("i").alias("m"), "j")
-        new = left.join(F.broadcast(table), "l").join(right, ["r", "doc", "m"]).select(F.col("head").alias("symbol"), "doc", "i", "j")
-        now = materialize(now.unionByName(new).distinct(), "spans")
-    return now
+def cfl_reach(terminals: DataFrame, rules: list[tuple[str, str, str]]) -> DataFrame:
+    """(symbol, doc, i, j): all spans that binary rules (head, left, right) derive from the given ones.
+
+    Each round joins the spans found in the last one with all, on either side, until there
+    is no new span; there are finitely many.
+    """
+    table = F.broadcast(terminals.sparkSession.createDataFrame(rules, "head string, l string, r string"))
+    known = new = materialize(terminals.select("symbol", "doc", "i", "j").distinct(), "spans")
+    while True:
+        left = lambda d: d.select(F.col("symbol").alias("l"), "doc", "i", F.col("j").alias("m"))
+        right = lambda d: d.select(F.col("symbol").alias("r"), "doc", F.col("i").alias("m"), "j")
+        met = lambda x, y: left(x).join(table, "l").join(right(y), ["r", "doc", "m"]).select(F.col("head").alias("symbol"), "doc", "i", "j")
+        found = met(new, known).unionByName(met(known, new)).distinct().join(known, ["symbol", "doc", "i", "j"], "left_anti")
+        new = materialize(found, "spans")
+        if new.isEmpty():
+            return known
+        known = materialize(known.unionByName(new), "known")
 
 
 def topk_overlap(a: SparseMatrix, k: int) -> DataFrame:
     """(i, j, dot, rank): the k largest products of each row with later rows."""
-    pairs = relational(a, a.T).df.filter("i < j")
+    pairs = relational(a, a.T, salt="auto", where=F.col("i") < F.col("j")).df
     rank = F.row_number().over(Window.partitionBy("i").orderBy(F.desc("v"), "j"))
     return pairs.withColumn("rank", rank).filter(F.col("rank") <= k).select("i", "j", F.col("v").alias("dot"), F.col("rank").cast("long").alias("rank"))
+
+
+def cosine_topk(a: SparseMatrix, k: int) -> DataFrame:
+    """(i, j, similarity, rank): the k other rows with the largest cosine to each row; ties go to the smaller id."""
+    norms = a.df.groupBy("i").agg(F.sqrt(F.sum(F.col("v") * F.col("v"))).alias("n"))
+    half = relational(a, a.T, salt="auto", where=F.col("i") < F.col("j")).df
+    both = half.unionByName(half.select(F.col("j").alias("i"), F.col("i").alias("j"), "v"))
+    scaled = both.join(norms, "i").join(norms.toDF("j", "m"), "j").select("i", "j", F.round(F.col("v") / (F.col("n") * F.col("m")), 6).alias("similarity"))
+    rank = F.row_number().over(Window.partitionBy("i").orderBy(F.desc("similarity"), "j"))
+    return scaled.withColumn("rank", rank.cast("long")).filter(F.col("rank") <= k)

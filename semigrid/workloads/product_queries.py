@@ -10,8 +10,11 @@ from semigrid.operators import measures as M
 from semigrid.operators import structure as S
 from semigrid.plans import multiply as P
 from semigrid.plans.planner import chain, chain_order
-from semigrid.semiring import SEMIRINGS
-from semigrid.sources.fixtures import SQL, fixture
+from semigrid.plans.scratch import materialize
+from semigrid.semiring import SEMIRINGS, numeric_semirings
+from semigrid.sources import connectors
+from semigrid.sources import generators as G
+from semigrid.sources.fixtures import SQL, fixture, stored
 from semigrid.sources.tables import table
 
 
@@ -56,6 +59,32 @@ def _named(rows: list[tuple[int, DataFrame]], column: str) -> DataFrame:
     return out
 
 
+def _each(m: SparseMatrix, measure, qs: tuple[int, ...]) -> DataFrame:
+    """A measure for each grid, of a matrix that is written once."""
+    m = stored(m)
+    return _named([(q, measure(m, q)) for q in qs], "q")
+
+
+def _pairs(a: SparseMatrix, b: SparseMatrix, measure, qs: tuple[int, ...]) -> DataFrame:
+    a, b = stored(a), stored(b)
+    return _named([(q, measure(a, b, q)) for q in qs], "q")
+
+
+def _chosen(s, d) -> DataFrame:
+    """The kernel that the chooser takes, and how often, over the pairs of blocks of two grids."""
+    a, b = map(stored, _op(s, d))
+    return _named([(q, P.kernel_choices(a, b, q)) for q in (1, 4)], "q")
+
+
+def _chosen_sql(q: int) -> str:
+    kw = f"(({N_ORDER} + {q - 1}) // {q})"
+    n = f"greatest({kw}, ({N_PART} + {q - 1}) // {q})"
+    block = lambda sql, o, k, on: f"SELECT {o}, {k} // {kw} AS bk, count(*) AS nnz, count(DISTINCT {k}) AS nz FROM (SELECT *, {_cut(on, N_PART, q)} AS {o} FROM ({sql}) z) t GROUP BY 1, 2"
+    pairs = _kernel_stats_sql(q)
+    ops = f"SELECT {n} + x.nnz + y.nnz + p.pushes AS classical, x.nz + y.nz + p.pushes * CASE WHEN p.ni > 1 THEN log2(p.ni) ELSE 1 END AS heap FROM ({pairs}) p JOIN ({block(OPT, 'bi', 'j', 'i')}) x ON x.bi = p.bi AND x.bk = p.bk JOIN ({block(OP, 'bj', 'i', 'j')}) y ON y.bj = p.bj AND y.bk = p.bk"
+    return f"SELECT CAST({q} AS BIGINT) AS q, CASE WHEN classical <= heap THEN 'accumulator_row' ELSE 'heap_outer' END AS kernel, count(*) AS pairs FROM ({ops}) o GROUP BY 2"
+
+
 def _pointers_sql(sql: str, n: str) -> str:
     return f"WITH c AS (SELECT j, count(*) AS n FROM ({sql}) t GROUP BY j) SELECT r.j, CAST(coalesce(sum(n) OVER (ORDER BY r.j ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS ptr FROM range(0, {n} + 1) r(j) LEFT JOIN c ON c.j = r.j"
 
@@ -64,18 +93,129 @@ def _compressed_sql(sql: str) -> str:
     return f"SELECT j AS jc, CAST(sum(count(*)) OVER (ORDER BY j) - count(*) AS BIGINT) AS cp, count(*) AS n FROM ({sql}) t GROUP BY j"
 
 
-def _cells_sql(q: int) -> str:
-    da = f"SELECT j AS k, {_cut('i', N_PART, q)} AS bi, count(*) AS da FROM ({OPT}) t GROUP BY 1, 2"
-    db = f"SELECT i AS k, {_cut('j', N_PART, q)} AS bj, count(*) AS db FROM ({OP}) t GROUP BY 1, 2"
-    return f"SELECT bi, bj, a.k % {q} AS bk, CAST(sum(da * db) AS BIGINT) AS flops FROM ({da}) a JOIN ({db}) b ON a.k = b.k GROUP BY 1, 2, 3"
+def _cells_sql(q: int, a: str = OPT, b: str = OP, rows: str = N_PART, inner: str = N_ORDER, cols: str = N_PART) -> str:
+    da = f"SELECT j AS k, {_cut('i', rows, q)} AS bi, count(*) AS da FROM ({a}) t GROUP BY 1, 2"
+    db = f"SELECT i AS k, {_cut('j', cols, q)} AS bj, count(*) AS db FROM ({b}) t GROUP BY 1, 2"
+    return f"SELECT bi, bj, {_cut('a.k', inner, q)} AS bk, CAST(sum(da * db) AS BIGINT) AS flops FROM ({da}) a JOIN ({db}) b ON a.k = b.k GROUP BY 1, 2, 3"
+
+
+def _overall_sql(q: int, cells: str | None = None) -> str:
+    return f"SELECT CAST({q} AS BIGINT) AS q, round(CAST(max(f) * {q * q} AS DOUBLE) / sum(f), 6) AS imbalance FROM (SELECT bi, bj, sum(flops) AS f FROM ({cells or _cells_sql(q)}) c GROUP BY 1, 2) t"
+
+
+def _stage_sql(q: int, cells: str | None = None) -> str:
+    return f"SELECT CAST({q} AS BIGINT) AS q, (bk - bi - bj + {2 * q}) % {q} AS stage, round(CAST(max(flops) * {q * q} AS DOUBLE) / sum(flops), 6) AS imbalance FROM ({cells or _cells_sql(q)}) c GROUP BY 2"
+
+
+def _penalty_sql(q: int, cells: str | None = None) -> str:
+    each = f"SELECT o.imbalance AS overall, s.mean AS per_stage FROM ({_overall_sql(q, cells)}) o, (SELECT round(avg(imbalance), 6) AS mean FROM ({_stage_sql(q, cells)}) z) s"
+    return f"SELECT overall, per_stage, round(100 * (overall - 1), 3) AS async_percent, round(100 * (per_stage - 1), 3) AS sync_percent FROM ({each}) e"
+
+
+#: Scale and grid of the imbalance experiment on the scale-free input, and the seeds of its relabellings.
+RMAT_SCALE, RMAT_GRID, RELABELLINGS = 10, 16, (1, 2, 3)
+
+
+def _rmat_relabelled(s, seed: int) -> SparseMatrix:
+    m = G.rmat(s, RMAT_SCALE)
+    p = G.random_permutation(s, m.nrows, seed)
+    return S.permute_rows_by(S.permute_by(m, p), p)
+
+
+def _rmat_relabelled_sql(seed: int) -> str:
+    p = G.random_permutation_sql(1 << RMAT_SCALE, seed)
+    return f"SELECT p.j AS i, r.j AS j, m.v FROM ({G.rmat_sql(RMAT_SCALE)}) m JOIN ({p}) p ON p.i = m.i JOIN ({p}) r ON r.i = m.j"
+
+
+def _rmat_cells_sql(seed: int | None) -> str:
+    m, n = G.rmat_sql(RMAT_SCALE) if seed is None else _rmat_relabelled_sql(seed), str(1 << RMAT_SCALE)
+    return _cells_sql(RMAT_GRID, m, m, n, n, n)
+
+
+def _imbalance_rmat(s, d) -> DataFrame:
+    """Overall and mean per-stage imbalance of the scale-free square on 256 workers, without relabelling (seed 0) and with random ones."""
+    out = None
+    for seed in (None, *RELABELLINGS):
+        m = stored(G.rmat(s, RMAT_SCALE) if seed is None else _rmat_relabelled(s, seed))
+        cells = materialize(M.cell_flops(m, m, RMAT_GRID), "cells")
+        row = M.sync_penalty(m, m, RMAT_GRID, cells).select(F.lit(seed or 0).cast("long").alias("seed"), "overall", "per_stage", "async_percent", "sync_percent")
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _imbalance_rmat_sql() -> str:
+    return _union([f"SELECT CAST({seed or 0} AS BIGINT) AS seed, * FROM ({_penalty_sql(RMAT_GRID, _rmat_cells_sql(seed))}) p" for seed in (None, *RELABELLINGS)])
 
 
-def _overall_sql(q: int) -> str:
-    return f"SELECT CAST({q} AS BIGINT) AS q, round(CAST(max(f) * {q * q} AS DOUBLE) / sum(f), 6) AS imbalance FROM (SELECT bi, bj, sum(flops) AS f FROM ({_cells_sql(q)}) c GROUP BY 1, 2) t"
+#: The pairs of the kernel experiment: scale-free squared, scale-free by permutation, uniform squared, relabelled mesh squared, and the mesh as it is.
+KERNEL_GRIDS = (1, 2, 4, 8, 16)
+_MESH = 10
 
 
-def _stage_sql(q: int) -> str:
-    return f"SELECT CAST({q} AS BIGINT) AS q, (bk - bi - bj + {2 * q}) % {q} AS stage, round(CAST(max(flops) * {q * q} AS DOUBLE) / sum(flops), 6) AS imbalance FROM ({_cells_sql(q)}) c GROUP BY 2"
+def _kernel_inputs(s) -> dict[str, tuple[SparseMatrix, SparseMatrix]]:
+    r, e, g = G.rmat(s, 10), G.erdos_renyi(s, 1024, 8), G.grid3d(s, _MESH)
+    p = G.random_permutation(s, g.nrows, 1)
+    mixed = S.permute_rows_by(S.permute_by(g, p), p)
+    return {"scale_free": (r, r), "scale_free_by_permutation": (r, G.random_permutation(s, r.nrows, 1)), "uniform": (e, e), "mesh_relabelled": (mixed, mixed), "mesh": (g, g)}
+
+
+def _kernel_inputs_sql() -> dict[str, tuple[str, str, int]]:
+    r, e, g = G.rmat_sql(10), G.tall_skinny_sql(1024, 1024, 8), G.grid3d_sql(_MESH)
+    p = G.random_permutation_sql(_MESH**3, 1)
+    mixed = f"SELECT p.j AS i, r.j AS j, m.v FROM ({g}) m JOIN ({p}) p ON p.i = m.i JOIN ({p}) r ON r.i = m.j"
+    return {"scale_free": (r, r, 1024), "scale_free_by_permutation": (r, G.random_permutation_sql(1024, 1), 1024), "uniform": (e, e, 1024), "mesh_relabelled": (mixed, mixed, _MESH**3), "mesh": (g, g, _MESH**3)}
+
+
+def _kernel_experiment(name: str):
+    def run(s, d) -> DataFrame:
+        a, b = _kernel_inputs(s)[name]
+        a, b = stored(a), stored(b)
+        return _named([(q, M.kernel_op_counts(a, b, q)) for q in KERNEL_GRIDS], "q")
+
+    return run
+
+
+def _accumulator_sql(slabs: int) -> str:
+    rows = f"SELECT {_cut('a.j', N_ORDER, slabs)} AS stage, a.i, sum(db) AS n FROM ({OPT}) a JOIN (SELECT i AS k, count(*) AS db FROM ({OP}) t GROUP BY 1) b ON a.j = b.k GROUP BY 1, 2"
+    return f"SELECT stage, count(*) AS loads, CAST(sum(n) AS BIGINT) AS products FROM ({rows}) r GROUP BY 1"
+
+
+def _worker_sql(q: int) -> str:
+    x, y = _blocks_sql(OPT, N_PART, N_ORDER, q, q), _blocks_sql(OP, N_ORDER, N_PART, q, q)
+    return f"""SELECT w.bi, w.bj, CAST(coalesce((SELECT sum(nnz) FROM ({x}) x WHERE x.bi = w.bi AND x.bj <> w.bj), 0) + coalesce((SELECT sum(nnz) FROM ({y}) y WHERE y.bj = w.bj AND y.bi <> w.bi), 0) AS BIGINT) AS entries
+FROM (SELECT a.k AS bi, b.k AS bj FROM range({q}) a(k), range({q}) b(k)) w"""
+
+
+def _comm_sql(p: int, q: int) -> str:
+    slab = f"SELECT r.k, (SELECT count(*) FROM ({OP}) t WHERE {_cut('i', N_ORDER, p)} <> r.k) AS entries FROM range({p}) r(k)"
+    line = lambda m, k, n, sql: f"SELECT '{m}' AS method, CAST({k} AS BIGINT) AS messages, CAST(sum(entries) AS BIGINT) AS entries, CAST(max(entries) AS BIGINT) AS most, round(CAST(max(entries) * {n} AS DOUBLE) / sum(entries), 6) AS skew FROM ({sql}) w"
+    return _union([line("block_row", p * (p - 1), p, slab), line("rotating_grid", 2 * q * q * (q - 1), q * q, _worker_sql(q)), line("panel_grid", 2 * q * q * (q - 1), q * q, _worker_sql(q))])
+
+
+def _store_round_trip(s, d, name: str, form: str) -> DataFrame:
+    """Entries after they were packed in doubly compressed blocks, written, and unpacked."""
+    return P.unpack_blocks(P.store_blocks(fixture(s, d, name), 3, 4, form), form).df
+
+
+def _compressed_round_trip(m: SparseMatrix) -> DataFrame:
+    return S.from_compressed(*S.compressed_entries(m), m.nrows, m.ncols).df
+
+
+def _special(s) -> DataFrame:
+    """The scale-free matrix with rows scaled by a diagonal one, and every third row taken by a selector; nothing is added by a zero one."""
+    m = G.rmat(s, 8)
+    scale = S.diagonal(s.range(256).select("id", (F.col("id") % 5 + 1).alias("v")), 256)
+    third = S.selector(s.range(0, 256, 3).select((F.col("id") / 3).cast("long").alias("new"), F.col("id").alias("old")), 86, 256)
+    return P.relational(third, S.add(P.relational(scale, m), S.zero(s, 256, 256))).df
+
+
+def _doubles(m: SparseMatrix) -> SparseMatrix:
+    return m.with_df(m.df.withColumn("v", F.col("v") * 0.5))
+
+
+def _halves(f):
+    """A product of matrices of halves, which are exact as doubles."""
+    return lambda s, d: f(*map(_doubles, _op(s, d))).df
 
 
 def _union(parts: list[str]) -> str:
@@ -96,17 +236,17 @@ def _hyper_sql(q: int) -> str:
     return f"SELECT CAST({q} AS BIGINT) AS q, round(CAST(sum(nnz) AS DOUBLE) / ({q * q} * {w}), 6) AS ratio, round(CAST(count(*) FILTER (nnz < {w}) + {q * q} - count(*) AS DOUBLE) / {q * q}, 6) AS hyper_share FROM ({_blocks_sql(OPT, N_PART, N_ORDER, q, q)}) b"
 
 
-def _ops_sql(q: int) -> str:
-    kw = f"(({N_ORDER} + {q - 1}) // {q})"
-    da = f"SELECT {_cut('i', N_PART, q)} AS bi, j AS k, count(*) AS da FROM ({OPT}) t GROUP BY 1, 2"
-    db = f"SELECT i AS k, {_cut('j', N_PART, q)} AS bj, count(*) AS db FROM ({OP}) t GROUP BY 1, 2"
+def _ops_sql(q: int, a: str = OPT, b: str = OP, outer: str = N_PART, inner: str = N_ORDER) -> str:
+    kw = f"(({inner} + {q - 1}) // {q})"
+    da = f"SELECT {_cut('i', outer, q)} AS bi, j AS k, count(*) AS da FROM ({a}) t GROUP BY 1, 2"
+    db = f"SELECT i AS k, {_cut('j', outer, q)} AS bj, count(*) AS db FROM ({b}) t GROUP BY 1, 2"
     return f"""SELECT CAST({q} AS BIGINT) AS q, CAST(f AS BIGINT) AS flops, CAST({q**3} * {kw} + {q} * (na + nb) + f AS BIGINT) AS classical_ops, CAST(round({q} * (nzc + nzr) + m, 0) AS BIGINT) AS heap_ops
 FROM (SELECT sum(flops) AS f, sum(flops * log2(ni)) AS m FROM (SELECT bi, bj, a.k // {kw} AS bk, sum(da * db) AS flops, count(*) AS ni FROM ({da}) a JOIN ({db}) b ON a.k = b.k GROUP BY 1, 2, 3) p),
 (SELECT count(*) AS nzc, sum(da) AS na FROM ({da}) x), (SELECT count(*) AS nzr, sum(db) AS nb FROM ({db}) y)"""
 
 
 def _trend(s, d) -> DataFrame:
-    a, b = _op(s, d)
+    a, b = map(stored, _op(s, d))
     rows = []
     for q in (1, 2, 4, 8):
         cells = M.cell_flops(a, b, q)
@@ -124,11 +264,17 @@ def _small(s, d) -> tuple[SparseMatrix, SparseMatrix]:
     return fixture(s, d, "RN"), fixture(s, d, "NR")
 
 
-def _selectors(s) -> tuple[DataFrame, DataFrame]:
-    r = s.range(0, 1000, 3).select(F.col("id").alias("old"), (F.col("id") / 3).cast("long").alias("new"))
+def _selectors(s, n: int) -> tuple[DataFrame, DataFrame]:
+    """Every third id below n, renumbered."""
+    r = s.range(0, n, 3).select(F.col("id").alias("old"), F.call_function("div", F.col("id"), F.lit(3).cast("long")).alias("new"))
     return r, r
 
 
+def _third(s, d) -> DataFrame:
+    m = fixture(s, d, "SUCC")
+    return S.submatrix(m, *_selectors(s, m.nrows)).df
+
+
 def _delta(s, d) -> DataFrame:
     whole = fixture(s, d, "OP")
     old, new = whole.with_df(whole.df.filter("i % 5 <> 0")), whole.with_df(whole.df.filter("i % 5 = 0"))
@@ -137,41 +283,44 @@ def _delta(s, d) -> DataFrame:
 
 
 def _kernel_stats(s, d) -> DataFrame:
+    """What the hypersparse kernel counted itself: heap pops, common ids and nonempty ids of each pair of blocks."""
     a, b = _op(s, d)
-    q = 4
-    kw, rw = -(-a.ncols // q), -(-a.nrows // q)
-    da = a.df.groupBy(F.floor(F.col("i") / rw).alias("bi"), F.col("j").alias("k")).agg(F.count(F.lit(1)).alias("da"))
-    db = b.df.groupBy(F.col("i").alias("k"), F.floor(F.col("j") / rw).alias("bj")).agg(F.count(F.lit(1)).alias("db"))
-    return da.join(db, "k").groupBy("bi", "bj", F.floor(F.col("k") / kw).alias("bk")).agg(F.sum(F.col("da") * F.col("db")).cast("long").alias("pushes"), F.count(F.lit(1)).alias("ni"))
+    return P.pair_stats(a, b, 4).filter("ni > 0").select(F.col("ci").alias("bi"), F.col("cj").alias("bj"), "bk", F.col("flops").alias("pushes"), "ni", "nzc", "nzr")
 
 
 def _kernel_stats_sql(q: int = 4) -> str:
     kw = f"(({N_ORDER} + {q - 1}) // {q})"
     da = f"SELECT {_cut('i', N_PART, q)} AS bi, j AS k, count(*) AS da FROM ({OPT}) t GROUP BY 1, 2"
     db = f"SELECT i AS k, {_cut('j', N_PART, q)} AS bj, count(*) AS db FROM ({OP}) t GROUP BY 1, 2"
-    return f"SELECT bi, bj, a.k // {kw} AS bk, CAST(sum(da * db) AS BIGINT) AS pushes, count(*) AS ni FROM ({da}) a JOIN ({db}) b ON a.k = b.k GROUP BY 1, 2, 3"
+    pairs = f"SELECT bi, bj, a.k // {kw} AS bk, CAST(sum(da * db) AS BIGINT) AS pushes, count(*) AS ni FROM ({da}) a JOIN ({db}) b ON a.k = b.k GROUP BY 1, 2, 3"
+    nz = lambda d, o: f"SELECT {o}, k // {kw} AS bk, count(*) AS n FROM ({d}) t GROUP BY 1, 2"
+    return f"SELECT p.*, x.n AS nzc, y.n AS nzr FROM ({pairs}) p JOIN ({nz(da, 'bi')}) x ON x.bi = p.bi AND x.bk = p.bk JOIN ({nz(db, 'bj')}) y ON y.bj = p.bj AND y.bk = p.bk"
 
 
 def _median(s, d) -> DataFrame:
-    a, b = _op(s, d)
-    runs = [(k, M.imbalance(S.permute(a, m, k, "rows"), S.permute(b, m, k, "columns"), 4)[0]) for k, m in ((3, 7), (11, 11), (17, 13))]
+    """Median imbalance over random relabellings of the parts."""
+    a, b = map(stored, _op(s, d))
+    runs = []
+    for seed in RELABELLINGS:
+        p = stored(G.random_permutation(s, a.nrows, seed))
+        runs.append((seed, M.imbalance(S.permute_rows_by(a, p), S.permute_by(b, p), 4)[0]))
     return _named(runs, "seed").agg(F.round(F.percentile("imbalance", F.lit(0.5)), 6).alias("median_imbalance"))
 
 
 def _median_sql() -> str:
-    def cells(m: int, k: int) -> str:
-        move = lambda c: f"(({c} * {m} + {k}) % {N_PART})"
-        return _overall_sql(4).replace(OPT, f"SELECT {move('i')} AS i, j, v FROM ({OPT}) z").replace(f"FROM ({OP}) t GROUP BY 1, 2", f"FROM (SELECT i, {move('j')} AS j, v FROM ({OP}) z) t GROUP BY 1, 2")
+    def one(seed: int) -> str:
+        p = G.random_permutation_sql(N_PART, seed)
+        a, b = f"SELECT p.j AS i, m.j, m.v FROM ({OPT}) m JOIN ({p}) p ON p.i = m.i", f"SELECT m.i, p.j AS j, m.v FROM ({OP}) m JOIN ({p}) p ON p.i = m.j"
+        return _overall_sql(4, _cells_sql(4, a, b))
 
-    return f"SELECT round(quantile_cont(imbalance, 0.5), 6) AS median_imbalance FROM ({_union([cells(7, 3), cells(11, 11), cells(13, 17)])}) m"
+    return f"SELECT round(quantile_cont(imbalance, 0.5), 6) AS median_imbalance FROM ({_union([one(s) for s in RELABELLINGS])}) m"
 
 
 def _argmin(s, d) -> DataFrame:
     """Least sum with the inner id that gives it."""
     m = fixture(s, d, "NN")
-    left, right = m.df.select("i", F.col("j").alias("k"), F.col("v").alias("x")), m.df.select(F.col("i").alias("k"), "j", F.col("v").alias("y"))
-    best = left.join(right, "k").groupBy("i", "j").agg(F.min(F.struct((F.col("x") + F.col("y")).alias("v"), "k")).alias("m"))
-    return best.select("i", "j", F.col("m.v").alias("v"), F.col("m.k").alias("k"))
+    through = m.with_df(m.df.select("i", "j", F.struct("v", F.col("j").alias("k")).alias("v")))
+    return P.relational(through, through, "argmin").df.select("i", "j", "v.v", "v.k")
 
 
 def _chain(s, d) -> DataFrame:
@@ -195,7 +344,7 @@ def _tall_cost(s, d) -> DataFrame:
 
 
 def _panel_flops(s, d) -> DataFrame:
-    a, b = _op(s, d)
+    a, b = map(stored, _op(s, d))
     out = [(p, M.degrees(a, b).groupBy(M.cut("k", a.ncols, p).alias("stage")).agg(F.sum(F.col("da") * F.col("db")).cast("long").alias("flops"))) for p in (2, 8)]
     return _named(out, "panels")
 
@@ -222,14 +371,15 @@ def queries() -> dict:
         "grid_block_stats": lambda s, d: M.block_stats(fixture(s, d, "OP"), 3, 4),
         "split_block_stats": lambda s, d: M.block_stats(fixture(s, d, "OP"), 4, 8).withColumn("half", F.col("bj") % 2),
         "permute_symmetric": lambda s, d: S.permute(fixture(s, d, "SUCC"), 7, 3).df,
-        "submatrix_index": lambda s, d: S.submatrix(fixture(s, d, "SUCC"), *_selectors(s)).df,
+        "submatrix_index": _third,
         "matrix_add": lambda s, d: S.add(fixture(s, d, "SUCC"), fixture(s, d, "SUCC").T).df,
         "mask_ops": lambda s, d: S.mask(fixture(s, d, "SUCC"), fixture(s, d, "SUCC").T).df.withColumn("kept", F.lit(True)).unionByName(S.mask(fixture(s, d, "SUCC"), fixture(s, d, "SUCC").T, False).df.withColumn("kept", F.lit(False))),
         "emult_ops": lambda s, d: S.emult(fixture(s, d, "SUCC"), fixture(s, d, "SUCC").T).df,
         "row_reduce": lambda s, d: S.reduce(fixture(s, d, "OP"), "i"),
         "matrix_trace": lambda s, d: S.trace(P.relational(*_op(s, d))),
-        "product_outer": copurchase,
+        "product_outer": _on_op(lambda a, b: P.single_block(a, b, "esc", cells=1)),
         "product_salted": _on_op(lambda a, b: P.relational(a, b, salt=4)),
+        "product_split": _on_op(lambda a, b: P.relational(a, b, salt="auto", most=40)),
         "product_masked": lambda s, d: P.relational(fixture(s, d, "SUCC"), fixture(s, d, "SUCC"), mask=fixture(s, d, "SUCC").df).df,
         "product_inner": lambda s, d: P.single_block(*_small(s, d), "inner").df,
         "kernel_outer_naive": lambda s, d: P.single_block(*_small(s, d), "outer_naive").df,
@@ -237,13 +387,26 @@ def queries() -> dict:
         "product_column": _on_op(P.column_by_column),
         "kernel_accumulator": _on_op(lambda a, b: P.single_block(a, b, "accumulator_row")),
         "kernel_heap": _on_op(lambda a, b: P.single_block(a, b, "heap_outer")),
-        "kernel_heap_dual": lambda s, d: P.single_block(fixture(s, d, "SUCC"), fixture(s, d, "SUCC"), "heap_outer").df,
+        "kernel_heap_dual": lambda s, d: P.square_dual(P.dual_blocks(fixture(s, d, "SUCC"), 2)).df,
+        "dcsc_roundtrip": lambda s, d: _store_round_trip(s, d, "OP", "columns"),
+        "dcsr_roundtrip": lambda s, d: _store_round_trip(s, d, "PS", "rows"),
+        "csc_roundtrip": lambda s, d: _compressed_round_trip(fixture(s, d, "OP")),
+        "csr_roundtrip": lambda s, d: _compressed_round_trip(fixture(s, d, "PS").T),
+        "column_by_index": lambda s, d: connectors.fetch_columns(P.store_blocks(fixture(s, d, "OP"), 2, 3), [3, 5, 8, 13]),
+        "special_matrices": lambda s, d: _special(s),
+        "product_double": _halves(lambda a, b: P.fused_grid(a, b, split=2, kernel="heap_outer")),
+        "product_double_relational": _halves(lambda a, b: P.relational(a, b, salt="auto", most=2000)),
+        "product_wide_ids": lambda s, d: P.fused_grid(fixture(s, d, "BIP"), fixture(s, d, "BIP"), kernel="auto").df.groupBy("i").agg(F.count(F.lit(1)).alias("nnz"), F.sum("v").cast("long").alias("walks")),
+        "accumulator_traffic": lambda s, d: M.accumulator_traffic(*_op(s, d), 4),
+        "worker_volume": lambda s, d: M.worker_volume(*_op(s, d), 4),
+        "sync_penalty": lambda s, d: M.sync_penalty(*_op(s, d), 8),
+        "imbalance_rmat": _imbalance_rmat,
         "kernel_heap_stats": _kernel_stats,
         "kernel_delayed_merge": _on_op(lambda a, b: P.single_block(a, b, "delayed_merge")),
         "kernel_esc": _on_op(lambda a, b: P.single_block(a, b, "esc")),
         "kernel_dense": lambda s, d: P.single_block(fixture(s, d, "OS").T, fixture(s, d, "OS"), "dense").df,
         "kernel_auto": _on_op(lambda a, b: P.single_block(a, b, "auto")),
-        "kernel_choice": lambda s, d: _named([(q, M.kernel_op_counts(*_op(s, d), q)) for q in (1, 4)], "q").select("q", F.when(F.col("classical_ops") <= F.col("heap_ops"), "accumulator_row").otherwise("heap_outer").alias("kernel")),
+        "kernel_choice": _chosen,
         "semiring_argmin": _argmin,
         "product_block_row": _on_op(P.block_row),
         "product_broadcast_b": _on_op(P.block_row_replicated),
@@ -264,19 +427,20 @@ def queries() -> dict:
         "flops_count": lambda s, d: M.flops(*_op(s, d)),
         "inner_stats": lambda s, d: M.inner_stats(fixture(s, d, "OP"), fixture(s, d, "PS")),
         "compression_ratio": lambda s, d: M.flops(*_op(s, d)).join(F.broadcast(P.relational(*_op(s, d)).df.agg(F.count(F.lit(1)).alias("nnz_c")))).select("flops", "nnz_c", F.round(F.col("flops") / F.col("nnz_c"), 6).alias("ratio")),
-        "storage_words": lambda s, d: _named([(q, M.storage_words(fixture(s, d, "OP").T, q)) for q in (1, 4, 16)], "q"),
-        "hypersparsity": lambda s, d: _named([(q, M.hypersparsity(fixture(s, d, "OP").T, q)) for q in (1, 2, 4, 8)], "q"),
-        "kernel_op_counts": lambda s, d: _named([(q, M.kernel_op_counts(*_op(s, d), q)) for q in (1, 2, 8)], "q"),
+        "storage_words": lambda s, d: _each(fixture(s, d, "OP").T, M.storage_words, (1, 4, 16)),
+        "hypersparsity": lambda s, d: _each(fixture(s, d, "OP").T, M.hypersparsity, (1, 2, 4, 8)),
+        "kernel_op_counts": lambda s, d: _pairs(*_op(s, d), M.kernel_op_counts, (1, 2, 8)),
         "block_trend": _trend,
-        "imbalance_overall": lambda s, d: _named([(q, M.imbalance(*_op(s, d), q)[0]) for q in (4, 8, 16)], "q"),
-        "imbalance_stage": lambda s, d: _named([(q, M.imbalance(*_op(s, d), q)[1]) for q in (4, 8)], "q"),
+        "imbalance_overall": lambda s, d: _pairs(*_op(s, d), lambda a, b, q: M.imbalance(a, b, q)[0], (4, 8, 16)),
+        "imbalance_stage": lambda s, d: _pairs(*_op(s, d), lambda a, b, q: M.imbalance(a, b, q)[1], (4, 8)),
         "imbalance_median": _median,
         "diag_block_flops": lambda s, d: M.cell_flops(*_op(s, d), 4).groupBy("bi", "bj").agg(F.sum("flops").cast("long").alias("flops")),
         "comm_volume": lambda s, d: M.comm_volume(*_op(s, d), 16, 4),
         "tall_skinny_cost": _tall_cost,
         "tall_skinny_orders": lambda s, d: P.relational(fixture(s, d, "OP"), fixture(s, d, "PS")).df,
     }
-    out |= {f"semiring_{r}": ring(r) for r in SEMIRINGS}
+    out |= {f"semiring_{r}": ring(r) for r in numeric_semirings()}
+    out |= {f"kernel_ops_{name}": _kernel_experiment(name) for name in _kernel_inputs_sql()}
     return out
 
 
@@ -287,7 +451,24 @@ def oracle_sql() -> dict[str, str]:
     n = f"(SELECT count(*) FROM ({OP}) t)"
     fl = f"(SELECT CAST(sum(c * c) AS BIGINT) FROM (SELECT i, count(*) AS c FROM ({OP}) t GROUP BY 1) g)"
     width = f"(({N_ORDER} + nz - 1) // nz)"
-    return cop | {f"semiring_{r}": product_sql(nn, nn, r) for r in SEMIRINGS} | {
+    inputs = {f"kernel_ops_{name}": _union([_ops_sql(q, a, b, str(size), str(size)) for q in KERNEL_GRIDS]) for name, (a, b, size) in _kernel_inputs_sql().items()}
+    halves = f"SELECT i, j, CAST(v AS DOUBLE) / 4 AS v FROM ({COPURCHASE}) c"
+    return cop | inputs | {f"semiring_{r}": product_sql(nn, nn, r) for r in numeric_semirings()} | {
+        "product_split": COPURCHASE,
+        "product_double": halves,
+        "product_double_relational": halves,
+        "product_wide_ids": f"SELECT i, count(*) AS nnz, CAST(sum(v) AS BIGINT) AS walks FROM ({product_sql(SQL['BIP'], SQL['BIP'])}) t GROUP BY 1",
+        "dcsc_roundtrip": OP,
+        "dcsr_roundtrip": PS,
+        "csc_roundtrip": OP,
+        "csr_roundtrip": t_sql(PS),
+        "column_by_index": f"SELECT * FROM ({OP}) t WHERE j IN (3, 5, 8, 13)",
+        "special_matrices": f"SELECT i // 3 AS i, j, i % 5 + 1 AS v FROM ({G.rmat_sql(8)}) t WHERE i % 3 = 0",
+        "accumulator_traffic": _accumulator_sql(4),
+        "worker_volume": _worker_sql(4),
+        "sync_penalty": _penalty_sql(8),
+        "imbalance_rmat": _imbalance_rmat_sql(),
+
         "triples_build": OP,
         "csc_pointers": _pointers_sql(OP, N_PART),
         "csr_pointers": _pointers_sql(OPT, N_ORDER),
@@ -302,7 +483,7 @@ def oracle_sql() -> dict[str, str]:
         "grid_block_stats": _blocks_sql(OP, N_ORDER, N_PART, 3, 4),
         "split_block_stats": f"SELECT *, bj % 2 AS half FROM ({_blocks_sql(OP, N_ORDER, N_PART, 4, 8)}) t",
         "permute_symmetric": f"SELECT (i * 7 + 3) % {N_PART} AS i, (j * 7 + 3) % {N_PART} AS j, v FROM ({succ}) t",
-        "submatrix_index": f"SELECT i // 3 AS i, j // 3 AS j, v FROM ({succ}) t WHERE i % 3 = 0 AND j % 3 = 0 AND i < 1000 AND j < 1000",
+        "submatrix_index": f"SELECT i // 3 AS i, j // 3 AS j, v FROM ({succ}) t WHERE i % 3 = 0 AND j % 3 = 0",
         "matrix_add": f"SELECT i, j, CAST(sum(v) AS BIGINT) AS v FROM (SELECT * FROM ({succ}) x UNION ALL {t_sql(succ)}) t GROUP BY 1, 2",
         "mask_ops": f"WITH m AS ({succ}) SELECT a.i, a.j, a.v, b.i IS NOT NULL AS kept FROM m a LEFT JOIN m b ON a.i = b.j AND a.j = b.i",
         "emult_ops": f"WITH m AS ({succ}) SELECT a.i, a.j, a.v * b.v AS v FROM m a JOIN m b ON a.i = b.j AND a.j = b.i",
@@ -314,7 +495,7 @@ def oracle_sql() -> dict[str, str]:
         "kernel_heap_dual": product_sql(succ, succ),
         "kernel_heap_stats": _kernel_stats_sql(),
         "kernel_dense": product_sql(t_sql(SQL["OS"]), SQL["OS"]),
-        "kernel_choice": f"SELECT q, CASE WHEN classical_ops <= heap_ops THEN 'accumulator_row' ELSE 'heap_outer' END AS kernel FROM ({_union([_ops_sql(1), _ops_sql(4)])}) t",
+        "kernel_choice": _union([_chosen_sql(1), _chosen_sql(4)]),
         "semiring_argmin": f"SELECT i, j, v, k FROM (SELECT a.i, b.j, a.v + b.v AS v, a.j AS k, row_number() OVER (PARTITION BY a.i, b.j ORDER BY a.v + b.v, a.j) AS r FROM ({nn}) a JOIN ({nn}) b ON a.j = b.i) t WHERE r = 1",
         "grid_shift": f"SELECT i, j, v, {_cut('i', N_PART, 4)} AS bi, ({_cut('j', N_SUPP, 4)} + 3) % 4 AS bj FROM ({PS}) t",
         "panel_stage_flops": _union([_panel_sql(2), _panel_sql(8)]),
@@ -331,7 +512,7 @@ def oracle_sql() -> dict[str, str]:
         "imbalance_stage": _union([_stage_sql(q) for q in (4, 8)]),
         "imbalance_median": _median_sql(),
         "diag_block_flops": f"SELECT bi, bj, CAST(sum(flops) AS BIGINT) AS flops FROM ({_cells_sql(4)}) c GROUP BY 1, 2",
-        "comm_volume": f"SELECT 'block_row' AS method, CAST(240 AS BIGINT) AS messages, CAST(15 * {n} AS BIGINT) AS entries UNION ALL SELECT 'rotating_grid', 128, 8 * {n} UNION ALL SELECT 'panel_grid', 128, 8 * {n}",
+        "comm_volume": _comm_sql(16, 4),
         "tall_skinny_cost": f"SELECT CAST(sum(c) AS BIGINT) AS work, {n} + (SELECT count(*) FROM ({PS}) t) AS memory, 4 * ({n} + (SELECT count(*) FROM ({PS}) t)) AS bandwidth FROM ({OP}) a JOIN (SELECT i, count(*) AS c FROM ({PS}) t GROUP BY 1) b ON a.j = b.i",
         "tall_skinny_orders": product_sql(OP, PS),
     }

@@ -4,14 +4,16 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from semigrid.functions import blocks as B
 from semigrid.functions import kernels as K
 from semigrid.functions import model
+from semigrid.functions.tables import rmat_by_function
 from semigrid.matrix import SparseMatrix, from_triples
 from semigrid.operators import measures as M
 from semigrid.operators import structure as S
 from semigrid.plans import multiply as P
 from semigrid.plans.planner import chain, chain_order, plan_product
-from semigrid.semiring import SEMIRINGS, semiring
+from semigrid.semiring import numeric_semirings, semiring
 from semigrid.sources import connectors
 from semigrid.sources import generators as G
 from semigrid.workloads import experiments as E
@@ -63,7 +65,7 @@ def test_worked_product(kernel):
 
 
 @pytest.mark.parametrize("kernel", ["esc", "heap_outer", "accumulator_row", "outer_naive", "inner", "delayed_merge"])
-@pytest.mark.parametrize("ring", SEMIRINGS)
+@pytest.mark.parametrize("ring", numeric_semirings())
 def test_kernels_agree(kernel, ring):
     a, b = draw(1, 15, 20, 60), draw(2, 20, 12, 50)
     arrays = lambda t: tuple(np.array(x, np.int64) for x in zip(*t))
@@ -81,8 +83,22 @@ def test_worked_formats(spark):
     assert [r.ptr for r in S.column_pointers(m).orderBy("j").collect()] == [0, 2, 2, 2, 2, 2, 2, 3, 4, 4]
     assert [(r.jc, r.cp) for r in S.compressed_columns(m).orderBy("jc").collect()] == [(0, 0), (6, 2), (7, 3)]
     assert [r.first for r in S.chunk_index(m).orderBy("chunk").collect()] == [0, 1, 1, 3]
-    width, aux = K.aux_index(np.array([0, 6, 7]), 9)
-    assert width == 3 and aux.tolist() == [0, 1, 1, 3]
+    block = B.columns_of(tuple(np.array(x) for x in zip((5, 0, 1), (7, 0, 2), (3, 6, 3), (1, 7, 4))))
+    assert (block.ids.tolist(), block.start.tolist(), block.minor.tolist(), block.num.tolist()) == ([0, 6, 7], [0, 2, 3, 4], [5, 7, 3, 1], [1, 2, 3, 4])
+    index = B.ColumnIndex(block, 9)
+    assert index.width == 3 and index.first.tolist() == [0, 1, 1, 3]
+    assert [index.entries(j)[0].tolist() for j in range(9)] == [[5, 7], [], [], [], [], [], [3], [1], []]
+    turned = block.turned()
+    assert (turned.ids.tolist(), turned.minor.tolist()) == ([1, 3, 5, 7], [7, 6, 0, 0])
+    back = turned.turned()
+    assert all((getattr(back, f) == getattr(block, f)).all() for f in B.FIELDS)
+    for rows_, cols, form in ((2, 3, "columns"), (4, 1, "rows"), (1, 1, "both")):
+        stored = P.store_blocks(m, rows_, cols, form)
+        assert rows(P.unpack_blocks(stored, "rows" if form == "rows" else "columns")) == rows(m)
+        if form == "both":
+            assert rows(P.unpack_blocks(stored, "rows", "t_")) == rows(m)
+    assert sorted(map(tuple, connectors.fetch_columns(P.store_blocks(m, 2, 3), [0, 5, 7, 99]).collect())) == [(1, 7, 4), (5, 0, 1), (7, 0, 2)]
+    assert rows(S.from_compressed(*S.compressed_entries(m), 9, 9)) == rows(m)
 
 
 @pytest.fixture(scope="module")
@@ -94,6 +110,7 @@ def pair(spark):
 CALLS = {
     "relational": P.relational,
     "salted": lambda a, b: P.relational(a, b, salt=3),
+    "split": lambda a, b: P.relational(a, b, salt="auto", most=5),
     "rows": P.row_by_row,
     "columns": P.column_by_column,
     "block_row": lambda a, b: P.block_row(a, b, slabs=3),
@@ -114,6 +131,107 @@ def test_methods_agree(name, pair):
     assert rows(CALLS[name](a, b)) == want
 
 
+@pytest.mark.parametrize("name", CALLS)
+def test_methods_keep_fractions(name, pair):
+    a, b, want = pair
+    half = lambda m: m.with_df(m.df.withColumn("v", F.col("v") * 0.5))
+    assert rows(CALLS[name](half(a), half(b))) == [(i, j, v / 4) for i, j, v in want]
+
+
+@pytest.mark.parametrize("kernel", [k for k in K.KERNELS if k != "dense"])
+@pytest.mark.parametrize("ring", ["min_plus", "max_times", "plus_pair"])
+def test_kernels_on_doubles(kernel, ring):
+    a, b = draw(5, 15, 20, 60), draw(6, 20, 12, 50)
+    arrays = lambda t: (np.array([x[0] for x in t]), np.array([x[1] for x in t]), np.array([x[2] / 8 for x in t]))
+    s, want = semiring(ring), {}
+    for i, k, x in zip(*arrays(a)):
+        for k2, j, y in zip(*arrays(b)):
+            if k == k2:
+                v = s.np_mul(np.array([x]), np.array([y]))[0]
+                want[i, j] = v if (i, j) not in want else s.np_add(want[i, j], v)
+    out, _ = K.multiply(kernel, arrays(a), arrays(b), ring)
+    assert {(i, j): v for i, j, v in zip(*out)} == want
+
+
+def test_wide_ids(spark):
+    """Ids that no dense array could number: hypersparse kernels take them, the classical one refuses."""
+    far = 1 << 40
+    m = matrix(spark, [(0, far, 2), (1, far, 3), (far, 0, 5), (far, far + 1, 7), (far + 1, 1, 1)], far + 2)
+    want = rows(P.relational(m, m))
+    for kernel in ("esc", "heap_outer", "auto", "delayed_merge"):
+        assert rows(P.fused_grid(m, m, kernel=kernel)) == want
+    with pytest.raises(Exception, match="too many"):
+        P.single_block(m, m, "accumulator_row").df.collect()
+
+
+def test_cancelled_entries_stay(spark):
+    a, b = matrix(spark, [(0, 0, 1), (0, 1, 1)], 1, 2), matrix(spark, [(0, 0, 1), (1, 0, -1)], 2, 1)
+    for kernel in K.KERNELS:
+        assert rows(P.single_block(a, b, kernel)) == [(0, 0, 0)]
+
+
+def test_struct_values(spark):
+    d = spark.createDataFrame([(0, 1, 4), (0, 2, 1), (1, 3, 1), (2, 3, 4)], "i long, j long, d long")
+    m = SparseMatrix(d.select("i", "j", F.struct(F.col("d").alias("v"), F.col("j").alias("k")).alias("v")), 4, 4)
+    assert [(r.i, r.j, r.v.v, r.v.k) for r in P.spgemm(m, m, "argmin", method="relational").df.collect()] == [(0, 3, 5, 1)]
+    with pytest.raises(TypeError):
+        P.fused_grid(m, m, "argmin")
+
+
+def _nodes(df):
+    """Names of the nodes of a physical plan as it was run."""
+    df.collect()
+    return df._jdf.queryExecution().executedPlan().toString()
+
+
+def test_plans(spark, pair):
+    a, b, _ = pair
+    plan = _nodes(P.fused_grid(a, b, grid=(2, 2)).df)
+    final = plan.split("Initial Plan")[0]
+    assert final.count("Exchange hashpartitioning") == 1 and "HashAggregate" not in final, "one shuffle ships both operands; cells sum for themselves"
+    assert "LeftSemi" in P.partnered(a, b)[0].df._jdf.queryExecution().optimizedPlan().toString()
+    assert "CartesianProduct" not in _nodes(P.relational(a, b, salt="auto", most=5).df)
+
+
+def test_dual_format(spark):
+    entries = draw(21, 19, 19, 80)
+    m = matrix(spark, entries, 19)
+    assert rows(P.square_dual(P.dual_blocks(m, 3))) == brute(entries, entries, "plus_times")
+
+
+def test_counters(pair):
+    a, b, _ = pair
+    stats = P.pair_stats(a, b, 3).collect()
+    cells = {(r.bi, r.bj, r.bk): r.flops for r in M.cell_flops(a, b, 3).collect()}
+    assert {(r.ci, r.cj, r.bk): r.flops for r in stats if r.flops} == cells
+
+
+def test_imbalance_is_that_of_the_schedule(spark):
+    """Flops of each round, counted by moving blocks as the rotating grid does."""
+    entries, q, n = draw(31, 12, 12, 50), 3, 12
+    m, size = matrix(spark, entries, n), 4
+    work = {}
+    for s in range(q):
+        for x in range(q):
+            for y in range(q):
+                k = (x + y + s) % q
+                work[s, x, y] = sum(1 for i, p, _ in entries for p2, j, _ in entries if p == p2 and i // size == x and p // size == k and j // size == y)
+    want = {s: round(max(work[s, x, y] for x in range(q) for y in range(q)) * q * q / sum(work[s, x, y] for x in range(q) for y in range(q)), 6) for s in range(q)}
+    assert {r.stage: r.imbalance for r in M.imbalance(m, m, q)[1].collect()} == want
+    penalty = M.sync_penalty(m, m, q).first()
+    assert penalty.per_stage == pytest.approx(sum(want.values()) / q, abs=1e-6) and penalty.sync_percent >= penalty.async_percent
+
+
+def test_planner(spark, pair):
+    a, b, want = pair
+    plan = plan_product(a, b, cell_entries=40)
+    assert plan["grid"][0] > 1 and set(plan["ships"]) >= {"relational", "fused_grid", "panel_grid", "rotating_grid", "block_row_replicated"}
+    dense = matrix(spark, [(i, j, 1) for i in range(40) for j in range(40)], 40)
+    assert plan_product(dense, dense, tasks=8)["compression"] > 10
+    for method, options in (("fused_grid", {"grid": plan["grid"]}), ("rotating_grid", {"q": 2})):
+        assert rows(P.spgemm(a, b, method=method, **options)) == want
+
+
 def test_methods_on_nothing_and_bad_shapes(spark, pair):
     nothing = matrix(spark, [], 17, 11)
     for name in ("relational", "panel_2x3", "fused_split", "rotating", "block_row"):
@@ -144,6 +262,8 @@ def test_costs(pair):
     a, b, want = pair
     n = M.flops(a, b).first()[0]
     assert n >= len(want)
+    with pytest.raises(ValueError):
+        S.permute(a, 13, 0, "rows")
     assert M.cell_flops(a, b, 3).agg(F.sum("flops")).first()[0] == n
     assert {r.flops for r in [M.kernel_op_counts(a, b, q).first() for q in (1, 2, 3)]} == {n}
     overall, stage = M.imbalance(a, b, 3)
@@ -168,15 +288,127 @@ def test_reported_shapes(spark):
         assert max(v for (m, _), v in one.items() if m == n) < 50
         curve = [two[n, q * q] for q in (1, 2, 4, 8, 16, 32, 64)]
         assert curve[-1] == max(curve) and all(free[k] >= two[k] for k in two)
+    # by hand: n = 2^20, c = 4, p = 64: a step has blocks of 2^17 columns, of which half are nonempty and a quarter of a quarter met
+    n, p, c, h = 1 << 20, 64, 4, model.GAMMA_HYPERSPARSE
+    scan, ni, products = 8 * 2 * (0.5 * (1 << 17)), 32768, c * c * n / p
+    factorial = sum(np.log2(k) for k in range(1, 9))
+    comp = h * (scan + products * np.log2(ni) + products / 8 * factorial)
+    comm = 8 * (2 * model.ALPHA + 24e-9 * 2 * c * n / p)
+    assert two[n, p] == pytest.approx(model.GAMMA_CLASSICAL * c * c * n / (comp + comm), rel=1e-6) == pytest.approx(37.8, abs=0.1)
+    assert two[n, 4096] == pytest.approx(725, abs=1) and free[n, 4096] == pytest.approx(1432, abs=2)
+    panel = {(r.n, r.p): r.speedup for r in model.model_panel(spark).collect()}
+    assert all(panel[k] <= two[k] for k in two)
+    sizes = {r.p: r.n for r in model.model_isoefficiency(spark).collect()}
+    assert sizes[64] / sizes[16] == pytest.approx(8, rel=1e-4)
+    assert {r.largest for r in model.model_terms(spark).collect()} >= {"bandwidth", "merging"}
     m = G.rmat(spark, 10)
     ops = [M.kernel_op_counts(m, m, q).first() for q in (1, 8)]
     assert ops[1].classical_ops > ops[0].classical_ops and ops[1].heap_ops < ops[0].heap_ops
-    mixed = [M.imbalance(S.permute(m, 389, 17, "rows"), S.permute(m, 389, 17, "columns"), 4)[k].agg(F.avg("imbalance")).first()[0] for k in (0, 1)]
-    plain = M.imbalance(m, m, 4)[0].first()[0]
-    assert mixed[0] < plain and mixed[0] <= mixed[1] * 1.01
+    p = G.random_permutation(spark, 1024, 5)
+    mixed = S.permute_rows_by(S.permute_by(m, p), p)
+    relabelled, plain = M.sync_penalty(mixed, mixed, 8).first(), M.sync_penalty(m, m, 8).first()
+    assert relabelled.overall < plain.overall and relabelled.per_stage < plain.per_stage
+    assert relabelled.async_percent < relabelled.sync_percent
     assert m.df.count() == 6653 and M.flops(m, m).first()[0] == 185055
 
 
+def test_generators(spark):
+    for df, n in ((G.random_permutation(spark, 5003, 2).df, 5003), (G.permutation(spark, 1000).df, 1000)):
+        assert df.select("i").distinct().count() == df.select("j").distinct().count() == df.count() == n
+    e = G.erdos_renyi(spark, 1 << 12, 8)
+    for axis in "ij":
+        each = S.reduce(e, axis, "plus_pair").agg(F.variance("v"), F.avg("v")).first()
+        assert 6.5 < each[0] < 9.5 and 7.5 < each[1] < 8.2, "independent places: the variance of a column's count is its mean"
+    assert rows(SparseMatrix(rmat_by_function(spark, 7, 8, 7, 100), 128, 128)) == rows(G.rmat(spark, 7))
+    assert G.restriction(spark, 10, 4, "random").df.groupBy("i").count().agg(F.max("count")).first()[0] == 4
+    spark.createDataFrame([([0, 6, 7], [0, 2, 3, 4], [5, 7, 3, 1], [1, 2, 3, 4])], "ids array<long>, start array<long>, minor array<long>, num array<long>").createOrReplaceTempView("blocks")
+    assert sorted(map(tuple, spark.sql("SELECT e.* FROM blocks b, LATERAL dcsc_unpack(b.ids, b.start, b.minor, b.num) e").collect())) == [(1, 7, 4), (3, 6, 3), (5, 0, 1), (7, 0, 2)]
+
+
+def test_special_matrices(spark, pair):
+    a = pair[0]
+    assert rows(P.relational(a, S.zero(spark, 17, 4))) == []
+    scaled = P.relational(S.diagonal(spark.range(13).select("id", (F.col("id") + 1).alias("v")), 13), a)
+    assert rows(scaled) == [(i, j, v * (i + 1)) for i, j, v in rows(a)]
+    picked = spark.createDataFrame([(4, 0), (2, 1)], "old long, new long")
+    assert rows(P.relational(S.selector(picked, 2, 13), a)) == sorted(({4: 0, 2: 1}[i], j, v) for i, j, v in rows(a) if i in (2, 4))
+
+
+def test_spans_of_nested_tags(spark):
+    """All spans of whole elements against a stack parser, on tags nested and repeated deeper than a few rounds reach."""
+    r = np.random.default_rng(4)
+
+    def element(depth):
+        inside = sum((element(depth - 1) for _ in range(int(r.integers(0, 4)))), []) if depth else []
+        tag = str(r.choice(["div", "p"]))
+        return [tag, *inside, f"/{tag}"]
+
+    docs = {k: sum((element(5) for _ in range(3)), ["li"]) for k in range(4)} | {9: ["div"] * 40 + ["/div"] * 40}
+    tags = spark.createDataFrame([(t, d, i, i + 1) for d, ts in docs.items() for i, t in enumerate(ts)], "symbol string, doc long, i long, j long")
+    from semigrid.workloads.graph_queries import RULES
+
+    want = set()
+    for d, ts in docs.items():
+        for i in range(len(ts)):
+            stack = []
+            for j in range(i, len(ts)):
+                if not ts[j].startswith("/"):
+                    stack.append(ts[j])
+                elif not stack or stack.pop() != ts[j][1:]:
+                    break
+                if not stack:
+                    want.add((d, i, j + 1))
+    got = {(x.doc, x.i, x.j) for x in W.cfl_reach(tags, RULES).filter("symbol = 'E'").collect()}
+    assert got == want and len(want) > 100
+
+
+def test_shortest_paths_by_halves(spark):
+    entries = draw(41, 23, 23, 70)
+    m = matrix(spark, entries, 23)
+    want = {(i, j): 0 if i == j else 10**9 for i in range(23) for j in range(23)}
+    for i, j, v in entries:
+        want[i, j] = min(want[i, j], v)
+    for k in range(23):
+        for i in range(23):
+            for j in range(23):
+                want[i, j] = min(want[i, j], want[i, k] + want[k, j])
+    want = sorted((i, j, v) for (i, j), v in want.items() if v < 10**9)
+    assert rows(W.apsp(m)) == rows(W.apsp_recursive(m, 4)) == want
+
+
+def test_cycles_and_votes(spark):
+    line = [(k, k + 1, 1) for k in range(6)]
+    assert W.on_cycles(matrix(spark, line, 7)).count() == 0
+    assert sorted(map(tuple, W.on_cycles(matrix(spark, [*line, (4, 2, 1), (6, 6, 1)], 7)).collect())) == [(2, 3), (3, 4), (4, 2), (6, 6)]
+    two = [(i, j, 1) for group in (range(4), range(4, 8)) for i in group for j in group] + [(3, 4, 1)]
+    assert {(r.vertex, r.cluster) for r in W.peer_pressure(matrix(spark, two, 8), None).collect()} == {(v, v // 4 * 4) for v in range(8)}
+    clusters = {r.vertex: r.cluster for r in W.markov_cluster(matrix(spark, [*two, (4, 3, 1)], 8)).collect()}
+    assert len({clusters[v] for v in range(4)}) == len({clusters[v] for v in range(4, 8)}) == 1 and clusters[0] != clusters[7]
+
+
+def test_similar_rows(spark):
+    m = matrix(spark, [(0, 0, 1), (0, 1, 1), (1, 0, 2), (1, 1, 2), (2, 1, 5), (3, 9, 1)], 10)
+    assert sorted((r.i, r.j, r.similarity, r["rank"]) for r in W.cosine_topk(m, 1).collect()) == [(0, 1, 1.0, 1), (1, 0, 1.0, 1), (2, 0, 0.707107, 1)]
+    assert sorted(map(tuple, W.topk_overlap(m, 1).collect())) == [(0, 1, 4, 1), (1, 2, 10, 1)]
+
+
+def test_many_components(spark):
+    r = np.random.default_rng(3)
+    edges = [(int(a), int(b)) for a, b in r.integers(0, 400, (260, 2))] + [(k, k + 1) for k in range(1000, 1200)]
+    root = {x: x for e in edges for x in e}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in edges:
+        a, b = sorted((find(a), find(b)))
+        root[b] = a
+    df = spark.createDataFrame(edges, "u long, v long").repartition(5)
+    assert {tuple(x) for x in connected_components(df).collect()} == {(x, find(x)) for x in root if find(x) != x}
+
+
 def test_graphs(spark):
     path = matrix(spark, [(0, 1, 2), (1, 2, 3), (2, 3, 1), (0, 3, 9)], 4)
     want = [(0, 0, 0), (0, 1, 2), (0, 2, 5), (0, 3, 6), (1, 1, 0), (1, 2, 3), (1, 3, 4), (2, 2, 0), (2, 3, 1), (3, 3, 0)]
@@ -207,6 +439,9 @@ def test_experiments(spark):
     assert E.compare_sync_async(a, a, 2, 1)["flops"] == 25272
     assert len(E.strong_scaling(a, a, (1, 2))) == len(E.weak_scaling(spark, (7, 8))) == 2
     assert E.wait_share([1.0, 3.0]) == pytest.approx(1 / 3)
+    assert len(E.cell_seconds(a, a, 2)) == 4
+    inputs = E.kernel_inputs(spark, 6, 4)
+    assert set(inputs) == {"scale_free", "scale_free_by_permutation", "uniform", "mesh_relabelled"}
 
 
 def test_searches_are_not_cut(spark):
