@@ -110,6 +110,13 @@ def test_exact_dedup_with_colliding_hashes(docs):
     assert _sorted(weak, full.columns) == _sorted(full, full.columns)
 
 
+def test_exact_dedup_with_many_hashes(docs, monkeypatch):
+    full = exact_dedup.exact_dedup(docs)
+    want = _sorted(full, full.columns)
+    monkeypatch.setattr(exact_dedup, "BROADCAST_BYTES", 0)
+    assert _sorted(exact_dedup.exact_dedup(docs), full.columns) == want
+
+
 def test_quality_rules(docs):
     import re
 
@@ -139,6 +146,10 @@ def test_url_filter(spark):
         found = url_filter._buckets(f"^{host}|{path}$")
         assert rows[k].score == sum(w[x] for x in found) + max(1, len(found)) * b
     assert url_filter.url_filter(df.limit(0)).count() == 0
+    assert url_filter.held_out_accuracy(parts=2) >= 0.9
+    table = url_filter.labelled_urls()
+    paths = [{url_filter._split(u)[1] for u, label in table if label == k} for k in (0, 1)]
+    assert sum(label for _, label in table) == len(table) // 2 and len(paths[0] & paths[1]) < len(paths[0]) // 4
 
 
 def test_piece_codec_and_counts(docs):
@@ -155,6 +166,23 @@ def test_piece_codec_and_counts(docs):
         assert (r.n_tokens, r.n_bytes, r.over_limit) == (n, len(texts[r.doc_id].encode()), n > 100)
 
 
+def test_piece_table_and_decoding(docs, empty):
+    """The corpus-wide table gives what the library gives, each distinct word is segmented once, and ids turn into text."""
+    import sentencepiece
+
+    path = vocabulary("piece_bpe_32k.model")
+    sp = sentencepiece.SentencePieceProcessor(model_file=path)
+    texts = {r[0]: r[1] or "" for r in _rows()}
+    coded = piece_codec.encode_by_table(docs, path).cache()
+    for r in coded.collect():
+        ids = sp.encode(texts[r.doc_id], add_eos=True)
+        assert (list(r.ids), r.n_tokens, r.decoded) == (ids, len(ids), sp.decode(ids))
+    assert {r.doc_id: r.decoded for r in piece_codec.piece_decode(coded, path).collect()} == {k: sp.decode(sp.encode(t)) for k, t in texts.items()}
+    assert piece_codec.encode_by_table(empty, path).count() == piece_codec.piece_decode(coded.limit(0), path).count() == 0
+    chunks = docs.sparkSession.createDataFrame([("word",), ("word",), (None,), ("",)], "chunk string")
+    assert sorted(r.chunk for r in piece_codec.chunk_table(chunks, path).collect()) == ["", "word"]
+
+
 def test_golay_keys_never_miss():
     golay, r = Golay(), np.random.default_rng(1)
     n = 4000
@@ -243,6 +271,59 @@ def test_suffix_dedup(docs, limits):
         assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == want[r.doc_id]
 
 
+def test_letters():
+    assert language_id.letter_words("Été ²½ Ⅷ x² a1b ① ª日本 ΑΒ") == ["été", "x", "a", "b", "ª日本", "αβ"]
+    assert language_id.letter_words("²½ Ⅷ ① 12 _ !") == []
+
+
+def _brute_language(model, text):
+    """Word-first backoff written out: a known word's log frequency, else the mean of its longest known n-grams."""
+    import regex
+
+    words = regex.findall(r"\p{L}+", (text or "").lower())
+    if not words:
+        return "und"
+    total = [0.0] * len(model.languages)
+    for w in words:
+        if w in model.words:
+            part = model.table[model.words[w]]
+        else:
+            marked, part = f"<{w}>", model.floor
+            for size in range(min(model.longest, len(marked)), 0, -1):
+                known = [marked[i : i + size] for i in range(len(marked) - size + 1) if marked[i : i + size] in model.grams]
+                if known:
+                    part = sum(model.table[model.grams[g]].astype(float) for g in known) / len(known)
+                    break
+        total = [x + float(y) for x, y in zip(total, part)]
+    return model.languages[total.index(max(total))]
+
+
+def test_language_id_against_brute_force(spark):
+    r = random.Random(4)
+    own = {lang: [_words(1, 1000 * k + i) for i in range(300)] for k, lang in enumerate(("aa", "bb", "cc"))}
+    rows = []
+    for k in range(300):
+        lang = r.choice(list(own))
+        words = [r.choice(own[lang]) if r.random() < 0.7 else _words(1, r.randrange(10**6)) for _ in range(r.randint(1, 30))]
+        rows.append((k, r.choice(["", "¹ "]) + " ".join(words) + r.choice(["", " x²", " 12", "!"]), lang, None, None))
+    rows += [(900, "²½ Ⅷ", "aa", None, None), (901, "", "aa", None, None), (None, " ".join(own["bb"][:9]), "bb", None, None)]
+    df = spark.createDataFrame(rows, SCHEMA)
+    model = language_id.fit(df.filter(~language_id.held_out()))
+    got = {x.doc_id: x for x in language_id.query(df).collect()}
+    assert all(got[k].lang_pred == _brute_language(model, text) for k, text, *_ in rows)
+    assert got[None].held_out is False and got[900].lang_pred == "und"
+    right = [got[k].lang_pred == lang for k, text, lang, *_ in rows[:300] if got[k].held_out]
+    assert sum(right) >= 0.9 * len(right)
+
+
+def test_language_sample_is_bounded(spark):
+    """One row repeated many times fills one place of the sample."""
+    rows = [(1, "same words again", "aa", None, None)] * 500 + [(k, f"other words number {'x' * (k % 7 + 1)}", "bb", None, None) for k in range(2, 60)]
+    model = language_id.fit(spark.createDataFrame(rows, SCHEMA), sample=20)
+    counts = language_id.fit(spark.createDataFrame([rows[0], *rows[500:]], SCHEMA), sample=20)
+    assert model.words == counts.words and np.allclose(model.table, counts.table)
+
+
 def test_language_id(spark):
     common = {"en": "the of and to in", "fr": "le la de et que", "de": "der die und das ist"}
     r = random.Random(1)
@@ -271,15 +352,46 @@ def test_lm_gradient_and_scores(spark):
     assert losses[-1] < losses[0]
     rows = [(k, "to be or not to be that is the question " * 5, None, None, None) for k in range(30)] + [(99, "be to or question not the is that to be " * 5, None, None, None), (100, None, None, None, None)]
     df = spark.createDataFrame(rows, SCHEMA)
-    classes, net = lm_scoring.fit(df)
-    table = net.log_probs()
-    got = {x.doc_id: x for x in lm_scoring.score(df, classes, net).collect()}
-    ids = [0, *classes.of(rows[0][1]), 0]
-    want = sum(table[ids[i - 1] * lm_scoring.CLASSES + ids[i + 1], ids[i]] for i in range(1, len(ids) - 1))
-    assert abs(got[0].pseudo_log_likelihood - want) < 1e-3
+    model = lm_scoring.fit(df)
+    got = {x.doc_id: x for x in lm_scoring.score(df, model).collect()}
     assert got[0].mean_log_prob > got[99].mean_log_prob and got[100].pseudo_log_likelihood == 0
 
 
+@pytest.mark.parametrize("carried", [200_000, 150])
+def test_lm_scores_every_word_by_its_own_probability(spark, carried):
+    """Scores against the counts of all words, whether they are carried or joined."""
+    r = random.Random(2)
+    vocabulary = _words(400, 9).split(" ")
+    texts = [" ".join(r.choices(vocabulary, k=r.randint(0, 60))) for _ in range(80)] + [_words(40, 77)] + [_words(40, 78)] * 2 + [None]
+    df = spark.createDataFrame([(k, t, None, None, None) for k, t in enumerate(texts)], SCHEMA).repartition(3)
+    model = lm_scoring.fit(df, carried=carried)
+    counts = collections.Counter(w for t in texts for w in (t or "").split())
+    assert {x.word: x.n for x in model.counts.collect()} == dict(counts)
+    assert (len(model.carried) < len(counts)) == (carried == 150)
+    in_class = collections.Counter()
+    for w, n in counts.items():
+        in_class[model.classes[w]] += n
+    table = model.network.log_probs()
+    got = {x.doc_id: x for x in lm_scoring.score(df, model).collect()}
+    for k, t in enumerate(texts):
+        words = (t or "").split()
+        ids = [0, *(model.classes[w] for w in words), 0]
+        want = sum(table[ids[i] * lm_scoring.CLASSES + ids[i + 2], ids[i + 1]] + np.log(counts[w] / in_class[ids[i + 1]]) for i, w in enumerate(words))
+        assert got[k].n_tokens == len(words) and abs(got[k].pseudo_log_likelihood - want) < 1e-3 * max(1, len(words))
+    assert got[81].mean_log_prob > got[80].mean_log_prob, "the text that the corpus holds twice is likelier"
+
+
+def test_lm_probabilities_sum_to_one(spark):
+    df = spark.createDataFrame([(1, "a b a c dd ee dd f", None, None, None), (2, "ee a b", None, None, None)], SCHEMA)
+    model = lm_scoring.fit(df)
+    words = {x.word: x.n for x in model.counts.collect()}
+    each = collections.Counter()
+    for w, n in words.items():
+        each[model.classes[w]] += n / model.totals[model.classes[w]]
+    assert all(abs(v - 1) < 1e-9 for v in each.values())
+    assert np.allclose(np.exp(model.network.log_probs()).sum(1), 1)
+
+
 @pytest.mark.parametrize("options", [{}, {"size": 64, "windows": 2, "least_cut": 1}])
 def test_packing(docs, options):
     from tokenizers import Tokenizer
@@ -379,3 +491,82 @@ def test_groups_of_one_word_set(spark):
 def test_groups_of_many_variants(spark):
     texts = _variants(14, 11)
     assert _groups(spark, texts, run_limit=3) == _brute_groups(texts)
+
+
+def test_groups_in_rounds_and_cells(spark, monkeypatch):
+    """Crowds cut into small cells and many rounds give the groups of brute force."""
+    from semigrid.llm import shingle_sets
+
+    monkeypatch.setattr(shingle_sets.crowd_pairs, "__defaults__", (3,))
+    monkeypatch.setattr(simhash_dedup, "GROWTH", 3)
+    common = _words(40, 99)
+    texts = _variants(20, 12) + [_words(60, 200 + k) + " " + common for k in range(25)] + ["", None, "one", "One"]
+    assert _groups(spark, texts, run_limit=2, hubs=2) == _brute_groups(texts)
+
+
+@pytest.mark.parametrize("kind", ["appended", "scattered", "short", "block"])
+def test_no_pair_over_the_similarity_is_missed(spark, kind):
+    """Every kind of edit, by bands of similarity: all links of brute force, whatever their fingerprints."""
+    r = random.Random(kind)
+    texts = []
+    for k in range(40):
+        n = r.randint(8, 14) if kind == "short" else r.randint(60, 200)
+        w = _words(n, 500 + k).split(" ")
+        v = list(w)
+        if kind in ("appended", "short"):
+            v += _words(max(1, int(n * r.uniform(0.05, 0.3))), 900 + k).split(" ")
+        elif kind == "scattered":
+            for _ in range(r.randint(1, max(1, n // 40))):
+                v[r.randrange(n)] = "new%d" % r.randrange(10**6)
+        else:
+            at, size = r.randrange(n), max(1, int(n * r.uniform(0.02, 0.12)))
+            v[at : at + size] = _words(size, 1500 + k).split(" ")
+        texts += [" ".join(w), " ".join(v)]
+    want = _brute_groups(texts)
+    assert _groups(spark, texts) == want and len(want) >= 5
+
+
+def test_sketches_bound_differences():
+    from semigrid.llm import shingle_sets as ss
+
+    r = np.random.default_rng(0)
+    for _ in range(200):
+        both = r.integers(0, 2**63, r.integers(0, 400)).astype(np.uint64)
+        x, y = (np.unique(np.r_[both, r.integers(0, 2**63, r.integers(0, 300)).astype(np.uint64)]) for _ in range(2))
+        apart = len(np.setxor1d(x, y))
+        p, q = ss.parity_sketch(x), ss.parity_sketch(y)
+        assert ss.sketches_agree([p], [q], np.array([apart]))[0]
+        near = len(np.intersect1d(x, y)) >= 0.8 * len(np.union1d(x, y))
+        assert not near or ss.sketches_agree([p], [q], ss.most_apart(np.array([len(x)]), np.array([len(y)]), 0.8))[0]
+
+
+def test_pipeline_row_for_row(spark, tmp_path):
+    """Every stage against plain Python, on texts that each stage has to change."""
+    near = _words(120, 31).split(" ")
+    shared = _words(40, 32)
+    texts = [" ".join(near), " ".join([*near[:60], "other", *near[61:]]), _words(90, 33), _words(90, 33), _words(30, 34) + " " + shared + " " + _words(30, 35), _words(50, 36) + " " + shared, "123 ²½", None, _words(20, 37)]
+    rows = [(k, t, "aa" if k < 3 else None, "s", len(t or "")) for k, t in enumerate(texts)]
+    spark.createDataFrame(rows, SCHEMA).write.parquet(str(tmp_path / "documents.parquet"))
+    docs, states = spark.read.parquet(str(tmp_path / "documents.parquet")), []
+    for _, stage in corpus_pipeline.STAGES[:-1]:
+        docs = stage(spark, docs, str(tmp_path)).cache()
+        states.append({r.doc_id: r for r in docs.collect()})
+    assert {k for k in states[0]} == {0, 1, 2, 3, 4, 5, 8} and all(r.lang == "aa" for r in states[0].values())
+    assert set(states[1]) == {0, 1, 2, 4, 5, 8} and set(states[2]) == set(states[3]) == {0, 2, 4, 5, 8}
+    seen = set()
+    for k in sorted(states[3]):
+        raw = texts[k].encode()
+        gone = np.zeros(len(raw), bool)
+        for p in range(len(raw) - 99):
+            if raw[p : p + 100] in seen:
+                gone[p : p + 100] = True
+            seen.add(raw[p : p + 100])
+        assert states[3][k].text.encode() == bytes(np.frombuffer(raw, np.uint8)[~gone]) and states[3][k].n_chars == len(states[3][k].text)
+    assert len(states[3][5].text) < len(texts[5])
+    from tokenizers import Tokenizer
+
+    tokenizer = Tokenizer.from_file(vocabulary("word_bpe_49k.json"))
+    pieces = collections.defaultdict(int)
+    for r in corpus_pipeline.run(spark, str(tmp_path)).collect():
+        pieces[r.doc_id] += r.length
+    assert dict(pieces) == {k: len(tokenizer.encode(x.text, add_special_tokens=False).ids) + 1 for k, x in states[3].items()}
