@@ -10,7 +10,13 @@ GAMMA_CLASSICAL, GAMMA_HYPERSPARSE, ALPHA, BETA_BYTE = 293.6e-9, 19.2e-9, 2.3e-6
 
 
 def speedups(spark: SparkSession, c: int = 4, bytes_moved: int = 24, gamma: float = GAMMA_CLASSICAL, exponents: tuple[int, ...] = (17, 20, 24), sides: tuple[int, ...] = (1, 2, 4, 8, 16, 32, 64)) -> DataFrame:
-    """(n, p, w, comm1, comm2, mult, add, comp2): work and times of one product of matrices with c entries a row.
+    """The times of ``times`` for n = 2^e and p = q * q, with c entries a row."""
+    points = spark.createDataFrame([(1 << e, q * q, float(c)) for e in exponents for q in sides], "n long, p long, c double")
+    return times(points, bytes_moved, gamma)
+
+
+def times(points: DataFrame, bytes_moved: int = 24, gamma: float = GAMMA_CLASSICAL) -> DataFrame:
+    """(n, p, c, w, comm1, comm2, mult, add, comp2) for rows (n, p, c): work and times of one product of matrices with c entries a row.
 
     One dimension: every worker fetches p - 1 blocks of B. Two: sqrt(p) steps of two
     messages. In each step a worker walks the nonempty ids of a pair of blocks and makes the
@@ -18,9 +24,8 @@ def speedups(spark: SparkSession, c: int = 4, bytes_moved: int = 24, gamma: floa
     as long. Columns of blocks are nonempty with probability 1, or c / sqrt(p) once p is over
     c^2; ids are common with the square of that.
     """
-    points = spark.createDataFrame([(1 << e, q * q) for e in exponents for q in sides], "n long, p long")
     beta, root = BETA_BYTE * bytes_moved, F.sqrt("p")
-    n, p = F.col("n"), F.col("p")
+    n, p, c = F.col("n"), F.col("p"), F.col("c")
     one = F.lit(1.0)
     scan = 2 * F.least(one, c / root) * n  # of all sqrt(p) steps
     common = F.least(one, c * c / p) * n / root  # of one step
@@ -32,7 +37,8 @@ def speedups(spark: SparkSession, c: int = 4, bytes_moved: int = 24, gamma: floa
     return points.select(
         "n",
         "p",
-        (F.lit(gamma * c * c) * n).alias("w"),
+        "c",
+        (gamma * c * c * n).alias("w"),
         ((p - 1) * (ALPHA + beta * c * n / p)).alias("comm1"),
         (root * (2 * ALPHA + beta * 2 * c * n / p)).alias("comm2"),
         mult.alias("mult"),

@@ -73,6 +73,15 @@ def columns(m: SparseMatrix, ids: list[int]) -> SparseMatrix:
     return m.with_df(m.df.filter(F.col("j").isin(ids)))
 
 
+def balanced_cuts(m: SparseMatrix, parts: int) -> DataFrame:
+    """(part, first, last, nnz): ranges of rows with about equal numbers of entries, a cheap substitute for partitioning the graph."""
+    counts = m.df.groupBy("i").agg(F.count(F.lit(1)).alias("n"))
+    total = counts.agg(F.sum("n").cast("long").alias("total"))
+    placed = prefix_sum(counts, "i", "n", "before").join(F.broadcast(total))
+    part = F.call_function("div", F.col("before") * parts, F.col("total"))
+    return placed.groupBy(part.alias("part")).agg(F.min("i").alias("first"), F.max("i").alias("last"), F.sum("n").cast("long").alias("nnz"))
+
+
 def nonempty(m: SparseMatrix) -> DataFrame:
     return m.df.select(F.lit("row").alias("axis"), F.col("i").alias("id")).distinct().unionByName(m.df.select(F.lit("column").alias("axis"), F.col("j").alias("id")).distinct())
 

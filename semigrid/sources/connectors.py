@@ -7,7 +7,6 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.datasource import DataSource, DataSourceReader, DataSourceWriter, InputPartition, WriterCommitMessage
 
 from semigrid.functions.blocks import FIELDS, ColumnIndex, read_block, value_arrays
 from semigrid.matrix import SparseMatrix
@@ -56,83 +55,36 @@ def fetch_columns(blocks: StoredBlocks, ids: list[int]) -> DataFrame:
     return read.mapInArrow(run, f"i long, j long, v {blocks.kind.simpleString()}")
 
 
-class _Slice(InputPartition):
-    def __init__(self, path: str, part: int, parts: int):
-        self.path, self.part, self.parts = path, part, parts
+def write_coordinates(m: SparseMatrix, path: str) -> None:
+    """Coordinate text: a folder of files with one 1-based entry a line, and a file before them with the size line."""
+    line = F.concat_ws(" ", (F.col("i") + 1).cast("string"), (F.col("j") + 1).cast("string"), F.col("v").cast("string"))
+    n = m.df.count()
+    m.df.sparkSession.createDataFrame([(f"{m.nrows} {m.ncols} {n}",)], "value string").coalesce(1).write.mode("overwrite").text(f"{path}/size")
+    m.df.select(line.alias("value")).write.mode("overwrite").text(f"{path}/entries")
 
 
-class _Reader(DataSourceReader):
-    def __init__(self, options):
-        self.path, self.parts = options["path"], int(options.get("partitions", "4"))
+def read_coordinates(spark: SparkSession, path: str, kind: str = "long") -> SparseMatrix:
+    """A matrix from coordinate text, by Spark's own reader and native functions, from wherever Spark can read.
 
-    def partitions(self):
-        return [_Slice(self.path, k, self.parts) for k in range(self.parts)]
-
-    def read(self, partition):
-        """Lines whose first byte lies in this slice of the file."""
-        import os
-
-        size = os.path.getsize(partition.path)
-        low, high = size * partition.part // partition.parts, size * (partition.part + 1) // partition.parts
-        with open(partition.path, "rb") as f:
-            f.seek(max(0, low - 1))
-            if low:
-                f.readline()
-            head = True
-            while f.tell() < high and (line := f.readline()):
-                if line.startswith(b"%"):
-                    continue
-                fields = line.split()
-                if len(fields) == 3 and not (head and low == 0 and partition.part == 0 and self._is_size(partition.path, fields)):
-                    yield int(fields[0]) - 1, int(fields[1]) - 1, int(fields[2])
-                head = False
-
-    @staticmethod
-    def _is_size(path: str, fields) -> bool:
-        """The first line after the comments holds the dimensions."""
-        with open(path, "rb") as f:
-            for line in f:
-                if not line.startswith(b"%"):
-                    return line.split() == fields
-        return False
-
-
-class _Writer(DataSourceWriter):
-    def __init__(self, options):
-        self.path = options["path"]
-
-    def write(self, iterator):
-        from pyspark import TaskContext
-
-        part = TaskContext.get().partitionId()
-        with open(f"{self.path}.part-{part:05d}", "w") as f:
-            for row in iterator:
-                f.write(f"{row[0] + 1} {row[1] + 1} {row[2]}\n")
-        return WriterCommitMessage()
-
-
-class CoordinateText(DataSource):
-    """Coordinate text: a size line, then one 1-based entry a line; comments begin with a per cent sign.
-
-    Paths are those of a file system that all executors mount.
+    ``path`` is a folder that ``write_coordinates`` made, or a file whose first line after the
+    comments (which begin with a per cent sign) holds the sizes and which any number of tasks
+    read in splits. Lines that are no entry are an error.
     """
-
-    @classmethod
-    def name(cls):
-        return "coordinate_text"
-
-    def schema(self):
-        return "i long, j long, v long"
-
-    def reader(self, schema):
-        return _Reader(self.options)
-
-    def writer(self, schema, overwrite):
-        return _Writer(self.options)
-
-
-def register(spark: SparkSession) -> None:
-    spark.dataSource.register(CoordinateText)
+    split = lambda c: F.split(F.trim(c), r"\s+")
+    whole = spark._jvm.org.apache.hadoop.fs.Path(f"{path}/size")
+    folder = whole.getFileSystem(spark._jsc.hadoopConfiguration()).exists(whole)
+    numbered = spark.read.text(f"{path}/entries" if folder else path).withColumn("_at", F.monotonically_increasing_id())
+    lines = numbered.filter(~F.col("value").startswith("%") & (F.trim("value") != ""))
+    if folder:
+        size = spark.read.text(f"{path}/size").first()["value"]
+    else:
+        head = lines.agg(F.min_by("value", "_at").alias("value"), F.min("_at").alias("at")).first()  # the first line, by its place in the file
+        size, lines = head["value"], lines.filter(F.col("_at") != (-1 if head["at"] is None else head["at"]))
+    nrows, ncols = (int(x) for x in (size or "0 0 0").split()[:2])
+    f = split(F.col("value"))
+    good = F.when(F.size(f) == 3, f).otherwise(F.raise_error(F.concat(F.lit("not an entry: "), F.col("value"))).cast("array<string>"))
+    fields = lines.select(good.alias("f"))
+    return SparseMatrix(fields.select((F.col("f")[0].cast("long") - 1).alias("i"), (F.col("f")[1].cast("long") - 1).alias("j"), F.col("f")[2].cast(kind).alias("v")), nrows, ncols)
 
 
 def queries() -> dict:
@@ -162,6 +114,13 @@ def queries() -> dict:
         write_blocks(m, path, 3, 2)
         return read_blocks(s, path, m.nrows, m.ncols).df
 
+    def coordinates(s, d) -> DataFrame:
+        import uuid
+
+        path = f"{scratch_root(s)}/coordinates-{uuid.uuid4().hex}"
+        write_coordinates(fixture(s, d, "PS"), path)
+        return read_coordinates(s, path).df
+
     def formats(s, d) -> DataFrame:
         import uuid
 
@@ -173,7 +132,7 @@ def queries() -> dict:
             out = part if out is None else out.unionByName(part)
         return out
 
-    return {"roundtrip_triples": triples, "roundtrip_blocks": blocks, "roundtrip_formats": formats, "product_bucketed": bucketed}
+    return {"roundtrip_triples": triples, "roundtrip_blocks": blocks, "roundtrip_coordinates": coordinates, "roundtrip_formats": formats, "product_bucketed": bucketed}
 
 
 def oracle_sql() -> dict[str, str]:
@@ -183,4 +142,4 @@ def oracle_sql() -> dict[str, str]:
     total = f"SELECT count(*) AS n, CAST(sum(v * (i + j)) AS BIGINT) AS total FROM ({ps}) t"
     op = SQL["OP"]
     together = f"SELECT a.j AS i, b.j AS j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM ({op}) a JOIN ({op}) b ON a.i = b.i GROUP BY 1, 2"
-    return {"product_bucketed": together, "roundtrip_triples": ps, "roundtrip_blocks": ps, "roundtrip_formats": f"SELECT fmt, n, total FROM ({total}) t, (VALUES ('csv'), ('json'), ('orc')) x(fmt)"}
+    return {"product_bucketed": together, "roundtrip_triples": ps, "roundtrip_blocks": ps, "roundtrip_coordinates": ps, "roundtrip_formats": f"SELECT fmt, n, total FROM ({total}) t, (VALUES ('csv'), ('json'), ('orc')) x(fmt)"}

@@ -171,17 +171,35 @@ def _gram(s, d) -> DataFrame:
 
 
 def _model_from(s, d) -> DataFrame:
+    """Modelled speed-ups for a matrix of the size and density of the given one."""
     m = fixture(s, d, "OP")
-    n = m.df.agg(F.count(F.lit(1)).alias("nnz"), F.countDistinct("i").alias("n"))
-    c = (F.col("nnz") / F.col("n")).alias("c")
-    curve = n.select("n", c, F.explode(F.array(*[F.lit(4**k).cast("long") for k in range(5)])).alias("p"))
-    beta, g = model.BETA_BYTE * 24, model.GAMMA_CLASSICAL
-    w = g * F.col("c") * F.col("c") * F.col("n")
-    comm = (F.col("p") - 1) * (model.ALPHA + beta * F.col("c") * F.col("n") / F.col("p"))
-    return curve.select("n", "p", F.round("c", 6).alias("c"), F.round(w / (comm + w / F.col("p")), 6).alias("speedup"))
+    n = m.df.agg(F.countDistinct("i").alias("n"), (F.count(F.lit(1)) / F.countDistinct("i")).alias("c"))
+    points = n.select("n", "c", F.explode(F.array(*[F.lit(4**k).cast("long") for k in range(7)])).alias("p"))
+    t = model.times(points)
+    return t.select("n", "p", F.round("c", 6).alias("c"), F.round(F.col("w") / (F.col("comm1") + F.col("w") / F.col("p")), 6).alias("one_d"), F.round(F.col("w") / (F.col("comm2") + F.col("comp2")), 6).alias("two_d"), F.round(F.col("w") / F.greatest("comm2", "comp2"), 6).alias("overlapped"))
 
 
-_MODEL_SQL = f"SELECT n, p, round(c, 6) AS c, round({model.GAMMA_CLASSICAL!r} * c * c * n / ((p - 1) * ({model.ALPHA!r} + {model.BETA_BYTE * 24!r} * c * n / p) + {model.GAMMA_CLASSICAL!r} * c * c * n / p), 6) AS speedup FROM (SELECT count(DISTINCT i) AS n, CAST(count(*) AS DOUBLE) / count(DISTINCT i) AS c FROM ({OP}) t) m, (SELECT CAST(unnest([1, 4, 16, 64, 256]) AS BIGINT) AS p) q"
+def _model_sql() -> str:
+    g, h, a, beta = model.GAMMA_CLASSICAL, model.GAMMA_HYPERSPARSE, model.ALPHA, model.BETA_BYTE * 24
+    return f"""WITH m AS (SELECT count(DISTINCT i) AS n, CAST(count(*) AS DOUBLE) / count(DISTINCT i) AS c FROM ({OP}) t),
+q AS (SELECT n, c, CAST(power(4, k) AS BIGINT) AS p, CAST(power(2, k) AS BIGINT) AS s FROM m, range(7) r(k)),
+e AS (SELECT *, least(1.0, c / s) * n / s AS ids, least(1.0, c * c / p) * n / s AS ni, c * c * n / (CAST(p AS DOUBLE) * s) AS fl, {g!r} * c * c * n AS w FROM q),
+x AS (SELECT *, (p - 1) * ({a!r} + {beta!r} * c * n / p) AS c1, s * ({2 * a!r} + {beta!r} * 2 * c * n / p) AS c2, {h!r} * (s * (2 * ids + fl * greatest(log2(greatest(ni, 1.0)), 1.0)) + fl * lgamma(s + 1) / ln(2)) AS cp FROM e)
+SELECT n, p, round(c, 6) AS c, round(w / (c1 + w / p), 6) AS one_d, round(w / (c2 + cp), 6) AS two_d, round(w / greatest(c2, cp), 6) AS overlapped FROM x"""
+
+
+#: Entries that each column of the tall-skinny right operand has on average, from far fewer than one product a row to dense.
+PER_COLUMN = (1, 10, 100, 1000)
+
+
+def _tall_rmat(s, d) -> DataFrame:
+    """Entries and products of the scale-free matrix by ever denser tall-skinny ones."""
+    a, out = stored(G.rmat(s, 10)), None
+    for c in PER_COLUMN:
+        b = stored(G.tall_skinny(s, 1024, 16, c))
+        made = relational(a, b, "plus_pair").df.agg(F.lit(c).cast("long").alias("per_column"), F.count(F.lit(1)).alias("entries"), F.sum("v").cast("long").alias("products"))
+        out = made if out is None else out.unionByName(made)
+    return out
 
 
 def queries() -> dict:
@@ -232,6 +250,8 @@ def queries() -> dict:
         "bfs_fringe_rmat": _fringe_rmat,
         "cycle_edges": lambda s, d: W.on_cycles(fixture(s, d, "SUCC")).agg(F.count(F.lit(1)).alias("edges"), F.countDistinct("i").alias("vertices")),
         "peer_pressure": lambda s, d: W.peer_pressure(fixture(s, d, "SUCC"), None),
+        "tall_skinny_rmat": _tall_rmat,
+        "balanced_cuts": lambda s, d: S.balanced_cuts(G.rmat(s, 10), 16),
         "gen_random_permutation": lambda s, d: G.random_permutation(s, 5000).df,
         "gen_restriction_random": lambda s, d: G.restriction(s, 1000, 4, "random").df,
         "rmat_edges": lambda s, d: rmat_by_function(s, 8),
@@ -267,7 +287,7 @@ def oracle_sql() -> dict[str, str]:
     pagg = f"SELECT j AS vertex, i AS cluster, CAST(sum(v) AS BIGINT) AS n FROM ({SUCC}) t GROUP BY 1, 2 UNION ALL SELECT i, i, 0 FROM (SELECT DISTINCT i FROM ({SUCC}) u WHERE i NOT IN (SELECT j FROM ({SUCC}) w)) x"
     r10, e = G.rmat_sql(10), G.tall_skinny_sql(1024, 1024, 8)
     out = model.SQL | {
-        "model_from_lineitem": _MODEL_SQL,
+        "model_from_lineitem": _model_sql(),
         "gen_rmat": r10,
         "gen_uniform": e,
         "gen_grid3d": G.grid3d_sql(9),
@@ -291,6 +311,8 @@ def oracle_sql() -> dict[str, str]:
         "connected_parts": _parts_sql(),
         "cycle_edges": _cycles_sql(),
         "markov_cluster": _markov_sql(),
+        "tall_skinny_rmat": " UNION ALL ".join(f"SELECT CAST({c} AS BIGINT) AS per_column, count(*) AS entries, CAST(sum(v) AS BIGINT) AS products FROM ({product_sql(r10, G.tall_skinny_sql(1024, 16, c), 'plus_pair')}) t" for c in PER_COLUMN),
+        "balanced_cuts": f"WITH m AS ({r10}), d AS (SELECT i, count(*) AS n FROM m GROUP BY 1), p AS (SELECT *, CAST(sum(n) OVER (ORDER BY i) - n AS BIGINT) * 16 // (SELECT count(*) FROM m) AS part FROM d) SELECT part, min(i) AS first, max(i) AS last, CAST(sum(n) AS BIGINT) AS nnz FROM p GROUP BY 1",
         "gen_random_permutation": G.random_permutation_sql(5000),
         "gen_restriction_random": f"SELECT j // 4 AS i, i AS j, CAST(1 AS BIGINT) AS v FROM ({G.random_permutation_sql(1000)}) p",
         "rmat_edges": G.rmat_sql(8),

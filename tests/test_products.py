@@ -426,10 +426,17 @@ def test_graphs(spark):
 
 def test_coordinate_text(spark, tmp_path):
     f = tmp_path / "m.mtx"
-    f.write_text("%% comment\n9 9 3\n" + "".join(f"{i} {i + 1} {i * 10}\n" for i in (1, 2, 3)))
-    connectors.register(spark)
-    got = spark.read.format("coordinate_text").option("path", str(f)).option("partitions", "3").load().collect()
-    assert sorted(map(tuple, got)) == [(0, 1, 10), (1, 2, 20), (2, 3, 30)]
+    f.write_text("%% comment\n% more\n9 9 3\n" + "".join(f"{i} {i + 1} {i * 10}\n" for i in (1, 2, 3)) + "9 9 3\n")
+    m = connectors.read_coordinates(spark, str(f))
+    assert (m.nrows, m.ncols, rows(m)) == (9, 9, [(0, 1, 10), (1, 2, 20), (2, 3, 30), (8, 8, 3)])
+    connectors.write_coordinates(m, str(tmp_path / "out"))
+    again = connectors.read_coordinates(spark, str(tmp_path / "out"), "double")
+    assert (again.nrows, again.ncols, rows(again)) == (9, 9, rows(m))
+    (tmp_path / "bad.mtx").write_text("2 2 1\n1 2\n")
+    with pytest.raises(Exception, match="not an entry"):
+        connectors.read_coordinates(spark, str(tmp_path / "bad.mtx")).df.collect()
+    (tmp_path / "none.mtx").write_text("")
+    assert rows(connectors.read_coordinates(spark, str(tmp_path / "none.mtx"))) == []
 
 
 def test_experiments(spark):
