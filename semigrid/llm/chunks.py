@@ -28,12 +28,14 @@ class ChunkTable:
         self.young, self.old, self.used = {}, {}, 0
 
     def values(self, chunks: list) -> list:
-        """The value of each chunk, in the order of the text."""
+        """The value of each chunk, in the order of the text; values are never None."""
         if self.used > self.cost:
             self.old, self.young, self.used = self.young, {}, 0
         young, old = self.young, self.old
-        missing = set(chunks).difference(young)  # quick for plain dicts only
-        if missing:
+        out = list(map(young.get, chunks))
+        gaps = [k for k, v in enumerate(out) if v is None]
+        if gaps:
+            missing = {chunks[k] for k in gaps}
             self.used += sum(map(len, missing)) + 8 * len(missing)
             fresh = []
             for x in missing:
@@ -42,10 +44,11 @@ class ChunkTable:
                 else:
                     fresh.append(x)
             young.update(zip(fresh, self.compute(fresh)))
-        out = list(map(young.__getitem__, chunks))
-        for x in missing:
-            if len(x) > LONGEST:
-                del young[x]
+            for k in gaps:
+                out[k] = young[chunks[k]]
+            for x in missing:
+                if len(x) > LONGEST:
+                    del young[x]
         return out
 
 

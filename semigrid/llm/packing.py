@@ -16,8 +16,8 @@ from semigrid.functions.worker import lean, worker_state
 from semigrid.llm.chunks import ChunkTable
 from semigrid.plans.scratch import materialize
 
-#: A full stop or comma that ends a word.
-_STOP = re.compile(rb"(?<=[a-z])([.,])(?=[ \n])")
+#: A word of small letters that a full stop or comma ends, and the parts in which the vocabulary cuts a chunk of other ASCII.
+_STOPPED, _PARTS = re.compile(rb"[a-z]+[.,]"), re.compile("[a-z]+|[0-9]|[^a-z0-9]+")
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 
 
@@ -25,10 +25,11 @@ class WordIds:
     """Ids of a text as little-endian 32-bit bytes, each distinct word encoded once.
 
     The vocabulary cuts at white space before anything else, so what stands between
-    ASCII blanks is encoded alone; so is a comma or full stop between a letter and a
-    blank. ASCII capitals are folded first, as the vocabulary would do, unless a special
-    string might be spelled by that. New words of letters alone are encoded in one call
-    and parted at the ids that end a word, of which each has one.
+    ASCII blanks is encoded alone; it cuts letters from a comma or full stop too, so a word
+    that one of them ends has the ids of the word and of that. ASCII capitals are
+    folded first, as the vocabulary would do, unless a special string might be spelled by
+    that. New chunks are encoded in one call and parted at the ids that end a word: a word of
+    letters alone has one, other ASCII without quotes and angle brackets one for each run.
     """
 
     def __init__(self, path: str):
@@ -40,26 +41,45 @@ class WordIds:
         self.tokenizer = Tokenizer.from_file(path)
         size = self.tokenizer.get_vocab_size()
         self.ends = np.array([(self.tokenizer.id_to_token(i) or "").endswith("</w>") for i in range(size)])
+        self.stops = {x: self._alone([x])[0] for x in (".", ",")}
         self.table = ChunkTable(self._encode, cost=5_000_000)
 
+    def _alone(self, texts: list[str]) -> list[bytes]:
+        return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
     def _encode(self, chunks: list[bytes]) -> Iterator[bytes]:
-        texts = [x.decode() for x in chunks]
-        plain = [x for x in texts if x.isalpha()]
-        known: dict[str, bytes] = {}
+        young, known = self.table.young, {}
+        stopped = [x for x in chunks if _STOPPED.fullmatch(x)]
+        held = set(stopped)
+        words = {x[:-1] for x in stopped}.difference(young)
+        texts = [x.decode() for x in chunks if x not in held]
+        texts += [t for x in words if (t := x.decode())]
+        plain: dict[str, int] = {}  # and in how many parts they are cut
+        for x in texts:
+            if x.isalpha():
+                plain[x] = 1
+            elif x.isascii() and "'" not in x and "<" not in x:
+                plain[x] = len(_PARTS.findall(x))
         if plain:
             ids = np.array(self.tokenizer.encode_batch_fast([" ".join(plain)], add_special_tokens=False)[0].ids, "<u4")
-            cuts = (4 * (np.flatnonzero(self.ends[ids]) + 1)).tolist()
-            if len(cuts) == len(plain) and cuts[-1] == 4 * len(ids):
-                raw = ids.tobytes()
+            ends, last = np.flatnonzero(self.ends[ids]), np.cumsum(list(plain.values())) - 1
+            if len(ends) == last[-1] + 1 and ends[-1] + 1 == len(ids):
+                cuts, raw = (4 * (ends[last] + 1)).tolist(), ids.tobytes()
                 known = {w: raw[s:e] for w, s, e in zip(plain, [0, *cuts], cuts)}
-        other = [x for x in texts if x not in known]
-        known.update((x, array("I", e.ids).tobytes()) for x, e in zip(other, self.tokenizer.encode_batch_fast(other, add_special_tokens=False)))
-        return map(known.__getitem__, texts)
+        other = [x for x in dict.fromkeys(texts) if x not in known]
+        if other:
+            known.update(zip(other, self._alone(other)))
+        for x in chunks:
+            if x in held:
+                word = x[:-1]
+                yield (young[word] if word in young else known[word.decode()]) + self.stops[x[-1:].decode()]
+            else:
+                yield known[x.decode()]
 
     def ids(self, text: str) -> bytes:
         raw = text.encode()
         if b"<|" not in raw:
-            raw = _STOP.sub(rb" \1", raw.translate(_LOWER))
+            raw = raw.translate(_LOWER)
         return b"".join(self.table.values(raw.split()))
 
 

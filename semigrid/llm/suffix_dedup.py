@@ -3,11 +3,12 @@
 Any window of ``least`` bytes chooses one of its short grams by hash, the least, so
 equal windows choose equal grams at equal places. Consecutive windows with one chosen
 gram (an anchor) form a context: the bytes that these windows cover. Only contexts
-whose anchors are equal can hold equal windows; the others are done with. Equal
-contexts are told apart by a digest, all but the first are repeats as a whole. What is
-left, different contexts around one anchor, is compared window by window: suffix
-intervals on the Burrows-Wheeler transform of such contexts, expanded up to ``least``
-bytes, give the classes of equal windows.
+whose anchors are equal can hold equal windows; the others are done with. Contexts that
+are equal as a whole are combined by a digest before they are shuffled; the long strings
+that this joins are held against their sources on the texts. Different contexts around
+one anchor are compared window by window: suffix intervals on the Burrows-Wheeler
+transform of such contexts, expanded up to ``least`` bytes, give the classes of equal
+windows.
 """
 
 from __future__ import annotations
@@ -30,6 +31,8 @@ _BASE, _BITS = 0x9E3779B97F4A7C15 | 1, 18
 #: Documents' texts are shuffled, rather than what is to be done to them broadcast, from this size of the latter on.
 _SEND_BYTES = 4 << 20
 _M1, _M2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
+#: Strings that are cut out of one text at a time; a text of which more are asked for is read in parts of the list.
+_ASKED = 4_096
 #: Windows of a block that a task looks at together.
 _BLOCK = (1 << _BITS) - 256
 
@@ -113,25 +116,27 @@ def anchors(data: np.ndarray, ends: np.ndarray, shape: Shape) -> Iterator[tuple[
         yield _mix(g[q] + np.uint64(77)).view(np.int64), context.view(np.int64), text, low + at - starts, b
 
 
-def merged(doc: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Spans of the same text that touch or overlap become one; ends must grow with starts."""
+def aligned(doc: np.ndarray, start: np.ndarray, end: np.ndarray, source: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Spans of the same text that touch or overlap, and continue the same string of a source, become one; ends must grow with starts."""
     if not len(doc):
-        return doc, start, end
-    order = np.lexsort((start, doc))
-    doc, start, end = doc[order], start[order], end[order]
-    fresh = np.r_[True, (doc[1:] != doc[:-1]) | (start[1:] > end[:-1])]
-    return doc[fresh], start[fresh], end[np.r_[np.flatnonzero(fresh)[1:] - 1, len(doc) - 1]]
+        return doc, start, end, source, at
+    order = np.lexsort((start, at - start, source, doc))
+    doc, start, end, source, at = (x[order] for x in (doc, start, end, source, at))
+    shift = at - start
+    fresh = np.r_[True, (doc[1:] != doc[:-1]) | (source[1:] != source[:-1]) | (shift[1:] != shift[:-1]) | (start[1:] > end[:-1])]
+    last = np.r_[np.flatnonzero(fresh)[1:] - 1, len(doc) - 1]
+    return doc[fresh], start[fresh], end[last], source[fresh], at[fresh]
 
 
-def _first_of(keys: list[np.ndarray], doc: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Rows that are first (by text, then place) among those with equal keys, and rows that come later than these."""
+def _first_of(keys: list[np.ndarray], doc: np.ndarray, start: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows that are first (by text, then place) among those with equal keys, rows that come later than these, and the first of each of the latter."""
     order = np.lexsort((start, doc, *keys))
     fresh = np.ones(len(order), bool)
     fresh[1:] = np.any([k[order][1:] != k[order][:-1] for k in keys], axis=0)
     head = np.flatnonzero(fresh)
     of = order[head][np.cumsum(fresh) - 1]
     later = ~fresh & ((doc[order] != doc[of]) | (start[order] != start[of]))
-    return order[head], order[later]
+    return order[head], order[later], of[later]
 
 
 def _shared(h: np.ndarray, side: np.ndarray) -> np.ndarray:
@@ -145,19 +150,20 @@ def _shared(h: np.ndarray, side: np.ndarray) -> np.ndarray:
     return out
 
 
-_ROW = "h long, kind int, c long, doc long, a long, b long"
-_SPAN, _CONTEXT, _CROWD = 0, 1, 2
+#: Rows that tasks pass on: spans of a text with their source (c) and its place there (s); contexts; and contexts of crowded anchors.
+_ROW = "h long, kind int, c long, doc long, a long, b long, s long"
+_SPAN, _CONTEXT, _CROWD, _CHECK = 0, 1, 2, 3
 
 
-def _rows(kind: int, h, c, doc, a, b) -> pa.RecordBatch:
+def _rows(kind: int, h, c, doc, a, b, s=0) -> pa.RecordBatch:
     n = len(doc)
     full = lambda x, t: pa.array(np.broadcast_to(x, n), t)
-    return pa.RecordBatch.from_arrays([full(h, pa.int64()), full(kind, pa.int32()), full(c, pa.int64()), pa.array(doc, pa.int64()), full(a, pa.int64()), full(b, pa.int64())], ["h", "kind", "c", "doc", "a", "b"])
+    return pa.RecordBatch.from_arrays([full(h, pa.int64()), full(kind, pa.int32()), full(c, pa.int64()), pa.array(doc, pa.int64()), full(a, pa.int64()), full(b, pa.int64()), full(s, pa.int64())], ["h", "kind", "c", "doc", "a", "b", "s"])
 
 
-def _spans(doc, start, end) -> pa.RecordBatch:
-    doc, start, end = merged(doc, start, end)
-    return _rows(_SPAN, _mix(doc.astype(np.int64).view(np.uint64)).view(np.int64), 0, doc, start, end)
+def _spans(doc, start, end, source, at) -> pa.RecordBatch:
+    doc, start, end, source, at = aligned(doc, start, end, source, at)
+    return _rows(_SPAN, _mix(doc.astype(np.int64).view(np.uint64)).view(np.int64), source, doc, start, end, at)
 
 
 def _bytes_of(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -192,13 +198,13 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000,
             key = key[order]
             alone = np.r_[True, key[1:] != key[:-1]] & np.r_[key[1:] != key[:-1], True]
             some = order[~alone]
-            head, later = _first_of([c[some], h[some]], doc[some], low[some])
+            head, later, first = _first_of([c[some], h[some]], doc[some], low[some])
             keep = np.r_[order[alone], some[head]]
             for at in range(0, len(keep), 50_000):
                 part = keep[at : at + 50_000]
                 yield _rows(_CONTEXT, h[part], c[part], doc[part], low[part], b[part])
-            later = some[later]
-            yield _spans(doc[later], low[later], low[later] + (b[later] >> 32) + least)
+            later, first = some[later], some[first]
+            yield _spans(doc[later], low[later], low[later] + (b[later] >> 32) + least, doc[first], low[first])
 
         for batch in batches:
             ids = np.asarray(batch.column(0))
@@ -215,19 +221,19 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000,
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole, table in sorted_runs(batches, 100_000, run_limit):
-            h, kind, c, doc, a, b = (table.column(k).to_numpy() for k in range(6))
+            h, kind, c, doc, a, b, s = (table.column(k).to_numpy() for k in range(7))
             done = kind == _SPAN
             if done.any():
-                yield _rows(_SPAN, h[done], 0, doc[done], a[done], b[done])
+                yield _rows(_SPAN, h[done], c[done], doc[done], a[done], b[done], s[done])
             if not whole:
                 yield _rows(_CROWD, h[~done], c[~done], doc[~done], a[~done], b[~done])
                 continue
             size = np.diff(np.flatnonzero(np.r_[True, h[1:] != h[:-1], True]))
             some = np.flatnonzero(np.repeat(size, size) > 1)
             some = some[kind[some] == _CONTEXT]
-            head, later = _first_of([c[some], h[some]], doc[some], a[some])
-            later = some[later]
-            yield _spans(doc[later], a[later], a[later] + (b[later] >> 32) + least)
+            head, later, first = _first_of([c[some], h[some]], doc[some], a[some])
+            later, first = some[later], some[first]
+            yield _spans(doc[later], a[later], a[later] + (b[later] >> 32) + least, doc[first], a[first])
             head = some[head]
             head = head[_shared(h[head], b[head] >> 16 & 0xFFFF) | _shared(h[head], b[head] & 0xFFFF)]
             size = np.diff(np.flatnonzero(np.r_[True, h[head][1:] != h[head][:-1], True])) if len(head) else np.zeros(0, int)
@@ -237,20 +243,23 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000,
                     yield _rows(k, h[head[pick]], c[head[pick]], doc[head[pick]], a[head[pick]], b[head[pick]])
 
     def cut_out(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["h", "c", "kind", "doc", "a", "bytes"]
-        kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.binary()]
+        names = ["h", "c", "kind", "doc", "a", "n", "own", "bytes"]
+        kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.bool_(), pa.binary()]
+        digest = lambda x: hashlib.blake2b(x, digest_size=16).digest()
         for batch in batches:
             out: list[tuple] = []
             for doc, text, wanted in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
                 raw = text.as_py().encode()
                 for w in wanted:
                     low, size = w["a"], w["b"] >> 32
-                    if w["kind"] == _CONTEXT:
-                        out.append((w["h"], 0, _CONTEXT, doc, low, raw[low : low + size + least]))
-                        continue
-                    for p in range(low, low + size + 1):
-                        d = hashlib.blake2b(raw[p : p + least], digest_size=16).digest()
-                        out.append((int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True), _CROWD, doc, p, None))
+                    if w["kind"] == _CHECK:
+                        out.append((w["h"], w["x"], _CHECK, doc, low, w["b"], w["own"], digest(raw[low : low + w["b"]])))
+                    elif w["kind"] == _CONTEXT:
+                        out.append((w["h"], 0, _CONTEXT, doc, low, 0, None, raw[low : low + size + least]))
+                    else:
+                        for p in range(low, low + size + 1):
+                            d = digest(raw[p : p + least])
+                            out.append((int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True), _CROWD, doc, p, 0, None, None))
                 if len(out) > 20_000:
                     yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names)
                     out = []
@@ -265,19 +274,29 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000,
             n = np.array([len(x) for x in labels])
             label, of = np.concatenate(labels), np.repeat(np.arange(len(n)), n)
             start = low[of] + np.arange(len(of)) - np.repeat(np.cumsum(n) - n, n)
-            _, later = _first_of([label], doc[of], start)
-            yield _spans(doc[of][later], start[later], start[later] + least)
+            _, later, _ = _first_of([label], doc[of], start)
+            own = doc[of][later]
+            yield _spans(own, start[later], start[later] + least, own, start[later])
 
     found = docs.select("doc_id", "text").mapInArrow(lean(find, "powers"), _ROW)
     met = materialize(found.repartition("h").sortWithinPartitions("h").mapInArrow(lean(meet), _ROW), "anchors")
-    spans = met.filter(F.col("kind") == _SPAN).select("doc", "a", "b")
-    wanted = met.filter(F.col("kind") != _SPAN)
-    asked = wanted.count()
+    asked = met.count()
     if not asked:
-        return spans
-    by_doc = wanted.groupBy(F.col("doc").alias("doc_id")).agg(F.collect_list(F.struct("kind", "h", "a", "b")).alias("wanted"))
-    cut = docs.select("doc_id", "text").join(guarded_broadcast(by_doc, 48, _SEND_BYTES, asked), "doc_id").select("doc_id", "text", "wanted")
-    contexts = materialize(cut.mapInArrow(lean(cut_out), "h long, c long, kind int, doc long, a long, bytes binary"), "contexts")
+        return met.select("doc", "a", "b")
+    none = F.lit(0).cast("long")
+    joined = met.filter(F.col("kind") == _SPAN).groupBy("doc", "a", F.col("c").alias("source"), F.col("s").alias("at")).agg((F.max("b") - F.col("a")).alias("n"))
+    # spans, and the strings that are said to equal them, are cut out of their texts: the same string has the same digest
+    check = lambda doc, at, own: [F.col(doc).alias("doc_id"), F.struct(F.lit(_CHECK).alias("kind"), F.col("source").alias("h"), F.col(at).alias("a"), F.col("n").alias("b"), F.col("at").alias("x"), F.lit(own).alias("own")).alias("wanted")]
+    spans_, sources = joined.select(*check("doc", "a", True)), joined.select("source", "at", "n").distinct().select(*check("source", "at", False))
+    others = met.filter(F.col("kind") != _SPAN).select(F.col("doc").alias("doc_id"), F.struct("kind", "h", "a", "b", none.alias("x"), F.lit(False).alias("own")).alias("wanted"))
+    wanted = spans_.unionByName(sources).unionByName(others)
+    busy = materialize(wanted.groupBy("doc_id").count().filter(F.col("count") > 2 * _ASKED).select("doc_id", F.ceil(F.col("count") / _ASKED).alias("fan")), "busy")
+    part = F.pmod(F.xxhash64("wanted.a", "wanted.b", "wanted.x"), F.coalesce("fan", F.lit(1).cast("long")))
+    by_doc = wanted.join(guarded_broadcast(busy, 32), "doc_id", "left").groupBy("doc_id", part.alias("part")).agg(F.collect_list("wanted").alias("wanted"))
+    cut = docs.select("doc_id", "text").join(guarded_broadcast(by_doc, 96, _SEND_BYTES, asked), "doc_id").select("doc_id", "text", "wanted")
+    contexts = materialize(cut.mapInArrow(lean(cut_out), "h long, c long, kind int, doc long, a long, n long, own boolean, bytes binary"), "contexts")
+    seen = contexts.filter(F.col("kind") == _CHECK)
+    spans = seen.filter("own").join(seen.filter("not own").select("h", "c", "n", "bytes"), ["h", "c", "n", "bytes"], "left_semi").select("doc", "a", (F.col("a") + F.col("n")).alias("b"))
     near = contexts.filter(F.col("kind") == _CONTEXT).select("h", "doc", "a", "bytes").repartition("h").sortWithinPartitions("h")
     spans = spans.unionByName(near.mapInArrow(lean(compare), _ROW).select("doc", "a", "b"))
     crowded = contexts.filter(F.col("kind") == _CROWD)

@@ -271,6 +271,38 @@ def test_suffix_dedup(docs, limits):
         assert (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) == want[r.doc_id]
 
 
+def test_suffix_dedup_of_one_text_many_times(spark, monkeypatch):
+    """Copies and variants of one text: its strings are asked for in parts, and results are those of brute force."""
+    monkeypatch.setattr(suffix_dedup, "_ASKED", 2)
+    base = _words(60, 70)
+    texts = [base] * 30 + [base[:k] + "#" + base[k:] for k in range(20, 300, 17)] + [base[100:], "ab" * 200]
+    seen, want = set(), {}
+    for k, t in enumerate(texts):
+        b = t.encode()
+        gone = np.zeros(len(b), bool)
+        for p in range(len(b) - 99):
+            if b[p : p + 100] in seen:
+                gone[p : p + 100] = True
+            seen.add(b[p : p + 100])
+        want[k] = (int(gone.sum()), hashlib.sha256(bytes(np.frombuffer(b, np.uint8)[~gone])).hexdigest())
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    assert {r.doc_id: (r.n_removed, r.kept_sha256) for r in suffix_dedup.suffix_dedup(df, held=50).collect()} == want
+
+
+def test_digests_that_collide_remove_nothing(spark, monkeypatch):
+    """Strings with one digest and different bytes are told apart on the texts."""
+    import semigrid.llm.suffix_dedup as sd
+
+    df = spark.createDataFrame([(1, _words(40, 80)), (2, _words(40, 81)), (3, _words(40, 80))], "doc_id long, text string")
+    plain = {r.doc_id: r.n_removed for r in sd.suffix_dedup(df).collect()}
+    assert plain[2] == 0 and plain[3] > 100
+    first = sd._first_of
+    # a grouping that takes every context for equal to the first one
+    monkeypatch.setattr(sd, "_first_of", lambda keys, doc, start: first([np.zeros(len(doc), np.int64)], doc, start) if len(keys) == 2 else first(keys, doc, start))
+    got = {r.doc_id: r.n_removed for r in sd.suffix_dedup(df).collect()}
+    assert got[1] == got[2] == 0 and got[3] < plain[3]
+
+
 def test_letters():
     assert language_id.letter_words("Été ²½ Ⅷ x² a1b ① ª日本 ΑΒ") == ["été", "x", "a", "b", "ª日本", "αβ"]
     assert language_id.letter_words("²½ Ⅷ ① 12 _ !") == []
