@@ -19,7 +19,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from semigrid.functions.worker import lean, small_batches, worker_state
@@ -152,7 +152,7 @@ def _shared(h: np.ndarray, side: np.ndarray) -> np.ndarray:
 
 #: Rows that tasks pass on: spans of a text with their source (c) and its place there (s); contexts; and contexts of crowded anchors.
 _ROW = "h long, kind int, c long, doc long, a long, b long, s long"
-_SPAN, _CONTEXT, _CROWD, _CHECK = 0, 1, 2, 3
+_SPAN, _CONTEXT, _CROWD, _CHECK, _SELF = 0, 1, 2, 3, 4
 
 
 def _rows(kind: int, h, c, doc, a, b, s=0) -> pa.RecordBatch:
@@ -175,6 +175,15 @@ def _bytes_of(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data, offsets[1:] - offsets[0]
 
 
+def _continued(spans: DataFrame) -> DataFrame:
+    """(doc, a, n, source, at): spans of a text that touch or overlap and continue one string of a source (c, from s on) as one."""
+    line = Window.partitionBy("doc", "c", "shift").orderBy("a", "b")
+    reached = F.max("b").over(line.rowsBetween(Window.unboundedPreceding, -1))
+    parted = spans.select("doc", "a", "b", "c", (F.col("s") - F.col("a")).alias("shift")).withColumn("fresh", F.when(F.col("a") <= reached, 0).otherwise(1))
+    islands = parted.withColumn("island", F.sum("fresh").over(line)).groupBy("doc", "c", "shift", "island").agg(F.min("a").alias("a"), F.max("b").alias("b"))
+    return islands.select("doc", "a", (F.col("b") - F.col("a")).alias("n"), F.col("c").alias("source"), (F.col("a") + F.col("shift")).alias("at"))
+
+
 def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000, run_limit: int = 400_000, crowd: int = 2_000) -> DataFrame:
     """(doc, a, b): bytes from a to b of a document that an earlier window covers; spans may overlap.
 
@@ -249,10 +258,13 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000,
         for batch in batches:
             out: list[tuple] = []
             for doc, text, wanted in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist()):
-                raw = text.as_py().encode()
+                raw, within = text.as_py().encode(), []
                 for w in wanted:
                     low, size = w["a"], w["b"] >> 32
-                    if w["kind"] == _CHECK:
+                    if w["kind"] == _SELF:
+                        if raw[low : low + w["b"]] == raw[w["x"] : w["x"] + w["b"]]:
+                            within.append((low, low + w["b"]))
+                    elif w["kind"] == _CHECK:
                         out.append((w["h"], w["x"], _CHECK, doc, low, w["b"], w["own"], digest(raw[low : low + w["b"]])))
                     elif w["kind"] == _CONTEXT:
                         out.append((w["h"], 0, _CONTEXT, doc, low, 0, None, raw[low : low + size + least]))
@@ -260,6 +272,7 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000,
                         for p in range(low, low + size + 1):
                             d = digest(raw[p : p + least])
                             out.append((int.from_bytes(d[:8], "little", signed=True), int.from_bytes(d[8:], "little", signed=True), _CROWD, doc, p, 0, None, None))
+                out += [(0, 0, _SPAN, doc, s, e - s, None, None) for s, e in _union(within, len(raw))]
                 if len(out) > 20_000:
                     yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names)
                     out = []
@@ -280,23 +293,26 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000,
 
     found = docs.select("doc_id", "text").mapInArrow(lean(find, "powers"), _ROW)
     met = materialize(found.repartition("h").sortWithinPartitions("h").mapInArrow(lean(meet), _ROW), "anchors")
-    asked = met.count()
-    if not asked:
+    if met.isEmpty():
         return met.select("doc", "a", "b")
     none = F.lit(0).cast("long")
-    joined = met.filter(F.col("kind") == _SPAN).groupBy("doc", "a", F.col("c").alias("source"), F.col("s").alias("at")).agg((F.max("b") - F.col("a")).alias("n"))
-    # spans, and the strings that are said to equal them, are cut out of their texts: the same string has the same digest
-    check = lambda doc, at, own: [F.col(doc).alias("doc_id"), F.struct(F.lit(_CHECK).alias("kind"), F.col("source").alias("h"), F.col(at).alias("a"), F.col("n").alias("b"), F.col("at").alias("x"), F.lit(own).alias("own")).alias("wanted")]
-    spans_, sources = joined.select(*check("doc", "a", True)), joined.select("source", "at", "n").distinct().select(*check("source", "at", False))
+    joined = _continued(met.filter(F.col("kind") == _SPAN))
+    # within a text strings are compared; elsewhere both are cut out of their texts, and the same string has the same digest
+    kind = F.when(F.col("doc") == F.col("source"), _SELF).otherwise(_CHECK)
+    check = lambda doc, at, own: [F.col(doc).alias("doc_id"), F.struct((kind if own else F.lit(_CHECK)).alias("kind"), F.col("source").alias("h"), F.col(at).alias("a"), F.col("n").alias("b"), F.col("at").alias("x"), F.lit(own).alias("own")).alias("wanted")]
+    joined = materialize(joined, "joined")
+    spans_, sources = joined.select(*check("doc", "a", True)), joined.filter("doc <> source").select("source", "at", "n").distinct().select(*check("source", "at", False))
     others = met.filter(F.col("kind") != _SPAN).select(F.col("doc").alias("doc_id"), F.struct("kind", "h", "a", "b", none.alias("x"), F.lit(False).alias("own")).alias("wanted"))
     wanted = spans_.unionByName(sources).unionByName(others)
+    asked = 2 * joined.count() + met.filter(F.col("kind") != _SPAN).count()
     busy = materialize(wanted.groupBy("doc_id").count().filter(F.col("count") > 2 * _ASKED).select("doc_id", F.ceil(F.col("count") / _ASKED).alias("fan")), "busy")
     part = F.pmod(F.xxhash64("wanted.a", "wanted.b", "wanted.x"), F.coalesce("fan", F.lit(1).cast("long")))
     by_doc = wanted.join(guarded_broadcast(busy, 32), "doc_id", "left").groupBy("doc_id", part.alias("part")).agg(F.collect_list("wanted").alias("wanted"))
     cut = docs.select("doc_id", "text").join(guarded_broadcast(by_doc, 96, _SEND_BYTES, asked), "doc_id").select("doc_id", "text", "wanted")
     contexts = materialize(cut.mapInArrow(lean(cut_out), "h long, c long, kind int, doc long, a long, n long, own boolean, bytes binary"), "contexts")
     seen = contexts.filter(F.col("kind") == _CHECK)
-    spans = seen.filter("own").join(seen.filter("not own").select("h", "c", "n", "bytes"), ["h", "c", "n", "bytes"], "left_semi").select("doc", "a", (F.col("a") + F.col("n")).alias("b"))
+    spans = seen.filter("own").join(seen.filter("not own").select("h", "c", "n", "bytes"), ["h", "c", "n", "bytes"], "left_semi")
+    spans = spans.select("doc", "a", "n").unionByName(contexts.filter(F.col("kind") == _SPAN).select("doc", "a", "n")).select("doc", "a", (F.col("a") + F.col("n")).alias("b"))
     near = contexts.filter(F.col("kind") == _CONTEXT).select("h", "doc", "a", "bytes").repartition("h").sortWithinPartitions("h")
     spans = spans.unionByName(near.mapInArrow(lean(compare), _ROW).select("doc", "a", "b"))
     crowded = contexts.filter(F.col("kind") == _CROWD)
@@ -307,9 +323,9 @@ def repeated_spans(docs: DataFrame, shape: Shape = Shape(), held: int = 200_000,
     return spans
 
 
-def _union(spans: list[dict], n: int) -> list[tuple[int, int]]:
+def _union(spans: list[tuple[int, int]], n: int) -> list[tuple[int, int]]:
     out: list[list[int]] = []
-    for s, e in sorted((x["a"], min(x["b"], n)) for x in spans):
+    for s, e in sorted((s, min(e, n)) for s, e in spans):
         if out and s <= out[-1][1]:
             out[-1][1] = max(out[-1][1], e)
         else:
@@ -361,7 +377,7 @@ def suffix_dedup(docs: DataFrame, shape: Shape = Shape(), id_col: str = "doc_id"
             out: list[tuple] = []
             for text, found in zip(batch.column(1), batch.column(2)):
                 raw, found = text.as_py().encode(), found.as_py()
-                cut = _union(found, len(raw)) if found else []
+                cut = _union([(x["a"], x["b"]) for x in found], len(raw)) if found else []
                 out.append((len(raw), sum(e - s for s, e in cut), len(cut), hashlib.sha256(_kept(raw, cut)).hexdigest()))
             columns = zip(*out) if out else [[]] * 4
             yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(x, t) for x, t in zip(columns, kinds)]], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"])
@@ -385,7 +401,7 @@ def without_repeats(docs: DataFrame, shape: Shape = Shape(), id_col: str = "doc_
                 text, found = text.as_py(), found.as_py()
                 if text and found:
                     raw = text.encode()
-                    text = _kept(raw, whole_characters(raw, _union(found, len(raw)))).decode()
+                    text = _kept(raw, whole_characters(raw, _union([(x["a"], x["b"]) for x in found], len(raw)))).decode()
                 texts.append(text)
             columns = batch.columns[: len(names)]
             columns[at] = pa.array(texts, pa.string())
