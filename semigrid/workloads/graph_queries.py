@@ -50,9 +50,9 @@ def _fringe_rmat(s, d) -> DataFrame:
     return found.groupBy("level").agg(F.count(F.lit(1)).alias("vertices"), F.round(F.count(F.lit(1)) * FRINGE_STEP / m.nrows, 6).alias("mean"))
 
 
-def _between_sql(levels: int = LEVELS) -> str:
-    """Dependencies of the vertices on shortest paths from 1 and 2, level by level from the last."""
-    bfs = _bfs_sql(SUCC, "VALUES (1), (2)", levels)
+def _between_sql(edges: str = SUCC, sources: str = "VALUES (1), (2)", levels: int = LEVELS) -> str:
+    """Dependencies of the vertices on shortest paths from the sources, level by level from the last."""
+    bfs = _bfs_sql(edges, sources, levels)
     head, _ = bfs.rsplit(" SELECT * FROM ", 1)
     out = head + f", d{levels} AS (SELECT *, CAST(0 AS DOUBLE) AS dep FROM l{levels})"
     for k in range(levels - 1, -1, -1):
@@ -228,6 +228,7 @@ def queries() -> dict:
         "bfs_path_counts": lambda s, d: _bfs(s, d).select("source", "vertex", "level", "paths"),
         "bfs_fringe_profile": lambda s, d: _fringe(_bfs(s, d)),
         "betweenness": lambda s, d: W.betweenness(fixture(s, d, "SUCC"), s.createDataFrame([(1,), (2,)], "id long")),
+        "betweenness_batches": lambda s, d: W.betweenness(G.rmat(s, 7), s.range(128), batches=4),
         "contract_nation": lambda s, d: relational(fixture(s, d, "RN"), fixture(s, d, "NR")).df,
         "contract_weighted": _weights,
         "galerkin_product": _gal,
@@ -308,6 +309,7 @@ def oracle_sql() -> dict[str, str]:
         "bfs_parents": f"SELECT source, vertex, parent FROM ({_bfs_sql()}) t",
         "bfs_fringe_rmat": f"SELECT level, count(*) AS vertices, round(count(*) * {FRINGE_STEP} / CAST({1 << FRINGE_SCALE} AS DOUBLE), 6) AS mean FROM ({_bfs_sql(G.rmat_sql(FRINGE_SCALE), f'SELECT * FROM range(0, {1 << FRINGE_SCALE}, {FRINGE_STEP})', ROUNDS)}) t GROUP BY 1",
         "betweenness": _between_sql(),
+        "betweenness_batches": _between_sql(G.rmat_sql(7), "SELECT * FROM range(128)"),
         "connected_parts": _parts_sql(),
         "cycle_edges": _cycles_sql(),
         "markov_cluster": _markov_sql(),

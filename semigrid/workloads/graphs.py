@@ -36,8 +36,22 @@ def bfs(a: SparseMatrix, sources: DataFrame, max_level: int | None = None) -> Da
     return seen
 
 
-def betweenness(a: SparseMatrix, sources: DataFrame, max_level: int | None = None) -> DataFrame:
-    """(vertex, score) from the given sources: forward path counts, then dependencies level by level."""
+def betweenness(a: SparseMatrix, sources: DataFrame, max_level: int | None = None, batches: int = 1) -> DataFrame:
+    """(vertex, score) from the given sources: forward path counts, then dependencies level by level.
+
+    Sources go in so many ``batches``, one after the other: what is kept for a batch is its
+    sources times the vertices they reach.
+    """
+    graph = a.with_df(materialize(a.df.select("i", "j"), "edges"))
+    parts = [_dependencies(graph, sources.filter(F.pmod(F.xxhash64("id"), F.lit(batches)) == k), max_level) for k in range(batches)]
+    out = parts[0]
+    for p in parts[1:]:
+        out = out.unionByName(p)
+    return out.groupBy("vertex").agg(F.round(F.sum("dep"), 6).alias("score"))
+
+
+def _dependencies(a: SparseMatrix, sources: DataFrame, max_level: int | None) -> DataFrame:
+    """(vertex, dep): what each vertex adds for each source but itself."""
     found = materialize(bfs(a, sources, max_level), "forward")
     deepest = found.agg(F.max("level")).first()[0] or 0
     edges = materialize(a.df.select(F.col("i").alias("vertex"), F.col("j").alias("to")).repartition("vertex"), "edges")
@@ -56,7 +70,7 @@ def betweenness(a: SparseMatrix, sources: DataFrame, max_level: int | None = Non
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
-    return out.groupBy("vertex").agg(F.round(F.sum("dep"), 6).alias("score"))
+    return out
 
 
 def restrict_right(a: SparseMatrix, s: SparseMatrix) -> SparseMatrix:

@@ -245,10 +245,13 @@ FROM (SELECT sum(flops) AS f, sum(flops * log2(ni)) AS m FROM (SELECT bi, bj, a.
 (SELECT count(*) AS nzc, sum(da) AS na FROM ({da}) x), (SELECT count(*) AS nzr, sum(db) AS nb FROM ({db}) y)"""
 
 
-def _trend(s, d) -> DataFrame:
-    a, b = map(stored, _op(s, d))
-    rows = []
-    for q in (1, 2, 4, 8):
+TREND_GRIDS = (1, 2, 4, 8)
+
+
+def _trend(a: SparseMatrix, b: SparseMatrix) -> DataFrame:
+    """Average dimension, entries and products of a pair of blocks, as the grid gets finer."""
+    a, b, rows = stored(a), stored(b), []
+    for q in TREND_GRIDS:
         cells = M.cell_flops(a, b, q)
         nnz = M.block_stats(a, q, q).agg(F.sum("nnz").alias("nnz"))
         f = cells.agg(F.sum("flops").alias("flops")).join(F.broadcast(nnz))
@@ -256,8 +259,35 @@ def _trend(s, d) -> DataFrame:
     return _named(rows, "q")
 
 
-def _trend_sql(q: int) -> str:
-    return f"SELECT CAST({q} AS BIGINT) AS q, CAST(({N_ORDER} + {q - 1}) // {q} AS BIGINT) AS avg_dim, round(CAST((SELECT count(*) FROM ({OP}) t) AS DOUBLE) / {q * q}, 4) AS avg_nnz, round(CAST(sum(flops) AS DOUBLE) / {q**3}, 4) AS avg_flops FROM ({_cells_sql(q)}) c"
+def _trend_sql(q: int, m: str = OP, inner: str = N_ORDER, cells: str | None = None) -> str:
+    return f"SELECT CAST({q} AS BIGINT) AS q, CAST(({inner} + {q - 1}) // {q} AS BIGINT) AS avg_dim, round(CAST((SELECT count(*) FROM ({m}) t) AS DOUBLE) / {q * q}, 4) AS avg_nnz, round(CAST(sum(flops) AS DOUBLE) / {q**3}, 4) AS avg_flops FROM ({cells or _cells_sql(q)}) c"
+
+
+def _trend_rmat_sql(q: int) -> str:
+    m, n = _rmat_relabelled_sql(1), str(1 << RMAT_SCALE)
+    return _trend_sql(q, m, n, _cells_sql(q, m, m, n, n, n))
+
+
+def _rings_on_halves(s, d) -> DataFrame:
+    """Number, least and greatest of the entries of the successor graph's square over each semiring, on halves as doubles."""
+    m, out = stored(_doubles(fixture(s, d, "SUCC"))), None
+    for name in numeric_semirings():
+        if name == "xor_and":
+            continue  # bits
+        v = P.relational(m, m, name).df.withColumn("v", F.col("v").cast("double"))
+        row = v.agg(F.lit(name).alias("ring"), F.count(F.lit(1)).alias("n"), F.min("v").alias("least"), F.max("v").alias("greatest"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+def _rings_sql() -> str:
+    half = f"SELECT i, j, CAST(v AS DOUBLE) / 2 AS v FROM ({SQL['SUCC']}) h"
+    rows = []
+    for name in numeric_semirings():
+        if name != "xor_and":
+            r = SEMIRINGS[name]
+            rows.append(f"SELECT '{name}' AS ring, count(*) AS n, min(v) AS least, max(v) AS greatest FROM (SELECT CAST({r.sql_add.format(r.sql_mul)} AS DOUBLE) AS v FROM ({half}) a JOIN ({half}) b ON a.j = b.i GROUP BY a.i, b.j) t")
+    return _union(rows)
 
 
 def _small(s, d) -> tuple[SparseMatrix, SparseMatrix]:
@@ -430,7 +460,9 @@ def queries() -> dict:
         "storage_words": lambda s, d: _each(fixture(s, d, "OP").T, M.storage_words, (1, 4, 16)),
         "hypersparsity": lambda s, d: _each(fixture(s, d, "OP").T, M.hypersparsity, (1, 2, 4, 8)),
         "kernel_op_counts": lambda s, d: _pairs(*_op(s, d), M.kernel_op_counts, (1, 2, 8)),
-        "block_trend": _trend,
+        "block_trend": lambda s, d: _trend(*_op(s, d)),
+        "block_trend_rmat": lambda s, d: _trend(*[_rmat_relabelled(s, 1)] * 2),
+        "semirings_on_doubles": _rings_on_halves,
         "imbalance_overall": lambda s, d: _pairs(*_op(s, d), lambda a, b, q: M.imbalance(a, b, q)[0], (4, 8, 16)),
         "imbalance_stage": lambda s, d: _pairs(*_op(s, d), lambda a, b, q: M.imbalance(a, b, q)[1], (4, 8)),
         "imbalance_median": _median,
@@ -507,7 +539,9 @@ def oracle_sql() -> dict[str, str]:
         "storage_words": _union([_storage_sql(q) for q in (1, 4, 16)]),
         "hypersparsity": _union([_hyper_sql(q) for q in (1, 2, 4, 8)]),
         "kernel_op_counts": _union([_ops_sql(q) for q in (1, 2, 8)]),
-        "block_trend": _union([_trend_sql(q) for q in (1, 2, 4, 8)]),
+        "block_trend": _union([_trend_sql(q) for q in TREND_GRIDS]),
+        "block_trend_rmat": _union([_trend_rmat_sql(q) for q in TREND_GRIDS]),
+        "semirings_on_doubles": _rings_sql(),
         "imbalance_overall": _union([_overall_sql(q) for q in (4, 8, 16)]),
         "imbalance_stage": _union([_stage_sql(q) for q in (4, 8)]),
         "imbalance_median": _median_sql(),
