@@ -16,8 +16,8 @@ from semigrid.functions.worker import lean, worker_state
 from semigrid.llm.chunks import ChunkTable
 from semigrid.plans.scratch import materialize
 
-#: A word of small letters that a full stop or comma ends, and the parts in which the vocabulary cuts a chunk of other ASCII.
-_STOPPED, _PARTS = re.compile(rb"[a-z]+[.,]"), re.compile("[a-z]+|[0-9]|[^a-z0-9]+")
+#: The parts in which the vocabulary cuts a chunk of ASCII without capitals.
+_PARTS = re.compile("[a-z]+|[0-9]|[^a-z0-9]+")
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 
 
@@ -47,34 +47,34 @@ class WordIds:
     def _alone(self, texts: list[str]) -> list[bytes]:
         return [array("I", e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
-    def _encode(self, chunks: list[bytes]) -> Iterator[bytes]:
+    def _encode(self, chunks: list[bytes]) -> list[bytes]:
         young, known = self.table.young, {}
-        stopped = [x for x in chunks if _STOPPED.fullmatch(x)]
-        held = set(stopped)
-        words = {x[:-1] for x in stopped}.difference(young)
-        texts = [x.decode() for x in chunks if x not in held]
-        texts += [t for x in words if (t := x.decode())]
-        plain: dict[str, int] = {}  # and in how many parts they are cut
+        new: dict[str, int] = {}  # what goes into one call, and in how many parts it will be cut
+        other: list[str] = []
+        texts = [x.decode() for x in chunks]
         for x in texts:
             if x.isalpha():
-                plain[x] = 1
-            elif x.isascii() and "'" not in x and "<" not in x:
-                plain[x] = len(_PARTS.findall(x))
-        if plain:
-            ids = np.array(self.tokenizer.encode_batch_fast([" ".join(plain)], add_special_tokens=False)[0].ids, "<u4")
-            ends, last = np.flatnonzero(self.ends[ids]), np.cumsum(list(plain.values())) - 1
+                new[x] = 1
+            elif x[-1] in ".," and (word := x[:-1]).isalpha():
+                if (ids := young.get(word.encode())) is None:
+                    new[word] = 1
+                else:
+                    known[x] = ids + self.stops[x[-1]]
+            elif x.isascii() and x == x.lower() and "'" not in x and "<" not in x:
+                new[x] = len(_PARTS.findall(x))
+            else:
+                other.append(x)
+        if new:
+            ids = np.array(self.tokenizer.encode_batch_fast([" ".join(new)], add_special_tokens=False)[0].ids, "<u4")
+            ends, last = np.flatnonzero(self.ends[ids]), np.cumsum(list(new.values())) - 1
             if len(ends) == last[-1] + 1 and ends[-1] + 1 == len(ids):
                 cuts, raw = (4 * (ends[last] + 1)).tolist(), ids.tobytes()
-                known = {w: raw[s:e] for w, s, e in zip(plain, [0, *cuts], cuts)}
-        other = [x for x in dict.fromkeys(texts) if x not in known]
+                known.update((w, raw[s:e]) for w, s, e in zip(new, [0, *cuts], cuts))
+            else:
+                other += new
         if other:
             known.update(zip(other, self._alone(other)))
-        for x in chunks:
-            if x in held:
-                word = x[:-1]
-                yield (young[word] if word in young else known[word.decode()]) + self.stops[x[-1:].decode()]
-            else:
-                yield known[x.decode()]
+        return [known[x] if x in known else known[x[:-1]] + self.stops[x[-1]] for x in texts]
 
     def ids(self, text: str) -> bytes:
         raw = text.encode()
