@@ -39,16 +39,18 @@ class ChunkTable:
             self.used += sum(map(len, missing)) + 8 * len(missing)
             fresh = []
             for x in missing:
-                if x in old:
-                    young[x] = old[x]
-                else:
+                if (v := old.get(x)) is None:
                     fresh.append(x)
-            young.update(zip(fresh, self.compute(fresh)))
+                else:
+                    young[x] = v
+            if fresh:
+                young.update(zip(fresh, self.compute(fresh)))
             for k in gaps:
                 out[k] = young[chunks[k]]
-            for x in missing:
-                if len(x) > LONGEST:
-                    del young[x]
+            if max(map(len, missing)) > LONGEST:
+                for x in missing:
+                    if len(x) > LONGEST:
+                        del young[x]
         return out
 
 
