@@ -6,6 +6,7 @@ corners and the sizes (rows, inner ids, columns) of the pair.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from heapq import heapify, heappop, heapreplace
 from math import log2
 
@@ -18,6 +19,8 @@ Sizes = tuple[int, int, int]
 NONE: Triples = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.int64))
 #: Longest dense array that a kernel with pointers for all ids may ask for.
 DENSE_LIMIT = 1 << 26
+#: Products that one call of a kernel makes at about; cells of the dense arrays of one call.
+SLICE_PRODUCTS, DENSE_CELLS = 250_000, 4_000_000
 
 
 def nothing(kind: np.dtype) -> Triples:
@@ -25,7 +28,10 @@ def nothing(kind: np.dtype) -> Triples:
 
 
 def column_major(t: Triples) -> Triples:
-    order = np.lexsort((t[0], t[1]))
+    i, j = t[0], t[1]
+    low, least = (int(x.min()) if len(x) else 0 for x in (i, j))
+    span, width = (int(x.max()) - y + 1 if len(x) else 1 for x, y in ((i, low), (j, least)))
+    order = np.argsort((j - least) * span + (i - low), kind="stable") if span * width < 1 << 62 else np.lexsort((i, j))  # one key if it fits
     return t[0][order], t[1][order], t[2][order]
 
 
@@ -117,7 +123,7 @@ def accumulator_row(a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[T
     dense = np.zeros(ncols, ring.np_mul(av[:1], b.num[:1]).dtype if len(av) and b.nnz else np.int64)
     full = np.zeros(ncols, bool)
     parts, flops = [], 0
-    for i in range(nrows):
+    for i in np.flatnonzero(np.diff(ap)):
         touched = []
         for p in range(ap[i], ap[i + 1]):
             s, e = bp[ak[p]], bp[ak[p] + 1]
@@ -191,7 +197,11 @@ def dense_product(a: Block, b: Block, ring: Semiring, sizes: Sizes, limit: int =
     x[at[0]], y[at[1]] = p[2], q[2]
     hit, met = np.zeros(x.shape, np.float32), np.zeros(y.shape, np.float32)
     hit[at[0]], met[at[1]] = 1, 1
-    c, (r, s) = x @ y, np.nonzero(hit @ met)
+    if x.dtype.kind == "i" and float(np.abs(x).max(initial=0)) * float(np.abs(y).max(initial=0)) * len(rk) < 1 << 53:
+        c = (x.astype(np.float64) @ y.astype(np.float64)).astype(np.result_type(x, y))  # all sums are whole numbers that doubles hold
+    else:
+        c = x @ y
+    r, s = np.nonzero(hit @ met)
     return column_major((ri[r], rj[s], c[r, s])), {"flops": x.shape[0] * x.shape[1] * y.shape[1]}
 
 
@@ -221,12 +231,58 @@ def operation_counts(n: int, nnz: int, flops: int, nzc: int, nzr: int, ni: int)
     return float(n + nnz + flops), float(nzc + nzr + flops * log2(ni) if ni > 1 else nzc + nzr + flops)
 
 
+def choose_by_counts(n: int, nnz: int, flops: int, nzc: int, nzr: int, ni: int, classical_weight: float = 1.0, heap_weight: float = 1.0) -> str:
+    """The kernel with fewer weighted operations, by the counts of a pair of blocks with longest side n."""
+    classical, heap = operation_counts(n, nnz, flops, nzc, nzr, ni)
+    return "accumulator_row" if n <= DENSE_LIMIT and classical * classical_weight <= heap * heap_weight else "heap_outer"
+
+
 def choose(a: Block, b: Block, sizes: Sizes, classical_weight: float = 1.0, heap_weight: float = 1.0) -> str:
     """The kernel with fewer weighted operations for a pair of blocks; without dense arrays where there is no room for them."""
     x, y = _met(a, b)
     flops = int((np.diff(a.start)[x] * np.diff(b.start)[y]).sum())
-    classical, heap = operation_counts(max(sizes), a.nnz + b.nnz, flops, len(a.ids), len(b.ids), len(x))
-    return "accumulator_row" if max(sizes) <= DENSE_LIMIT and classical * classical_weight <= heap * heap_weight else "heap_outer"
+    return choose_by_counts(max(sizes), a.nnz + b.nnz, flops, len(a.ids), len(b.ids), len(x), classical_weight, heap_weight)
+
+
+def _span(b: Block, low: int, high: int) -> Block:
+    """The major ids at places low to high - 1, as views."""
+    at = slice(b.start[low], b.start[high])
+    return Block(b.ids[low:high], b.start[low : high + 1] - b.start[low], b.minor[at], b.num[at])
+
+
+def sliced(a: Block, b: Block, dense: bool = False, most: int = SLICE_PRODUCTS, cells: int = DENSE_CELLS) -> Iterator[tuple[Block, Block]]:
+    """The pair in slices of inner ids that make about ``most`` products each; they are sums of the whole.
+
+    A column of A whose products are more goes in pieces. ``dense`` slices have room in dense arrays
+    of so many ``cells``.
+    """
+    x, y = _met(a, b)
+    if not len(x):
+        return
+    work = np.diff(a.start)[x] * np.diff(b.start)[y]
+    group = (np.cumsum(work) - work) // most
+    if dense:
+        side = max(len(np.unique(a.minor)), len(np.unique(b.minor)), 1)
+        group = np.arange(len(x)) // max(1, cells // side)
+    heads = np.flatnonzero(np.r_[True, group[1:] != group[:-1]])
+    for s, e in zip(heads, np.r_[heads[1:], len(x)]):
+        q = _only_places(b, y[s:e])
+        if dense or e - s > 1 or work[s] <= most:
+            yield _only_places(a, x[s:e]), q
+            continue
+        low, high = int(a.start[x[s]]), int(a.start[x[s] + 1])
+        step = max(1, int(most // (work[s] // (high - low))))
+        for p in range(low, high, step):
+            t = min(p + step, high)
+            yield Block(a.ids[x[s] : x[s] + 1], np.array([0, t - p]), a.minor[p:t], a.num[p:t]), q
+
+
+def _only_places(b: Block, places: np.ndarray) -> Block:
+    if places[-1] - places[0] + 1 == len(places):
+        return _span(b, int(places[0]), int(places[-1]) + 1)
+    keep = np.zeros(len(b.ids), bool)
+    keep[places] = True
+    return _only(b, keep)
 
 
 def multiply_blocks(kernel: str, a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[Triples, dict]:

@@ -470,3 +470,80 @@ def test_betweenness_query_has_no_level_limit(spark, tmp_path):
     spark.createDataFrame([(k,) for k in range(1, 10)], "p_partkey long").write.parquet(str(tmp_path / "part.parquet"))
     got = {r.vertex: r.score for r in queries()["betweenness"](spark, str(tmp_path)).collect()}
     assert got[5] == 8.0 and got[8] == 2.0 and got[9] == 0.0
+
+
+def test_sums_beyond_the_limit_go_to_disk_and_come_back():
+    from semigrid.functions.held import HeldSums
+
+    rng, held, want = np.random.default_rng(1), HeldSums(semiring("plus_times"), most=50, rows=7), {}
+    for _ in range(40):
+        i, j, v = rng.integers(0, 30, 20), rng.integers(0, 30, 20), rng.integers(-5, 9, 20)
+        held.add((i, j, v))
+        for x, y, n in zip(i.tolist(), j.tolist(), v.tolist()):
+            want[x, y] = want.get((x, y), 0) + n
+    assert held.files, "more than the limit is not held"
+    out = [(int(x), int(y), int(n)) for t in held.results() for x, y, n in zip(*t)]
+    assert {(x, y): n for x, y, n in out} == want and len(out) == len(want) and not held.files
+
+
+def test_pairs_are_sliced_to_bounded_products():
+    """A hub and a column of products over the limit go in pieces whose sum is the whole."""
+    a, b = draw(41, 12, 9, 60) , draw(42, 9, 14, 70)
+    arrays = lambda t: tuple(np.array(x) for x in zip(*t))
+    x, y = B.columns_of(arrays(a)), B.rows_of(arrays(b))
+    parts = list(K.sliced(x, y, most=8))
+    made = [K.expand_sort_compress(p, q, semiring("plus_times"), (12, 9, 14)) for p, q in parts]
+    assert max(s["flops"] for _, s in made) <= 8 + 2 * 14
+    i, j, v = K.combine(K.joined([t for t, _ in made]), semiring("plus_times"))
+    assert sorted(zip(i.tolist(), j.tolist(), v.tolist())) == brute(a, b, "plus_times")
+
+
+FINER = {
+    **{f"kernel_{k}": (lambda k: lambda a, b: P.single_block(a, b, k))(k) for k in ("accumulator_row", "auto", "delayed_merge", "esc", "heap_outer", "dense")},
+    "outer": lambda a, b: P.single_block(a, b, "esc", cells=1),
+    "eager": lambda a, b: P.panel_grid(a, b, eager=True),
+    "panel": lambda a, b: P.panel_grid(a, b, grid=(2, 3)),
+    "fused": lambda a, b: P.fused_grid(a, b, grid=(3, 2)),
+    "fused_split": lambda a, b: P.fused_grid(a, b, split=2, kernel="heap_outer"),
+    "two_level": P.two_level_grid,
+}
+
+
+@pytest.fixture
+def tight(monkeypatch):
+    """Limits so low that small operands are refined."""
+    from semigrid.plans import grid_lines as L
+
+    for name, value in (("SMALL_OPERANDS", 10), ("INNER_ENTRIES", 20), ("CELL_PRODUCTS", 20), ("MOST_CELLS", 8)):
+        monkeypatch.setattr(L, name, value)
+    return L
+
+
+@pytest.mark.parametrize("name", FINER)
+def test_large_operands_get_finer_grids(name, pair, tight):
+    a, b, want = pair
+    axes, _ = tight.finer_axes(a, b, 2, 2, 2)
+    assert axes[1].fine > 1
+    assert rows(FINER[name](a, b)) == want
+
+
+def test_finer_dual_blocks(spark, tight):
+    entries = draw(22, 19, 19, 90)
+    blocks = P.dual_blocks(matrix(spark, entries, 19), 2)
+    assert blocks.rows > 2 and rows(P.square_dual(blocks)) == brute(entries, entries, "plus_times")
+
+
+def test_choices_need_no_blocks(spark, pair):
+    """The chooser by counts takes what it takes on the blocks themselves."""
+    a, b, _ = pair
+    plan = P.kernel_choices(a, b, 3)
+    left, right = P.store_blocks(a, 3, 3, "columns").df.collect(), P.store_blocks(b, 3, 3, "rows").df.collect()
+    block = lambda r: B.Block(*(np.array(r[f]) for f in B.FIELDS))
+    want = {}
+    for x in left:
+        for y in right:
+            if x.bj == y.bi and set(x.ids) & set(y.ids):
+                k = K.choose(block(x), block(y), (5, 6, 4))
+                want[k] = want.get(k, 0) + 1
+    assert {r.kernel: r.pairs for r in plan.collect()} == want
+    assert "ids" not in plan._jdf.queryExecution().optimizedPlan().toString()
