@@ -18,6 +18,10 @@ from semigrid.sources.fixtures import SQL, fixture, stored
 from semigrid.sources.tables import table
 
 
+#: Entries of the right operand that are at every worker at a time.
+SLAB_ENTRIES = 1_500_000
+
+
 def t_sql(sql: str) -> str:
     return f"SELECT j AS i, i AS j, v FROM ({sql}) t"
 
@@ -449,8 +453,8 @@ def queries() -> dict:
         "kernel_auto": _on_stored_op(lambda a, b: P.single_block(a, b, "auto")),
         "kernel_choice": _chosen,
         "semiring_argmin": _argmin,
-        "product_block_row": _on_stored_op(P.block_row),
-        "product_broadcast_b": _on_stored_op(P.block_row_replicated),
+        "product_block_row": _on_stored_op(lambda a, b: P.block_row(a, b, limit=SLAB_ENTRIES, more=True)),
+        "product_broadcast_b": _on_stored_op(lambda a, b: P.block_row_replicated(a, b, limit=SLAB_ENTRIES, turns=True)),
         "product_rotating": _on_stored_op(lambda a, b: P.rotating_grid(a, b, q=3)),
         "grid_shift": lambda s, d: P.shift(P.with_blocks(fixture(s, d, "PS"), 4, 4), "bj", 1, 4).select("i", "j", "v", F.col("bi").cast("long").alias("bi"), F.col("bj").cast("long").alias("bj")),
         "product_panel": _on_stored_op(lambda a, b: P.panel_grid(a, b, grid=(2, 3))),

@@ -547,3 +547,11 @@ def test_choices_need_no_blocks(spark, pair):
                 want[k] = want.get(k, 0) + 1
     assert {r.kernel: r.pairs for r in plan.collect()} == want
     assert "ids" not in plan._jdf.queryExecution().optimizedPlan().toString()
+
+
+def test_a_large_right_side_is_replicated_in_turns(pair):
+    a, b, want = pair
+    assert rows(P.block_row_replicated(a, b, limit=9, turns=True)) == want
+    assert rows(P.block_row(a, b, slabs=2, limit=9, more=True)) == want
+    with pytest.raises(ValueError):
+        P.block_row(a, b, slabs=2, limit=9)
