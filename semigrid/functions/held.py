@@ -1,4 +1,4 @@
-"""Sums of a cell that a task holds up to a limit; beyond that, sorted runs go to its own disk and are merged at the end."""
+"""Blocks and sums that a task holds up to a limit; beyond that they go to its own disk, sums as sorted runs that are merged at the end."""
 
 from __future__ import annotations
 
@@ -9,12 +9,60 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 
-from semigrid.functions.blocks import Triples
+from semigrid.functions.blocks import Block, Triples
 from semigrid.functions.kernels import combine, joined
 from semigrid.semiring import Semiring
 
 #: Entries of unmerged results that a task holds; rows of a batch of a run on disk.
 HELD_RESULTS, RUN_ROWS = 1_000_000, 16_384
+#: Bytes of blocks that a task holds while they arrive.
+HELD_BLOCKS = 32 << 20
+
+
+class HeldBlocks:
+    """Takes blocks under keys as they come; ``ordered`` gives them by key, one at a time, and leaves nothing behind.
+
+    Only the keys are sorted, so neither Spark nor the worker holds the blocks of a task for that.
+    """
+
+    def __init__(self, most: int = HELD_BLOCKS):
+        self.most, self.held, self.file, self.end = most, 0, None, 0
+        self.waiting: list[tuple[int, Block]] = []
+        self.index: list[tuple[tuple[int, ...], Block | list[tuple[int, int, np.dtype]]]] = []
+
+    def add(self, key: tuple[int, ...], block: Block) -> None:
+        parts = [self._narrow(x) for x in (block.ids, block.start, block.minor)] + [block.num.copy()]
+        self.waiting.append((len(self.index), Block(*parts)))
+        self.index.append((key, self.waiting[-1][1]))
+        self.held += sum(x.nbytes for x in parts)
+        if self.held > self.most:
+            self._write()
+
+    @staticmethod
+    def _narrow(x: np.ndarray) -> np.ndarray:
+        return x.astype(np.int32 if len(x) and int(x.max()) < 1 << 31 else np.int64)
+
+    def _write(self) -> None:
+        self.file = self.file or tempfile.TemporaryFile(dir=os.environ.get("TMPDIR"))
+        for place, b in self.waiting:
+            at = []
+            for x in (b.ids, b.start, b.minor, b.num):
+                at.append((self.end, x.nbytes, x.dtype))
+                self.file.write(x.tobytes())
+                self.end += x.nbytes
+            self.index[place] = (self.index[place][0], at)
+        self.file.flush()
+        self.waiting, self.held = [], 0
+
+    def ordered(self) -> Iterator[tuple[tuple[int, ...], Block]]:
+        index, self.index, self.waiting, self.held = sorted(self.index, key=lambda x: x[0], reverse=True), [], [], 0
+        while index:
+            key, b = index.pop()
+            ids, start, minor, num = (b.ids, b.start, b.minor, b.num) if isinstance(b, Block) else (np.frombuffer(os.pread(self.file.fileno(), n, low), kind) for low, n, kind in b)
+            yield key, Block(ids.astype(np.int64), start.astype(np.int64), minor.astype(np.int64), num)
+        if self.file:
+            self.file.close()
+        self.file, self.end = None, 0
 
 
 class HeldSums:

@@ -486,6 +486,32 @@ def test_sums_beyond_the_limit_go_to_disk_and_come_back():
     assert {(x, y): n for x, y, n in out} == want and len(out) == len(want) and not held.files
 
 
+def test_blocks_of_a_task_are_ordered_on_its_disk(spark, pair):
+    from semigrid.functions.held import HeldBlocks
+
+    rng, held, want = np.random.default_rng(2), HeldBlocks(most=300), {}
+    for key in [(c, k, side) for c in range(3) for k in range(4) for side in (1, 0)]:
+        entries = rng.integers(0, 9, 12), rng.integers(0, 1 << 40, 12), rng.random(12)
+        want[key] = B.columns_of(entries)
+        held.add(key, want[key])
+    assert held.file, "more than the limit is not held"
+    out = list(held.ordered())
+    assert [k for k, _ in out] == sorted(want) and not held.file
+    assert all((getattr(b, f) == getattr(want[k], f)).all() for k, b in out for f in B.FIELDS)
+    assert "Sort" not in _nodes(P.fused_grid(pair[0], pair[1]).df).split("Initial Plan")[0], "Spark holds no blocks to sort them"
+
+
+def test_auto_makes_hypersparse_pairs_in_vectors(spark):
+    """Where there is no room for dense arrays, no heap walks the products of a slice one by one."""
+    entries = [(i + (1 << 40), (i * 7) % 50, 1) for i in range(200)]
+    turned = [(j, i, v) for i, j, v in entries]
+    arrays = lambda t: tuple(np.array(x) for x in zip(*t))
+    x, y, sizes = B.columns_of(arrays(entries)), B.rows_of(arrays(turned)), (1 << 41, 50, 1 << 41)
+    assert K.choose(x, y, sizes) == "heap_outer" and K.choose_for_slices(x, y, sizes) == "esc"
+    m = matrix(spark, entries, 1 << 41, 50)
+    assert rows(P.single_block(m, m.T, "auto")) == brute(entries, turned, "plus_times")
+
+
 def test_pairs_are_sliced_to_bounded_products():
     """A hub and a column of products over the limit go in pieces whose sum is the whole."""
     a, b = draw(41, 12, 9, 60) , draw(42, 9, 14, 70)
