@@ -21,6 +21,8 @@ NONE: Triples = (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.in
 DENSE_LIMIT = 1 << 26
 #: Products that one call of a kernel makes at about; cells of the dense arrays of one call.
 SLICE_PRODUCTS, DENSE_CELLS = 250_000, 4_000_000
+#: Nanoseconds of an operation of the classical kernel, and of a step of the sort of a slice, at about.
+CLASSICAL_NS, SORT_NS = 800, 25
 
 
 def nothing(kind: np.dtype) -> Triples:
@@ -245,9 +247,16 @@ def choose(a: Block, b: Block, sizes: Sizes, classical_weight: float = 1.0, heap
 
 
 def choose_for_slices(a: Block, b: Block, sizes: Sizes) -> str:
-    """As ``choose``, for a pair that is made in slices of bounded products: there the heap's vectorised counterpart has room."""
-    named = choose(a, b, sizes)
-    return "esc" if named == "heap_outer" else named
+    """The kernel with less estimated time for a pair that is made in slices of bounded products.
+
+    There the heap's vectorised counterpart has room: it sorts a slice, where the classical kernel walks entries in Python.
+    """
+    if choose(a, b, sizes) == "heap_outer":
+        return "esc"
+    x, y = _met(a, b)
+    flops = int((np.diff(a.start)[x] * np.diff(b.start)[y]).sum())
+    classical = (max(sizes) + a.nnz + b.nnz + flops) * CLASSICAL_NS
+    return "accumulator_row" if classical <= flops * log2(max(2, min(flops, SLICE_PRODUCTS))) * SORT_NS else "esc"
 
 
 def _span(b: Block, low: int, high: int) -> Block:

@@ -508,6 +508,9 @@ def test_auto_makes_hypersparse_pairs_in_vectors(spark):
     arrays = lambda t: tuple(np.array(x) for x in zip(*t))
     x, y, sizes = B.columns_of(arrays(entries)), B.rows_of(arrays(turned)), (1 << 41, 50, 1 << 41)
     assert K.choose(x, y, sizes) == "heap_outer" and K.choose_for_slices(x, y, sizes) == "esc"
+    near, back = [(i, j, 1) for i in range(200) for j in range(i % 7, 50, 7)], [(j, i, 1) for i in range(200) for j in range(i % 7, 50, 7)]
+    x, y, sizes = B.columns_of(arrays(near)), B.rows_of(arrays(back)), (200, 50, 200)
+    assert K.choose(x, y, sizes) == "accumulator_row" and K.choose_for_slices(x, y, sizes) == "esc", "few products an entry: walking entries takes longer"
     m = matrix(spark, entries, 1 << 41, 50)
     assert rows(P.single_block(m, m.T, "auto")) == brute(entries, turned, "plus_times")
 
