@@ -285,14 +285,8 @@ def _trend_rmat_sql(q: int) -> str:
 
 def _rings_on_halves(s, d) -> DataFrame:
     """Number, least and greatest of the entries of the successor graph's square over each semiring, on halves as doubles."""
-    m, out = stored(_doubles(fixture(s, d, "SUCC"))), None
-    for name in numeric_semirings():
-        if name == "xor_and":
-            continue  # bits
-        v = P.relational(m, m, name).df.withColumn("v", F.col("v").cast("double"))
-        row = v.agg(F.lit(name).alias("ring"), F.count(F.lit(1)).alias("n"), F.min("v").alias("least"), F.max("v").alias("greatest"))
-        out = row if out is None else out.unionByName(row)
-    return out
+    m = stored(_doubles(fixture(s, d, "SUCC")))
+    return P.rings_summary(m, m, [name for name in numeric_semirings() if name != "xor_and"], SLAB_ENTRIES)  # that one is of bits
 
 
 def _rings_sql() -> str:

@@ -584,3 +584,17 @@ def test_a_large_right_side_is_replicated_in_turns(pair):
     assert rows(P.block_row(a, b, slabs=2, limit=9, more=True)) == want
     with pytest.raises(ValueError):
         P.block_row(a, b, slabs=2, limit=9)
+
+
+def test_all_rings_in_slabs_without_a_shuffle_of_products(spark):
+    """Counts and ends of the products over each semiring equal those of the products themselves, in one slab or many, and no table stays."""
+    m = matrix(spark, draw(51, 19, 19, 90), 19)
+    m = m.with_df(m.df.withColumn("v", F.col("v") * 0.5))
+    names = [r for r in numeric_semirings() if r != "xor_and"]
+    want = {}
+    for r in names:
+        v = [float(x["v"]) for x in P.relational(m, m, r).df.collect()]
+        want[r] = (len(v), min(v), max(v))
+    for limit in (1000, 12):
+        assert {r["ring"]: (r["n"], r["least"], r["greatest"]) for r in P.rings_summary(m, m, names, limit, 3).collect()} == want
+    assert not [t for t in spark.catalog.listTables() if t.name.startswith("semigrid_rows")]
