@@ -109,6 +109,33 @@ def block_arrays(block: Block, value: pa.DataType) -> list[pa.Array]:
     return [one(block.ids, pa.int64()), one(block.start, pa.int64()), one(block.minor, pa.int64()), one(block.num, value)]
 
 
+#: Types of the arrays of a block that is one value; whole numbers first, by their bytes.
+_KINDS = [np.dtype(x) for x in (np.int8, np.int16, np.int32, np.int64, np.float32, np.float64)]
+
+
+def _narrow(x: np.ndarray) -> np.ndarray:
+    """Whole numbers in the fewest bytes that hold them all."""
+    if x.dtype.kind != "i":
+        return x
+    low, high = (int(x.min()), int(x.max())) if len(x) else (0, 0)
+    return x.astype(next(t for t in _KINDS if np.iinfo(t).min <= low and high <= np.iinfo(t).max))
+
+
+def block_value(block: Block) -> bytes:
+    """The block as one binary value: the kind and length of each array, the kind of the values, then the arrays."""
+    arrays = [_narrow(x) for x in (block.ids, block.start, block.minor, block.num)]
+    head = [n for x in arrays for n in (_KINDS.index(x.dtype), len(x))] + [_KINDS.index(block.num.dtype)]
+    return b"".join([np.array(head, np.int64).tobytes(), *(x.tobytes() for x in arrays)])
+
+
+def block_of_value(value: pa.Buffer | bytes) -> Block:
+    head, at, arrays = np.frombuffer(value, np.int64, 9).tolist(), 72, []
+    for kind, n in zip(head[0:8:2], head[1:8:2]):
+        arrays.append(np.frombuffer(value, _KINDS[kind], n, at))
+        at += arrays[-1].nbytes
+    return Block(*(x.astype(np.int64) for x in arrays[:3]), arrays[3].astype(_KINDS[head[8]]))
+
+
 def read_block(batch: pa.RecordBatch, row: int, first: int) -> Block:
     """The block in four columns of a batch, from column ``first`` on; no value is copied."""
     return Block(*(batch.column(first + k)[row].values.to_numpy(zero_copy_only=False) for k in range(4)))

@@ -598,3 +598,23 @@ def test_all_rings_in_slabs_without_a_shuffle_of_products(spark):
     for limit in (1000, 12):
         assert {r["ring"]: (r["n"], r["least"], r["greatest"]) for r in P.rings_summary(m, m, names, limit, 3).collect()} == want
     assert not [t for t in spark.catalog.listTables() if t.name.startswith("semigrid_rows")]
+
+
+@pytest.mark.parametrize("name", ["kernel_esc", "kernel_heap_outer", "fused", "fused_split"])
+def test_blocks_that_are_read_once_are_not_written(name, pair, tight, monkeypatch):
+    """They go from packing to their cells; a task that may hold few entries sends a block in a number of rows."""
+    a, b, want = pair
+    written, plan, write = [], P.plan_blocks, P.materialize
+    monkeypatch.setattr(P, "plan_blocks", lambda m, r, c, form: plan(m, r, c, form, most=7))
+    monkeypatch.setattr(P, "materialize", lambda df, tag, *more, **named: written.append(tag) or write(df, tag, *more, **named))
+    assert rows(FINER[name](a, b)) == want and not written
+
+
+def test_a_block_is_one_narrow_value():
+    for minor, num in ((np.array([5, 1 << 40, 2]), np.array([-3, 4, 100])), (np.array([5, 6, 2]), np.array([0.5, -1, 2])), (np.zeros(0, np.int64), np.zeros(0, np.int32))):
+        block = B.pack(np.arange(len(minor)), minor, num)
+        value = B.block_value(block)
+        back = B.block_of_value(value)
+        assert all((getattr(back, f) == getattr(block, f)).all() and getattr(back, f).dtype == getattr(block, f).dtype for f in B.FIELDS)
+    small = B.block_value(B.pack(np.arange(100), np.arange(100), np.ones(100, np.int64)))
+    assert len(small) < 500, "small ids and values take a byte each"
