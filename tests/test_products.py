@@ -618,3 +618,11 @@ def test_a_block_is_one_narrow_value():
         assert all((getattr(back, f) == getattr(block, f)).all() and getattr(back, f).dtype == getattr(block, f).dtype for f in B.FIELDS)
     small = B.block_value(B.pack(np.arange(100), np.arange(100), np.ones(100, np.int64)))
     assert len(small) < 500, "small ids and values take a byte each"
+
+
+def test_eager_sums_need_no_hash_table(pair, tight):
+    """Each panel but the first is added to the result by tasks with bounded sums, and Spark keeps no table of the places."""
+    a, b, want = pair
+    for panels in (1, 2, 3):
+        got = P.panel_grid(a, b, panels=panels, eager=True)
+        assert rows(got) == want and "HashAggregate" not in _nodes(got.df).split("Initial Plan")[0]
