@@ -14,7 +14,7 @@ from semigrid.functions.kernels import combine, joined
 from semigrid.semiring import Semiring
 
 #: Entries of unmerged results that a task holds; rows of a batch of a run on disk.
-HELD_RESULTS, RUN_ROWS = 1_000_000, 16_384
+HELD_RESULTS, RUN_ROWS = 500_000, 16_384
 #: Bytes of blocks that a task holds while they arrive.
 HELD_BLOCKS = 32 << 20
 

@@ -6,6 +6,7 @@ corners and the sizes (rows, inner ids, columns) of the pair.
 
 from __future__ import annotations
 
+from array import array
 from collections.abc import Iterator
 from heapq import heapify, heappop, heapreplace
 from math import log2
@@ -83,34 +84,31 @@ def heap_outer(a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[Triple
     operand is sorted or turned here: the forms that are stored are the ones needed.
     """
     x, y = _met(a, b)
-    ai, av, bj, bv = a.minor, a.num, b.minor, b.num
+    ai, bj = a.minor.tolist(), b.minor.tolist()
     lists = list(zip(a.start[x].tolist(), a.start[x + 1].tolist(), b.start[y].tolist(), b.start[y + 1].tolist()))
-    heap = [(int(bj[r0]), int(ai[c0]), k, c0, r0) for k, (c0, _, r0, _) in enumerate(lists)]
+    heap = [(bj[r0], ai[c0], k, c0, r0) for k, (c0, _, r0, _) in enumerate(lists)]
     heapify(heap)
-    flops = 0
-    oi: list[int] = []
-    oj: list[int] = []
-    ov: list = []
+    left, right, heads = array("q"), array("q"), array("q")  # the entries of each product in order, and where each place begins
+    last_i = last_j = None
     while heap:
         j, i, k, c, r = heap[0]
-        value = ring.np_mul(av[c : c + 1], bv[r : r + 1])[0]
-        flops += 1
-        if oi and oi[-1] == i and oj[-1] == j:
-            ov[-1] = ring.np_add(ov[-1], value)
-        else:
-            oi.append(i)
-            oj.append(j)
-            ov.append(value)
+        if i != last_i or j != last_j:
+            heads.append(len(left))
+            last_i, last_j = i, j
+        left.append(c)
+        right.append(r)
         c0, c1, _, r1 = lists[k]
         c += 1
         if c == c1:
             c, r = c0, r + 1
         if r < r1:
-            heapreplace(heap, (int(bj[r]), int(ai[c]), k, c, r))
+            heapreplace(heap, (bj[r], ai[c], k, c, r))
         else:
             heappop(heap)
-    kind = ring.np_mul(av[:1], bv[:1]).dtype if len(av) and len(bv) else np.int64
-    return (np.array(oi, np.int64), np.array(oj, np.int64), np.array(ov, kind)), {"flops": flops, "ni": len(x), "nzc": len(a.ids), "nzr": len(b.ids)}
+    p, q, first = (np.frombuffer(t, np.int64) if len(t) else np.zeros(0, np.int64) for t in (left, right, heads))
+    value = ring.np_mul(a.num[p], b.num[q])
+    out = (a.minor[p[first]], b.minor[q[first]], ring.np_add.reduceat(value, first) if len(first) else value)
+    return out, {"flops": len(p), "ni": len(x), "nzc": len(a.ids), "nzr": len(b.ids)}
 
 
 def accumulator_row(a: Block, b: Block, ring: Semiring, sizes: Sizes) -> tuple[Triples, dict]:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from semigrid.matrix import SparseMatrix, cut
@@ -77,6 +77,13 @@ def _power(n: float) -> int:
     return 1 << max(0, int(np.ceil(np.log2(max(n, 1)))))
 
 
+def met_counts(a: SparseMatrix, b: SparseMatrix) -> DataFrame:
+    """One row: products, and entries of A and of B whose inner id the other has. Ids of both sides are counted together, so nothing is joined or sorted."""
+    side = lambda m, k, x, y: m.df.select(F.col(k).alias("k"), F.lit(x).alias("x"), F.lit(y).alias("y")).filter(F.col("k").isNotNull())
+    counts = side(a, "j", 1, 0).unionByName(side(b, "i", 0, 1)).groupBy("k").agg(F.sum("x").alias("da"), F.sum("y").alias("db"))
+    return counts.filter((F.col("da") > 0) & (F.col("db") > 0)).agg(F.sum(F.col("da") * F.col("db").cast("double")), F.sum("da"), F.sum("db"))
+
+
 def finer_axes(a: SparseMatrix, b: SparseMatrix, r: int, s: int, c: int, square: bool = False) -> tuple[tuple[Axis, Axis, Axis], bool]:
     """Axes of rows, inner ids and columns for a product on an r by s by c grid, and whether every entry is known to have a partner.
 
@@ -88,9 +95,7 @@ def finer_axes(a: SparseMatrix, b: SparseMatrix, r: int, s: int, c: int, square:
     na, nb = a.df.count(), b.df.count()
     if na + nb <= SMALL_OPERANDS:
         return plain, False
-    da = a.df.groupBy(F.col("j").alias("k")).agg(F.count(F.lit(1)).alias("da"))
-    db = b.df.groupBy(F.col("i").alias("k")).agg(F.count(F.lit(1)).alias("db"))
-    met = da.join(db, "k").agg(F.sum(F.col("da") * F.col("db").cast("double")), F.sum("da"), F.sum("db")).first()
+    met = met_counts(a, b).first()
     products, whole = float(met[0] or 0), (met[1], met[2]) == (na, nb)
     inner = min(_power((na + nb) / INNER_ENTRIES / s), 4096)
     if square:

@@ -626,3 +626,45 @@ def test_eager_sums_need_no_hash_table(pair, tight):
     for panels in (1, 2, 3):
         got = P.panel_grid(a, b, panels=panels, eager=True)
         assert rows(got) == want and "HashAggregate" not in _nodes(got.df).split("Initial Plan")[0]
+
+
+def test_counts_of_inner_ids_need_no_join(pair, tight):
+    a, b, _ = pair
+    left, right = ([r.asDict() for r in m.df.collect()] for m in (a, b))
+    n = [(x, y) for x in left for y in right if x["j"] == y["i"]]
+    want = (len(n), len({(x["i"], x["j"]) for x, _ in n}), len({(y["i"], y["j"]) for _, y in n}))
+    got = tight.met_counts(a, b)
+    assert tuple(got.first()) == want
+    assert "Join" not in _nodes(got) and "Sort" not in _nodes(got)
+
+
+@pytest.mark.parametrize("name", ["OP", "SUCC"])
+def test_large_tables_are_dealt_before_the_sql(name, spark, monkeypatch):
+    """The matrix is the same, and its first groups or windows take the tasks of bounded rows."""
+    from semigrid.sources import fixtures as X
+
+    want = X.fixture(spark, "/root/testdata/sf0.001", name).df
+    monkeypatch.setattr(X, "DEALT_LEAST", 1000)
+    monkeypatch.setattr(X, "DEALT_ROWS", 500)
+    got = X.fixture(spark, "/root/testdata/sf0.001", name).df
+    assert got.exceptAll(want).isEmpty() and want.exceptAll(got).isEmpty()
+    n = -(-spark.read.parquet("/root/testdata/sf0.001/lineitem.parquet").count() // 500)
+    plan = _nodes(got)
+    assert f", {n})" in plan and plan.count("Exchange hash") == _nodes(want).count("Exchange hash")
+
+
+def test_heap_takes_values_at_once(monkeypatch):
+    """Products are multiplied by one call, not one by one."""
+    a, b = draw(61, 12, 9, 60), draw(62, 9, 14, 70)
+    arrays = lambda t: tuple(np.array(x) for x in zip(*t))
+    x, y, calls = B.columns_of(arrays(a)), B.rows_of(arrays(b)), []
+    from dataclasses import replace
+
+    for name in numeric_semirings():
+        ring = semiring(name)
+        calls.clear()
+        counted = replace(ring, np_mul=lambda p, q, f=ring.np_mul: calls.append(len(p)) or f(p, q))
+        (i, j, v), stats = K.heap_outer(x, y, counted, (12, 9, 14))
+        assert sorted(zip(i.tolist(), j.tolist(), v.tolist())) == brute(a, b, name) and sum(calls) == stats["flops"] and len(calls) == 1
+    none = B.columns_of((np.zeros(0, np.int64),) * 3)
+    assert len(K.heap_outer(none, y, semiring("plus_times"), (12, 9, 14))[0][2]) == 0
