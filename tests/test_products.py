@@ -562,6 +562,19 @@ def test_finer_dual_blocks(spark, tight):
     assert blocks.rows > 2 and rows(P.square_dual(blocks)) == brute(entries, entries, "plus_times")
 
 
+@pytest.mark.parametrize("most", [1, 7, 250_000])
+def test_dual_blocks_are_packed_without_a_sort(most, spark, tight, monkeypatch):
+    """They are written once, in rows of few entries if need be, from tasks that take entries as they come."""
+    entries = draw(22, 19, 19, 90)
+    plans, write = [], P.materialize
+    monkeypatch.setattr(P, "BLOCK_ENTRIES", most)
+    monkeypatch.setattr(P, "materialize", lambda df, tag, *more, **named: plans.append(_nodes(df)) or write(df, tag, *more, **named))
+    blocks = P.dual_blocks(matrix(spark, entries, 19), 2)
+    assert len(plans) == 1 and "Sort" not in plans[0]
+    assert all(B.block_of_value(bytes(x)).nnz <= most for r in blocks.df.collect() for x in (r.block, r.t_block))
+    assert rows(P.square_dual(blocks)) == brute(entries, entries, "plus_times")
+
+
 def test_choices_need_no_blocks(spark, pair):
     """The chooser by counts takes what it takes on the blocks themselves."""
     a, b, _ = pair
